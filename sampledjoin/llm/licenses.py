@@ -82,8 +82,9 @@ def key_words(templates: dict[str, str], threshold: float) -> list[str]:
 
 
 def holds_key_word(text: Column, words: list[str]) -> Column:
-    """Whether the lower-cased text holds a key word, by plain substring search."""
-    return reduce(lambda a, b: a | b, (F.contains(text, F.lit(w)) for w in words))
+    """Whether the lower-cased text may hold a key word: by plain substring search, short ones as whole words."""
+    edge = r"[\p{L}\p{N}]"
+    return reduce(lambda a, b: a | b, (F.contains(text, F.lit(w)) if len(w) > 3 else F.rlike(text, F.lit(f"{w}(?<!{edge}{w})(?!{edge})")) for w in words))
 
 
 def _words(values: list[str]) -> Column:
