@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import math
 from collections import Counter
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -102,6 +103,10 @@ def word_bigrams(w: Column) -> Column:
     return F.array_distinct(F.transform(F.slice(w, 2, F.greatest(F.size(w) - 1, F.lit(0))), lambda x, i: F.concat_ws(" ", F.element_at(w, i + 1), x)))
 
 
+def _match(name: str, threshold: float) -> Callable[[Column], Column]:
+    return lambda d: F.when(d >= threshold, F.struct((-F.round(d, 6)).alias("less"), F.lit(name).alias("template")))
+
+
 def best_template(w: Column, templates: dict[str, str], threshold: float) -> Column:
     """For a unit's words, the struct (template, dice) of the best match, or null."""
     grams = {k: bigrams(v) for k, v in sorted(templates.items())}
@@ -111,8 +116,7 @@ def best_template(w: Column, templates: dict[str, str], threshold: float) -> Col
         for name, t in grams.items():
             lo, hi = bounds(len(t), threshold)
             dice = 2.0 * F.size(F.array_intersect(g, _words(t))) / (F.size(g) + len(t))
-            near = F.transform(F.array(dice), lambda d, name=name: F.when(d >= threshold, F.struct((-F.round(d, 6)).alias("less"), F.lit(name).alias("template"))))
-            options.append(F.when(F.size(g).between(lo, hi), F.element_at(near, 1)))
+            options.append(F.when(F.size(g).between(lo, hi), F.element_at(F.transform(F.array(dice), _match(name, threshold)), 1)))
         return F.array_min(F.array_compact(F.array(*options)))
 
     return F.element_at(F.transform(F.array(word_bigrams(w)), against), 1)
@@ -146,12 +150,12 @@ def oracle() -> str:
     return rf"""
 WITH t(template, grams, n) AS (VALUES {values}),
 u0 AS (
-  SELECT doc_id, rn, list_distinct(list_transform(list_concat(list_concat([x], regexp_split_to_array(x, '\n[ \t]*\n')), string_split(x, chr(10))), v -> trim(v, ' '))) AS units
+  SELECT doc_id, rn, list_distinct(list_transform(list_concat(list_concat([x], regexp_split_to_array(x, '\n[ \t]*\n')), string_split(x, chr(10))), lambda v: trim(v, ' '))) AS units
   FROM (SELECT doc_id, row_number() OVER () AS rn, lower(coalesce(text, '')) AS x FROM documents)),
 u AS (SELECT rn, unnest(units) AS unit FROM u0),
 w AS (SELECT rn, string_split(trim(regexp_replace(unit, '[^\p{{L}}\p{{N}}]+', ' ', 'g'), ' '), ' ') AS w FROM u
       WHERE regexp_matches(unit, '{"|".join(key_words(TEMPLATES, THRESHOLD))}')),
-g AS (SELECT rn, row_number() OVER () AS un, list_distinct(list_transform(range(1, len(w)), i -> w[i] || ' ' || w[i + 1])) AS g FROM w WHERE len(w) > 1),
+g AS (SELECT rn, row_number() OVER () AS un, list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1])) AS g FROM w WHERE len(w) > 1),
 d AS (SELECT rn, un, template, round(2.0 * len(list_intersect(g, grams)) / (len(g) + n), 6) AS dice,
              2.0 * len(list_intersect(g, grams)) / (len(g) + n) AS exact FROM g, t),
 b AS (SELECT rn, un, template, dice, row_number() OVER (PARTITION BY un ORDER BY dice DESC, template) AS r FROM d WHERE exact >= {THRESHOLD})

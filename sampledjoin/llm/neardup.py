@@ -225,8 +225,10 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD, rounds: int = RO
         if pairs.isEmpty():
             break
         found = materialise(verified(pairs, docs, idf, threshold), "links")
-        links = found if links is None else links.union(found)
         tested = pairs if tested is None else tested.union(pairs)
+        if found.isEmpty():
+            continue
+        links = found if links is None else links.union(found)
         labels = components(links)
     members = sketch.select("doc_id", "f1", "f2").join(sets, ["f1", "f2"], "left")
     if labels is None:
