@@ -29,7 +29,7 @@ def pooled(rows: DataFrame) -> DataFrame:
     """``rows`` with r2, the sample variance of each stratum; strata of one draw take the pooled one."""
     own = F.when(F.col("b") > 1, F.greatest(F.lit(0.0), (F.col("s2") - F.col("s1") * F.col("s1") / F.col("b")) / (F.col("b") - 1)))
     rows = rows.withColumn("r2", own)
-    all_r2 = rows.agg((F.sum((F.col("b") - 1) * F.col("r2")) / F.sum(F.when(F.col("b") > 1, F.col("b") - 1))).alias("pooled_r2"))
+    all_r2 = rows.agg(F.try_divide(F.sum((F.col("b") - 1) * F.col("r2")), F.sum(F.when(F.col("b") > 1, F.col("b") - 1))).alias("pooled_r2"))
     return rows.crossJoin(F.broadcast(all_r2)).withColumn("r2", F.coalesce("r2", "pooled_r2", F.lit(0.0))).drop("pooled_r2")
 
 
@@ -42,11 +42,11 @@ def stratum_variance(kind: str) -> Column:
 
 def finish(total: Column, variance: Column, dof: Column, edges: Column, n: Column, confidence: float, mode: str, divide: Column | None = None) -> list[Column]:
     by = divide if divide is not None else F.lit(1.0)
-    bound = t_column(confidence, dof) * F.sqrt(F.greatest(variance, F.lit(0.0))) / by
-    est = total / by
+    bound = F.try_divide(t_column(confidence, dof) * F.sqrt(F.greatest(variance, F.lit(0.0))), by)
+    est = F.try_divide(total, by)
     return [
         est.alias("estimate"), bound.alias("error_bound"), (est - bound).alias("lower"), (est + bound).alias("upper"), F.lit(confidence).alias("confidence"),
-        dof.cast("bigint").alias("dof"), n.cast("bigint").alias("sampled_edges"), edges.cast("decimal(38,0)").alias("total_edges"), (n / edges).alias("fraction"), F.lit(mode).alias("mode"),
+        dof.cast("bigint").alias("dof"), n.cast("bigint").alias("sampled_edges"), edges.cast("decimal(38,0)").alias("total_edges"), F.try_divide(n.cast("double"), edges.cast("double")).alias("fraction"), F.lit(mode).alias("mode"),
     ]
 
 

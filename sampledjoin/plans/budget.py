@@ -60,7 +60,7 @@ def size_for_error(strata: DataFrame, sigma: DataFrame, error: float, confidence
     """``strata`` with b from stored standard deviations (jk, n, sigma); a key without one takes the pooled one.
 
     kind stratum_mean: each key's mean is within ``error``. total_abs: the total is, with the fewest draws (they go with edges · sigma). relative: the total is within error · ``total``."""
-    pool = sigma.agg(F.sqrt(F.sum((F.col("n") - 1) * F.col("sigma") ** 2) / F.sum(F.greatest(F.col("n") - 1, F.lit(1)))).alias("pooled"))
+    pool = sigma.agg(F.sqrt(F.try_divide(F.sum((F.col("n") - 1) * F.col("sigma") ** 2), F.sum(F.greatest(F.col("n") - 1, F.lit(1))).cast("double"))).alias("pooled"))
     known = strata.join(sigma.select("jk", "sigma"), "jk", "left").crossJoin(F.broadcast(pool)).withColumn("sigma", F.coalesce("sigma", "pooled", F.lit(0.0))).drop("pooled")
     if kind == "stratum_mean":
         return clamp(known, error_size(F.col("sigma"), error, confidence), min_b)

@@ -478,7 +478,7 @@ ENGINE: dict[str, tuple] = {
     "co_alloc_latency": (_alloc_latency, f"SELECT jk, edges, CAST(least(greatest(floor(least(1.0, {(42.00003 - 42.0) / 4.16e-9!r} / CAST(sum(edges) OVER () AS DOUBLE)) * edges + 1e-9), 1), edges) AS BIGINT) AS b, least(greatest(floor(least(1.0, {(42.00003 - 42.0) / 4.16e-9!r} / CAST(sum(edges) OVER () AS DOUBLE)) * edges + 1e-9), 1), edges) >= edges AS \"full\" FROM ({_strata_sql(CO)})"),
     "co_alloc_error": (_alloc_error, _SIGMA_SQL + " " + _SIZED_SQL.format(f"SELECT jk, edges, ceil(pow({z_quantile(CONF)!r} * sigma / 50000.0, 2.0) - 1e-9) AS need FROM k")),
     "co_alloc_total_error": (lambda s, d: _alloc_error(s, d, "total_abs", 1e7), _prob_sql()),
-    "tradeoff_curve": (_tradeoff, f"{_SIGMA_SQL} SELECT CAST(k.jk AS BIGINT) AS jk, round({z_quantile(CONF) ** 2!r} * pow(k.sigma / 10000.0, 2.0) * 4.16e-9 / k.edges * (SELECT CAST(sum(edges) AS DOUBLE) FROM st) + 42.5, 9) AS latency, round({z_quantile(CONF)!r} * k.sigma / sqrt(greatest(1.0, least(1.0, {(42.50002 - 42.0 - 0.5) / 4.16e-9!r} / (SELECT CAST(sum(edges) AS DOUBLE) FROM st)) * k.edges)), 2) AS error FROM k JOIN sg USING (jk)"),
+    "tradeoff_curve": (_tradeoff, f"{_SIGMA_SQL} SELECT CAST(k.jk AS BIGINT) AS jk, round({z_quantile(CONF) ** 2!r} * pow(k.sigma / 10000.0, 2.0) * 4.16e-9 / k.edges * (SELECT CAST(sum(st.edges) AS DOUBLE) FROM st JOIN sg USING (jk)) + 42.5, 9) AS latency, round({z_quantile(CONF)!r} * k.sigma / sqrt(greatest(1.0, least(1.0, {(42.50002 - 42.0 - 0.5) / 4.16e-9!r} / (SELECT CAST(sum(st.edges) AS DOUBLE) FROM st JOIN sg USING (jk))) * k.edges)), 2) AS error FROM k JOIN sg USING (jk)"),
     "co_sample_edges": (_edges_rows(_co, 0.3), _replay(CO, CO_V, 0.3) + " SELECT CAST(jk AS BIGINT) AS jk, CAST(draw AS BIGINT) AS draw, CAST(pos_1 AS BIGINT) AS pos_1, CAST(pos_2 AS BIGINT) AS pos_2 FROM e"),
     "co_dedupe_edges": (_edges_rows(_co, 0.6, True), _replay(CO, CO_V, 0.6, distinct=True) + " SELECT CAST(jk AS BIGINT) AS jk, CAST(draw AS BIGINT) AS draw, CAST(pos_1 AS BIGINT) AS pos_1, CAST(pos_2 AS BIGINT) AS pos_2 FROM u"),
     "co_hybrid_postjoin": (_hybrid, f"SELECT round(CAST(sum({CO_V}) AS DOUBLE) / 0.6, 2) AS estimate, CAST(count(*) AS BIGINT) AS sampled_edges FROM ({CO[0][0]}) s1 JOIN ({CO[1][0]}) s2 USING (jk) WHERE {_hash('o_orderkey', '42')} / {float(1 << 60)!r} < 0.6"),

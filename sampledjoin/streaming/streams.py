@@ -13,8 +13,9 @@ from ..operators.filters import apply_filter
 
 
 def events_stream(spark: SparkSession, folder: str, schema, files_per_trigger: int = 1) -> DataFrame:
-    """A folder of Parquet files as a stream."""
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", "*.parquet").parquet(folder)
+    """A folder of Parquet files as a stream; ts becomes a timestamp of the session's zone, as watermarks need one."""
+    rows = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", "*.parquet").parquet(folder)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
 def filter_stream(stream: DataFrame, table: DataFrame, params: FilterParams) -> DataFrame:
