@@ -322,25 +322,33 @@ def _with(docs: DataFrame, make, added: list[T.StructField], drop: str | None =
     return docs.mapInArrow(made, T.StructType([*(docs.schema[c] for c in keep), *added]))
 
 
-def encode(docs: DataFrame, model: bytes, size: int = CHUNK) -> DataFrame:
-    """``docs`` (with a column text) with spm_ids; a column of this name is replaced."""
+def encode(docs: DataFrame, model: bytes, size: int = CHUNK, check: bool = False) -> DataFrame:
+    """``docs`` (with a column text) with spm_ids, and with ``check`` also round_trip: whether the decoded ids give the text back. Columns of these names are replaced."""
     spark = docs.sparkSession
     ship(spark)
     data = spark.sparkContext.broadcast(model)
-    docs = docs.drop("spm_ids")
+    docs = docs.drop("spm_ids", "round_trip")
     text = docs.columns.index("text")
     giant = F.coalesce(F.char_length("text") >= size, F.lit(False))
 
+    def same(texts: list[str | None], ids: list[list[int]]) -> pa.Array:
+        back = lattice_of(data.value).sp.decode(ids, num_threads=1)
+        return pa.array([(a or "") == b for a, b in zip(texts, back, strict=True)])
+
     def direct(b):
-        sp = lattice_of(data.value).sp
-        return [pa.array(sp.encode([t or "" for t in b.column(text).to_pylist()], num_threads=1), pa.list_(pa.int32()))]
+        texts = b.column(text).to_pylist()
+        ids = lattice_of(data.value).sp.encode([t or "" for t in texts], num_threads=1)
+        return [pa.array(ids, pa.list_(pa.int32())), *([same(texts, ids)] if check else [])]
+
+    def checked(b):
+        return [same(b.column(text).to_pylist(), b.column(b.num_columns - 1).to_pylist())]
 
-    field = T.StructField("spm_ids", T.ArrayType(T.IntegerType()))
-    plain = _with(docs.where(~giant), direct, [field])
+    field, flag = T.StructField("spm_ids", T.ArrayType(T.IntegerType())), T.StructField("round_trip", T.BooleanType())
+    plain = _with(docs.where(~giant), direct, [field, *([flag] if check else [])])
     long = docs.where(giant)
     found = encode_giant(long.select("text"), model, size).select(F.col("key").alias("spm_key"), F.col("ids").alias("spm_ids"))
     scanned = long.withColumn("spm_key", _key()).join(found, "spm_key", "left").drop("spm_key")
-    return plain.unionByName(scanned)
+    return plain.unionByName(_with(scanned, checked, [flag]) if check else scanned)
 
 
 def decode(docs: DataFrame, model: bytes) -> DataFrame:
@@ -361,9 +369,8 @@ def decode(docs: DataFrame, model: bytes) -> DataFrame:
 
 def encoded(docs: DataFrame, model_path: str = MODEL) -> DataFrame:
     """(doc_id, n_tokens, ids, round_trip): whether the decoded ids give the text back."""
-    model = read_model(model_path)
-    out = decode(encode(docs.select("doc_id", "text"), model), model)
-    return out.select("doc_id", F.size("spm_ids").cast("bigint").alias("n_tokens"), F.col("spm_ids").alias("ids"), (F.col("spm_text") == F.coalesce("text", F.lit(""))).alias("round_trip"))
+    out = encode(docs.select("doc_id", "text"), read_model(model_path), check=True)
+    return out.select("doc_id", F.size("spm_ids").cast("bigint").alias("n_tokens"), F.col("spm_ids").alias("ids"), "round_trip")
 
 
 def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
