@@ -32,7 +32,7 @@ CELLS = ("plain", "targeted", "negated", "reported", "threat")
 #: Words after a negation within which it holds, and lengths of learned stems.
 SCOPE, STEM_LENGTHS = 3, (4, 5, 6, 7, 8)
 #: At most so many labelled rows of each label are learned from; a stem needs this G² statistic and this share of toxic texts.
-SAMPLE_PER_LABEL, LEAST_G2, LEAST_PRECISION = 6000, 30.0, 0.9
+SAMPLE_PER_LABEL, LEAST_G2, LEAST_PRECISION = 6000, 40.0, 0.99
 #: Prior means of the logistic function: intercept, presence of any cell, then the cells.
 PRIOR = np.array([-3.0, 3.0, 0.3, 0.4, 0.1, 0.1, 0.5])
 THRESHOLD = 0.3
