@@ -28,34 +28,33 @@ def lines(text: Column) -> Column:
     return F.split(F.coalesce(text, F.lit("")), "\n", -1)
 
 
-def common_lines(docs: DataFrame, least_length: int = LEAST_LENGTH, least_documents: int = LEAST_DOCUMENTS) -> DataFrame:
-    """(hash, keeper): keys of enough documents, and the largest id that holds each."""
+def line_hashes(docs: DataFrame, least_length: int = LEAST_LENGTH) -> DataFrame:
+    """(hash, doc_id): the distinct long keys of each document. Stripping alone decides the length, as lower case has as many characters."""
     return (
         docs.where("doc_id is not null").select("doc_id", F.explode(lines(F.col("text"))).alias("line"))
-        .select("doc_id", key(F.col("line")).alias("k")).where(F.char_length("k") >= least_length)
-        .select("doc_id", key_hash(F.col("k")).alias("hash"))
-        .groupBy("hash", "doc_id").agg(F.lit(1).alias("one"))
-        .groupBy("hash").agg(F.count("*").alias("n"), F.max("doc_id").alias("keeper"))
-        .where(F.col("n") >= least_documents).select("hash", "keeper")
+        .where(F.char_length(F.btrim("line", F.lit(BLANKS))) >= least_length)
+        .select("doc_id", key_hash(key(F.col("line"))).alias("hash"))
+        .distinct().select("hash", "doc_id")
     )
 
 
-def doomed_lines(docs: DataFrame, common: DataFrame, least_length: int = LEAST_LENGTH) -> DataFrame:
+def common_lines(hashes: DataFrame, least_documents: int = LEAST_DOCUMENTS) -> DataFrame:
+    """(hash, keeper): keys of enough documents, and the largest id that holds each; from ``line_hashes``."""
+    return hashes.groupBy("hash").agg(F.count("*").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= least_documents).select("hash", "keeper")
+
+
+def doomed_lines(hashes: DataFrame, common: DataFrame) -> DataFrame:
     """(doc_id, doomed): for documents that lose lines, the hashes they lose."""
-    held = (
-        docs.where("doc_id is not null").select("doc_id", F.explode(lines(F.col("text"))).alias("line"))
-        .select("doc_id", key(F.col("line")).alias("k")).where(F.char_length("k") >= least_length)
-        .select("doc_id", key_hash(F.col("k")).alias("hash"))
-    )
-    return held.join(common, "hash").where("doc_id <> keeper").groupBy("doc_id").agg(F.collect_set("hash").alias("doomed"))
+    return hashes.join(common, "hash").where("doc_id <> keeper").groupBy("doc_id").agg(F.collect_set("hash").alias("doomed"))
 
 
 def drop_common_lines(docs: DataFrame) -> DataFrame:
     """``docs`` with line_total, line_dropped and line_text (what is left) beside its columns."""
     from .common import materialise
 
-    common = materialise(common_lines(docs), "common-lines")
-    doomed = doomed_lines(docs, common).withColumnRenamed("doc_id", "doomed_id")
+    hashes = materialise(line_hashes(docs), "line-hashes")  # texts are split once for both uses
+    common = materialise(common_lines(hashes), "common-lines")
+    doomed = doomed_lines(hashes, common).withColumnRenamed("doc_id", "doomed_id")
     both = docs.join(doomed, docs["doc_id"] == doomed["doomed_id"], "left")
     every = lines(F.col("text"))
     lost = F.col("doomed").isNotNull()
