@@ -5,8 +5,9 @@ document frequencies of all shingles are kept in a table of fixed size (2^18 cou
 every task needs has a proven bound; the counters cover all documents. The same weights serve sampling and verification.
 
 Equal weighted sets are one class at once (one row for each reaches the banding). Candidates are never expanded to all
-pairs of a band: each band's members are compared with a leader, verified pairs are joined to components, and where a
-band still spans several components, further leaders are tried among them, round after round.
+pairs of a band: each band's members are compared with a leader, and verified pairs are joined to components. A leader has
+met all of its band and leaves it; where the rest still spans several components, a few further leaders are
+taken from it, round after round, until no band does or a whole round over all such bands verifies no pair.
 
 Defined cases: texts without a word (null, empty) and rows with a null doc_id are in no group: class_id is the own doc_id;
 rows that share a doc_id share a class; ties go to the smaller doc_id, which names the class; an empty table gives an
@@ -15,6 +16,8 @@ empty result; other columns are ignored.
 
 from __future__ import annotations
 
+from itertools import count
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -25,8 +28,9 @@ from .common import counted, materialise, mix, shingle_blocks, ship, small
 BUCKET_BITS = 18
 SAMPLES, BANDS = 64, 16
 THRESHOLD = 0.8
+#: Leaders that a band has in each round after the first.
+LEADERS = 8
 VARIATE_BITS, WEIGHT_STEPS = 14, 112
-ROUNDS = 3
 #: Ids are broadcast only up to so many rows.
 BROADCAST_IDS = 1_000_000
 
@@ -48,11 +52,11 @@ def document_frequencies(docs: DataFrame) -> tuple[int, np.ndarray]:
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(total[at], n))], names=["bucket", "n"])
 
-    t = docs.select("text").mapInArrow(counts, "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n")).toPandas()
+    t = docs.select("text").mapInArrow(counts, "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    at, n = t.column("bucket").to_numpy(), t.column("n").to_numpy()
     out = np.zeros(1 << BUCKET_BITS, np.int64)
-    real = t[t["bucket"] >= 0]
-    out[real["bucket"].to_numpy()] = real["n"].to_numpy()
-    return int(t.loc[t["bucket"] == -1, "n"].sum()), out
+    out[at[at >= 0]] = n[at >= 0]
+    return int(n[at == -1].sum()), out
 
 
 def idf_table(n: int, df: np.ndarray) -> np.ndarray:
@@ -197,7 +201,14 @@ def components(links: DataFrame, tag: str = "components") -> DataFrame:
     return low.select(F.col("u").alias("doc_id"), "component").union(low.select(F.col("component").alias("doc_id"), "component").distinct())
 
 
-def near_classes(docs: DataFrame, threshold: float = THRESHOLD, rounds: int = ROUNDS) -> DataFrame:
+def band_leaders(rows: DataFrame, most: int, turn: int) -> DataFrame:
+    """(band, leads): for each band of ``rows`` (doc_id, weight, band, component) that spans several components, up to ``most`` of its rows. They are found by slots, so that no band is gathered whole."""
+    first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("o"), "doc_id", "weight", "component")).alias("lead")
+    slots = rows.groupBy("band", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(most)).alias("slot")).agg(first, F.min("component").alias("lo"), F.max("component").alias("hi"))
+    return slots.groupBy("band").agg(F.collect_list("lead").alias("leads"), F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo <> hi").select("band", "leads")
+
+
+def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(doc_id, class_id, links): for each row the smallest doc_id of its class, and how many verified links its representative has."""
     ship(docs.sparkSession)
     idf = idf_table(*document_frequencies(docs))
@@ -208,25 +219,26 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD, rounds: int = RO
     rows = materialise(firsts.select("doc_id", "weight", F.explode("bands").alias("band")), "bands")
 
     links = tested = labels = None
-    for k in range(rounds):
+    for turn in count():
         now = rows.withColumn("component", F.col("doc_id")) if labels is None else rows.join(labels, "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-        order = F.xxhash64("doc_id") if k == 0 else F.xxhash64(F.lit(k), "doc_id", "band")
-        leaders = (
-            now.groupBy("band").agg(F.min(F.struct(order.alias("o"), "doc_id", "weight", "component")).alias("lead"), F.min("component").alias("lo"), F.max("component").alias("hi"))
-            .where("lo <> hi").select("band", "lead")
-        )
+        leaders = materialise(band_leaders(now, LEADERS if turn else 1, turn), "leaders")
+        if leaders.isEmpty():
+            break
+        met = now.join(leaders, "band")
         pairs = (
-            now.join(leaders, "band").where((F.col("component") != F.col("lead.component")) & (F.least("weight", "lead.weight") >= threshold * 0.999 * F.greatest("weight", "lead.weight")))
+            met.select("doc_id", "weight", "component", F.explode("leads").alias("lead"))
+            .where((F.col("component") != F.col("lead.component")) & (F.least("weight", "lead.weight") >= threshold * 0.999 * F.greatest("weight", "lead.weight")))
             .select(F.greatest("doc_id", "lead.doc_id").alias("a"), F.least("doc_id", "lead.doc_id").alias("b")).distinct()
         )
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
-        if pairs.isEmpty():
-            break
+        rows = materialise(met.where(~F.array_contains("leads.doc_id", F.col("doc_id"))).select("doc_id", "weight", "band"), "bands")
         found = materialise(verified(pairs, docs, idf, threshold), "links")
         tested = pairs if tested is None else tested.union(pairs)
         if found.isEmpty():
+            if turn:
+                break
             continue
         links = found if links is None else links.union(found)
         labels = components(links)
