@@ -6,8 +6,9 @@ every task needs has a proven bound; the counters cover all documents. The same
 
 Equal weighted sets are one class at once (one row for each reaches the banding). Candidates are never expanded to all
 pairs of a band: each band's members are compared with a leader, and verified pairs are joined to components. A leader has
-met all of its band and leaves it; where the rest still spans several components, a few further leaders are
-taken from it, round after round, until no band does or a whole round over all such bands verifies no pair.
+met all of its band and leaves it; where the rest still spans several components, further leaders are taken from it, four
+times as many in each round, until no band does or a whole round of at least ``DRY`` leaders over all such bands verifies
+no pair. Before texts are compared, pairs whose samples hardly agree are left out.
 
 Defined cases: texts without a word (null, empty) and rows with a null doc_id are in no group: class_id is the own doc_id;
 rows that share a doc_id share a class; ties go to the smaller doc_id, which names the class; an empty table gives an
@@ -28,8 +29,12 @@ from .common import counted, materialise, mix, shingle_blocks, ship, small
 BUCKET_BITS = 18
 SAMPLES, BANDS = 64, 16
 THRESHOLD = 0.8
-#: Leaders that a band has in each round after the first.
-LEADERS = 8
+#: Leaders that a band has in each round; the last number holds for all later rounds.
+LEADERS = (1, 8, 32, 128, 512)
+#: A round of so many leaders that verifies no pair is the last.
+DRY = 32
+#: Two bits of each sample are compared before texts are: pairs that agree this many standard deviations less than a pair at the threshold are left out.
+DEVIATIONS = 4.5
 VARIATE_BITS, WEIGHT_STEPS = 14, 112
 #: Ids are broadcast only up to so many rows.
 BROADCAST_IDS = 1_000_000
@@ -107,7 +112,7 @@ def banded(samples: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
-    """(doc_id, f1, f2, weight, bands) of each row; f1 and f2 name the weighted set, null without a word."""
+    """(doc_id, f1, f2, weight, bands, s1, s2) of each row; f1 and f2 name the weighted set, null without a word; s1 and s2 have one bit of each sample."""
     table = docs.sparkSession.sparkContext.broadcast(idf)
 
     def made(batches):
@@ -116,7 +121,7 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
             idf = table.value
             ids, n = b.column(0), b.num_rows
             f1, f2, weight, there = np.zeros(n, np.uint64), np.zeros(n, np.uint64), np.zeros(n), np.zeros(n, bool)
-            bands = np.zeros((n, BANDS), np.int64)
+            bands, bits = np.zeros((n, BANDS), np.int64), np.zeros((2, n), np.int64)
             for a, _, h, d in shingle_blocks(b.column(1).to_pylist()):
                 with np.errstate(over="ignore"):
                     h, d, tf = counted(h, d)
@@ -130,11 +135,22 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
                     u = tf.astype(np.uint64)
                     f1[at] = np.add.reduceat(mix(h + u), start)
                     f2[at] = np.add.reduceat(mix((h ^ np.uint64(0x5851F42D4C957F2D)) * (u + u + np.uint64(1))), start)
-                    bands[at] = banded(sampler.samples(h, np.log(w), start))
+                    drawn = sampler.samples(h, np.log(w), start)
+                    bands[at], mixed = banded(drawn), mix(drawn)
+                    for i in range(2):
+                        bits[i, at] = np.packbits((mixed >> np.uint64(i)) & np.uint64(1) != 0, axis=1).view(np.int64)[:, 0]
             flat = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * BANDS), pa.array(bands.ravel()))
-            yield pa.RecordBatch.from_arrays([ids, pa.array(f1.view(np.int64), mask=~there), pa.array(f2.view(np.int64), mask=~there), pa.array(weight), flat], names=["doc_id", "f1", "f2", "weight", "bands"])
+            yield pa.RecordBatch.from_arrays(
+                [ids, pa.array(f1.view(np.int64), mask=~there), pa.array(f2.view(np.int64), mask=~there), pa.array(weight), flat, *map(pa.array, bits)], names=["doc_id", "f1", "f2", "weight", "bands", "s1", "s2"]
+            )
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(made, "doc_id bigint, f1 bigint, f2 bigint, weight double, bands array<bigint>")
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(made, "doc_id bigint, f1 bigint, f2 bigint, weight double, bands array<bigint>, s1 bigint, s2 bigint")
+
+
+def least_agreeing(threshold: float) -> int:
+    """So many of SAMPLES have both bits alike in a pair whose texts are worth comparing."""
+    q = threshold + (1 - threshold) / 4
+    return max(0, int(SAMPLES * q - DEVIATIONS * (SAMPLES * q * (1 - q)) ** 0.5))
 
 
 def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], idf: np.ndarray) -> float:
@@ -182,28 +198,43 @@ def verified(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, threshold: floa
     return both.mapInArrow(measured, "a bigint, b bigint")
 
 
-def components(links: DataFrame, tag: str = "components") -> DataFrame:
-    """(doc_id, component): the smallest id that links reach, by alternating large and small stars; one row for each id in links."""
-    e = materialise(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), tag)
-    mark = None
+def star_step(edges: DataFrame) -> DataFrame:
+    """One large and one small star over edges (u, v), v < u: each id comes nearer to the smallest that it is linked with, and none loses its links."""
+    sym = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    low = sym.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+    large = sym.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+    low = large.groupBy("u").agg(F.min("v").alias("m"))
+    star = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
+    return star.distinct()
+
+
+def ordered(links: DataFrame) -> DataFrame:
+    return links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct()
+
+
+def lowest(edges: DataFrame) -> DataFrame:
+    """(doc_id, component) of each id in ``edges``: the smallest of its own edges, or itself."""
+    low = edges.groupBy("u").agg(F.min("v").alias("component"))
+    return low.select(F.col("u").alias("doc_id"), "component").union(edges.join(low.select(F.col("u").alias("v")), "v", "left_anti").select(F.col("v").alias("doc_id"), F.col("v").alias("component")).distinct())
+
+
+def settled(edges: DataFrame, tag: str = "components") -> DataFrame:
+    """(doc_id, component): the smallest id that edges (u, v), v < u, reach; steps go on until all edges form stars."""
     while True:
-        sym = e.union(e.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = sym.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = sym.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        low = large.groupBy("u").agg(F.min("v").alias("m"))
-        star = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
-        e = materialise(star.distinct(), tag)
-        now = tuple(e.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
-        if now == mark:
-            break
-        mark = now
-    low = e.groupBy("u").agg(F.min("v").alias("component"))
-    return low.select(F.col("u").alias("doc_id"), "component").union(low.select(F.col("component").alias("doc_id"), "component").distinct())
+        ends = edges.select(F.col("u").alias("x"), F.lit(1).alias("up")).union(edges.select(F.col("v").alias("x"), F.lit(0).alias("up")))
+        if ends.groupBy("x").agg(F.sum("up").alias("ups"), F.min("up").alias("least")).where("ups > 1 or (ups = 1 and least = 0)").isEmpty():
+            return lowest(edges)
+        edges = materialise(star_step(edges), tag)
+
+
+def components(links: DataFrame) -> DataFrame:
+    """(doc_id, component): the smallest id that links (a, b) reach; one row for each id in links that are not loops."""
+    return settled(materialise(ordered(links), "components"))
 
 
 def band_leaders(rows: DataFrame, most: int, turn: int) -> DataFrame:
-    """(band, leads): for each band of ``rows`` (doc_id, weight, band, component) that spans several components, up to ``most`` of its rows. They are found by slots, so that no band is gathered whole."""
-    first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("o"), "doc_id", "weight", "component")).alias("lead")
+    """(band, leads): for each band of ``rows`` (doc_id, weight, s1, s2, band, component) that spans several components, up to ``most`` of its rows. They are found by slots, so that no band is gathered whole."""
+    first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("o"), "doc_id", "weight", "s1", "s2", "component")).alias("lead")
     slots = rows.groupBy("band", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(most)).alias("slot")).agg(first, F.min("component").alias("lo"), F.max("component").alias("hi"))
     return slots.groupBy("band").agg(F.collect_list("lead").alias("leads"), F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo <> hi").select("band", "leads")
 
@@ -216,32 +247,37 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     named = sketch.where("f1 is not null and doc_id is not null")
     sets = named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
     firsts = named.join(sets.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"]).dropDuplicates(["f1", "f2"])
-    rows = materialise(firsts.select("doc_id", "weight", F.explode("bands").alias("band")), "bands")
+    rows = materialise(firsts.select("doc_id", "weight", "s1", "s2", F.explode("bands").alias("band")), "bands")
 
-    links = tested = labels = None
+    links = tested = edges = None
     for turn in count():
-        now = rows.withColumn("component", F.col("doc_id")) if labels is None else rows.join(labels, "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-        leaders = materialise(band_leaders(now, LEADERS if turn else 1, turn), "leaders")
+        most = LEADERS[min(turn, len(LEADERS) - 1)]
+        now = rows.withColumn("component", F.col("doc_id"))
+        if edges is not None:
+            now = rows.join(lowest(edges), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+        leaders = materialise(band_leaders(now, most, turn), "leaders")
         if leaders.isEmpty():
             break
         met = now.join(leaders, "band")
         pairs = (
-            met.select("doc_id", "weight", "component", F.explode("leads").alias("lead"))
+            met.select("doc_id", "weight", "s1", "s2", "component", F.explode("leads").alias("lead"))
             .where((F.col("component") != F.col("lead.component")) & (F.least("weight", "lead.weight") >= threshold * 0.999 * F.greatest("weight", "lead.weight")))
+            .where(F.bit_count(F.expr("(s1 ^ lead.s1) | (s2 ^ lead.s2)")) <= SAMPLES - least_agreeing(threshold))
             .select(F.greatest("doc_id", "lead.doc_id").alias("a"), F.least("doc_id", "lead.doc_id").alias("b")).distinct()
         )
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
-        rows = materialise(met.where(~F.array_contains("leads.doc_id", F.col("doc_id"))).select("doc_id", "weight", "band"), "bands")
+        rows = materialise(met.where(~F.array_contains("leads.doc_id", F.col("doc_id"))).select("doc_id", "weight", "s1", "s2", "band"), "bands")
         found = materialise(verified(pairs, docs, idf, threshold), "links")
         tested = pairs if tested is None else tested.union(pairs)
         if found.isEmpty():
-            if turn:
+            if most >= DRY:
                 break
             continue
         links = found if links is None else links.union(found)
-        labels = components(links)
+        edges = materialise(star_step(ordered(found) if edges is None else edges.union(ordered(found)).distinct()), "edges")
+    labels = None if edges is None else settled(edges)
     members = sketch.select("doc_id", "f1", "f2").join(sets, ["f1", "f2"], "left")
     if labels is None:
         return members.select("doc_id", F.coalesce("rep", "doc_id").alias("class_id"), F.lit(0).cast("bigint").alias("links"))
