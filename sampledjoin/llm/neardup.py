@@ -7,8 +7,8 @@ every task needs has a proven bound; the counters cover all documents. The same
 Equal weighted sets are one class at once (one row for each reaches the banding). Candidates are never expanded to all
 pairs of a band: each band's members are compared with a leader, and verified pairs are joined to components. A leader has
 met all of its band and leaves it; where the rest still spans several components, further leaders are taken from it, four
-times as many in each round, until no band does or a whole round of at least ``DRY`` leaders over all such bands verifies
-no pair. Before texts are compared, pairs whose samples hardly agree are left out.
+times as many in each round up to a bound, until no band does: every two rows of a band are compared or linked by others,
+however many rounds verify no pair. Before texts are compared, pairs whose samples hardly agree are left out.
 
 Defined cases: texts without a word (null, empty) and rows with a null doc_id are in no group: class_id is the own doc_id;
 rows that share a doc_id share a class; ties go to the smaller doc_id, which names the class; an empty table gives an
@@ -31,8 +31,6 @@ SAMPLES, BANDS = 64, 16
 THRESHOLD = 0.8
 #: Leaders that a band has in each round; the last number holds for all later rounds.
 LEADERS = (1, 8, 32, 128, 512)
-#: A round of so many leaders that verifies no pair is the last.
-DRY = 32
 #: Two bits of each sample are compared before texts are: pairs that agree this many standard deviations less than a pair at the threshold are left out.
 DEVIATIONS = 4.5
 VARIATE_BITS, WEIGHT_STEPS = 14, 112
@@ -272,8 +270,6 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
         found = materialise(verified(pairs, docs, idf, threshold), "links")
         tested = pairs if tested is None else tested.union(pairs)
         if found.isEmpty():
-            if most >= DRY:
-                break
             continue
         links = found if links is None else links.union(found)
         edges = materialise(star_step(ordered(found) if edges is None else edges.union(ordered(found)).distinct()), "edges")

@@ -57,6 +57,14 @@ def test_near_classes_match_brute_force(spark):
     assert {20: 0, 21: 1, 22: 2}.items() <= dict(got).items() and dict(got)[23] == 23
 
 
+def test_near_classes_search_a_hot_band_to_its_end(spark, monkeypatch):
+    made = neardup.sketches
+    monkeypatch.setattr(neardup, "sketches", lambda *a: made(*a).withColumn("bands", F.array(F.lit(1).cast("bigint"))))
+    rows = [(i, " ".join(f"r{i}x{j}" for j in range(60))) for i in range(300)]
+    got = {r.doc_id: r.class_id for r in neardup.near_classes(table(spark, [*rows, (500, rows[77][1] + " more")])).collect()}
+    assert got == {i: i for i, _ in rows} | {500: 77}
+
+
 def test_weighted_samples_agree_as_often_as_sets_do():
     g = np.random.default_rng(5)
     base = np.sort(g.integers(1 << 40, 1 << 63, 400, np.uint64))
