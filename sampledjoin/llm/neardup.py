@@ -1,8 +1,9 @@
 """Near-duplicates: improved consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard similarity.
 
 A document is the weighted set of its five-word shingles; a shingle's weight is its count times ln(1 + N / df). The
-document frequencies of all shingles are kept in a table of fixed size (2^18 counters over a hash), so that the table that
-every task needs has a proven bound; the counters cover all documents. The same weights serve sampling and verification.
+sampling takes document frequencies from a table of fixed size (2^18 counters over a hash), so that the table that every
+task needs has a proven bound; the counters cover all documents. Such a counter is never below the exact frequency, so
+it bounds a pair's similarity from both sides; where the bounds leave the verdict open, exact frequencies decide.
 
 Equal weighted sets are one class at once (one row for each reaches the banding). Candidates are never expanded to all
 pairs of a band: each band's members are compared with a leader, and verified pairs are joined to components. A leader has
@@ -17,6 +18,8 @@ empty result; other columns are ignored.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import cache
 from itertools import count
 
 import numpy as np
@@ -110,7 +113,7 @@ def banded(samples: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
-    """(doc_id, f1, f2, weight, bands, s1, s2) of each row; f1 and f2 name the weighted set, null without a word; s1 and s2 have one bit of each sample."""
+    """(doc_id, f1, f2, weight, bands, s1, s2, size) of each row; f1 and f2 name the weighted set, null without a word; s1 and s2 have one bit of each sample; size is the number of shingles."""
     table = docs.sparkSession.sparkContext.broadcast(idf)
 
     def made(batches):
@@ -118,7 +121,7 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
         for b in batches:
             idf = table.value
             ids, n = b.column(0), b.num_rows
-            f1, f2, weight, there = np.zeros(n, np.uint64), np.zeros(n, np.uint64), np.zeros(n), np.zeros(n, bool)
+            f1, f2, weight, size, there = np.zeros(n, np.uint64), np.zeros(n, np.uint64), np.zeros(n), np.zeros(n), np.zeros(n, bool)
             bands, bits = np.zeros((n, BANDS), np.int64), np.zeros((2, n), np.int64)
             for a, _, h, d in shingle_blocks(b.column(1).to_pylist()):
                 with np.errstate(over="ignore"):
@@ -130,6 +133,7 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
                     w = idf[bucket(h)] * tf.astype(np.float32)
                     there[at] = True
                     weight[at] = np.add.reduceat(w.astype(np.float64), start)
+                    size[at] = np.add.reduceat(tf.astype(np.float64), start)
                     u = tf.astype(np.uint64)
                     f1[at] = np.add.reduceat(mix(h + u), start)
                     f2[at] = np.add.reduceat(mix((h ^ np.uint64(0x5851F42D4C957F2D)) * (u + u + np.uint64(1))), start)
@@ -139,10 +143,10 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
                         bits[i, at] = np.packbits((mixed >> np.uint64(i)) & np.uint64(1) != 0, axis=1).view(np.int64)[:, 0]
             flat = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * BANDS), pa.array(bands.ravel()))
             yield pa.RecordBatch.from_arrays(
-                [ids, pa.array(f1.view(np.int64), mask=~there), pa.array(f2.view(np.int64), mask=~there), pa.array(weight), flat, *map(pa.array, bits)], names=["doc_id", "f1", "f2", "weight", "bands", "s1", "s2"]
+                [ids, pa.array(f1.view(np.int64), mask=~there), pa.array(f2.view(np.int64), mask=~there), pa.array(weight), flat, *map(pa.array, bits), pa.array(size)], names=["doc_id", "f1", "f2", "weight", "bands", "s1", "s2", "size"]
             )
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(made, "doc_id bigint, f1 bigint, f2 bigint, weight double, bands array<bigint>, s1 bigint, s2 bigint")
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(made, "doc_id bigint, f1 bigint, f2 bigint, weight double, bands array<bigint>, s1 bigint, s2 bigint, size double")
 
 
 def least_agreeing(threshold: float) -> int:
@@ -151,12 +155,41 @@ def least_agreeing(threshold: float) -> int:
     return max(0, int(SAMPLES * q - DEVIATIONS * (SAMPLES * q * (1 - q)) ** 0.5))
 
 
-def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], idf: np.ndarray) -> float:
-    """Weighted Jaccard similarity of two weighted sets (hashes in order, counts)."""
+def sampled_threshold(threshold: float, n: int, df: np.ndarray) -> float:
+    """What is left of the threshold under the weights of the buckets, where shared shingles are found once but share a usual bucket."""
+    usual = float(np.median(df[df > 0])) if df.any() else 1.0
+    return threshold / (threshold + (1 - threshold) * float(np.log1p(max(n, 1)) / np.log1p(max(n, 1) / usual)))
+
+
+def exact_frequencies(docs: DataFrame) -> DataFrame:
+    """(shingle, df) of the shingles of at least two documents; over all rows. Counts are summed in each task before they are moved."""
+
+    def counts(batches):
+        for b in batches:
+            held = [counted(h, d)[0] for _, _, h, d in shingle_blocks(b.column(0).to_pylist())]
+            v, n = np.unique(np.concatenate([np.zeros(0, np.uint64), *held]), return_counts=True)
+            yield pa.RecordBatch.from_arrays([pa.array(v.view(np.int64)), pa.array(n.astype(np.int64))], names=["shingle", "n"])
+
+    return docs.select("text").mapInArrow(counts, "shingle bigint, n bigint").groupBy("shingle").agg(F.sum("n").alias("df")).where("df > 1")
+
+
+def similarity_bounds(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], idf: np.ndarray, n: int) -> tuple[float, float]:
+    """Between these lies the similarity by exact frequencies: weights are at least those of the buckets, and at most those of shingles found here only."""
     _, i, j = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
+    least = np.minimum(a[1][i], b[1][j])
     w = lambda h, tf: float((idf[bucket(h)].astype(np.float64) * tf).sum())
-    both = w(a[0][i], np.minimum(a[1][i], b[1][j]))
-    every = w(*a) + w(*b) - both
+    both, most = w(a[0][i], least), float(least.sum()) * np.log1p(n / 2)
+    rest = w(*a) + w(*b) - 2 * both
+    rest_most = float(a[1].sum() + b[1].sum() - 2 * least.sum()) * np.log1p(n)
+    return (both / (both + rest_most) if both else 0.0), (most / (most + max(rest, 0.0)) if most else 0.0)
+
+
+def similarity(a: tuple[np.ndarray, ...], b: tuple[np.ndarray, ...], n: int) -> float:
+    """Weighted Jaccard similarity of two weighted sets (hashes in order, counts, exact document frequencies)."""
+    _, i, j = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
+    w = lambda tf, df: float((np.log1p(n / df) * tf).sum())
+    both = w(np.minimum(a[1][i], b[1][j]), a[2][i])
+    every = w(*a[1:]) + w(*b[1:]) - both
     return both / every if every else 0.0
 
 
@@ -170,30 +203,64 @@ def weighted_sets(texts: list[str | None]) -> list[tuple[np.ndarray, np.ndarray]
     return out
 
 
-def verified(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, threshold: float) -> DataFrame:
-    """The pairs (a, b) of documents whose similarity reaches the threshold."""
+def verified(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, n: int, exact: Callable[[], DataFrame], threshold: float) -> DataFrame:
+    """The pairs (a, b) of documents whose similarity by exact document frequencies reaches the threshold; exact gives those."""
     table = docs.sparkSession.sparkContext.broadcast(idf)
-    texts = docs.select(F.col("doc_id").cast("bigint").alias("id"), "text")
-    ends = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-    if small(ends, BROADCAST_IDS):
-        texts = texts.join(F.broadcast(ends), "id", "left_semi")
-    both = (
-        pairs.join(texts.select(F.col("id").alias("a"), F.col("text").alias("text_a")), "a")
-        .join(texts.select(F.col("id").alias("b"), F.col("text").alias("text_b")), "b")
-        .select("a", "b", "text_a", "text_b")
-    )
 
-    def measured(batches):
+    def of(pairs):
+        texts = docs.select(F.col("doc_id").cast("bigint").alias("id"), "text")
+        ends = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
+        return texts.join(F.broadcast(ends) if small(ends, BROADCAST_IDS) else ends, "id", "left_semi")
+
+    def joined(pairs, values, names):
+        side = lambda x: values.select(F.col("id").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in names))
+        return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", *(f"{c}_{x}" for x in "ab" for c in names))
+
+    def bounded(batches):
         for batch in batches:
             a, b, x, y = (c.to_pylist() for c in batch.columns)
-            keep = []
+            keep, sure = [], []
             for lo in range(0, len(a), 128):
                 names = list(dict.fromkeys([*x[lo : lo + 128], *y[lo : lo + 128]]))
                 sets = dict(zip(names, weighted_sets(names), strict=True))
-                keep += [k for k in range(lo, min(lo + 128, len(a))) if similarity(sets[x[k]], sets[y[k]], table.value) >= threshold]
-            yield pa.RecordBatch.from_arrays([pa.array([a[k] for k in keep], pa.int64()), pa.array([b[k] for k in keep], pa.int64())], names=["a", "b"])
+                for k in range(lo, min(lo + 128, len(a))):
+                    least, most = similarity_bounds(sets[x[k]], sets[y[k]], table.value, n)
+                    if most >= threshold - 1e-6:
+                        keep.append(k)
+                        sure.append(least >= threshold + 1e-6)
+            yield pa.RecordBatch.from_arrays([pa.array([a[k] for k in keep], pa.int64()), pa.array([b[k] for k in keep], pa.int64()), pa.array(sure, pa.bool_())], names=["a", "b", "sure"])
+
+    def spread(batches):
+        for batch in batches:
+            ids, keys, texts = (c.to_pylist() for c in batch.columns)
+            for lo in range(0, len(ids), 128):
+                sets = weighted_sets(texts[lo : lo + 128])
+                size = [len(v) for v, _ in sets]
+                cols = [np.repeat(np.array(c[lo : lo + 128], np.int64), size) for c in (ids, keys)] + [np.concatenate([v for v, _ in sets]).view(np.int64), np.concatenate([tf for _, tf in sets])]
+                yield pa.RecordBatch.from_arrays([pa.array(c.astype(np.int64)) for c in cols], names=["id", "key", "shingle", "tf"])
+
+    def measured(batches):
+        for batch in batches:
+            a, b, *lists = (batch.column(k) for k in range(batch.num_columns))
+            value = lambda c, k: np.asarray(c[k].values)
+
+            def weighted(cols, k):
+                h, tf, df = (value(c, k) for c in cols)
+                order = np.argsort(h)
+                return h[order], tf[order], df[order]
+
+            yes = pa.array([similarity(weighted(lists[:3], k), weighted(lists[3:], k), n) >= threshold for k in range(batch.num_rows)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([a.filter(yes), b.filter(yes)], names=["a", "b"])
 
-    return both.mapInArrow(measured, "a bigint, b bigint")
+    near = materialise(joined(pairs, of(pairs), ["text"]).mapInArrow(bounded, "a bigint, b bigint, sure boolean"), "bounded")
+    links, unsure = near.where("sure").select("a", "b"), near.where("not sure").select("a", "b").distinct()
+    if unsure.isEmpty():
+        return links
+    sets = of(unsure).select("id", F.xxhash64("text").alias("key"), "text").mapInArrow(spread, "id bigint, key bigint, shingle bigint, tf bigint")
+    held = F.struct("shingle", "tf", F.coalesce("df", F.lit(1)).cast("bigint").alias("df"))
+    # rows that share a doc_id are told apart by key
+    sets = sets.join(exact(), "shingle", "left").groupBy("id", "key").agg(F.collect_list(held).alias("s")).select("id", *(F.col(f"s.{c}").alias(c) for c in ("shingle", "tf", "df")))
+    return links.union(joined(unsure, materialise(sets, "sets"), ["shingle", "tf", "df"]).mapInArrow(measured, "a bigint, b bigint"))
 
 
 def star_step(edges: DataFrame) -> DataFrame:
@@ -231,8 +298,8 @@ def components(links: DataFrame) -> DataFrame:
 
 
 def band_leaders(rows: DataFrame, most: int, turn: int) -> DataFrame:
-    """(band, leads): for each band of ``rows`` (doc_id, weight, s1, s2, band, component) that spans several components, up to ``most`` of its rows. They are found by slots, so that no band is gathered whole."""
-    first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("o"), "doc_id", "weight", "s1", "s2", "component")).alias("lead")
+    """(band, leads): for each band of ``rows`` (doc_id, weight, size, s1, s2, band, component) that spans several components, up to ``most`` of its rows. They are found by slots, so that no band is gathered whole."""
+    first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("o"), "doc_id", "weight", "size", "s1", "s2", "component")).alias("lead")
     slots = rows.groupBy("band", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(most)).alias("slot")).agg(first, F.min("component").alias("lo"), F.max("component").alias("hi"))
     return slots.groupBy("band").agg(F.collect_list("lead").alias("leads"), F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo <> hi").select("band", "leads")
 
@@ -240,12 +307,15 @@ def band_leaders(rows: DataFrame, most: int, turn: int) -> DataFrame:
 def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(doc_id, class_id, links): for each row the smallest doc_id of its class, and how many verified links its representative has."""
     ship(docs.sparkSession)
-    idf = idf_table(*document_frequencies(docs))
+    n, df = document_frequencies(docs)
+    idf = idf_table(n, df)
+    exact = cache(lambda: materialise(exact_frequencies(docs), "frequencies"))
+    agreeing, most_idf = least_agreeing(sampled_threshold(threshold, n, df)), float(np.log1p(max(n, 1)))
     sketch = materialise(sketches(docs, idf), "sketches")
     named = sketch.where("f1 is not null and doc_id is not null")
     sets = named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
     firsts = named.join(sets.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"]).dropDuplicates(["f1", "f2"])
-    rows = materialise(firsts.select("doc_id", "weight", "s1", "s2", F.explode("bands").alias("band")), "bands")
+    rows = materialise(firsts.select("doc_id", "weight", "size", "s1", "s2", F.explode("bands").alias("band")), "bands")
 
     links = tested = edges = None
     for turn in count():
@@ -258,16 +328,16 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
             break
         met = now.join(leaders, "band")
         pairs = (
-            met.select("doc_id", "weight", "s1", "s2", "component", F.explode("leads").alias("lead"))
-            .where((F.col("component") != F.col("lead.component")) & (F.least("weight", "lead.weight") >= threshold * 0.999 * F.greatest("weight", "lead.weight")))
-            .where(F.bit_count(F.expr("(s1 ^ lead.s1) | (s2 ^ lead.s2)")) <= SAMPLES - least_agreeing(threshold))
+            met.select("doc_id", "weight", "size", "s1", "s2", "component", F.explode("leads").alias("lead"))
+            .where((F.col("component") != F.col("lead.component")) & (F.col("size") * most_idf >= threshold * 0.999 * F.col("lead.weight")) & (F.col("lead.size") * most_idf >= threshold * 0.999 * F.col("weight")))
+            .where(F.bit_count(F.expr("(s1 ^ lead.s1) | (s2 ^ lead.s2)")) <= SAMPLES - agreeing)
             .select(F.greatest("doc_id", "lead.doc_id").alias("a"), F.least("doc_id", "lead.doc_id").alias("b")).distinct()
         )
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
-        rows = materialise(met.where(~F.array_contains("leads.doc_id", F.col("doc_id"))).select("doc_id", "weight", "s1", "s2", "band"), "bands")
-        found = materialise(verified(pairs, docs, idf, threshold), "links")
+        rows = materialise(met.where(~F.array_contains("leads.doc_id", F.col("doc_id"))).select("doc_id", "weight", "size", "s1", "s2", "band"), "bands")
+        found = materialise(verified(pairs, docs, idf, n, exact, threshold), "links")
         tested = pairs if tested is None else tested.union(pairs)
         if found.isEmpty():
             continue

@@ -65,6 +65,18 @@ def test_near_classes_search_a_hot_band_to_its_end(spark, monkeypatch):
     assert got == {i: i for i, _ in rows} | {500: 77}
 
 
+def test_near_classes_weigh_by_exact_frequencies(spark, monkeypatch):
+    made = neardup.document_frequencies
+    monkeypatch.setattr(neardup, "document_frequencies", lambda d: (made(d)[0], np.maximum(made(d)[1], 250)))  # as full as the buckets of a large table
+    common = [" ".join(f"c{k}x{j}" for j in range(24)) for k in range(2)]  # 20 shingles each
+    own = " ".join(f"u{j}" for j in range(84))  # 80 shingles
+    rows = [(i, f"{common[i % 2]}\n" + " ".join(f"r{i}x{j}" for j in range(120))) for i in range(400)]
+    got = {r.doc_id: r.class_id for r in neardup.near_classes(table(spark, [*rows, (500, f"{common[0]} {own}"), (501, f"{common[1]} {own}")])).collect()}
+    idf = lambda df: np.log1p(402 / df)
+    assert 80 * idf(2) / (80 * idf(2) + 40 * idf(201) + 8 * idf(1)) >= 0.8 > 80 / (80 + 48)
+    assert got == {i: i for i, _ in rows} | {500: 500, 501: 500}
+
+
 def test_weighted_samples_agree_as_often_as_sets_do():
     g = np.random.default_rng(5)
     base = np.sort(g.integers(1 << 40, 1 << 63, 400, np.uint64))
