@@ -1,12 +1,15 @@
 """Licence scan, in DataFrame expressions only: normalised text against licence templates by the Dice coefficient over word bigrams.
 
-Units of a document are its whole text, its paragraphs and its lines. Two exact bounds prune: a unit and a template of
+Units of a document are its whole text, its paragraphs and its lines. Beyond the units that match, all runs of words are
+searched that begin and end with a bigram of a template and are at most (2-t)/t as long as it, so that a licence of
+several paragraphs within a longer text, or a notice within a line, is found; of overlapping runs the one with the most
+of its template's bigrams counts. Two exact bounds prune: a unit and a template of
 n bigrams can reach the threshold t only if the unit has between n·t/(2-t) and n·(2-t)/t distinct bigrams; and only if
 it holds more than n·t/(2-t)-1 of the template's bigrams, so that a few key words, whose bigrams are more than the rest
 may miss, must occur in it. Key words are chosen from the templates themselves.
 
 Defined cases: null and empty texts, and texts of one word, match nothing; units of a document that are equal in lower case count once;
-a unit counts for the template of the largest coefficient, ties by name; each row is scanned by itself, so repeated rows and null ids are kept.
+a unit counts for the template of the largest coefficient, ties by name; a run counts unless it lies in a unit that matched, or holds one that matched the same template; each row is scanned by itself, so repeated rows and null ids are kept.
 """
 
 from __future__ import annotations
@@ -122,16 +125,69 @@ def best_template(w: Column, templates: dict[str, str], threshold: float) -> Col
     return F.element_at(F.transform(F.array(word_bigrams(w)), against), 1)
 
 
+def _let(x: Column, f: Callable[[Column], Column]) -> Column:
+    """f of x, which is evaluated once."""
+    return F.element_at(F.transform(F.array(x), f), 1)
+
+
+def runs(w: Column, templates: dict[str, str], threshold: float) -> Column:
+    """For a text's words an array of (fewer, less, template, first, last), without overlaps: the runs that reach the threshold, as their template's bigrams and coefficient (both negative), name, first word and last word + 1."""
+    fields = []
+    for name, text in sorted(templates.items()):
+        t = bigrams(text)
+        most = bounds(len(text.split()) - 1, threshold)[1]
+        fields.append(F.struct(F.lit(name).alias("name"), _words(t).alias("grams"), F.lit(len(t)).alias("n"), F.lit(bounds(len(t), threshold)[0]).alias("lo"), F.lit(most).alias("most")))
+
+    def of(own: Column) -> Column:
+        def against(t: Column) -> Column:
+            def from_start(hits: Column, i: Column) -> Column:
+                def measured(j: Column) -> Column:
+                    dice = lambda g: lambda n: F.struct((-2.0 * n / (F.size(g) + t["n"])).alias("less"), (-n).alias("fewer"), (j + 2).alias("last"))
+                    return _let(F.array_distinct(F.slice(own, i + 1, j - i + 1)), lambda g: _let(F.size(F.array_intersect(g, t["grams"])), dice(g)))
+
+                ends = F.filter(hits, lambda j: j.between(i + t["lo"] - 1, i + t["most"] - 1))
+                best = F.array_min(F.filter(F.transform(ends, measured), lambda x: x["less"] <= -threshold))
+                return _let(best, lambda x: F.when(x.isNotNull(), F.struct(x["fewer"].alias("fewer"), x["less"].alias("less"), t["name"].alias("template"), i.alias("first"), x["last"].alias("last"))))
+
+            at = F.filter(F.transform(own, lambda x, i: F.when(F.array_contains(t["grams"], x), i)), lambda i: i.isNotNull())
+            return _let(at, lambda hits: F.array_compact(F.transform(hits, lambda i: from_start(hits, i))))
+
+        near = _let(F.array_distinct(own), lambda every: F.filter(F.array(*fields), lambda t: F.size(F.array_intersect(every, t["grams"])) >= t["lo"]))
+        return F.flatten(F.transform(near, against))
+
+    def apart(found: Column) -> Column:
+        clear = lambda taken, x: ~F.exists(taken, lambda y: (y["first"] < x["last"]) & (x["first"] < y["last"]))
+        return F.aggregate(found, F.filter(found, lambda x: F.lit(False)), lambda taken, x: F.when(clear(taken, x), F.array_append(taken, x)).otherwise(taken))
+
+    own = F.transform(F.slice(w, 2, F.greatest(F.size(w) - 1, F.lit(0))), lambda x, i: F.concat_ws(" ", F.element_at(w, i + 1), x))
+    return _let(F.array_sort(_let(own, of)), apart)
+
+
+def beyond(w: Column, held: Column, templates: dict[str, str], threshold: float) -> Column:
+    """(less, template) of the runs beyond the units that matched, held: (best, unit)."""
+    pad = lambda c: F.concat(F.lit(" "), c, F.lit(" "))
+
+    def new(x: Column) -> Column:
+        text = pad(F.array_join(F.slice(w, x["first"] + 1, x["last"] - x["first"]), " "))
+        return _let(text, lambda run: ~F.exists(held, lambda h: F.contains(pad(h["unit"]), run) | ((h["best"]["template"] == x["template"]) & F.contains(run, pad(h["unit"])))))
+
+    return F.transform(F.filter(runs(w, templates, threshold), new), lambda x: F.struct(F.round(x["less"], 6).alias("less"), x["template"].alias("template")))
+
+
 def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, threshold: float = THRESHOLD) -> DataFrame:
-    """One row for each row of ``docs`` (doc_id, text): matched units, the licences' names joined by commas, the best coefficient (0 without a match)."""
+    """One row for each row of ``docs`` (doc_id, text): matched units and runs, the licences' names joined by commas, the best coefficient (0 without a match)."""
     templates = templates or TEMPLATES
     words = key_words(templates, threshold)
     low = docs.select("doc_id", F.lower(F.coalesce("text", F.lit(""))).alias("low"))
     units = F.array_distinct(F.transform(F.concat(F.array("low"), F.split("low", r"\n[\x20\t]*\n", -1), F.split("low", "\n", -1)), lambda u: F.trim(u)))
     # by substring first, which is cheap, then by word
-    some = low.select("doc_id", F.when(holds_key_word(F.col("low"), words), F.filter(units, lambda u: holds_key_word(u, words))).alias("units"))
+    holds = holds_key_word(F.col("low"), words)
+    some = low.select("doc_id", F.when(holds, normalised(F.col("low"))).alias("words"), F.when(holds, F.filter(units, lambda u: holds_key_word(u, words))).alias("units"))
     split = F.filter(F.transform("units", lambda u: F.split(normalised(u), " ")), lambda w: F.arrays_overlap(w, _words(words)))
-    found = some.select("doc_id", F.array_compact(F.transform(split, lambda w: best_template(w, templates, threshold))).alias("found"))
+    both = F.filter(F.transform(split, lambda w: F.struct(best_template(w, templates, threshold).alias("best"), F.concat_ws(" ", w).alias("unit"))), lambda x: x["best"].isNotNull())
+    held = some.select("doc_id", F.split("words", " ").alias("w"), both.alias("both"))
+    more = _let(F.col("w"), lambda w: _let(F.col("both"), lambda held: beyond(w, held, templates, threshold)))
+    found = held.select("doc_id", F.concat(F.transform("both", lambda x: x["best"]), more).alias("found"))
     return found.select(
         "doc_id",
         F.when(F.col("found").isNull(), 0).otherwise(F.size("found")).cast("bigint").alias("n_matches"),

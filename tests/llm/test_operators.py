@@ -164,6 +164,22 @@ def test_licenses(spark):
     assert got[1] == ("MIT-notice", 1.0) and got[2] == ("MIT", 1.0) and got[3] == got[4] == got[6] == ("", 0.0) and got[5] == ("Apache-2.0-notice", 1.0)
 
 
+def test_licenses_within_longer_texts_match_brute_force(spark):
+    def best(text, template):
+        grams = lambda w: {*zip(w, w[1:], strict=False)}
+        w, t = re.findall(r"[^\W_]+", text.lower()), grams(template.split())
+        return max((2 * len(g & t) / (len(g) + len(t)) for a in range(len(w)) for b in range(a + 2, min(len(w), a + 2 * len(t)) + 1) for g in [grams(w[a:b])]), default=0)
+
+    mit, short = licenses.TEMPLATES["MIT"].split(), {k: licenses.TEMPLATES[k] for k in ("MIT", "MIT-notice")}
+    parts = "\n\n".join(" ".join(mit[k : k + 60]) for k in range(0, len(mit), 60))
+    docs = [(1, f"{PROSE[0]}\n\n{parts}\n\n{PROSE[1]}"), (2, f"{PROSE[2]} this project is released under the MIT license see LICENSE {PROSE[3]}"), (3, f"{PROSE[4]} {' '.join(mit[:80])} {PROSE[5]}"), (4, PROSE[6] + " license")]
+    got = {r.doc_id: (r.n_matches, r.licenses, r.best_dice) for r in licenses.scan_licenses(table(spark, docs), short).collect()}
+    for i, text in docs:
+        want = {k: best(text, t) for k, t in short.items()}
+        assert got[i][1] == ",".join(k for k in sorted(want) if want[k] >= 0.8) and got[i][2] == round(max([x for x in want.values() if x >= 0.8], default=0), 6)
+    assert [got[i][:2] for i, _ in docs] == [(1, "MIT"), (1, "MIT-notice"), (0, ""), (0, "")]
+
+
 def test_warc_round_trip(spark):
     pages = spark.createDataFrame([(1, "http://a.example/x", "<html><title>T &amp; U</title><body><p>Hi<br>there</p><a href='/y'>l</a><script>no()</script></body>"), (2, None, None), (3, "u", "<p>open")], "page_id bigint, url string, html string")
     rows = warc.build_derivatives(pages).collect()
