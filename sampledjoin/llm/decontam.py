@@ -1,8 +1,8 @@
 """Benchmark decontamination: size-partitioned MinHash containment search, verified by exact shingle containment.
 
-Test items are partitioned by their number of shingles (classes up to 16, 32, 64, ...). For a class up to U, a document
-is seen through windows of 2U shingles, U apart, so that an item lies within one window and the similarity of the two
-sets is bounded below at any length of the document. A window and an item that agree in one of 64 min-hashes are a
+Test items are partitioned by their number of shingles (up to 16, 32, 64, ...). Items of up to 16 shingles, which
+min-hashes can miss, are candidates wherever one of their shingles is. For a further class up to U, a document is seen through windows of 2U
+shingles, U apart, so that an item lies within one window and the similarity of the two sets is bounded below at any length of the document. A window and an item that agree in one of 64 min-hashes are a
 candidate, and the candidate counts if at least 0.8 of the item's distinct shingles are in the document.
 A window without any shingle of the items can't agree with one, so its min-hashes are not computed.
 
@@ -28,7 +28,8 @@ HASHES, THRESHOLD = 64, 0.8
 #: Characters of test items that one pass holds.
 BLOCK_CHARS = 16_000_000
 FILTER_BITS = 22
-LEAST_CLASS = 16
+#: Items of at most so many shingles are candidates at each of their shingles; the least size class.
+FEW = 16
 
 
 class Index:
@@ -45,9 +46,14 @@ class Index:
         self.every = np.unique(np.concatenate(self.sets)) if self.sets else np.zeros(0, np.uint64)
         self.filter = np.zeros(1 << FILTER_BITS, bool)
         self.filter[(self.every >> np.uint64(64 - FILTER_BITS)).astype(np.intp)] = True
+        self.few: dict[int, list[int]] = {}
         self.by: dict[int, list[dict[int, list[int]]]] = {}
         for i, s in enumerate(self.sets):
-            u = LEAST_CLASS
+            if len(s) <= FEW:
+                for v in s.tolist():
+                    self.few.setdefault(v, []).append(i)
+                continue
+            u = FEW
             while u < len(s):
                 u *= 2
             tables = self.by.setdefault(u, [{} for _ in range(HASHES)])
@@ -70,6 +76,9 @@ class Index:
     def candidates(self, h: np.ndarray, hits: np.ndarray) -> set[int]:
         """Items that agree with a window of a document; h: its shingles in order, hits: positions of known ones."""
         out: set[int] = set()
+        if self.few:
+            for v in np.unique(h[hits]).tolist():
+                out.update(self.few.get(v, ()))
         for u, tables in self.by.items():
             last = max(0, -(-(len(h) - 2 * u) // u))
             first = np.clip(hits // u - 1, 0, last)

@@ -102,6 +102,13 @@ def test_leaks_match_brute_force(spark):
     assert got == want and (1, 1) in got and (6, 5) in got
 
 
+def test_leaks_of_short_items_are_all_found(spark):
+    items = [(i, " ".join(f"s{i}x{j}" for j in range(5 + i % 2))) for i in range(200)]
+    docs = [(i, f"{PROSE[i % 30]} {t} {PROSE[(i + 1) % 30]}") for i, t in items]
+    got = sorted((r.doc_id, r.item_id) for r in decontam.leaks(table(spark, docs), spark.createDataFrame(items, "item_id bigint, text string")).collect())
+    assert got == [(i, i) for i, _ in items]
+
+
 def test_line_dedup_matches_brute_force(spark):
     a, b = "A line that is long enough", "another line, also long enough"
     rows = [(1, f"{a}\nx\n{b}"), (2, f"  {a.upper()} \ny"), (3, f"{a}\t\n{a}\nz"), (4, b), (5, None), (6, ""), (7, f"short\n{b}\n\n")]
