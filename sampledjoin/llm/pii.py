@@ -5,7 +5,9 @@ radices), conjugated with a shift so that nothing maps to itself. A permutation
 a form stay distinct, and an entity has one surrogate in the whole corpus, whatever its case or punctuation, so that references to it
 still agree. Given names map within their list of the same gender and script; a name outside the lists whose
 surrogate falls on a listed name is permuted again until it does not, so that the two ways can't collide either.
-``collisions`` checks the outcome over a whole corpus.
+A given name outside the lists takes its gender from its title: a listed name of that gender is put before its scrambled
+letters, so that different names stay different; under a title of the other gender, or of none, it is another entity.
+``collisions`` checks the outcome over a whole corpus; op1 has the number of them in n_collisions of each row.
 
 Defined cases: null texts stay null with no entities, empty texts empty; each row is treated by itself, so
 repeated rows and null ids are kept; of overlapping finds the first, then the longest counts.
@@ -24,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ship
+from .common import materialise, ship
 
 KEY = b"surrogates-1"
 ROUNDS = 8
@@ -47,6 +49,26 @@ ALPHABETS = [
     "0123456789", "aeiou", "bcdfghjklmnpqrstvwxyz", "áéíóú", "àèìòù", "âêîôû", "äëïöü", "çñ",
     "аеиоуыэюя", "бвгджзйклмнпрстфхцчшщ", "αεηιουω", "βγδζθκλμνξπρστφχψ", "άέήίόύώ",
 ]
+
+
+def _further() -> list[str]:
+    """All other letters, by script, category and whether they have one capital; of scripts with one such letter, all together."""
+    known, groups, alone = set("".join(ALPHABETS)), {}, ""
+    for c in map(chr, range(0x80, 0x30000)):
+        if c.isalpha() and c not in known and (c.lower() == c or len(c.lower()) > 1):
+            key = unicodedata.name(c, "?").split(" ")[0], unicodedata.category(c), len(c.upper()) == 1 and c.upper().lower() == c
+            groups.setdefault(key, []).append(c)
+    out = []
+    for cs in groups.values():
+        if len(cs) > 1:
+            out.append("".join(cs))
+        else:
+            alone += cs[0]
+    return [*out, alone] if alone else out
+
+
+ALPHABETS += _further()
+_INDEX = {a: n for n, a in enumerate(ALPHABETS)}
 _CLASS = {c: (a, i) for a in ALPHABETS for i, c in enumerate(a)}
 _WHO = {n: who for who, names in GIVEN.items() for n in names}
 _GENDER = {t: g for g, names in TITLES.items() for t in names}
@@ -128,7 +150,7 @@ class Surrogates:
             return text
         classes = [_CLASS[low[i]] for i in at]
         # the form: which alphabets follow each other, whatever the case and the punctuation
-        form = tweak + ":" + ",".join(str(ALPHABETS.index(a)) for a, _ in classes)
+        form = tweak + ":" + ",".join(str(_INDEX[a]) for a, _ in classes)
         new = self.permute([k for _, k in classes], [len(a) for a, _ in classes], form)
         out = list(text)
         for i, (a, _), k in zip(at, classes, new, strict=True):
@@ -146,14 +168,22 @@ class Surrogates:
 
     def given(self, name: str, gender: str, tweak: str = "given") -> str:
         low = name.lower()
+        if gender and low not in _WHO:
+            return self._gendered(name, gender)
         if low in _WHO:
             names = GIVEN[_WHO[low]]
             (k,) = self.permute([names.index(low)], [len(names)], f"{tweak}:{_WHO[low]}")
             return names[k].capitalize() if name[0].isupper() else names[k]
-        out = self.like(name, "name")
-        while out.lower() in _WHO:
-            out = self.like(out, "name")
-        return out
+        return self._surname(name)
+
+    def _gendered(self, name: str, gender: str) -> str:
+        """For a name whose gender only its title tells: a listed name of that gender, a hyphen and the scrambled name, so that different names stay different."""
+        low = name.lower()
+        script = next((s for s in ("cyrillic", "greek") if s.upper() in unicodedata.name(next((c for c in low if c.isalpha()), "a"), "")), "latin")
+        names = GIVEN[script, gender]
+        k = self._f("gendered", gender, unicodedata.normalize("NFC", low))
+        first = names[k % len(names)]
+        return f"{first.capitalize() if name[0].isupper() else first}-{self._surname(name)}"
 
     def _replace(self, kind: str, text: str) -> str:
         if kind == "email":
@@ -187,6 +217,7 @@ class Surrogates:
         return " ".join([self.given(first, gender), *(self._surname(x) for x in rest.split(" "))])
 
     def _surname(self, name: str) -> str:
+        name = unicodedata.normalize("NFC", name)
         out = self.like(name, "name")
         while out.lower() in _WHO:
             out = self.like(out, "name")
@@ -242,7 +273,13 @@ def canonical(kind: str, entity: str) -> str:
         return ("+" if entity[0] == "+" else "") + re.sub(r"\D", "", entity)
     if kind == "iban":
         return entity.replace(" ", "")
-    return unicodedata.normalize("NFC", entity.partition("/")[2] if kind == "name" else entity).lower()
+    if kind == "ip":
+        return ".".join(str(int(x)) for x in entity.split("."))
+    if kind == "name":
+        gender, _, entity = unicodedata.normalize("NFC", entity).lower().partition("/")
+        first, gap, _ = entity.partition(" ")
+        return f"{gender}/{entity}" if gender and gap and first not in _WHO else entity
+    return unicodedata.normalize("NFC", entity).lower()
 
 
 _ENTITY = T.StructType([T.StructField(n, t) for n, t in (("kind", T.StringType()), ("start", T.LongType()), ("end", T.LongType()), ("surrogate", T.StringType()), ("entity_hash", T.StringType()), ("surrogate_hash", T.StringType()))])
@@ -286,6 +323,7 @@ def collisions(replaced: DataFrame) -> DataFrame:
 
 def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select(F.col("doc_id"), "text")
-    out = replace_entities(docs)
+    out = materialise(replace_entities(docs), "surrogates")
+    clashes = collisions(out).count()
     count = lambda k: F.size(F.filter("pii_entities", lambda e: e["kind"] == k)).cast("bigint")
-    return out.select("doc_id", F.size("pii_entities").cast("bigint").alias("n_entities"), *(count(k).alias(f"n_{k}") for k in ("email", "phone", "card", "ip", "ssn", "iban", "name")), F.col("pii_entities").alias("entities"), "text")
+    return out.select("doc_id", F.size("pii_entities").cast("bigint").alias("n_entities"), *(count(k).alias(f"n_{k}") for k in ("email", "phone", "card", "ip", "ssn", "iban", "name")), F.col("pii_entities").alias("entities"), "text", F.lit(clashes).cast("bigint").alias("n_collisions"))

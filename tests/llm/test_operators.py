@@ -164,6 +164,20 @@ def test_surrogates_keep_form_and_stay_distinct(spark):
     assert rows[2].text is None and rows[3].text == "" and pii.collisions(out).count() == 0
 
 
+def test_surrogates_match_gender_and_cover_all_letters(spark, tmp_path):
+    s = pii.Surrogates()
+    for gender in "fm":
+        new = [s.replace("name", f"{gender}/{n} Novak").split(" ")[0] for n in ("Zuzana", "Zuzanb", "Łukasz", "Արամ")]
+        assert len(set(new)) == 4 and all(pii._WHO[n.split("-")[0].lower()][1] == gender for n in new)
+    assert s.replace("name", "f/Светозара Новак").split("-")[0].lower() in pii.GIVEN["cyrillic", "f"]
+    for c in "łøšžßÆŁԱאم漢":
+        assert s.like(c, "t") != c and s.like(c, "t").isalpha()
+    assert s.replace("name", "m/Արամ") != "Արամ" and pii.canonical("ip", "010.0.0.1") == pii.canonical("ip", "10.0.0.1")
+    table(spark, [(1, "Mrs Zuzana Novak at 10.0.0.1"), (2, "Mrs ZUZANA Novak at 010.0.0.1"), (3, "Mr Zuzana Novak"), (4, "Dr Zuzana Novak")]).write.parquet(f"{tmp_path}/documents.parquet")
+    rows = pii.op1(spark, str(tmp_path)).collect()
+    assert len(rows) == 4 and all(r.n_collisions == 0 for r in rows) and len({r.text.lower() for r in rows}) == 3
+
+
 def test_licenses(spark):
     mit = licenses.TEMPLATES["MIT"]
     docs = [(1, "Prose here.\nReleased under the MIT License.\nmore"), (2, mit.upper().replace(" ", "\n", 3)), (3, PROSE[0]), (4, None), (5, "Licensed under the Apache License, Version 2.0."), (6, "mit")]
