@@ -1,14 +1,15 @@
 """Approximate nearest neighbours by inner product: balanced posting lists with replicated boundary vectors, centroids found through an in-memory graph, lists selected by their ratio of distance.
 
 Inner products become distances by one more dimension (vectors are completed to the largest norm). Centroids are fitted
-on a bounded sample and every vector is posted to its nearest centroid's list, and also to further ones that are nearly as near unless a chosen
-centroid is nearer to them (the boundary rule). A query walks the centroids' neighbour graph, keeps lists within a ratio of
-the nearest one's distance, and is joined to these lists. Long lists and lists with many queries are split, so that no
-task holds an unbounded group. Scores are inner products of the original vectors in double precision.
+on a bounded sample; every vector is posted to its nearest centroid's list and, if it lies on the boundary, also to further ones whose centroids are nearly as near. A query walks the centroids' neighbour graph best first and stops when nothing
+nearer is left to open. Of the lists found it takes those within a ratio of the nearest one's distance, up to a budget that is the same at any number of lists.
+
+Lists lie in shards of bounded size: a query goes once to each shard that has lists of its, and brings back one row of its best there.
+A list longer than a shard, and the queries of a much asked shard, are dealt in parts. Scores are inner products of the original vectors in double precision.
 
 Defined cases: vectors that are null, zero, or hold null or non-finite components, rows with a null id, and vectors of another length
-than most take no part; rows that share a vec_id are separate candidates unless they are equal; ties go to the smaller
-vec_id; an empty table gives an empty result.
+than most take no part; rows that share a vec_id are separate candidates unless they are equal, and no answer to a query of their id; ties go to the smaller
+vec_id; other columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -20,16 +21,18 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, ship
+from .common import broadcasted, materialise, ship, sliced
 
-#: Vectors that the index is fitted on, at most about; vectors for each list; most lists.
-SAMPLE, LIST_SIZE, MOST_LISTS = 30_000, 64, 8192
-REPLICAS, REPLICA_RATIO = 4, 1.15
-DEGREE, BEAM = 24, 96
-#: Lists within this ratio of the nearest one's distance are searched, at least LEAST_LISTS of them.
-QUERY_RATIO, LEAST_LISTS = 1.30, 24
-#: Rows of a list, and its queries, that one task takes together.
-PART = 4096
+#: Lists: as many as keep them at LIST_SIZE vectors, within these bounds. Beyond the upper one lists are longer, and are searched in parts.
+LEAST_LISTS, MOST_LISTS, LIST_SIZE = 128, 8192, 4096
+#: Vectors that the index is fitted on, about: so many in all, or for each list.
+SAMPLE, SAMPLE_PER_LIST = 30_000, 16
+REPLICAS, REPLICA_RATIO = 4, 1.25
+DEGREE, BEAM, OPENED = 24, 64, 4
+#: Lists within this ratio of the nearest one's distance are searched, PROBES of them at most.
+QUERY_RATIO, PROBES = 1.30, 32
+#: Postings of a shard, and queries that one task takes with it.
+SHARD, PART = 65_536, 8192
 
 
 def valid(v: Column) -> Column:
@@ -76,10 +79,10 @@ class Index:
         return np.column_stack([x, rest]).astype(np.float32)
 
     def lists_of(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(row, list): where each vector is posted, by the boundary rule."""
+        """(row, list): where each vector is posted: its nearest centroid's list, and further ones whose centroids are nearly as near."""
         rows, lists = [], []
         c = self.centroids
-        near = min(4 * REPLICAS, len(c))
+        near = min(REPLICAS, len(c))
         for i in range(0, len(x), 1024):
             y = self.complete(x[i : i + 1024])
             d = distances(y, c)
@@ -87,58 +90,50 @@ class Index:
             dt = np.take_along_axis(d, top, 1)
             order = np.argsort(dt, 1, kind="stable")
             top, dt = np.take_along_axis(top, order, 1), np.take_along_axis(dt, order, 1)
-            taken = np.zeros(top.shape, bool)
-            taken[:, 0] = True
-            for j in range(1, near):
-                may = (dt[:, j] <= REPLICA_RATIO**2 * dt[:, 0]) & (taken.sum(1) < REPLICAS)
-                for k in range(j):
-                    between = ((c[top[:, j]] - c[top[:, k]]) ** 2).sum(1)
-                    may &= ~taken[:, k] | (between >= dt[:, j])
-                taken[:, j] = may
+            taken = (dt <= REPLICA_RATIO**2 * dt[:, :1]) & (np.arange(near) < REPLICAS)
             r, j = np.nonzero(taken)
             rows.append(r + i)
             lists.append(top[r, j])
         return np.concatenate(rows), np.concatenate(lists)
 
-    def walk(self, q: np.ndarray) -> np.ndarray:
-        """Squared distances from queries to the centroids met on the graph walk; infinite for those not met."""
+    def walk(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(lists, squared distances), nearest first, that a best-first walk of the graph keeps for each query: at most BEAM. A step opens the OPENED nearest of the kept lists that are not open yet, and a query is done when all it keeps are."""
         y = np.column_stack([q, np.zeros(len(q))]).astype(np.float32)
-        c, n = self.centroids, len(q)
-        seen = np.full((n, len(c)), np.inf, np.float32)
-        seen[:, self.entries] = distances(y, c[self.entries])
-        opened = np.zeros((n, len(c)), bool)
-        beam = min(BEAM, len(c))
-        rows = np.arange(n)[:, None]
-        for _ in range(64):
-            best = np.argpartition(seen, beam - 1, 1)[:, :beam] if beam < len(c) else np.tile(np.arange(len(c)), (n, 1))
-            d = np.where(opened[rows, best], np.inf, seen[rows, best])
-            pick = np.take_along_axis(best, np.argsort(d, 1, kind="stable")[:, :8], 1)
-            fresh = np.isfinite(seen[rows, pick]) & ~opened[rows, pick]
-            if not fresh.any():
+        c, n, beam = self.centroids, len(q), min(BEAM, len(self.centroids))
+        kept = np.tile(self.entries, (n, 1))
+        dist = distances(y, c[self.entries])
+        opened = np.zeros(kept.shape, bool)
+        while True:
+            order = np.argsort(np.where(opened, np.inf, dist), 1, kind="stable")[:, :OPENED]
+            new = ~np.take_along_axis(opened, order, 1)
+            if not new.any() or not self.degree:
                 break
-            opened[rows, pick] = True
-            r, j = np.nonzero(fresh)
-            to = self.graph[pick[r, j]]
-            r = np.repeat(r, self.degree)
-            to = to.ravel()
-            new = ~np.isfinite(seen[r, to])
-            r, to = r[new], to[new]
-            seen[r, to] = ((y[r] - c[to]) ** 2).sum(1)
-        return seen
-
-    def lists_for(self, q: np.ndarray, sizes: np.ndarray, least_rows: int) -> tuple[np.ndarray, np.ndarray]:
+            np.put_along_axis(opened, order, True, 1)
+            pick = np.take_along_axis(kept, order, 1)
+            to = self.graph[pick].reshape(n, -1)
+            d = ((y[:, None, :] - c[to]) ** 2).sum(2)
+            kept, dist = np.concatenate([kept, to], 1), np.concatenate([dist, d], 1)
+            opened = np.concatenate([opened, np.zeros(to.shape, bool)], 1)
+            # a list that is met again: its open entry, or its first, stays
+            at = np.lexsort((~opened, kept), axis=1)
+            ids = np.take_along_axis(kept, at, 1)
+            again = np.zeros(ids.shape, bool)
+            again[:, 1:] = ids[:, 1:] == ids[:, :-1]
+            near = np.where(again, np.inf, np.take_along_axis(dist, at, 1))
+            best = np.argsort(near, 1, kind="stable")[:, :beam]
+            kept, dist = np.take_along_axis(ids, best, 1), np.take_along_axis(near, best, 1)
+            opened = np.take_along_axis(np.take_along_axis(opened, at, 1), best, 1) | ~np.isfinite(dist)
+        order = np.argsort(dist, 1, kind="stable")
+        return np.take_along_axis(kept, order, 1), np.take_along_axis(dist, order, 1)
+
+    def lists_for(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(row, list): the lists that each query searches."""
         rows, lists = [], []
         for i in range(0, len(q), 256):
-            d = self.walk(q[i : i + 256])
-            order = np.argsort(d, 1, kind="stable")
-            dt = np.take_along_axis(d, order, 1)
-            held = np.cumsum(sizes[order], 1) - sizes[order]
-            take = np.isfinite(dt) & ((dt <= QUERY_RATIO**2 * dt[:, :1]) | (held < least_rows))
-            take |= np.isfinite(dt) & (np.arange(dt.shape[1]) < LEAST_LISTS)[None, :]
-            r, j = np.nonzero(take)
+            found, d = self.walk(q[i : i + 256])
+            r, j = np.nonzero((np.isfinite(d) & (d <= QUERY_RATIO**2 * d[:, :1]))[:, :PROBES])
             rows.append(r + i)
-            lists.append(order[r, j])
+            lists.append(found[r, j])
         return np.concatenate(rows), np.concatenate(lists)
 
 
@@ -148,76 +143,123 @@ def matrix(column: pa.Array, dtype=np.float64) -> np.ndarray:
 
 
 def best_of(q: np.ndarray, q_id: np.ndarray, v: np.ndarray, v_id: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Each query's k largest inner products among the vectors, its own excepted; all that tie with the last by rounding stay."""
+    """(query's row, vector's row, score): each query's k largest inner products among the vectors, its own excepted; all that tie with the last by rounding stay."""
     out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
     for i in range(0, len(q), 512):
         s = q[i : i + 512] @ v.T
         s[q_id[i : i + 512, None] == v_id[None, :]] = -np.inf
         last = np.partition(s, -k, 1)[:, -k] if s.shape[1] > k else np.full(len(s), -np.inf)
         r, j = np.nonzero((s >= (last - 1e-9 * np.maximum(1, np.abs(last)))[:, None]) & (s > -np.inf))
-        out.append((q_id[i + r], v_id[j], (q[i + r] * v[j]).sum(1)))
+        out.append((i + r, j, (q[i + r] * v[j]).sum(1)))
     return tuple(map(np.concatenate, zip(*out, strict=True)))
 
 
+def shards(sizes: np.ndarray) -> list[tuple[int, int, int]]:
+    """(list, first shard, parts) for each list that has postings: lists one after the other fill a shard; a list longer than one has shards of its own."""
+    out, shard, held = [], 0, 0
+    for k, n in enumerate(sizes.tolist()):
+        if not n:
+            continue
+        parts = -(-n // SHARD)
+        if held and (parts > 1 or held + n > SHARD):
+            shard, held = shard + 1, 0
+        out.append((k, shard, parts))
+        shard, held = (shard + parts, 0) if parts > 1 else (shard, held + n)
+    return out
+
+
+def searched(v: pa.Table, q: pa.Table, k: int) -> pa.Table:
+    """(query_id, ids, scores) of the queries (query_id, lists, embedding) that found something among the postings (list, vec_id, embedding)."""
+    empty = pa.table({"query_id": pa.array([], pa.int64()), "ids": pa.array([], pa.list_(pa.int64())), "scores": pa.array([], pa.list_(pa.float64()))})
+    if not len(v) or not len(q):
+        return empty
+    order = np.argsort(v.column("list").to_numpy(), kind="stable")
+    own, v_id, x = v.column("list").to_numpy()[order], v.column("vec_id").to_numpy()[order], matrix(v.column("embedding").combine_chunks())[order]
+    lists = q.column("lists").combine_chunks()
+    row, asked = np.repeat(np.arange(len(q)), np.diff(lists.offsets.to_numpy())), lists.flatten().to_numpy()
+    q_id, y = q.column("query_id").to_numpy(), matrix(q.column("embedding").combine_chunks())
+    found = []
+    for one in np.unique(asked):
+        lo, hi = np.searchsorted(own, [one, one + 1])
+        who = row[asked == one]
+        if lo < hi:
+            r, j, s = best_of(y[who], q_id[who], x[lo:hi], v_id[lo:hi], k)
+            found.append((who[r], v_id[lo + j], s))
+    if not found:
+        return empty
+    r, vec, s = map(np.concatenate, zip(*found, strict=True))
+    order = np.lexsort((vec, -s, r))
+    r, vec, s = r[order], vec[order], s[order]
+    fresh = np.concatenate([[True], (r[1:] != r[:-1]) | (vec[1:] != vec[:-1]) | (s[1:] != s[:-1])])  # a vector is in several lists
+    r, vec, s = r[fresh], vec[fresh], s[fresh]
+    first = np.flatnonzero(np.concatenate([[True], r[1:] != r[:-1]]))
+    place = np.arange(len(r)) - np.repeat(first, np.diff(np.append(first, len(r))))
+    r, vec, s = r[place < k], vec[place < k], s[place < k]
+    first = np.append(np.flatnonzero(np.concatenate([[True], r[1:] != r[:-1]])), len(r)).astype(np.int32)
+    return pa.table({"query_id": q_id[r[first[:-1]]], "ids": pa.ListArray.from_arrays(pa.array(first), pa.array(vec)), "scores": pa.ListArray.from_arrays(pa.array(first), pa.array(s))})
+
+
+def fitted(rows: DataFrame, n: int, radius: float) -> Index:
+    """The index of n vectors (vec_id, embedding), from a sample by a hash of the id."""
+    lists = min(MOST_LISTS, max(LEAST_LISTS, -(-n // LIST_SIZE)))
+    share = min(1.0, max(SAMPLE, SAMPLE_PER_LIST * lists) / n)
+    sample = rows.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) < int(share * (1 << 20)) + 1).select("embedding").toArrow()
+    if not len(sample):  # a hash may miss a small table
+        sample = rows.select("embedding").limit(SAMPLE).toArrow()
+    return Index(matrix(sample.column(0).combine_chunks()), min(lists, max(1, n // 32)), radius)
+
+
 def nearest(vectors: DataFrame, is_query: Column, k: int = 20) -> DataFrame:
     """(query_id, rank, vec_id, score): the k nearest found of each row of ``vectors`` (vec_id, embedding) that ``is_query`` picks, among all other rows."""
     spark = vectors.sparkSession
     ship(spark)
-    out_schema = "query_id bigint, vec_id bigint, score double"
     rows = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), "embedding", F.coalesce(is_query, F.lit(False)).alias("query")).where(F.col("vec_id").isNotNull() & valid(F.col("embedding")))
     lengths = rows.groupBy(F.size("embedding").alias("d")).agg(F.count("*").alias("n"), F.max(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x)).alias("m")).orderBy(F.desc("n"), F.desc("d")).limit(1).collect()
     if not lengths:
         return spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
     dim, n, top = lengths[0]
     rows = rows.where(F.size("embedding") == dim)
-    share = min(1.0, SAMPLE / n)
-    sample = rows.where(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 20)) < int(share * (1 << 20)) + 1).select("embedding").toArrow()
-    index = Index(matrix(sample.column(0).combine_chunks()), min(MOST_LISTS, max(1, n // LIST_SIZE)), math.sqrt(top) * (1 + 1e-9))
-    shared = spark.sparkContext.broadcast(index)
+    index = fitted(rows, n, math.sqrt(top) * (1 + 1e-9))
+    kind = rows.schema["embedding"].dataType.simpleString()
+    with broadcasted(spark, index) as shared:
 
-    def posted(batches):
-        for b in batches:
-            if b.num_rows:
+        def posted(batches):
+            for b in sliced(batches, 4096):
                 r, lists = shared.value.lists_of(matrix(b.column(1)))
                 part = b.take(pa.array(r))
                 yield pa.RecordBatch.from_arrays([pa.array(lists.astype(np.int32)), part.column(0), part.column(1)], names=["list", "vec_id", "embedding"])
 
-    kind = rows.schema["embedding"].dataType.simpleString()
-    postings = materialise(rows.select("vec_id", "embedding").mapInArrow(posted, f"list int, vec_id bigint, embedding {kind}"), "postings")
-    sizes = np.zeros(len(index.centroids), np.int64)
-    for a, c in postings.groupBy("list").count().collect():
-        sizes[a] = c
-    known = spark.sparkContext.broadcast(sizes)
-
-    def asked(batches):
-        for b in batches:
-            if b.num_rows:
-                r, lists = shared.value.lists_for(matrix(b.column(1)), known.value, 10 * k)
-                part = b.take(pa.array(r))
-                yield pa.RecordBatch.from_arrays([pa.array(lists.astype(np.int32)), part.column(0), part.column(1)], names=["list", "query_id", "embedding"])
-
-    queries = materialise(rows.where("query").select("vec_id", "embedding").mapInArrow(asked, f"list int, query_id bigint, embedding {kind}"), "ann-queries")
-    askers = np.zeros(len(sizes), np.int64)
-    for a, c in queries.groupBy("list").count().collect():
-        askers[a] = c
-    # a list of many rows is dealt in parts, each of which meets every part of its queries
-    table = [(int(a), int(-(-s // PART)) or 1, int(-(-t // PART)) or 1) for a, (s, t) in enumerate(zip(sizes, askers, strict=True))]
-    parts = F.broadcast(spark.createDataFrame(table, "list int, rows_in int, queries_in int"))  # a row for each list: at most MOST_LISTS
-    left = postings.join(parts, "list").withColumn("a", F.pmod(F.xxhash64("vec_id"), F.col("rows_in"))).withColumn("b", F.explode(F.sequence(F.lit(0), F.col("queries_in") - 1))).select("list", F.col("a").cast("int").alias("a"), "b", "vec_id", "embedding")
-    right = queries.join(parts, "list").withColumn("b", F.pmod(F.xxhash64("query_id"), F.col("queries_in"))).withColumn("a", F.explode(F.sequence(F.lit(0), F.col("rows_in") - 1))).select("list", "a", F.col("b").cast("int").alias("b"), "query_id", "embedding")
-
-    def met(v: pa.Table, q: pa.Table) -> pa.Table:
-        if not len(v) or not len(q):
-            return pa.table({"query_id": pa.array([], pa.int64()), "vec_id": pa.array([], pa.int64()), "score": pa.array([], pa.float64())})
-        a, b, s = best_of(matrix(q.column("embedding").combine_chunks()), q.column("query_id").to_numpy(), matrix(v.column("embedding").combine_chunks()), v.column("vec_id").to_numpy(), k)
-        return pa.table({"query_id": a, "vec_id": b, "score": s})
-
-    found = left.groupBy("list", "a", "b").cogroup(right.groupBy("list", "a", "b")).applyInArrow(met, out_schema)
-    from pyspark.sql import Window
-
-    place = F.dense_rank().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    ranked = found.withColumn("rank", place).where(F.col("rank") <= k)
-    return ranked.groupBy("query_id", "rank").agg(F.first("vec_id").alias("vec_id"), F.first("score").alias("score")).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+        postings = materialise(rows.select("vec_id", "embedding").mapInArrow(posted, f"list int, vec_id bigint, embedding {kind}"), "postings")
+        sizes = np.zeros(len(index.centroids), np.int64)
+        for a, c in postings.groupBy("list").count().collect():  # a row for each list
+            sizes[a] = c
+        where = shards(sizes)
+
+        def asked(batches):
+            place = {a: (first, parts) for a, first, parts in where}
+            for b in sliced(batches, 4096):
+                r, lists = shared.value.lists_for(matrix(b.column(1)))
+                held: dict[tuple[int, int], list[int]] = {}
+                for i, one in zip(r.tolist(), lists.tolist(), strict=True):
+                    first, parts = place.get(one, (0, 0))
+                    for p in range(parts):
+                        held.setdefault((i, first + p), []).append(one)
+                part = b.take(pa.array([i for i, _ in held], pa.int64()))
+                yield pa.RecordBatch.from_arrays([pa.array([s for _, s in held], pa.int32()), part.column(0), pa.array(list(held.values()), pa.list_(pa.int32())), part.column(1)], names=["shard", "query_id", "lists", "embedding"])
+
+        queries = materialise(rows.where("query").select("vec_id", "embedding").mapInArrow(asked, f"shard int, query_id bigint, lists array<int>, embedding {kind}"), "ann-queries")
+    # a shard of many queries meets them in parts; both tables have a row for each list or shard, of which there are few
+    turns = queries.groupBy("shard").agg(F.ceil(F.count("*") / F.lit(PART)).cast("int").alias("turns"))
+    lists = F.broadcast(spark.createDataFrame(where, "list int, first int, parts int"))
+    left = postings.join(lists, "list").withColumn("shard", (F.col("first") + F.pmod(F.xxhash64("vec_id"), F.col("parts"))).cast("int"))
+    left = left.join(F.broadcast(turns), "shard").withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("turns") - 1))).select("shard", "turn", "list", "vec_id", "embedding")
+    right = queries.join(F.broadcast(turns), "shard").withColumn("turn", F.pmod(F.xxhash64("query_id"), F.col("turns")).cast("int")).select("shard", "turn", "query_id", "lists", "embedding")
+    met = left.groupBy("shard", "turn").cogroup(right.groupBy("shard", "turn")).applyInArrow(lambda v, q: searched(v, q, k), "query_id bigint, ids array<bigint>, scores array<double>")
+    # a query has found at most k in each of at most PROBES lists, in so many shards and their parts
+    pairs = F.zip_with("scores", "ids", lambda s, i: F.struct((-s).alias("less"), i.alias("vec_id")))
+    best = met.select("query_id", pairs.alias("found")).groupBy("query_id").agg(F.slice(F.array_sort(F.array_distinct(F.flatten(F.collect_list("found")))), 1, k).alias("found"))
+    one = best.select("query_id", F.posexplode("found").alias("place", "hit"))
+    return one.select("query_id", (F.col("place") + 1).cast("int").alias("rank"), F.col("hit.vec_id").alias("vec_id"), (-F.col("hit.less")).alias("score"))
 
 
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import re
 import tempfile
 import uuid
 import zipfile
 from collections.abc import Iterable, Iterator
+from contextlib import contextmanager, suppress
 from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
@@ -32,10 +35,12 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder in spark.checkpoint.dir; a folder of this machine where that is unset, as in tests."""
+    """The folder in spark.checkpoint.dir. Where that is unset, a folder of this machine if the session is local, as in tests; a cluster has to name one."""
     base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
+    if not base and spark.sparkContext.master.partition("[")[0] == "local":
         base = f"file://{tempfile.gettempdir()}/checkpoints"
+    if not base:
+        raise ValueError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
     return base.rstrip("/")
 
 
@@ -47,6 +52,35 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def discard(*tables: DataFrame) -> None:
+    """Deletes tables that ``materialise`` wrote and that nothing will read any more."""
+    for t in tables:
+        sc = t.sparkSession.sparkContext
+        for name in {f.rpartition("/")[0] for f in t.inputFiles()}:
+            path = sc._jvm.org.apache.hadoop.fs.Path(name)
+            path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+
+
+@contextmanager
+def broadcasted(spark: SparkSession, value: object) -> Iterator[Broadcast]:
+    """A broadcast for the jobs that run inside; executors then drop their copies. A plan that is run later fetches it again."""
+    shared = spark.sparkContext.broadcast(value)
+    try:
+        yield shared
+    finally:
+        shared.unpersist()
+
+
+def sliced(batches: Iterable[pa.RecordBatch], most: int = 512) -> Iterator[pa.RecordBatch]:
+    """The batches in slices of at most ``most`` rows, so that what Python makes of one stays small; freed memory goes back at the end."""
+    for b in batches:
+        for lo in range(0, b.num_rows, most):
+            yield b.slice(lo, most)
+    pa.default_memory_pool().release_unused()
+    with suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 #: Odd multipliers of the hashes; fixed values.
 BASE = 0x9E3779B97F4A7C15
 MULTIPLIERS = (0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB)
