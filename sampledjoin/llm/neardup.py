@@ -1,15 +1,15 @@
 """Near-duplicates: improved consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard similarity.
 
 A document is the weighted set of its five-word shingles; a shingle's weight is its count times ln(1 + N / df). The
-sampling takes document frequencies from a table of fixed size (2^18 counters over a hash), so that the table that every
+sampling takes document frequencies from a table of fixed size (2^24 counters over a hash, kept as their logarithm in a byte each), so that the table that every
 task needs has a proven bound; the counters cover all documents. Such a counter is never below the exact frequency, so
-it bounds a pair's similarity from both sides; where the bounds leave the verdict open, exact frequencies decide.
+it bounds a pair's similarity from both sides; where the bounds leave the verdict open, exact frequencies decide: those of the shingles of open pairs, counted over all documents.
 
-Equal weighted sets are one class at once (one row for each reaches the banding). Candidates are never expanded to all
-pairs of a band: each band's members are compared with a leader, and verified pairs are joined to components. A leader has
-met all of its band and leaves it; where the rest still spans several components, further leaders are taken from it, four
-times as many in each round up to a bound, until no band does: every two rows of a band are compared or linked by others,
-however many rounds verify no pair. Before texts are compared, pairs whose samples hardly agree are left out.
+Equal weighted sets are one class at once (one row for each reaches the banding). Rows that share a band meet in cells of bounded size: a band of
+more rows is dealt in blocks, each two of which are a cell.
+In a cell all samples are compared, but pairs are not handed out: first each row names its likeliest partners, which are verified and joined to
+components, twice; then rows that still have a likely partner in another component get a finer sketch, and only
+the pairs that are alike by it are verified, all of them. So a group of copies costs a few pairs for each row, and a group of rows that are alike but not alike enough is sifted by samples.
 
 Defined cases: texts without a word (null, empty) and rows with a null doc_id are in no group: class_id is the own doc_id;
 rows that share a doc_id share a class; ties go to the smaller doc_id, which names the class; an empty table gives an
@@ -18,61 +18,114 @@ empty result; other columns are ignored.
 
 from __future__ import annotations
 
-from collections.abc import Callable
-from functools import cache
-from itertools import count
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import counted, materialise, mix, shingle_blocks, ship, small
+from .common import broadcasted, counted, discard, materialise, mix, shingle_blocks, ship, sliced, small
 
-BUCKET_BITS = 18
-SAMPLES, BANDS = 64, 16
+#: Counters, and those of one piece of the table; steps of a counter's logarithm that a doubling has.
+TABLE_BITS, PIECE_BITS, STEPS = 24, 14, 4
+SAMPLES, BANDS, FINE = 64, 16, 512
 THRESHOLD = 0.8
-#: Leaders that a band has in each round; the last number holds for all later rounds.
-LEADERS = (1, 8, 32, 128, 512)
-#: Two bits of each sample are compared before texts are: pairs that agree this many standard deviations less than a pair at the threshold are left out.
+#: Pairs whose samples agree this many standard deviations less than those of a pair at the threshold are left out.
 DEVIATIONS = 4.5
 VARIATE_BITS, WEIGHT_STEPS = 14, 112
+#: Rows of a band that meet in one cell, or in each block of a larger one; rounds of likeliest partners.
+CELL, ROUNDS = 4096, 2
+#: Shingles that a task holds before it hands their counts on; slots of the filter of wanted shingles.
+HELD, WANTED_BITS = 1 << 22, 25
 #: Ids are broadcast only up to so many rows.
 BROADCAST_IDS = 1_000_000
 
 
-def bucket(h: np.ndarray) -> np.ndarray:
-    return (h >> np.uint64(64 - BUCKET_BITS)).astype(np.int64)
+class Frequencies:
+    """Documents with a shingle (n), and an upper bound of each shingle's document frequency."""
 
+    def __init__(self, n: int, codes: np.ndarray):
+        self.n, self.codes = n, codes
+        bound = 2.0 ** ((np.arange(256) - 1) / STEPS)
+        self.idf = np.log1p(max(n, 1) / np.maximum(bound, 1)).astype(np.float32)
+        held = np.bincount(codes, minlength=256)[1:].cumsum()
+        self.usual = float(bound[1 + np.searchsorted(held, (held[-1] + 1) // 2)]) if held[-1] else 1.0
 
-def document_frequencies(docs: DataFrame) -> tuple[int, np.ndarray]:
-    """Documents with a shingle, and documents by bucket of their distinct shingles; over all rows."""
+    def code(self, h: np.ndarray) -> np.ndarray:
+        return self.codes.take((h >> np.uint64(64 - TABLE_BITS)).astype(np.int64))
+
+    def weight(self, h: np.ndarray) -> np.ndarray:
+        return self.idf.take(self.code(h))
+
+
+def pieces(rows: DataFrame, size: int, add: Callable[[np.ndarray, bytes], None], finish: Callable[[np.ndarray], bytes]) -> dict[int, bytes]:
+    """Folds ``rows`` (piece, blob) by piece, one at a time in each task, and brings the few pieces to the driver."""
+
+    def folded(batches):
+        at, held = None, np.zeros(size, np.int64)
+        out = lambda: pa.RecordBatch.from_arrays([pa.array([at], pa.int32()), pa.array([finish(held)], pa.binary())], names=["piece", "blob"])
+        for b in sliced(batches, 64):
+            for piece, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                if at is not None and piece != at:
+                    yield out()
+                    held[:] = 0
+                at = piece
+                add(held, blob)
+        if at is not None:
+            yield out()
+
+    found = rows.repartition("piece").sortWithinPartitions("piece").mapInArrow(folded, "piece int, blob binary").toArrow()
+    return dict(zip(found.column(0).to_pylist(), found.column(1).to_pylist(), strict=True))
+
+
+def document_frequencies(docs: DataFrame) -> Frequencies:
+    """From counts over all rows. A task hands on its shingles' slots as gaps of two bytes, a row for each piece of the table."""
+    low, n_pieces = 1 << PIECE_BITS, 1 << (TABLE_BITS - PIECE_BITS)
 
     def counts(batches):
-        total, n = np.zeros(1 << BUCKET_BITS, np.int64), 0
-        for b in batches:
+        parts, size = [], 0
+
+        def flush():
+            slots = np.sort(np.concatenate([np.zeros(0, np.uint64), *parts]) >> np.uint64(64 - TABLE_BITS))
+            edge = np.searchsorted(slots, np.arange(n_pieces + 1, dtype=np.uint64) * np.uint64(low))
+            own = np.flatnonzero(np.diff(edge))
+            inside = (slots & np.uint64(low - 1)).astype(np.uint16)
+            blobs = [np.diff(inside[edge[k] : edge[k + 1]], prepend=np.uint16(0)).tobytes() for k in own]
+            return pa.RecordBatch.from_arrays([pa.array(own.astype(np.int32)), pa.array(blobs, pa.binary()), pa.array(np.zeros(len(own), np.int64))], names=["piece", "blob", "n"])
+
+        n = 0
+        for b in sliced(batches):
             for _, _, h, d in shingle_blocks(b.column(0).to_pylist()):
                 v, d, _ = counted(h, d)
-                total += np.bincount(bucket(v), minlength=len(total))
+                parts.append(v)
+                size += len(v)
                 n += len(np.unique(d))
-        at = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(np.append(at, -1).astype(np.int32)), pa.array(np.append(total[at], n))], names=["bucket", "n"])
+            if size >= HELD:
+                yield flush()
+                parts, size = [], 0
+        yield flush()
+        yield pa.RecordBatch.from_arrays([pa.array([None], pa.int32()), pa.array([None], pa.binary()), pa.array([n], pa.int64())], names=["piece", "blob", "n"])
 
-    t = docs.select("text").mapInArrow(counts, "bucket int, n bigint").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
-    at, n = t.column("bucket").to_numpy(), t.column("n").to_numpy()
-    out = np.zeros(1 << BUCKET_BITS, np.int64)
-    out[at[at >= 0]] = n[at >= 0]
-    return int(n[at == -1].sum()), out
+    def add(held, blob):
+        held += np.bincount(np.cumsum(np.frombuffer(blob, np.uint16), dtype=np.int64), minlength=low)
 
+    def coded(held):
+        return np.where(held > 0, np.ceil(STEPS * np.log2(np.maximum(held, 1))) + 1, 0).astype(np.uint8).tobytes()
 
-def idf_table(n: int, df: np.ndarray) -> np.ndarray:
-    return np.log1p(max(n, 1) / np.maximum(df, 1)).astype(np.float32)
+    rows = materialise(docs.select("text").mapInArrow(counts, "piece int, blob binary, n bigint"), "slots")
+    n = rows.agg(F.sum("n")).first()[0] or 0
+    codes = np.zeros(1 << TABLE_BITS, np.uint8)
+    for k, blob in pieces(rows.where("piece is not null").select("piece", "blob"), low, add, coded).items():
+        codes[k * low : (k + 1) * low] = np.frombuffer(blob, np.uint8)
+    discard(rows)
+    return Frequencies(int(n), codes)
 
 
 class Sampler:
     """Consistent weighted samples. An element's hash looks its variates up in a table, which holds the rank of what they give at each weight; for sampling, weights are rounded to steps of 1/8 in their logarithm."""
 
-    def __init__(self, seed: int = 20231):
+    def __init__(self, n_samples: int = SAMPLES, seed: int = 20231):
         g = np.random.Generator(np.random.PCG64(seed))
         n = 1 << VARIATE_BITS
         r, log_c, beta = g.gamma(2, size=n), np.log(g.gamma(2, size=n)), g.random(n)
@@ -81,15 +134,15 @@ class Sampler:
         bits = (log_c - r * (t - beta + 1)).astype(np.float32).view(np.uint32)
         rank = np.where(bits >> np.uint32(31), ~bits, bits | np.uint32(1 << 31)).astype(np.uint64)
         self.rank = (rank << np.uint64(32)).ravel()
-        self.multiplier = g.integers(1, 1 << 63, SAMPLES, np.uint64) * np.uint64(2) + np.uint64(1)
+        self.multiplier = g.integers(1, 1 << 63, n_samples, np.uint64) * np.uint64(2) + np.uint64(1)
 
     def samples(self, h: np.ndarray, log_w: np.ndarray, start: np.ndarray) -> np.ndarray:
-        """For each text (its elements begin at ``start``) SAMPLES values; two texts agree in one with the probability of their similarity."""
-        out = np.empty((len(start), SAMPLES), np.uint64)
+        """For each text (its elements begin at ``start``) its samples; two texts agree in one with the probability of their similarity."""
+        out = np.empty((len(start), len(self.multiplier)), np.uint64)
         row = np.clip(np.rint(log_w * 8) + 8, 0, WEIGHT_STEPS - 1).astype(np.int64) << VARIATE_BITS
         shift, low, high = np.uint64(64 - VARIATE_BITS), np.uint64(16), np.uint64(0xFFFFFFFF)
         x, i, top = np.empty(len(h), np.uint64), np.empty(len(h), np.uint64), np.empty(len(h), np.uint64)
-        for k in range(SAMPLES):
+        for k in range(len(self.multiplier)):
             np.multiply(h, self.multiplier[k], out=x)
             np.right_shift(x, shift, out=i)
             at = i.view(np.int64)
@@ -112,17 +165,25 @@ def banded(samples: np.ndarray) -> np.ndarray:
     return mix(out + np.arange(BANDS, dtype=np.uint64)).view(np.int64)
 
 
-def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
-    """(doc_id, f1, f2, weight, bands, s1, s2, size) of each row; f1 and f2 name the weighted set, null without a word; s1 and s2 have one bit of each sample; size is the number of shingles."""
-    table = docs.sparkSession.sparkContext.broadcast(idf)
+def a_byte_each(samples: np.ndarray) -> np.ndarray:
+    """A byte of each sample, as words of eight."""
+    return (mix(samples) & np.uint64(0xFF)).astype(np.uint8).view(np.int64)
+
+
+def lists(values: np.ndarray) -> pa.ListArray:
+    n, width = values.shape
+    return pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * width), pa.array(np.ascontiguousarray(values).ravel()))
+
+
+def sketches(docs: DataFrame, frequencies) -> DataFrame:
+    """(doc_id, f1, f2, weight, size, bands, sig) of each row; f1 and f2 name the weighted set, null without a word; weight is at most the exact one, size the number of shingles; sig has a byte of each sample."""
 
     def made(batches):
-        sampler = Sampler()
-        for b in batches:
-            idf = table.value
-            ids, n = b.column(0), b.num_rows
+        sampler, table = Sampler(), frequencies.value
+        for b in sliced(batches):
+            n = b.num_rows
             f1, f2, weight, size, there = np.zeros(n, np.uint64), np.zeros(n, np.uint64), np.zeros(n), np.zeros(n), np.zeros(n, bool)
-            bands, bits = np.zeros((n, BANDS), np.int64), np.zeros((2, n), np.int64)
+            bands, sig = np.zeros((n, BANDS), np.int64), np.zeros((n, SAMPLES // 8), np.int64)
             for a, _, h, d in shingle_blocks(b.column(1).to_pylist()):
                 with np.errstate(over="ignore"):
                     h, d, tf = counted(h, d)
@@ -130,7 +191,7 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
                         continue
                     start = np.flatnonzero(np.concatenate([[True], d[1:] != d[:-1]]))
                     at = a + d[start]
-                    w = idf[bucket(h)] * tf.astype(np.float32)
+                    w = table.weight(h) * tf.astype(np.float32)
                     there[at] = True
                     weight[at] = np.add.reduceat(w.astype(np.float64), start)
                     size[at] = np.add.reduceat(tf.astype(np.float64), start)
@@ -138,50 +199,102 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
                     f1[at] = np.add.reduceat(mix(h + u), start)
                     f2[at] = np.add.reduceat(mix((h ^ np.uint64(0x5851F42D4C957F2D)) * (u + u + np.uint64(1))), start)
                     drawn = sampler.samples(h, np.log(w), start)
-                    bands[at], mixed = banded(drawn), mix(drawn)
-                    for i in range(2):
-                        bits[i, at] = np.packbits((mixed >> np.uint64(i)) & np.uint64(1) != 0, axis=1).view(np.int64)[:, 0]
-            flat = pa.ListArray.from_arrays(pa.array(np.arange(n + 1, dtype=np.int32) * BANDS), pa.array(bands.ravel()))
+                    bands[at], sig[at] = banded(drawn), a_byte_each(drawn)
             yield pa.RecordBatch.from_arrays(
-                [ids, pa.array(f1.view(np.int64), mask=~there), pa.array(f2.view(np.int64), mask=~there), pa.array(weight), flat, *map(pa.array, bits), pa.array(size)], names=["doc_id", "f1", "f2", "weight", "bands", "s1", "s2", "size"]
+                [b.column(0), pa.array(f1.view(np.int64), mask=~there), pa.array(f2.view(np.int64), mask=~there), pa.array(weight), pa.array(size), lists(bands), lists(sig)], names=["doc_id", "f1", "f2", "weight", "size", "bands", "sig"]
             )
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(made, "doc_id bigint, f1 bigint, f2 bigint, weight double, bands array<bigint>, s1 bigint, s2 bigint, size double")
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(made, "doc_id bigint, f1 bigint, f2 bigint, weight double, size double, bands array<bigint>, sig array<bigint>")
+
+
+def fine_sketches(docs: DataFrame, frequencies) -> DataFrame:
+    """(doc_id, sig): FINE samples of each row that has words, a byte each."""
+
+    def made(batches):
+        sampler, table = Sampler(FINE, seed=20232), frequencies.value
+        for b in sliced(batches):
+            for a, _, h, d in shingle_blocks(b.column(1).to_pylist()):
+                with np.errstate(over="ignore"):
+                    h, d, tf = counted(h, d)
+                    if len(h):
+                        start = np.flatnonzero(np.concatenate([[True], d[1:] != d[:-1]]))
+                        drawn = sampler.samples(h, np.log(table.weight(h) * tf.astype(np.float32)), start)
+                        yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(a + d[start])), lists(a_byte_each(drawn))], names=["doc_id", "sig"])
 
+    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(made, "doc_id bigint, sig array<bigint>")
 
-def least_agreeing(threshold: float) -> int:
-    """So many of SAMPLES have both bits alike in a pair whose texts are worth comparing."""
-    q = threshold + (1 - threshold) / 4
-    return max(0, int(SAMPLES * q - DEVIATIONS * (SAMPLES * q * (1 - q)) ** 0.5))
 
+def least_agreeing(similarity: float, n_samples: int) -> int:
+    """So many samples agree in a pair of the similarity, but for DEVIATIONS."""
+    return max(0, int(n_samples * similarity - DEVIATIONS * (n_samples * similarity * (1 - similarity)) ** 0.5))
 
-def sampled_threshold(threshold: float, n: int, df: np.ndarray) -> float:
-    """What is left of the threshold under the weights of the buckets, where shared shingles are found once but share a usual bucket."""
-    usual = float(np.median(df[df > 0])) if df.any() else 1.0
-    return threshold / (threshold + (1 - threshold) * float(np.log1p(max(n, 1)) / np.log1p(max(n, 1) / usual)))
 
+def sampled_threshold(threshold: float, f: Frequencies) -> float:
+    """What is left of the threshold under the weights of the counters, where shared shingles are found once but share a usual counter."""
+    n = max(f.n, 1)
+    return threshold / (threshold + (1 - threshold) * float(np.log1p(n) / np.log1p(n / f.usual)))
 
-def exact_frequencies(docs: DataFrame) -> DataFrame:
-    """(shingle, df) of the shingles of at least two documents; over all rows. Counts are summed in each task before they are moved."""
 
-    def counts(batches):
+def wanted_slots(shingles: DataFrame) -> np.ndarray:
+    """A filter (one flag for each of 2^WANTED_BITS hash slots) of the column ``shingle``; its size is fixed, so with very many shingles it keeps more than them."""
+    low = 1 << (WANTED_BITS - 6)
+
+    def marked(batches):
+        flags = np.zeros(1 << WANTED_BITS, bool)
         for b in batches:
-            held = [counted(h, d)[0] for _, _, h, d in shingle_blocks(b.column(0).to_pylist())]
+            flags[slot(b.column(0).to_numpy())] = True
+        own = np.flatnonzero(flags.reshape(64, low).any(1))
+        yield pa.RecordBatch.from_arrays([pa.array(own.astype(np.int32)), pa.array([np.packbits(flags[k * low : (k + 1) * low]).tobytes() for k in own], pa.binary())], names=["piece", "blob"])
+
+    def add(held, blob):
+        held |= np.frombuffer(blob, np.uint8)
+
+    out = np.zeros(1 << WANTED_BITS, bool)
+    for k, blob in pieces(shingles.mapInArrow(marked, "piece int, blob binary"), low // 8, add, lambda held: held.astype(np.uint8).tobytes()).items():
+        out[k * low : (k + 1) * low] = np.unpackbits(np.frombuffer(blob, np.uint8)).astype(bool)
+    return np.packbits(out)
+
+
+def slot(shingle: np.ndarray) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return (mix(shingle.view(np.uint64)) >> np.uint64(64 - WANTED_BITS)).astype(np.int64)
+
+
+def exact_frequencies(docs: DataFrame, wanted) -> DataFrame:
+    """(shingle, df) of the shingles in the filter ``wanted``, where at least two documents have them; over all rows. Counts are summed in each task before they are moved."""
+
+    def counts(batches):
+        flags, held, size = np.unpackbits(wanted.value).view(bool), [], 0
+
+        def flush():
             v, n = np.unique(np.concatenate([np.zeros(0, np.uint64), *held]), return_counts=True)
-            yield pa.RecordBatch.from_arrays([pa.array(v.view(np.int64)), pa.array(n.astype(np.int64))], names=["shingle", "n"])
+            return pa.RecordBatch.from_arrays([pa.array(v.view(np.int64)), pa.array(n.astype(np.int64))], names=["shingle", "n"])
+
+        for b in sliced(batches):
+            for _, _, h, d in shingle_blocks(b.column(0).to_pylist()):
+                v = counted(h, d)[0]
+                held.append(v[flags[slot(v)]])
+                size += len(held[-1])
+            if size >= HELD:
+                yield flush()
+                held, size = [], 0
+        yield flush()
 
     return docs.select("text").mapInArrow(counts, "shingle bigint, n bigint").groupBy("shingle").agg(F.sum("n").alias("df")).where("df > 1")
 
 
-def similarity_bounds(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], idf: np.ndarray, n: int) -> tuple[float, float]:
-    """Between these lies the similarity by exact frequencies: weights are at least those of the buckets, and at most those of shingles found here only."""
+def similarity_bounds(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], f: Frequencies) -> tuple[float, float]:
+    """Between these lies the similarity by exact frequencies: weights are at least those of the counters, and at most those of shingles found here only, which a counter of one tells exactly."""
     _, i, j = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
     least = np.minimum(a[1][i], b[1][j])
-    w = lambda h, tf: float((idf[bucket(h)].astype(np.float64) * tf).sum())
-    both, most = w(a[0][i], least), float(least.sum()) * np.log1p(n / 2)
-    rest = w(*a) + w(*b) - 2 * both
-    rest_most = float(a[1].sum() + b[1].sum() - 2 * least.sum()) * np.log1p(n)
-    return (both / (both + rest_most) if both else 0.0), (most / (most + max(rest, 0.0)) if most else 0.0)
+
+    def weights(h: np.ndarray, tf: np.ndarray, df: int) -> tuple[float, float]:
+        return float((f.weight(h).astype(np.float64) * tf).sum()), float((np.where(f.code(h) == 1, np.log1p(f.n), np.log1p(f.n / df)) * tf).sum())
+
+    (both, both_most), (own, own_most), (other, other_most) = weights(a[0][i], least, 2), weights(*a, 1), weights(*b, 1)
+    shared, shared_most = weights(a[0][i], least, 1)
+    rest, rest_most = max(own + other - 2 * shared, 0.0), max(own_most + other_most - 2 * shared_most, 0.0)
+    return (both / (both + rest_most) if both else 0.0), (both_most / (both_most + rest) if both_most else 0.0)
 
 
 def similarity(a: tuple[np.ndarray, ...], b: tuple[np.ndarray, ...], n: int) -> float:
@@ -203,9 +316,8 @@ def weighted_sets(texts: list[str | None]) -> list[tuple[np.ndarray, np.ndarray]
     return out
 
 
-def verified(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, n: int, exact: Callable[[], DataFrame], threshold: float) -> DataFrame:
-    """The pairs (a, b) of documents whose similarity by exact document frequencies reaches the threshold; exact gives those."""
-    table = docs.sparkSession.sparkContext.broadcast(idf)
+def verified(pairs: DataFrame, docs: DataFrame, frequencies, threshold: float) -> DataFrame:
+    """The pairs (a, b) of documents whose similarity by exact document frequencies reaches the threshold."""
 
     def of(pairs):
         texts = docs.select(F.col("doc_id").cast("bigint").alias("id"), "text")
@@ -217,31 +329,33 @@ def verified(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, n: int, exact:
         return pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", *(f"{c}_{x}" for x in "ab" for c in names))
 
     def bounded(batches):
-        for batch in batches:
+        table = frequencies.value
+        for batch in sliced(batches, 128):
             a, b, x, y = (c.to_pylist() for c in batch.columns)
+            names = list(dict.fromkeys([*x, *y]))
+            sets = dict(zip(names, weighted_sets(names), strict=True))
             keep, sure = [], []
-            for lo in range(0, len(a), 128):
-                names = list(dict.fromkeys([*x[lo : lo + 128], *y[lo : lo + 128]]))
-                sets = dict(zip(names, weighted_sets(names), strict=True))
-                for k in range(lo, min(lo + 128, len(a))):
-                    least, most = similarity_bounds(sets[x[k]], sets[y[k]], table.value, n)
-                    if most >= threshold - 1e-6:
-                        keep.append(k)
-                        sure.append(least >= threshold + 1e-6)
+            for k in range(len(a)):
+                least, most = similarity_bounds(sets[x[k]], sets[y[k]], table)
+                if most >= threshold - 1e-6:
+                    keep.append(k)
+                    sure.append(least >= threshold + 1e-6)
             yield pa.RecordBatch.from_arrays([pa.array([a[k] for k in keep], pa.int64()), pa.array([b[k] for k in keep], pa.int64()), pa.array(sure, pa.bool_())], names=["a", "b", "sure"])
 
     def spread(batches):
-        for batch in batches:
+        table = frequencies.value
+        for batch in sliced(batches, 128):
             ids, keys, texts = (c.to_pylist() for c in batch.columns)
-            for lo in range(0, len(ids), 128):
-                sets = weighted_sets(texts[lo : lo + 128])
-                size = [len(v) for v, _ in sets]
-                cols = [np.repeat(np.array(c[lo : lo + 128], np.int64), size) for c in (ids, keys)] + [np.concatenate([v for v, _ in sets]).view(np.int64), np.concatenate([tf for _, tf in sets])]
-                yield pa.RecordBatch.from_arrays([pa.array(c.astype(np.int64)) for c in cols], names=["id", "key", "shingle", "tf"])
+            sets = weighted_sets(texts)
+            size = [len(v) for v, _ in sets]
+            v, tf = np.concatenate([v for v, _ in sets]), np.concatenate([tf for _, tf in sets])
+            cols = [*(np.repeat(np.array(c, np.int64), size) for c in (ids, keys)), v.view(np.int64), tf.astype(np.int64)]
+            yield pa.RecordBatch.from_arrays([*map(pa.array, cols), pa.array(table.code(v) > 1)], names=["id", "key", "shingle", "tf", "shared"])
 
     def measured(batches):
-        for batch in batches:
-            a, b, *lists = (batch.column(k) for k in range(batch.num_columns))
+        n = frequencies.value.n
+        for batch in sliced(batches, 128):
+            a, b, *cols = (batch.column(k) for k in range(batch.num_columns))
             value = lambda c, k: np.asarray(c[k].values)
 
             def weighted(cols, k):
@@ -249,18 +363,22 @@ def verified(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, n: int, exact:
                 order = np.argsort(h)
                 return h[order], tf[order], df[order]
 
-            yes = pa.array([similarity(weighted(lists[:3], k), weighted(lists[3:], k), n) >= threshold for k in range(batch.num_rows)], pa.bool_())
+            yes = pa.array([similarity(weighted(cols[:3], k), weighted(cols[3:], k), n) >= threshold for k in range(batch.num_rows)], pa.bool_())
             yield pa.RecordBatch.from_arrays([a.filter(yes), b.filter(yes)], names=["a", "b"])
 
     near = materialise(joined(pairs, of(pairs), ["text"]).mapInArrow(bounded, "a bigint, b bigint, sure boolean"), "bounded")
     links, unsure = near.where("sure").select("a", "b"), near.where("not sure").select("a", "b").distinct()
     if unsure.isEmpty():
         return links
-    sets = of(unsure).select("id", F.xxhash64("text").alias("key"), "text").mapInArrow(spread, "id bigint, key bigint, shingle bigint, tf bigint")
-    held = F.struct("shingle", "tf", F.coalesce("df", F.lit(1)).cast("bigint").alias("df"))
     # rows that share a doc_id are told apart by key
-    sets = sets.join(exact(), "shingle", "left").groupBy("id", "key").agg(F.collect_list(held).alias("s")).select("id", *(F.col(f"s.{c}").alias(c) for c in ("shingle", "tf", "df")))
-    return links.union(joined(unsure, materialise(sets, "sets"), ["shingle", "tf", "df"]).mapInArrow(measured, "a bigint, b bigint"))
+    spread_out = materialise(of(unsure).select("id", F.xxhash64("text").alias("key"), "text").mapInArrow(spread, "id bigint, key bigint, shingle bigint, tf bigint, shared boolean"), "sets")
+    with broadcasted(docs.sparkSession, wanted_slots(spread_out.where("shared").select("shingle"))) as wanted:
+        known = materialise(exact_frequencies(docs, wanted), "frequencies")
+    held = F.struct("shingle", "tf", F.coalesce("df", F.lit(1)).cast("bigint").alias("df"))
+    sets = materialise(spread_out.join(known, "shingle", "left").groupBy("id", "key").agg(F.collect_list(held).alias("s")).select("id", *(F.col(f"s.{c}").alias(c) for c in ("shingle", "tf", "df"))), "weighted-sets")
+    out = materialise(links.union(joined(unsure, sets, ["shingle", "tf", "df"]).mapInArrow(measured, "a bigint, b bigint")), "links")
+    discard(spread_out, known, sets, near)
+    return out
 
 
 def star_step(edges: DataFrame) -> DataFrame:
@@ -297,61 +415,172 @@ def components(links: DataFrame) -> DataFrame:
     return settled(materialise(ordered(links), "components"))
 
 
-def band_leaders(rows: DataFrame, most: int, turn: int) -> DataFrame:
-    """(band, leads): for each band of ``rows`` (doc_id, weight, size, s1, s2, band, component) that spans several components, up to ``most`` of its rows. They are found by slots, so that no band is gathered whole."""
-    first = F.min(F.struct(F.xxhash64(F.lit(turn), "doc_id").alias("o"), "doc_id", "weight", "size", "s1", "s2", "component")).alias("lead")
-    slots = rows.groupBy("band", F.pmod(F.xxhash64("doc_id", F.lit(turn)), F.lit(most)).alias("slot")).agg(first, F.min("component").alias("lo"), F.max("component").alias("hi"))
-    return slots.groupBy("band").agg(F.collect_list("lead").alias("leads"), F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo <> hi").select("band", "leads")
+def cells(firsts: DataFrame) -> DataFrame:
+    """(cell, doc_id): the rows of ``firsts`` (doc_id, bands) that share a band, in cells: a band of up to CELL rows is one; a larger one is dealt in blocks, and each two of them are one."""
+    rows = firsts.select("doc_id", F.explode("bands").alias("band"))
+    many = rows.groupBy("band").agg(F.count("*").alias("n")).where("n > 1")
+    blocks = F.ceil(F.col("n") / F.lit(CELL)).cast("int")
+    placed = rows.join(many, "band").select("band", "doc_id", blocks.alias("blocks"), F.pmod(F.xxhash64("doc_id"), blocks).cast("int").alias("own"))
+    # a block meets each other one; a band of one block is a cell by itself
+    met = placed.withColumn("other", F.explode(F.when(F.col("blocks") == 1, F.array(F.lit(0))).otherwise(F.filter(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: k != F.col("own")))))
+    return met.select(F.when(F.col("blocks") == 1, F.col("band")).otherwise(F.xxhash64("band", F.least("own", "other"), F.greatest("own", "other"))).alias("cell"), "doc_id")
+
+
+def arranged(members: DataFrame) -> DataFrame:
+    return members.repartition("cell").sortWithinPartitions("cell")
+
+
+class Group:
+    """The rows of a cell, as arrays."""
+
+    def __init__(self, columns: list[np.ndarray], a: int, b: int):
+        self.id, self.component, self.weight, self.size, self.sig = (c[a:b] for c in columns[1:])
+
+    def likely(self, least: int, threshold: float, most_idf: float) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """(first row, agreeing samples of some rows with all, whether they are likely pairs of two components), a few rows at a time."""
+        if (self.component == self.component[0]).all():
+            return
+        reach = self.size * most_idf  # an upper bound of the exact weight
+        step = max(1, (1 << 22) // (len(self.id) * self.sig.shape[1]))
+        for k in range(0, len(self.id), step):
+            rows = slice(k, k + step)
+            agree = (self.sig[rows, None, :] == self.sig[None, :, :]).sum(2, dtype=np.int32)
+            ok = (agree >= least) & (self.component[rows, None] != self.component[None, :])
+            ok &= (reach[rows, None] >= threshold * 0.999 * self.weight[None, :]) & (reach[None, :] >= threshold * 0.999 * self.weight[rows, None])
+            yield k, agree, ok
+
+
+def groups(batches: Iterable[pa.RecordBatch], least: int) -> Iterator[Group]:
+    """The cells of batches (cell, doc_id, component, weight, size, sig) that come ordered by cell."""
+
+    def columns(b):
+        *plain, sig = b.columns
+        return [*(c.to_numpy() for c in plain), sig.flatten().to_numpy().view(np.uint8).reshape(b.num_rows, -1)]
+
+    held: list[np.ndarray] | None = None
+    for b in sliced(batches, 8192):
+        held = columns(b) if held is None else [np.concatenate(c) for c in zip(held, columns(b), strict=True)]
+        edge = np.flatnonzero(np.concatenate([[True], held[0][1:] != held[0][:-1]]))
+        for a, e in zip(edge[:-1], edge[1:], strict=True):
+            if e - a > 1:
+                yield Group(held, a, e)
+        held = [c[edge[-1] :] for c in held]
+    if held is not None and len(held[0]) > 1:
+        yield Group(held, 0, len(held[0]))
+
+
+def partners(members: DataFrame, least: int, threshold: float, most_idf: float) -> DataFrame:
+    """(a, b), a > b: for each row of a cell its likeliest partner, and its likeliest among the rows before it, in another component."""
+
+    def made(batches):
+        for g in groups(batches, least):
+            for k, agree, ok in g.likely(least, threshold, most_idf):
+                score = np.where(ok, agree, -1)
+                rows = np.arange(k, k + len(score))
+                before = np.where(np.arange(len(g.id))[None, :] < rows[:, None], score, -1)
+                found = [(rows[hit], best[hit]) for s in (score, before) for best in (s.argmax(1),) for hit in (s.max(1) >= 0,)]
+                i, j = (g.id[np.concatenate(x)] for x in zip(*found, strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(np.maximum(i, j)), pa.array(np.minimum(i, j))], names=["a", "b"])
+
+    return arranged(members).mapInArrow(made, "a bigint, b bigint").where("a <> b").distinct()
+
+
+def undecided(members: DataFrame, least: int, threshold: float, most_idf: float) -> DataFrame:
+    """(doc_id): the rows that have a likely partner in another component."""
+
+    def made(batches):
+        for g in groups(batches, least):
+            any_ = np.zeros(len(g.id), bool)
+            for k, _, ok in g.likely(least, threshold, most_idf):
+                any_[k : k + len(ok)] = ok.any(1)
+            yield pa.RecordBatch.from_arrays([pa.array(g.id[any_])], names=["doc_id"])
+
+    return arranged(members).mapInArrow(made, "doc_id bigint").distinct()
+
+
+def all_pairs_alike(members: DataFrame, least: int, threshold: float, most_idf: float) -> DataFrame:
+    """(a, b), a > b: all likely pairs of two components, by fine samples."""
+
+    def made(batches):
+        for g in groups(batches, least):
+            for k, _, ok in g.likely(least, threshold, most_idf):
+                i, j = np.nonzero(ok)
+                i, j = g.id[i + k], g.id[j]
+                yield pa.RecordBatch.from_arrays([pa.array(i[i > j]), pa.array(j[i > j])], names=["a", "b"])
+
+    return arranged(members).mapInArrow(made, "a bigint, b bigint").distinct()
 
 
 def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """(doc_id, class_id, links): for each row the smallest doc_id of its class, and how many verified links its representative has."""
     ship(docs.sparkSession)
-    n, df = document_frequencies(docs)
-    idf = idf_table(n, df)
-    exact = cache(lambda: materialise(exact_frequencies(docs), "frequencies"))
-    agreeing, most_idf = least_agreeing(sampled_threshold(threshold, n, df)), float(np.log1p(max(n, 1)))
-    sketch = materialise(sketches(docs, idf), "sketches")
-    named = sketch.where("f1 is not null and doc_id is not null")
-    sets = named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
-    firsts = named.join(sets.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"]).dropDuplicates(["f1", "f2"])
-    rows = materialise(firsts.select("doc_id", "weight", "size", "s1", "s2", F.explode("bands").alias("band")), "bands")
-
-    links = tested = edges = None
-    for turn in count():
-        most = LEADERS[min(turn, len(LEADERS) - 1)]
-        now = rows.withColumn("component", F.col("doc_id"))
-        if edges is not None:
-            now = rows.join(lowest(edges), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-        leaders = materialise(band_leaders(now, most, turn), "leaders")
-        if leaders.isEmpty():
-            break
-        met = now.join(leaders, "band")
-        pairs = (
-            met.select("doc_id", "weight", "size", "s1", "s2", "component", F.explode("leads").alias("lead"))
-            .where((F.col("component") != F.col("lead.component")) & (F.col("size") * most_idf >= threshold * 0.999 * F.col("lead.weight")) & (F.col("lead.size") * most_idf >= threshold * 0.999 * F.col("weight")))
-            .where(F.bit_count(F.expr("(s1 ^ lead.s1) | (s2 ^ lead.s2)")) <= SAMPLES - agreeing)
-            .select(F.greatest("doc_id", "lead.doc_id").alias("a"), F.least("doc_id", "lead.doc_id").alias("b")).distinct()
-        )
+    f = document_frequencies(docs)
+    sampled, most_idf = sampled_threshold(threshold, f), float(np.log1p(max(f.n, 1)))
+    with broadcasted(docs.sparkSession, f) as frequencies:
+        sketch = materialise(sketches(docs, frequencies), "sketches")
+        named = sketch.where("f1 is not null and doc_id is not null")
+        sets = named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
+        firsts = materialise(named.join(sets.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"]).dropDuplicates(["f1", "f2"]).select("doc_id", "weight", "size", "bands", "sig"), "firsts")
+        links, edges = _links(docs, firsts, shared_ids(named, sets), frequencies, sampled, most_idf, threshold)
+    members = sketch.select("doc_id", "f1", "f2").join(sets, ["f1", "f2"], "left")
+    if edges is None:
+        return members.select("doc_id", F.coalesce("rep", "doc_id").alias("class_id"), F.lit(0).cast("bigint").alias("links"))
+    links = links if links is not None else docs.sparkSession.createDataFrame([], "a bigint, b bigint")
+    degree = links.select(F.col("a").alias("rep")).union(links.select(F.col("b").alias("rep"))).groupBy("rep").agg(F.count("*").alias("links"))
+    return (
+        members.join(settled(edges).select(F.col("doc_id").alias("rep"), "component"), "rep", "left").join(degree, "rep", "left")
+        .select("doc_id", F.coalesce("component", "rep", "doc_id").alias("class_id"), F.coalesce("links", F.lit(0)).cast("bigint").alias("links"))
+    )
+
+
+def shared_ids(named: DataFrame, sets: DataFrame) -> DataFrame | None:
+    """Edges (u, v) between the sets that rows of one doc_id have; None without any."""
+    one = F.struct("f1", "f2")
+    several = named.groupBy("doc_id").agg(F.min(one).alias("lo"), F.max(one).alias("hi")).where("lo <> hi").select("doc_id")
+    if several.isEmpty():
+        return None
+    reps = named.join(several, "doc_id").join(sets, ["f1", "f2"]).select("doc_id", "rep").distinct()
+    return materialise(ordered(reps.join(reps.groupBy("doc_id").agg(F.min("rep").alias("b")), "doc_id").select(F.col("rep").alias("a"), "b")), "edges")
+
+
+def _links(docs: DataFrame, firsts: DataFrame, edges: DataFrame | None, frequencies, sampled: float, most_idf: float, threshold: float) -> tuple[DataFrame | None, DataFrame | None]:
+    """(links, edges): the verified pairs (a, b), and edges (u, v) that join what they and the given ones join; None without any."""
+    dealt = materialise(cells(firsts), "cells")
+    tested = links = None
+
+    def members(sig: DataFrame, some: DataFrame | None = None) -> DataFrame:
+        rows = dealt if some is None else dealt.join(some, "doc_id", "left_semi")
+        rows = rows.join(sig, "doc_id")
+        rows = rows.withColumn("component", F.col("doc_id")) if edges is None else rows.join(lowest(edges), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+        return rows.select("cell", "doc_id", "component", "weight", "size", "sig")
+
+    def verify(pairs: DataFrame) -> bool:
+        nonlocal tested, links, edges
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "pairs")
-        rows = materialise(met.where(~F.array_contains("leads.doc_id", F.col("doc_id"))).select("doc_id", "weight", "size", "s1", "s2", "band"), "bands")
-        found = materialise(verified(pairs, docs, idf, n, exact, threshold), "links")
         tested = pairs if tested is None else tested.union(pairs)
+        found = materialise(verified(pairs, docs, frequencies, threshold), "links")
         if found.isEmpty():
-            continue
+            return False
         links = found if links is None else links.union(found)
         edges = materialise(star_step(ordered(found) if edges is None else edges.union(ordered(found)).distinct()), "edges")
-    labels = None if edges is None else settled(edges)
-    members = sketch.select("doc_id", "f1", "f2").join(sets, ["f1", "f2"], "left")
-    if labels is None:
-        return members.select("doc_id", F.coalesce("rep", "doc_id").alias("class_id"), F.lit(0).cast("bigint").alias("links"))
-    degree = links.select(F.col("a").alias("rep")).union(links.select(F.col("b").alias("rep"))).groupBy("rep").agg(F.count("*").alias("links"))
-    return (
-        members.join(labels.select(F.col("doc_id").alias("rep"), "component"), "rep", "left").join(degree, "rep", "left")
-        .select("doc_id", F.coalesce("component", "rep", "doc_id").alias("class_id"), F.coalesce("links", F.lit(0)).cast("bigint").alias("links"))
-    )
+        edges = materialise(star_step(edges), "edges")
+        return True
+
+    coarse = firsts.select("doc_id", "weight", "size", "sig")
+    for _ in range(ROUNDS):
+        if not verify(partners(members(coarse), least_agreeing(sampled, SAMPLES), threshold, most_idf)):
+            break
+    rest = materialise(undecided(members(coarse), least_agreeing(sampled, SAMPLES), threshold, most_idf), "undecided")
+    if not rest.isEmpty():
+        some = docs.join(F.broadcast(rest) if small(rest, BROADCAST_IDS) else rest, "doc_id", "left_semi")
+        fine = materialise(fine_sketches(some, frequencies), "fine")
+        sig = firsts.select("doc_id", "weight", "size").join(fine, "doc_id")
+        verify(all_pairs_alike(members(sig, rest), least_agreeing(sampled, FINE), threshold, most_idf))
+        discard(fine)
+    discard(dealt, rest)
+    return links, edges
 
 
 def op3(spark: SparkSession, sf_dir: str) -> DataFrame:

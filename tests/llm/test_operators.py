@@ -5,6 +5,7 @@ from __future__ import annotations
 import hashlib
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -31,50 +32,82 @@ def empty(spark):
     return table(spark, []).where("false")
 
 
-def jaccard(a, b, df, n):
-    """Weighted Jaccard similarity by definition, over exact shingles, with the operator's bucketed weights."""
-    sets = [neardup.weighted_sets([t])[0] for t in (a, b)]
-    idf = neardup.idf_table(n, df)
-    x, y = ({int(h): float(idf[neardup.bucket(np.array([h], np.uint64))[0]]) * int(c) for h, c in zip(*s, strict=True)} for s in sets)
-    keys = x.keys() | y.keys()
-    return sum(min(x.get(k, 0), y.get(k, 0)) for k in keys) / max(1e-9, sum(max(x.get(k, 0), y.get(k, 0)) for k in keys))
+def near_by_definition(rows, threshold=0.8):
+    """doc_id: smallest doc_id of its class, by all pairs of weighted sets of word tuples with exact document frequencies."""
+    sets = []
+    for _, t in rows:
+        w = re.findall(r"[^\W_]+", (t or "").lower())
+        sets.append(Counter(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))) if w else Counter())
+    df, n = Counter(x for s in sets for x in s), sum(map(bool, sets))
+    weigh = lambda c: sum(k * np.log1p(n / df[x]) for x, k in c.items())
+    parent = {i: i for i, _ in rows if i is not None}
+    live = [(i, s) for (i, _), s in zip(rows, sets, strict=True) if i is not None and s]
+    for x, (i, a) in enumerate(live):
+        for j, b in live[:x]:
+            if a.keys() & b.keys() and weigh(a & b) >= threshold * weigh(a | b) * (1 - 1e-12):
+                lo, hi = sorted((parent[i], parent[j]))
+                parent = {k: lo if v == hi else v for k, v in parent.items()}
+    return parent
+
+
+def near_found(spark, rows):
+    return {r.doc_id: r.class_id for r in neardup.near_classes(table(spark, rows)).collect() if r.doc_id is not None}
 
 
 def test_near_classes_match_brute_force(spark):
     rows = [(i, t) for i, t in enumerate(PROSE[:8])]
-    rows += [(20, PROSE[0]), (21, PROSE[1].upper() + "!"), (22, PROSE[2] + " tail end"), (23, " ".join(PROSE[3].split()[:30] + ["x"] * 30)), (24, ""), (25, None), (None, PROSE[5])]
-    docs = table(spark, rows)
-    n, df = neardup.document_frequencies(docs)
-    got = {(r.doc_id, r.class_id) for r in neardup.near_classes(docs).collect()}
-    live = [(i, t) for i, t in rows if i is not None and t]
-    parent = {i: i for i, _ in rows if i is not None}
-    for i, a in live:
-        for j, b in live:
-            if i < j and jaccard(a, b, df, n) >= 0.8:
-                lo, hi = sorted((parent[i], parent[j]))
-                parent = {k: lo if v == hi else v for k, v in parent.items()}
-    assert {g for g in got if g[0] is not None} == set(parent.items())
-    assert {20: 0, 21: 1, 22: 2}.items() <= dict(got).items() and dict(got)[23] == 23
+    rows += [(20, PROSE[0]), (21, PROSE[1].upper() + "!"), (22, PROSE[2] + " tail end"), (23, " ".join(PROSE[3].split()[:30] + ["x"] * 30)), (24, ""), (25, None), (None, PROSE[5]), (26, "two words"), (27, "two words"), (28, PROSE[7]), (28, PROSE[6])]
+    got = near_found(spark, rows)
+    assert got == near_by_definition(rows)
+    assert {20: 0, 21: 1, 22: 2, 23: 23, 27: 26}.items() <= got.items() and got[7] == got[6] == got[28] == 6
+
 
+def test_near_classes_of_a_hot_group_lose_no_link(spark):
+    """Rows that are alike, many of them not alike enough: one text of 300 words whose last 1 to 12 words are exchanged."""
+    base = [f"b{j}" for j in range(300)]
+    rows = [(i, " ".join([*base[: 299 - i % 12], *(f"x{i}y{j}" for j in range(1 + i % 12))])) for i in range(150)]
+    got, want = near_found(spark, rows), near_by_definition(rows)
+    assert got == want and 2 < len(set(want.values())) < 150
 
-def test_near_classes_search_a_hot_band_to_its_end(spark, monkeypatch):
+
+@pytest.mark.parametrize("cell", [64, 4096])
+def test_near_classes_search_a_hot_band_to_its_end(spark, monkeypatch, cell):
+    """One band that all rows share, and no other."""
     made = neardup.sketches
+    monkeypatch.setattr(neardup, "CELL", cell)
     monkeypatch.setattr(neardup, "sketches", lambda *a: made(*a).withColumn("bands", F.array(F.lit(1).cast("bigint"))))
-    rows = [(i, " ".join(f"r{i}x{j}" for j in range(60))) for i in range(300)]
-    got = {r.doc_id: r.class_id for r in neardup.near_classes(table(spark, [*rows, (500, rows[77][1] + " more")])).collect()}
-    assert got == {i: i for i, _ in rows} | {500: 77}
+    rows = [(i, " ".join(f"r{i}x{j}" for j in range(60))) for i in range(200)]
+    assert near_found(spark, [*rows, (500, rows[77][1] + " more")]) == {i: i for i, _ in rows} | {500: 77}
+
+
+def test_cells_of_a_hot_band_hold_every_pair(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "CELL", 8)
+    rows = [(i, [7, *(1000 * k + i for k in range(1, 16))]) for i in range(60)] + [(i, [9, *range(10**6 * i, 10**6 * i + 15)]) for i in (70, 71)]
+    held: dict[int, set] = {}
+    for r in neardup.cells(spark.createDataFrame(rows, "doc_id bigint, bands array<bigint>")).collect():
+        held.setdefault(r.cell, set()).add(r.doc_id)
+    pairs = {(i, j) for c in held.values() for i in c for j in c if i < j}
+    assert {(i, j) for i in range(60) for j in range(i + 1, 60)} | {(70, 71)} == pairs and max(map(len, held.values())) <= 40
 
 
 def test_near_classes_weigh_by_exact_frequencies(spark, monkeypatch):
     made = neardup.document_frequencies
-    monkeypatch.setattr(neardup, "document_frequencies", lambda d: (made(d)[0], np.maximum(made(d)[1], 250)))  # as full as the buckets of a large table
+    full = lambda d: neardup.Frequencies(made(d).n, np.maximum(made(d).codes, 33))  # noqa: E731  as full as the counters of a large table
+    monkeypatch.setattr(neardup, "document_frequencies", full)
     common = [" ".join(f"c{k}x{j}" for j in range(24)) for k in range(2)]  # 20 shingles each
     own = " ".join(f"u{j}" for j in range(84))  # 80 shingles
     rows = [(i, f"{common[i % 2]}\n" + " ".join(f"r{i}x{j}" for j in range(120))) for i in range(400)]
-    got = {r.doc_id: r.class_id for r in neardup.near_classes(table(spark, [*rows, (500, f"{common[0]} {own}"), (501, f"{common[1]} {own}")])).collect()}
     idf = lambda df: np.log1p(402 / df)
     assert 80 * idf(2) / (80 * idf(2) + 40 * idf(201) + 8 * idf(1)) >= 0.8 > 80 / (80 + 48)
-    assert got == {i: i for i, _ in rows} | {500: 500, 501: 500}
+    assert near_found(spark, [*rows, (500, f"{common[0]} {own}"), (501, f"{common[1]} {own}")]) == {i: i for i, _ in rows} | {500: 500, 501: 500}
+
+
+def test_counters_bound_exact_frequencies(spark):
+    rows = [(i, f"{PROSE[i % 5]} z{i}") for i in range(40)]
+    f = neardup.document_frequencies(table(spark, rows))
+    (h, _), = neardup.weighted_sets([PROSE[0]])
+    bound = f.n / np.expm1(f.weight(h).astype(float))
+    assert f.n == 40 and (bound >= 7.99).all() and np.median(bound) < 9.6
 
 
 def test_weighted_samples_agree_as_often_as_sets_do():
