@@ -20,22 +20,27 @@ class FilteredInputs:
 
 
 def key_estimate(keyed: list[DataFrame]) -> int:
-    """Distinct keys of the smallest input, approximately: it bounds the keys that can join."""
-    return min(k.agg(F.approx_count_distinct("jk")).first()[0] for k in keyed)
+    """Distinct keys of the input that has most of them, approximately, in one job: a filter of that size is useful to all inputs."""
+    rows = reduce(DataFrame.unionAll, (k.select("jk", F.lit(i).alias("side")) for i, k in enumerate(keyed)))
+    counts = rows.agg(*(F.approx_count_distinct(F.when(F.col("side") == i, F.col("jk"))).alias(f"n_{i}") for i in range(len(keyed)))).first()
+    return max(counts)
 
 
-def prefilter(inputs: list[JoinInput], params: FilterParams | None = None, merge: str = "sharded", fp: float = 0.01, ordered: bool = False) -> FilteredInputs:
-    """All inputs at once: a filter of each, their intersection, and the rows whose key may be in it. ``ordered``: the first input's filter already thins the
+def prefilter(inputs: list[JoinInput], params: FilterParams | None = None, merge: str = "fused", fp: float = 0.01, ordered: bool = False) -> FilteredInputs:
+    """All inputs at once: a filter of each, their intersection, and the rows whose key may be in it. Without ``params`` a job counts the keys first. merge: fused makes the
+    intersection by one exchange; the others build a filter of each input by that scheme (``build_filter``) and intersect them. ``ordered``: the first input's filter already thins the
     others before theirs are built, for inputs of which the first is by far the smallest."""
     keyed = [i.keyed() for i in inputs]
     p = params or B.size_filter(key_estimate(keyed), fp)
+    fused = merge == "fused" and p.layout == "word" and not ordered
+    merge = "sharded" if merge == "fused" else merge
     if ordered:
         first = B.build_filter(keyed[0], p, merge)
         rest = [B.apply_filter(k, first, p) for k in keyed[1:]]
         table = B.intersect([first, *(B.build_filter(k, p, merge) for k in rest)], p.layout)
     else:
-        table = B.intersect([B.build_filter(k, p, merge) for k in keyed], p.layout)
-    return FilteredInputs([B.apply_filter(k, table, p) for k in keyed], table, p)
+        table = B.join_filter(keyed, p) if fused else B.intersect([B.build_filter(k, p, merge) for k in keyed], p.layout)
+    return FilteredInputs([B.apply_filter(k, table, p, fused) for k in keyed], table, p)
 
 
 def chained_prefilter(inputs: list[JoinInput], params: FilterParams) -> list[DataFrame]:

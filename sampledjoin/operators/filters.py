@@ -5,23 +5,42 @@ from __future__ import annotations
 import math
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.keys import text_hash
 from ..model import FilterParams
 
-#: A filter of more words is not broadcast: the keys are probed by a shuffle join on the slot instead.
-BROADCAST_WORDS = 1 << 22
+#: A filter has at most so many bytes, whatever the number of keys, as every node holds it; with more keys it lets more rows through, and loses none.
+MAX_BYTES = 1 << 28
+#: Words of a block of the packed form; words that the other layouts may broadcast, a row each.
+BLOCK_WORDS, BROADCAST_WORDS = 1 << 14, 1 << 22
 
 
-def size_filter(n_keys: int, fp: float, max_bytes: int | None = None, **rest) -> FilterParams:
-    """Bits m = -n ln p / (ln 2)² and hashes h = (m / n) ln 2; the bits are cut to ``max_bytes``, the hashes then follow them."""
+def size_filter(n_keys: int, fp: float, max_bytes: int | None = MAX_BYTES, layout: str = "word", **rest) -> FilterParams:
+    """Bits m = -n ln p / (ln 2)² and hashes h = (m / n) ln 2; the bits are cut to ``max_bytes``, the hashes then follow them. The word layout, whose words fill unevenly, gets as many more bits as its own rate asks for."""
     n = max(1, n_keys)
     m = max(64, math.ceil(-n * math.log(fp) / math.log(2) ** 2))
+    if layout == "word":
+        while word_rate(n, m, _hashes(n, m)) > fp:
+            m = math.ceil(m * 1.05)
     if max_bytes:
         m = min(m, 8 * max_bytes)
-    return FilterParams(m, max(1, round(m / n * math.log(2))), **rest)
+    return FilterParams(m, _hashes(n, m), layout=layout, **rest)
+
+
+def _hashes(n: int, m: int) -> int:
+    return min(10, max(1, round(m / n * math.log(2))))
+
+
+def word_rate(n: int, m: int, h: int) -> float:
+    """False positives of the word layout: over the Poisson number of keys in a word, the chance that all h bits of another key are set."""
+    load = n / (-(-m // 64))
+    total, p = 0.0, math.exp(-load)
+    for k in range(int(load + 12 * math.sqrt(load) + 20)):
+        total += p * (1 - (1 - 1 / 64) ** (h * k)) ** h
+        p *= load / (k + 1)
+    return total
 
 
 def _bits(jk: Column, p: FilterParams, generation: int = 0) -> list[Column]:
@@ -88,21 +107,51 @@ def intersect(filters: list[DataFrame], layout: str = "word") -> DataFrame:
     return every.groupBy("slot").agg(fold.alias("mask"), F.count("*").alias("sides")).where((F.col("sides") == len(filters)) & (F.col("mask") != 0)).select("slot", "mask")
 
 
+def _every_word(spark: SparkSession, p: FilterParams) -> DataFrame:
+    """(slot, mask): a zero for each word."""
+    return spark.range(0, p.words, 1, max(1, min(64, p.words >> 16))).select(F.col("id").alias("slot"), F.lit(0).cast("bigint").alias("mask"))
+
+
+def join_filter(keyed: list[DataFrame], p: FilterParams) -> DataFrame:
+    """The join filter of all inputs by one exchange: their marks, tagged, are ORed by slot and side, and the sides ANDed. Word layout; all words are there."""
+    n = len(keyed)
+    none = _every_word(keyed[0].sparkSession, p).withColumn("side", F.lit(n))
+    every = reduce(DataFrame.unionAll, (marks(k, p).withColumn("side", F.lit(i)) for i, k in enumerate(keyed)), none)
+    sides = [F.coalesce(F.bit_or(F.when(F.col("side") == i, F.col("mask"))), F.lit(0)).cast("bigint").alias(f"side_{i}") for i in range(n)]
+    return every.groupBy("slot").agg(*sides).select("slot", reduce(lambda a, b: a.bitwiseAND(b), (F.col(f"side_{i}") for i in range(n))).alias("mask"))
+
+
+def pack(table: DataFrame, p: FilterParams, dense: bool = False) -> DataFrame:
+    """(block, words): the filter's words in blocks of BLOCK_WORDS, without gaps. ``dense``: the table has all words, each once."""
+    if not dense:
+        table = table.unionAll(_every_word(table.sparkSession, p)).groupBy("slot").agg(F.bit_or("mask").alias("mask"))
+    words = F.array_sort(F.collect_list(F.struct("slot", "mask")))
+    return table.groupBy(F.expr(f"slot div {BLOCK_WORDS}").alias("block")).agg(words.alias("w")).select("block", F.col("w.mask").alias("words"))
+
+
 def unite(filters: list[DataFrame]) -> DataFrame:
     """The filter of a union: bits ORed."""
     return reduce(DataFrame.unionAll, filters).groupBy("slot").agg(F.bit_or("mask").alias("mask"))
 
 
-def apply_filter(keyed: DataFrame, table: DataFrame, p: FilterParams) -> DataFrame:
-    """Rows whose key may be in the filter. Up to BROADCAST_WORDS the filter is broadcast; beyond, rows meet it by a shuffle."""
-    small = p.words <= BROADCAST_WORDS
+def _probe(keyed: DataFrame, table: DataFrame, p: FilterParams, how: str, dense: bool = False) -> DataFrame:
+    """A join with the packed filter of the word layout: its blocks are broadcast, MAX_BYTES at most, and a row looks into one word of one block."""
+    if p.words * 8 > 2 * MAX_BYTES:
+        raise ValueError("a filter of so many bits can't be broadcast: size it with max_bytes")
+    slot, mine = _slot(F.col("jk"), p), _mask(_bits(F.col("jk"), p))
+    word = F.element_at("f_words", (F.pmod(slot, F.lit(BLOCK_WORDS)) + 1).cast("int"))
+    blocks = F.broadcast(pack(table, p, dense).select(F.col("block").alias("f_block"), F.col("words").alias("f_words")))
+    return keyed.join(blocks, ((slot / BLOCK_WORDS).cast("bigint") == F.col("f_block")) & (word.bitwiseAND(mine) == mine), how)
+
+
+def apply_filter(keyed: DataFrame, table: DataFrame, p: FilterParams, dense: bool = False) -> DataFrame:
+    """Rows whose key may be in the filter, which is broadcast; see ``_probe``. The other layouts, whose words are rows, may have BROADCAST_WORDS of them."""
     jk = F.col("jk")
-    table = table.select(F.col("slot").alias("f_slot"), F.col("mask").alias("f_mask"))
-    side = F.broadcast(table) if small else table
     if p.layout in ("word", "scalable"):
-        word = FilterParams(p.m_bits, p.h, p.seed, "word", p.family)
-        mine = _mask(_bits(jk, word))
-        return keyed.join(side, (_slot(jk, word) == F.col("f_slot")) & (F.col("f_mask").bitwiseAND(mine) == mine), "left_semi")
+        return _probe(keyed, table, FilterParams(p.m_bits, p.h, p.seed, "word", p.family), "left_semi", dense)
+    if p.words > BROADCAST_WORDS:
+        raise ValueError(f"the {p.layout} layout is for filters of at most {BROADCAST_WORDS} words")
+    side = F.broadcast(table.select(F.col("slot").alias("f_slot"), F.col("mask").alias("f_mask")))
     for bit in _bits(jk, p):
         slot, need = (bit, F.col("f_mask") > 0) if p.layout == "counting" else ((bit / 64).cast("bigint"), F.col("f_mask").bitwiseAND(_mask([bit % 64])) != 0)
         keyed = keyed.join(side, (slot == F.col("f_slot")) & need, "left_semi")
@@ -130,9 +179,7 @@ class ScalableFilter:
         rest, out = keyed, []
         for table, p in self.generations:
             out.append(apply_filter(rest, table, p))
-            mine, word = _mask(_bits(F.col("jk"), p)), _slot(F.col("jk"), p)
-            t = F.broadcast(table.select(F.col("slot").alias("f_slot"), F.col("mask").alias("f_mask")))
-            rest = rest.join(t, (word == F.col("f_slot")) & (F.col("f_mask").bitwiseAND(mine) == mine), "left_anti")
+            rest = _probe(rest, table, p, "left_anti")
         return reduce(DataFrame.unionAll, out)
 
 

@@ -26,28 +26,37 @@ def number_rows(keyed: DataFrame, order: list[str] | None = None, salts: int = 1
     return inside.join(offsets, ["jk", "salt"]).withColumn("pos", F.col("before") + F.col("r")).drop("salt", "before", "r")
 
 
-def draw_edges(strata: DataFrame, n: int, seed: int = 42, family: str = "xx", draws: str = "b") -> DataFrame:
-    """(jk, draw, pos_1..pos_n): ``draws`` random edges of each key, with replacement; a full stratum (b = edges) is enumerated instead, each edge once."""
+#: A stratum's numbers, as its edges carry them.
+CARRIED = {"st_edges": "edges", "st_b": "b", "st_full": "full"}
+
+
+def draw_edges(strata: DataFrame, n: int, seed: int = 42, family: str = "xx", draws: str = "b", carry: bool = False, after: str | None = None) -> DataFrame:
+    """(jk, draw, pos_1..pos_n): ``draws`` random edges of each key, with replacement; a full stratum (b = edges) is enumerated instead, each edge once.
+
+    carry: the edges have their stratum's numbers beside them, so that an estimate needs no join with the strata. after: a column of draws that are there already; the draws after them are made, of a full stratum all."""
     key = key_text(strata.schema["jk"].dataType)
     many = F.col(draws)
-    wide = strata.withColumn("chunk", F.explode(F.sequence(F.lit(0).cast("bigint"), F.expr(f"({draws} - 1) div {CHUNK}"))))
-    rows = wide.withColumn("draw", F.explode(F.sequence(F.col("chunk") * CHUNK + 1, F.least(many, (F.col("chunk") + 1) * CHUNK))))
+    done = F.when(F.col("full"), F.lit(0)).otherwise(F.col(after)).cast("bigint") if after else F.lit(0).cast("bigint")
+    wide = strata.withColumn("st_done", done).where(F.col("st_done") < many).withColumn("chunk", F.explode(F.sequence(F.lit(0).cast("bigint"), F.expr(f"({draws} - st_done - 1) div {CHUNK}"))))
+    first = F.col("st_done") + F.col("chunk") * CHUNK
+    rows = wide.withColumn("draw", F.explode(F.sequence(first + 1, F.least(many, first + CHUNK))))
     out, below = [], F.lit(1).cast("decimal(38,0)")
     for i in range(1, n + 1):
         size = F.col(f"n_{i}")
         enumerated = F.pmod(F.call_function("div", F.col("draw") - 1, below), size) if i > 1 else F.pmod(F.col("draw") - 1, size)
         out.append((1 + F.when(F.col("full"), enumerated).otherwise(F.pmod(draw_hash(key, F.col("draw"), i, seed, family), size))).cast("bigint").alias(f"pos_{i}"))
         below = (below * size.cast("decimal(19,0)")).cast("decimal(38,0)")
-    return rows.select("jk", "draw", *out)
+    return rows.select("jk", "draw", *out, *(F.col(c).alias(name) for name, c in CARRIED.items() if carry))
 
 
 def distinct_edges(edges: DataFrame, n: int) -> DataFrame:
     """Each edge once, under its first draw."""
-    return edges.groupBy("jk", *(f"pos_{i}" for i in range(1, n + 1))).agg(F.min("draw").alias("draw")).select("jk", "draw", *(f"pos_{i}" for i in range(1, n + 1)))
+    carried = [c for c in CARRIED if c in edges.columns]
+    return edges.groupBy("jk", *(f"pos_{i}" for i in range(1, n + 1))).agg(F.min("draw").alias("draw"), *(F.first(c).alias(c) for c in carried)).select("jk", "draw", *(f"pos_{i}" for i in range(1, n + 1)), *carried)
 
 
 def distinct_sample(strata: DataFrame, n: int, seed: int = 42, family: str = "xx", rounds: int = 3) -> DataFrame:
-    """Exactly b different edges of each key: draws are repeated, more in each round, and the first b different ones kept. A stratum of which more than half is wanted, or that is still short, is enumerated and ordered by hash."""
+    """Exactly b different edges of each key: (rounds + 1) b + 16 draws are made, and the first b different ones kept. A stratum of which more than half is wanted is enumerated and ordered by hash, which makes at most twice the edges that are kept; so is one that is still short, which with so many draws hardly happens."""
     key = key_text(strata.schema["jk"].dataType)
     pos = [f"pos_{i}" for i in range(1, n + 1)]
     first = Window.partitionBy("jk").orderBy("draw")
@@ -69,15 +78,28 @@ def attach(edges: DataFrame, numbered: list[DataFrame]) -> DataFrame:
     return edges
 
 
-def sample_edges(keyed: list[DataFrame], strata: DataFrame, seed: int = 42, dedupe: bool | str = False, strategy: str = "position", family: str = "xx", salts: int = 1) -> DataFrame:
+def salts_for(strata: DataFrame, most_rows: int = 4_000_000) -> int:
+    """Parts in which a key's rows are numbered, so that none has more than ``most_rows`` of the heaviest key."""
+    sides = [c for c in strata.columns if c.startswith("n_")]
+    top = strata.agg(F.max(F.greatest(*sides))).first()[0] or 0
+    return max(1, -(-int(top) // most_rows))
+
+
+def sample_edges(keyed: list[DataFrame], strata: DataFrame, seed: int = 42, dedupe: bool | str = False, strategy: str = "position", family: str = "xx", salts: int = 1, carry: bool = False, after: str | None = None) -> DataFrame:
     """The sampled rows of the join: jk, draw and all sides' columns. strata: from ``count_strata`` with b and full.
 
-    dedupe: False keeps duplicates, "resample" draws until b are different, "distinct" drops duplicates of b draws. strategy: position joins on row numbers (no memory by key),
-    array packs a side's rows by key, grouped runs a function by key (two sides); the last two hold a key's rows in one task."""
+    dedupe: False keeps duplicates, "resample" draws until b are different, "distinct" drops duplicates of b draws. strategy: position joins on row numbers (no memory by key; with ``salts`` a hot key is numbered in parts),
+    array packs a side's rows by key, grouped runs a function by key (two sides); the last two hold a key's rows in one task. carry, after: as of ``draw_edges``."""
     n = len(keyed)
     if strategy == "grouped":
-        return _grouped(keyed, strata, seed)
-    edges = distinct_sample(strata, n, seed, family) if dedupe == "resample" else draw_edges(strata, n, seed, family)
+        drawn = _grouped(keyed, strata, seed)
+        return drawn.join(strata.select("jk", *(F.col(c).alias(name) for name, c in CARRIED.items())), "jk") if carry else drawn
+    if dedupe == "resample":
+        edges = distinct_sample(strata, n, seed, family)
+        if carry:
+            edges = edges.join(strata.select("jk", *(F.col(c).alias(name) for name, c in CARRIED.items())), "jk")
+    else:
+        edges = draw_edges(strata, n, seed, family, carry=carry, after=after)
     if dedupe == "distinct":
         edges = distinct_edges(edges, n)
     if strategy == "array":
@@ -113,9 +135,3 @@ def _grouped(keyed: list[DataFrame], strata: DataFrame, seed: int) -> DataFrame:
         return out[names]
 
     return left.groupBy("jk").cogroup(right.groupBy("jk")).applyInPandas(drawn, schema)
-
-
-def positions(n_1: Column, n_2: Column, draw: Column, seed: int = 42) -> list[Column]:
-    """Positions of a draw among n_1 and n_2 rows, for use in a query of one's own."""
-    return [(1 + F.pmod(draw_hash(F.lit(0), draw, i, seed), n)).cast("bigint") for i, n in ((1, n_1), (2, n_2))]
-

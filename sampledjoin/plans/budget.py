@@ -7,6 +7,7 @@ import time
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..functions.keys import text_hash
 from ..functions.quantiles import z_quantile
 from ..model import InfeasibleError, LatencyModel
 
@@ -36,6 +37,19 @@ def allocate(strata: DataFrame, fraction: float | Column, min_b: int = 2) -> Dat
     return clamp(strata, F.floor(s * F.col("edges").cast("double") + F.lit(1e-9)), min_b)
 
 
+def allocate_within(strata: DataFrame, edges: float, min_b: int = 2) -> DataFrame:
+    """``allocate`` of a number of edges over all keys. Where keeping every key lifts the sum over it (``overdrawn``), each key gets its least first and a share of the rest, so that the sum stays within."""
+    least = F.least(F.lit(min_b).cast("decimal(38,0)"), F.col("edges"))
+    whole = strata.agg(F.sum("edges").cast("double").alias("all"), F.sum(least).cast("double").alias("least")).first()
+    if not whole["all"]:
+        return allocate(strata, 1.0, min_b)
+    share = min(1.0, edges / whole["all"])
+    if (allocate(strata, share, min_b).agg(F.sum("b")).first()[0] or 0) <= edges or share == 1.0:
+        return allocate(strata, share, min_b)
+    rest = max(0.0, edges - whole["least"]) / max(1.0, whole["all"] - whole["least"])
+    return clamp(strata, least + F.floor(F.lit(rest) * (F.col("edges") - least).cast("double")), min_b)
+
+
 def clamp(strata: DataFrame, b: Column, min_b: int = 2) -> DataFrame:
     sized = F.least(F.greatest(b.cast("decimal(38,0)"), F.lit(min_b).cast("decimal(38,0)")), F.col("edges")).cast("bigint")
     return strata.withColumn("b", sized).withColumn("full", F.col("b") >= F.col("edges"))
@@ -85,9 +99,10 @@ def error_for_latency(strata: DataFrame, desired_s: float, filter_s: float, mode
     return strata.crossJoin(F.broadcast(whole)).select("jk", mean_error(F.col("sigma"), F.greatest(F.lit(1.0), share * F.col("edges").cast("double")), confidence).alias("error"))
 
 
-def bootstrap_sigma(edges: DataFrame, value: Column, reps: int = 30, seed: int = 42) -> DataFrame:
+def bootstrap_sigma(edges: DataFrame, value: Column, reps: int = 30, seed: int = 42, family: str = "xx") -> DataFrame:
     """(jk, n, sigma) from resamples of a pilot: every draw gets a Poisson(1) weight by hash in each replicate."""
-    u = (F.pmod(F.xxhash64("jk", "draw", "rep", F.lit(seed)), F.lit(1 << 52)) + F.lit(0.5)) / F.lit(float(1 << 52))
+    h = text_hash(F.col("jk"), F.col("draw"), F.col("rep"), seed) if family == "portable" else F.xxhash64("jk", "draw", "rep", F.lit(seed))
+    u = (F.pmod(h, F.lit(1 << 52)) + F.lit(0.5)) / F.lit(float(1 << 52))
     weight = F.lit(0)
     cumulative, p = 0.0, 2.718281828459045**-1
     for k in range(1, 9):  # inverse distribution function; beyond 8 has weight under 1e-6
