@@ -18,11 +18,15 @@ from pyspark import Broadcast
 from pyspark.sql import DataFrame, SparkSession
 
 _SHIPPED: set[str] = set()
+#: Rows of an Arrow batch.
+BATCH = 2048
 
 
 def ship(spark: SparkSession) -> None:
-    """Sends this package to the Python workers once per application, so that they need no shared PYTHONPATH."""
+    """Sends this package to the Python workers once per application, so that they need no shared PYTHONPATH; and has them get rows in batches of at most BATCH, so that a batch of texts stays small on both sides."""
     sc = spark.sparkContext
+    if not 0 < int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) <= BATCH:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH)
     if sc.applicationId in _SHIPPED:
         return
     root = Path(__file__).resolve().parent.parent

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, shingle_blocks, ship
+from .common import materialise, shingle_blocks, ship, sliced
 from .neardup import without
 
 HASHES, THRESHOLD = 64, 0.8
@@ -103,7 +103,7 @@ def _pass(docs: DataFrame, items: list[tuple[int, str | None]], threshold: float
 
     def found(batches):
         x = index.value
-        for b in batches:
+        for b in sliced(batches):
             ids, rows = b.column(0).to_pylist(), []
             for a, e, h, d in shingle_blocks(b.column(1).to_pylist()):
                 hits = np.flatnonzero(x.known(h))

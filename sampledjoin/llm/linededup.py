@@ -2,7 +2,7 @@
 
 Defined cases: a null or empty text is one empty line; rows that share a doc_id are one document for counting, and each
 row is reassembled by itself; rows with a null doc_id take no part in the counting and keep all
-lines; keys are compared by 128 bits of hash. Other columns pass through unchanged.
+lines; keys are compared by 128 bits of hash. Other columns pass through unchanged, whatever their names; columns named as the results are replaced by them.
 """
 
 from __future__ import annotations
@@ -28,45 +28,48 @@ def lines(text: Column) -> Column:
     return F.split(F.coalesce(text, F.lit("")), "\n", -1)
 
 
-def line_hashes(docs: DataFrame, least_length: int = LEAST_LENGTH) -> DataFrame:
-    """(hash, doc_id): the distinct long keys of each document. Stripping alone decides the length, as lower case has as many characters."""
+def line_places(docs: DataFrame, least_length: int = LEAST_LENGTH) -> DataFrame:
+    """(hash, doc_id, text_hash, pos): where the long keys of each row lie. Stripping alone decides the length, as lower case has as many characters."""
     return (
-        docs.where("doc_id is not null").select("doc_id", F.explode(lines(F.col("text"))).alias("line"))
+        docs.where("doc_id is not null").select("doc_id", F.xxhash64("text").alias("text_hash"), F.posexplode(lines(F.col("text"))).alias("pos", "line"))
         .where(F.char_length(F.btrim("line", F.lit(BLANKS))) >= least_length)
-        .select("doc_id", key_hash(key(F.col("line"))).alias("hash"))
-        .distinct().select("hash", "doc_id")
+        .select(key_hash(key(F.col("line"))).alias("hash"), "doc_id", "text_hash", "pos")
     )
 
 
-def common_lines(hashes: DataFrame, least_documents: int = LEAST_DOCUMENTS) -> DataFrame:
-    """(hash, keeper): keys of enough documents, and the largest id that holds each; from ``line_hashes``."""
-    return hashes.groupBy("hash").agg(F.count("*").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= least_documents).select("hash", "keeper")
+def common_lines(places: DataFrame, least_documents: int = LEAST_DOCUMENTS) -> DataFrame:
+    """(hash, keeper): keys of enough documents, and the largest id that holds each; from ``line_places``."""
+    return places.select("hash", "doc_id").distinct().groupBy("hash").agg(F.count("*").alias("n"), F.max("doc_id").alias("keeper")).where(F.col("n") >= least_documents).select("hash", "keeper")
 
 
-def doomed_lines(hashes: DataFrame, common: DataFrame) -> DataFrame:
-    """(doc_id, doomed): for documents that lose lines, the hashes they lose."""
-    return hashes.join(common, "hash").where("doc_id <> keeper").groupBy("doc_id").agg(F.collect_set("hash").alias("doomed"))
+def lost_lines(places: DataFrame, common: DataFrame) -> DataFrame:
+    """(lost_id, lost_text, lost): for rows that lose lines, these lines' positions."""
+    return places.join(common, "hash").where("doc_id <> keeper").groupBy(F.col("doc_id").alias("lost_id"), F.col("text_hash").alias("lost_text")).agg(F.collect_list("pos").alias("lost"))
 
 
-def drop_common_lines(docs: DataFrame) -> DataFrame:
-    """``docs`` with line_total, line_dropped and line_text (what is left) beside its columns."""
+def _reassembled(docs: DataFrame) -> DataFrame:
+    """(row, total, dropped, kept): each row of ``docs`` as a struct, so that no name of its columns meets another, its numbers of lines and its text without the lost ones."""
     from .common import materialise
 
-    hashes = materialise(line_hashes(docs), "line-hashes")  # texts are split once for both uses
-    common = materialise(common_lines(hashes), "common-lines")
-    doomed = doomed_lines(hashes, common).withColumnRenamed("doc_id", "doomed_id")
-    both = docs.join(doomed, docs["doc_id"] == doomed["doomed_id"], "left")
-    every = lines(F.col("text"))
-    lost = F.col("doomed").isNotNull()
-    keep = F.filter(every, lambda x: (F.char_length(key(x)) < LEAST_LENGTH) | ~F.array_contains(F.col("doomed"), key_hash(key(x))))
-    left = F.when(lost, keep).otherwise(every)
-    return (
-        both.withColumn("line_left", left)
-        .withColumn("line_total", F.size(every).cast("bigint"))
-        .withColumn("line_dropped", F.col("line_total") - F.size("line_left"))
-        .withColumn("line_text", F.array_join("line_left", "\n"))
-        .drop("line_left", "doomed", "doomed_id")
-    )
+    places = materialise(line_places(docs), "line-places")  # texts are split once for both uses
+    common = materialise(common_lines(places), "common-lines")
+    rows = docs.select(F.struct(*(docs[c] for c in docs.columns)).alias("row"))
+    text = F.col("row.text")
+    both = rows.join(lost_lines(places, common), (F.col("row.doc_id") == F.col("lost_id")) & (F.xxhash64(text) == F.col("lost_text")), "left")
+    every = lines(text)
+    # positions by difference of sets, which takes time in proportion to a text's lines
+    left = F.array_except(F.sequence(F.lit(0), F.size(every) - 1), F.col("lost"))
+    kept = F.element_at(F.transform(F.array(every), lambda e: F.array_join(F.transform(left, lambda i: F.element_at(e, i + 1)), "\n")), 1)
+    loses = F.col("lost").isNotNull()
+    return both.select("row", F.size(every).cast("bigint").alias("total"), F.when(loses, F.size(every) - F.size(left)).otherwise(0).cast("bigint").alias("dropped"), F.when(loses, kept).otherwise(F.coalesce(text, F.lit(""))).alias("kept"))
+
+
+RESULTS = {"line_total": "total", "line_dropped": "dropped", "line_text": "kept"}
+
+
+def drop_common_lines(docs: DataFrame) -> DataFrame:
+    """``docs`` with line_total, line_dropped and line_text (what is left) beside its columns."""
+    return _reassembled(docs).select(*(F.col("row")[c].alias(c) for c in docs.columns if c not in RESULTS), *(F.col(c).alias(name) for name, c in RESULTS.items()))
 
 
 def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -76,8 +79,8 @@ def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents with common lines dropped from their text; n_chars follows the text."""
-    out = drop_common_lines(docs)
-    return out.withColumn("text", F.col("line_text")).withColumn("n_chars", F.char_length("text").cast("bigint")).select(*docs.columns)
+    new = {"text": F.col("kept"), "n_chars": F.char_length("kept").cast("bigint")}
+    return _reassembled(docs).select(*(new.get(c, F.col("row")[c]).alias(c) for c in docs.columns))
 
 
 SQL9 = """

@@ -36,8 +36,8 @@ DEVIATIONS = 4.5
 VARIATE_BITS, WEIGHT_STEPS = 14, 112
 #: Rows of a band that meet in one cell, or in each block of a larger one; rounds of likeliest partners.
 CELL, ROUNDS = 4096, 2
-#: Shingles that a task holds before it hands their counts on; slots of the filter of wanted shingles.
-HELD, WANTED_BITS = 1 << 22, 25
+#: Shingles that a task holds before it hands their counts on; bits of the filter of wanted shingles, and those that a shingle sets.
+HELD, WANTED_BITS, WANTED_HASHES = 1 << 20, 27, 3
 #: Ids are broadcast only up to so many rows.
 BROADCAST_IDS = 1_000_000
 
@@ -49,7 +49,7 @@ class Frequencies:
         self.n, self.codes = n, codes
         bound = 2.0 ** ((np.arange(256) - 1) / STEPS)
         self.idf = np.log1p(max(n, 1) / np.maximum(bound, 1)).astype(np.float32)
-        held = np.bincount(codes, minlength=256)[1:].cumsum()
+        held = sum(np.bincount(codes[k : k + (1 << 20)], minlength=256) for k in range(0, len(codes), 1 << 20))[1:].cumsum()
         self.usual = float(bound[1 + np.searchsorted(held, (held[-1] + 1) // 2)]) if held[-1] else 1.0
 
     def code(self, h: np.ndarray) -> np.ndarray:
@@ -235,36 +235,56 @@ def sampled_threshold(threshold: float, f: Frequencies) -> float:
     return threshold / (threshold + (1 - threshold) * float(np.log1p(n) / np.log1p(n / f.usual)))
 
 
-def wanted_slots(shingles: DataFrame) -> np.ndarray:
-    """A filter (one flag for each of 2^WANTED_BITS hash slots) of the column ``shingle``; its size is fixed, so with very many shingles it keeps more than them."""
-    low = 1 << (WANTED_BITS - 6)
+class Wanted:
+    """A Bloom filter of shingles. Its size is fixed, so with very many shingles it passes more than them, and loses none."""
 
-    def marked(batches):
-        flags = np.zeros(1 << WANTED_BITS, bool)
-        for b in batches:
-            flags[slot(b.column(0).to_numpy())] = True
-        own = np.flatnonzero(flags.reshape(64, low).any(1))
-        yield pa.RecordBatch.from_arrays([pa.array(own.astype(np.int32)), pa.array([np.packbits(flags[k * low : (k + 1) * low]).tobytes() for k in own], pa.binary())], names=["piece", "blob"])
+    def __init__(self, bits: np.ndarray):
+        self.bits = bits
 
-    def add(held, blob):
-        held |= np.frombuffer(blob, np.uint8)
+    @staticmethod
+    def places(shingle: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(byte, bit's mask) of each of a shingle's hashes."""
+        with np.errstate(over="ignore"):
+            h = mix(shingle.view(np.uint64))
+            for k in range(WANTED_HASHES):
+                at = (h * np.uint64(2 * k + 1) + np.uint64(k)) >> np.uint64(64 - WANTED_BITS)
+                yield (at >> np.uint64(3)).astype(np.int64), np.uint8(1) << (at & np.uint64(7)).astype(np.uint8)
+                h = mix(h)
+
+    def passing(self, shingle: np.ndarray) -> np.ndarray:
+        ok = np.ones(len(shingle), bool)
+        for byte, mask in self.places(shingle):
+            ok &= (self.bits.take(byte) & mask) != 0
+        return shingle[ok]
+
+    @staticmethod
+    def of(shingles: DataFrame) -> Wanted:
+        """The filter of the column ``shingle``: each task marks its own bits, and 64 pieces are ORed."""
+        size = 1 << (WANTED_BITS - 3)
+        low = size // 64
 
-    out = np.zeros(1 << WANTED_BITS, bool)
-    for k, blob in pieces(shingles.mapInArrow(marked, "piece int, blob binary"), low // 8, add, lambda held: held.astype(np.uint8).tobytes()).items():
-        out[k * low : (k + 1) * low] = np.unpackbits(np.frombuffer(blob, np.uint8)).astype(bool)
-    return np.packbits(out)
+        def marked(batches):
+            bits = np.zeros(size, np.uint8)
+            for b in sliced(batches, 1 << 16):
+                for byte, mask in Wanted.places(b.column(0).to_numpy()):
+                    np.bitwise_or.at(bits, byte, mask)
+            own = np.flatnonzero(bits.reshape(64, low).any(1))
+            yield pa.RecordBatch.from_arrays([pa.array(own.astype(np.int32)), pa.array([bits[k * low : (k + 1) * low].tobytes() for k in own], pa.binary())], names=["piece", "blob"])
 
+        def add(held, blob):
+            held |= np.frombuffer(blob, np.uint8)
 
-def slot(shingle: np.ndarray) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        return (mix(shingle.view(np.uint64)) >> np.uint64(64 - WANTED_BITS)).astype(np.int64)
+        out = np.zeros(size, np.uint8)
+        for k, blob in pieces(shingles.mapInArrow(marked, "piece int, blob binary"), low, add, lambda held: held.astype(np.uint8).tobytes()).items():
+            out[k * low : (k + 1) * low] = np.frombuffer(blob, np.uint8)
+        return Wanted(out)
 
 
 def exact_frequencies(docs: DataFrame, wanted) -> DataFrame:
     """(shingle, df) of the shingles in the filter ``wanted``, where at least two documents have them; over all rows. Counts are summed in each task before they are moved."""
 
     def counts(batches):
-        flags, held, size = np.unpackbits(wanted.value).view(bool), [], 0
+        held, size = [], 0
 
         def flush():
             v, n = np.unique(np.concatenate([np.zeros(0, np.uint64), *held]), return_counts=True)
@@ -272,8 +292,7 @@ def exact_frequencies(docs: DataFrame, wanted) -> DataFrame:
 
         for b in sliced(batches):
             for _, _, h, d in shingle_blocks(b.column(0).to_pylist()):
-                v = counted(h, d)[0]
-                held.append(v[flags[slot(v)]])
+                held.append(wanted.value.passing(counted(h, d)[0]))
                 size += len(held[-1])
             if size >= HELD:
                 yield flush()
@@ -372,7 +391,7 @@ def verified(pairs: DataFrame, docs: DataFrame, frequencies, threshold: float) -
         return links
     # rows that share a doc_id are told apart by key
     spread_out = materialise(of(unsure).select("id", F.xxhash64("text").alias("key"), "text").mapInArrow(spread, "id bigint, key bigint, shingle bigint, tf bigint, shared boolean"), "sets")
-    with broadcasted(docs.sparkSession, wanted_slots(spread_out.where("shared").select("shingle"))) as wanted:
+    with broadcasted(docs.sparkSession, Wanted.of(spread_out.where("shared").select("shingle"))) as wanted:
         known = materialise(exact_frequencies(docs, wanted), "frequencies")
     held = F.struct("shingle", "tf", F.coalesce("df", F.lit(1)).cast("bigint").alias("df"))
     sets = materialise(spread_out.join(known, "shingle", "left").groupBy("id", "key").agg(F.collect_list(held).alias("s")).select("id", *(F.col(f"s.{c}").alias(c) for c in ("shingle", "tf", "df"))), "weighted-sets")

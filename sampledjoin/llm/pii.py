@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialise, ship
+from .common import materialise, ship, sliced
 
 KEY = b"surrogates-1"
 ROUNDS = 8
@@ -295,7 +295,7 @@ def replace_entities(docs: DataFrame, key: bytes = KEY) -> DataFrame:
     def made(batches):
         who = Surrogates(key)
         tag = lambda s: hashlib.blake2b(s.encode(), key=who.key, digest_size=12).hexdigest()
-        for b in batches:
+        for b in sliced(batches):
             texts, entities = [], []
             for t in b.column(at).to_pylist():
                 parts, last, own = [], 0, []

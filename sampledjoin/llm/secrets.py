@@ -17,7 +17,7 @@ import ahocorasick
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import ship
+from .common import ship, sliced
 
 #: The base kinds' patterns, and those of further kinds with a keyword to find them by.
 ASSIGN = re.compile(r"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", re.I | re.A)
@@ -131,7 +131,7 @@ def find_secrets(docs: DataFrame) -> DataFrame:
 
     def found(batches):
         keywords = automaton()
-        for b in batches:
+        for b in sliced(batches):
             rows = []
             for t in b.column(1).to_pylist():
                 spans = scan(t, keywords)

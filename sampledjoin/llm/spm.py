@@ -5,8 +5,10 @@ a BPE model every edge weighs 0, and an edge may follow another only if merging
 pieces — the one path on which every neighbouring pair is so is the BPE segmentation. Giant documents are split into
 chunks of fixed length, wherever the borders fall. A chunk's state at a border is the piece that holds the
 last character before it; its transfer matrix holds, for each state at its left and right border, the best weight
-between them (minus infinity where there is no path). Matrices are combined by max-plus products, associatively, the
-borders' states on the best path chosen, and each chunk traced back by itself, independently of the others.
+between them (minus infinity where there is no path). Matrices are combined by max-plus products in a tree: FAN neighbours become one, level
+by level, until a document has one matrix; then, from the top down, each group chooses the states at its inner borders
+that the best path has between the states at its outer ones. So no task holds more than FAN matrices of a document. Each chunk is then traced back by itself, independently of the others.
+The text is the model's normal form of it, by the library.
 
 No piece of the vocabulary has a blank after another character, so a blank that follows another character is always a
 border of pieces. What lies between the first and the last such place of a chunk is the same on every path; the
@@ -28,12 +30,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialise, ship
+from .common import materialise, ship, sliced
 
 MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 SPACE = "▁"
 #: Characters of a chunk; longer documents are giant.
 CHUNK = 16_384
+#: Matrices that are combined to one.
+FAN = 32
 NONE = float("-inf")
 State = tuple[int, int]
 Matrix = dict[tuple[State, State], float]
@@ -208,11 +212,6 @@ def encode_plain(sp, marked: str) -> list[int]:
     return sp.encode(marked[1:].replace(SPACE, " ")) if SPACE == marked[0] else sp.encode(marked)
 
 
-def marked(text: str) -> str:
-    """The text as the model sees it: a blank first, and blanks as their symbol."""
-    return SPACE + text.replace(" ", SPACE) if text else ""
-
-
 _LOADED: dict[int, Lattice] = {}
 
 
@@ -227,13 +226,13 @@ def _key():
     return F.struct(F.xxhash64("text").alias("a"), F.xxhash64(F.lit(11), "text").alias("b"), F.char_length("text").alias("n"))
 
 
-def _chunked(docs: DataFrame, size: int, context: int) -> DataFrame:
-    """(key, k, base, lo, hi, n, x) of the chunks of each distinct text; the text is split where it lies."""
+def _chunked(docs: DataFrame, data, size: int, context: int) -> DataFrame:
+    """(key, k, base, lo, hi, n, x) of the chunks of each distinct text in its normal form (a blank first, and blanks as their symbol); the text is split where it lies."""
 
     def split(batches):
-        for b in batches:
+        for b in sliced(batches, 16):
             for i in range(b.num_rows):
-                t = marked(b.column(1)[i].as_py())
+                t = lattice_of(data.value).sp.normalize(b.column(1)[i].as_py())
                 n, rows = len(t), []
                 count = max(1, n // size)
                 for k in range(count):
@@ -245,62 +244,100 @@ def _chunked(docs: DataFrame, size: int, context: int) -> DataFrame:
                         yield pa.RecordBatch.from_arrays([pa.concat_arrays([b.column(0).slice(i, 1)] * len(rows)), *(pa.array(v, pa.int64()) for v in c[:5]), pa.array(c[5], pa.string())], names=["key", "k", "base", "lo", "hi", "n", "x"])
                         rows = []
 
-    key = "struct<a:bigint,b:bigint,n:int>"
-    return docs.select(_key().alias("key"), "text").dropDuplicates(["key"]).mapInArrow(split, f"key {key}, k bigint, base bigint, lo bigint, hi bigint, n bigint, x string")
+    return docs.select(_key().alias("key"), "text").dropDuplicates(["key"]).mapInArrow(split, f"key {KEY}, k bigint, base bigint, lo bigint, hi bigint, n bigint, x string")
+
+
+KEY = "struct<a:bigint,b:bigint,n:int>"
+CELLS = "array<struct<li:bigint,lj:bigint,ri:bigint,rj:bigint,w:double>>"
+_STATE, _PLACE = pa.struct([("i", pa.int64()), ("j", pa.int64())]), "struct<i:bigint,j:bigint>"
+_CELLS = pa.list_(pa.struct([("li", pa.int64()), ("lj", pa.int64()), ("ri", pa.int64()), ("rj", pa.int64()), ("w", pa.float64())]))
+
+
+def _packed(matrices: list[Matrix]) -> pa.Array:
+    return pa.array([[{"li": a[0], "lj": a[1], "ri": r[0], "rj": r[1], "w": w} for (a, r), w in m.items()] for m in matrices], _CELLS)
+
+
+def _ordered(table: pa.Table) -> tuple[list[int], list[Matrix]]:
+    """Places and matrices of a group, by place."""
+    parts = sorted(zip(table.column("k").to_pylist(), table.column("m").to_pylist(), strict=True), key=lambda p: p[0])
+    return [k for k, _ in parts], [{((c["li"], c["lj"]), (c["ri"], c["rj"])): c["w"] for c in m} for _, m in parts]
+
 
+def _places(states: list[State]) -> pa.Array:
+    return pa.array([{"i": a, "j": b} for a, b in states], _STATE)
 
-_STATE = T.StructType([T.StructField("i", T.LongType()), T.StructField("j", T.LongType())])
+
+def combined(table: pa.Table, fan: int) -> pa.Table:
+    """A group's product, at its place on the next level."""
+    ks, ms = _ordered(table)
+    whole = ms[0]
+    for m in ms[1:]:
+        whole = product(whole, m)
+    return pa.table({"key": table.column("key").slice(0, 1), "k": pa.array([ks[0] // fan], pa.int64()), "m": _packed([whole])})
+
+
+def inner_states(ms: list[Matrix], enter: State, leave: State) -> list[State]:
+    """The states at the borders of ``ms`` on the best path between two outer states: the best weights from the left, and a walk back. Ties go to the longer piece."""
+    reached = [{enter: 0.0}]
+    for m in ms:
+        here: dict[State, float] = {}
+        for (a, r), w in m.items():
+            if a in reached[-1] and reached[-1][a] + w > here.get(r, NONE):
+                here[r] = reached[-1][a] + w
+        reached.append(here)
+    states = [leave]
+    for m, before in zip(ms[:0:-1], reached[-2:0:-1], strict=True):
+        states.append(max((w + m[s, states[-1]], s[1] - s[0], s) for s, w in before.items() if (s, states[-1]) in m)[2])
+    return [enter, *states[::-1]]
+
+
+def descended(table: pa.Table, outer: pa.Table) -> pa.Table:
+    """(key, k, enter, leave) of a group's matrices, given the states at its outer borders."""
+    ks, ms = _ordered(table)
+    a, b = outer.column("enter")[0].as_py(), outer.column("leave")[0].as_py()
+    states = inner_states(ms, (a["i"], a["j"]), (b["i"], b["j"]))
+    return pa.table({"key": table.column("key"), "k": pa.array(ks, pa.int64()), "enter": _places(states[:-1]), "leave": _places(states[1:])})
+
+
+def border_states(matrices: DataFrame, most: int, fan: int) -> DataFrame:
+    """(key, k, enter, leave) for the matrices (key, k, m) of documents of at most ``most`` chunks: up the tree, and down again."""
+    levels = [matrices]
+    above = F.expr(f"k div {fan}")
+    while most > 1:
+        most = -(-most // fan)
+        up = levels[-1].withColumn("up", above).groupBy("key", "up").applyInArrow(lambda t: combined(t, fan), f"key {KEY}, k bigint, m {CELLS}")
+        levels.append(materialise(up, "matrices") if most > 1 else up)
+    outer = levels[-1].select("key", "k", F.struct(F.lit(BEGIN[0]).cast("bigint").alias("i"), F.lit(BEGIN[1]).cast("bigint").alias("j")).alias("enter"), F.struct(F.lit(END[0]).cast("bigint").alias("i"), F.lit(END[1]).cast("bigint").alias("j")).alias("leave"))
+    for level in levels[-2::-1]:
+        outer = level.withColumn("up", above).groupBy("key", "up").cogroup(outer.withColumnRenamed("k", "up").groupBy("key", "up")).applyInArrow(lambda t, o: descended(t, o), f"key {KEY}, k bigint, enter {_PLACE}, leave {_PLACE}")
+    return outer
 
 
 def encode_giant(docs: DataFrame, model: bytes, size: int = CHUNK) -> DataFrame:
     """(key, ids) of the distinct texts in ``docs`` (text, not null), by the scan."""
     spark = docs.sparkSession
-    data = spark.sparkContext.broadcast(model)
-    chunks = materialise(_chunked(docs, size, 2 * lattice_of(model).longest).repartition("key", "k"), "chunks")
-    key = "struct<a:bigint,b:bigint,n:int>"
+    data = spark.sparkContext.broadcast(model)  # the model's file; its size doesn't grow with the data
+    chunks = materialise(_chunked(docs, data, size, 2 * lattice_of(model).longest).repartition("key", "k"), "chunks")
 
     def rows_of(b):
         return zip(*(c.to_pylist() for c in b.columns), strict=True)
 
     def matrices(batches):
-        for b in batches:
-            found = []
-            for _, _, base, lo, hi, n, x in rows_of(b):
-                m = Chunk(lattice_of(data.value), x, base, lo, hi, n).matrix()
-                found.append([(*a, *r, w) for (a, r), w in m.items()])
-            kind = pa.list_(pa.struct([("li", pa.int64()), ("lj", pa.int64()), ("ri", pa.int64()), ("rj", pa.int64()), ("w", pa.float64())]))
-            cells = pa.array([[dict(zip(("li", "lj", "ri", "rj", "w"), c, strict=True)) for c in f] for f in found], kind)
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), cells], names=["key", "k", "m"])
-
-    def chosen(table: pa.Table) -> pa.Table:
-        """Prefix products from the left give the best weight to each state; walking back picks the states."""
-        parts = sorted(zip(table.column("k").to_pylist(), table.column("m").to_pylist(), strict=True))
-        ms: list[Matrix] = [{((c["li"], c["lj"]), (c["ri"], c["rj"])): c["w"] for c in m} for _, m in parts]
-        prefix = [ms[0]]
-        for m in ms[1:]:
-            prefix.append(product(prefix[-1], m))
-        at, states = END, [END]
-        for k in range(len(ms) - 1, 0, -1):
-            at = max((w + ms[k][s, at], s[1] - s[0], s) for (_, s), w in prefix[k - 1].items() if (s, at) in ms[k])[2]
-            states.append(at)
-        states = [BEGIN, *states[::-1]]
-        n = len(parts)
-        pair = lambda s: pa.array([{"i": a, "j": b} for a, b in s], pa.struct([("i", pa.int64()), ("j", pa.int64())]))
-        return pa.table({"key": pa.concat_arrays([c for c in table.column("key").chunks] or []).slice(0, n), "k": pa.array([k for k, _ in parts], pa.int64()), "enter": pair(states[:-1]), "leave": pair(states[1:])})
-
-    states = (
-        chunks.mapInArrow(matrices, f"key {key}, k bigint, m array<struct<li:bigint,lj:bigint,ri:bigint,rj:bigint,w:double>>")
-        .groupBy("key").applyInArrow(chosen, f"key {key}, k bigint, enter struct<i:bigint,j:bigint>, leave struct<i:bigint,j:bigint>")
-    )
+        for b in sliced(batches, 16):
+            found = [Chunk(lattice_of(data.value), x, base, lo, hi, n).matrix() for _, _, base, lo, hi, n, x in rows_of(b)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), _packed(found)], names=["key", "k", "m"])
+
+    held = materialise(chunks.mapInArrow(matrices, f"key {KEY}, k bigint, m {CELLS}"), "matrices")
+    states = border_states(held, (chunks.agg(F.max("k")).first()[0] or 0) + 1, FAN)
 
     def traced(batches):
-        for b in batches:
+        for b in sliced(batches, 16):
             out = []
             for _, _, base, lo, hi, n, x, enter, leave in rows_of(b):
                 out.append(Chunk(lattice_of(data.value), x, base, lo, hi, n).trace((enter["i"], enter["j"]), (leave["i"], leave["j"])))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(out, pa.list_(pa.int32()))], names=["key", "k", "ids"])
 
-    parts = chunks.join(states, ["key", "k"]).select("key", "k", "base", "lo", "hi", "n", "x", "enter", "leave").mapInArrow(traced, f"key {key}, k bigint, ids array<int>")
+    parts = chunks.join(states, ["key", "k"]).select("key", "k", "base", "lo", "hi", "n", "x", "enter", "leave").mapInArrow(traced, f"key {KEY}, k bigint, ids array<int>")
     return parts.groupBy("key").agg(F.array_sort(F.collect_list(F.struct("k", "ids"))).alias("p")).select("key", F.flatten(F.transform("p", lambda s: s["ids"])).alias("ids"))
 
 
@@ -313,10 +350,8 @@ def _with(docs: DataFrame, make, added: list[T.StructField], drop: str | None =
     keep = [c for c in docs.columns if c != drop]
 
     def made(batches):
-        for b in batches:
-            for lo in range(0, b.num_rows, 512):
-                part = b.slice(lo, 512)
-                yield pa.RecordBatch.from_arrays([*(part.column(i) for i, c in enumerate(docs_columns) if c != drop), *make(part)], names=[*keep, *(f.name for f in added)])
+        for part in sliced(batches, 256):
+            yield pa.RecordBatch.from_arrays([*(part.column(i) for i, c in enumerate(docs_columns) if c != drop), *make(part)], names=[*keep, *(f.name for f in added)])
 
     docs_columns = list(docs.columns)
     return docs.mapInArrow(made, T.StructType([*(docs.schema[c] for c in keep), *added]))
@@ -346,8 +381,10 @@ def encode(docs: DataFrame, model: bytes, size: int = CHUNK, check: bool = False
     field, flag = T.StructField("spm_ids", T.ArrayType(T.IntegerType())), T.StructField("round_trip", T.BooleanType())
     plain = _with(docs.where(~giant), direct, [field, *([flag] if check else [])])
     long = docs.where(giant)
-    found = encode_giant(long.select("text"), model, size).select(F.col("key").alias("spm_key"), F.col("ids").alias("spm_ids"))
-    scanned = long.withColumn("spm_key", _key()).join(found, "spm_key", "left").drop("spm_key")
+    found = encode_giant(long.select("text"), model, size)
+    # as a struct, so that no name of the rows' columns meets the keys'
+    rows = long.select(F.struct(*(long[c] for c in long.columns)).alias("row"), _key().alias("key"))
+    scanned = rows.join(found, "key", "left").select(*(F.col("row")[c].alias(c) for c in long.columns), F.col("ids").alias("spm_ids"))
     return plain.unionByName(_with(scanned, checked, [flag]) if check else scanned)
 
 

@@ -1,24 +1,28 @@
 """Toxicity by a weighted finite-state pattern grammar over clauses.
 
 A lexical transducer maps words to the symbols insult, threat, target, negation, report and other; its insult arcs are
-seed words plus word stems learned from labelled rows, each with its log odds as weight. A clause grammar, the product
-of a negation/report scope automaton and a target automaton, reads a clause's symbols and puts each insult or threat
-into a cell: plain, targeted, negated, reported or threat. A document's summed cell weights go through a logistic function
-fitted on the same labelled rows.
+seed words plus word stems learned from labelled rows, each with its log odds as weight. Four transducers read a clause's symbols: insult (with a
+target before it, or shortly after it), threat (a verb of harm and a target shortly after it), negation (for some words after it) and reported speech (to the clause's end). Their
+composition puts each match into a cell: plain, targeted, threat, negated or reported. A document's summed cell weights go through a logistic function.
+
+Labelled rows are dealt in three folds by a hash of the id. The two thresholds that stems have to reach are chosen by learning on the first fold and measuring on the second, stems are then
+learned on both, and the logistic function is fitted on the third, which no stem has seen. Held-out rows are in no fold.
 
 Defined cases: null and empty texts have no clauses and get the score of the intercept; a row is scored by its text
-alone, so repeated rows score alike; null ids are kept; without labelled rows the seed words and prior weights are used.
+alone, so repeated rows score alike; null ids are kept; a clause goes on over the pieces that a long text is read in; an empty table gives an empty result; without labelled rows the seed words and prior weights are used.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import PIECE, Words, cut, lowered, ship
+from .common import PIECE, Words, cut, lowered, materialise, ship, sliced
 
 #: Seed words by symbol, in the four languages of the corpus.
 INSULTS = "idiot idiots moron morons stupid dumb imbecile scum trash garbage loser losers pathetic worthless disgusting clown filth vermin dummkopf trottel abschaum imbécile connard ordure idiota imbécil estúpido basura escoria".split()
@@ -29,61 +33,97 @@ REPORTS = "said says wrote claimed quoted reported alleged called sagte schrieb
 
 OTHER, INSULT, THREAT, TARGET, NEGATION, REPORT = range(6)
 CELLS = ("plain", "targeted", "negated", "reported", "threat")
-#: Words after a negation within which it holds, and lengths of learned stems.
-SCOPE, STEM_LENGTHS = 3, (4, 5, 6, 7, 8)
-#: At most so many labelled rows of each label are learned from; a stem needs this G² statistic and this share of toxic texts.
-SAMPLE_PER_LABEL, LEAST_G2, LEAST_PRECISION = 6000, 40.0, 0.99
+#: Words after a negation within which it holds; words after an insult or a verb of harm within which a target belongs to it; lengths of learned stems.
+SCOPE, REACH, STEM_LENGTHS = 3, 3, (4, 5, 6, 7, 8)
+#: At most so many labelled rows of each label are learned from, and at most so many stems (those of most toxic texts): bounds of the model.
+SAMPLE_PER_LABEL, MOST_STEMS = 6000, 5000
+#: What a stem may have to reach: a G² statistic and a share of toxic texts (with both labels weighed alike). Cross-validation chooses among them.
+G2_GRID, PRECISION_GRID = (10.0, 20.0, 40.0), (0.9, 0.95, 0.99)
+GRID = [(g, p) for p in PRECISION_GRID for g in G2_GRID]
+FOLDS = 3
 #: Prior means of the logistic function: intercept, presence of any cell, then the cells.
 PRIOR = np.array([-3.0, 3.0, 0.3, 0.4, 0.1, 0.1, 0.5])
 THRESHOLD = 0.3
 
 
 class Transducer:
-    """A deterministic weighted transducer: arcs[state][symbol] = (next state, output cell or None)."""
+    """A deterministic transducer over the symbols: ``step`` gives for a state and a symbol the next state and what is put out."""
 
-    def __init__(self, arcs: dict, start):
-        self.arcs, self.start = arcs, start
+    def __init__(self, start, step: Callable):
+        self.start, self.step = start, step
 
-    @staticmethod
-    def scope() -> Transducer:
-        """Negation holds for SCOPE words and a report to the end of the clause; outputs the modifier in force at an insult or threat."""
-        arcs: dict = {}
-        for reported in (0, 1):
-            for left in range(SCOPE + 1):
-                here = arcs[reported, left] = {}
-                now = "negated" if left else "reported" if reported else ""
-                for s in range(6):
-                    nxt = (1 if s == REPORT else reported, SCOPE if s == NEGATION else max(0, left - 1))
-                    here[s] = (nxt, now if s in (INSULT, THREAT) else None)
-        return Transducer(arcs, (0, 0))
+    def compose(self, other: Transducer) -> Transducer:
+        """Both read the same symbols; what they put out is paired."""
 
-    @staticmethod
-    def target() -> Transducer:
-        """Whether a target came before, in the clause."""
-        arcs = {seen: {s: (int(seen or s == TARGET), "targeted" if seen else "") for s in range(6)} for seen in (0, 1)}
-        return Transducer(arcs, 0)
+        def step(state, s):
+            (a, x), (b, y) = self.step(state[0], s), other.step(state[1], s)
+            return (a, b), (x, y)
 
-    def compose(self, other: Transducer) -> Transducer:
-        """Both read the same symbols; a modifier of this one outranks the other's, and a threat without a modifier is its own cell."""
-        arcs = {}
-        for a, left in self.arcs.items():
-            for b, right in other.arcs.items():
-                here = arcs[a, b] = {}
-                for s in range(6):
-                    (na, out), (nb, more) = left[s], right[s]
-                    cell = None if out is None else CELLS.index(out or ("threat" if s == THREAT else more or "plain"))
-                    here[s] = ((na, nb), cell)
-        return Transducer(arcs, (self.start, other.start))
-
-    def table(self) -> tuple[list[list[int]], list[list[int]]]:
-        """As arrays: next state and output cell (-1: none) by state and symbol; state 0 starts."""
-        names = [self.start, *(s for s in self.arcs if s != self.start)]
-        at = {s: i for i, s in enumerate(names)}
-        return [[at[self.arcs[n][s][0]] for s in range(6)] for n in names], [[-1 if (c := self.arcs[n][s][1]) is None else c for s in range(6)] for n in names]
+        return Transducer((self.start, other.start), step)
+
+    def table(self, cell: Callable) -> tuple[list[list[int]], list[list[int]]]:
+        """As arrays over the states that can be reached: next state and ``cell`` of the output (-1: none) by state and symbol; state 0 starts."""
+        names, nxt, emit = {self.start: 0}, [], []
+        todo = [self.start]
+        while todo:
+            here, rows, outs = todo.pop(0), [], []
+            for s in range(6):
+                to, out = self.step(here, s)
+                if to not in names:
+                    names[to] = len(names)
+                    todo.append(to)
+                rows.append(names[to])
+                outs.append(cell(out))
+            nxt.append(rows)
+            emit.append(outs)
+        return nxt, emit
+
+
+def insult() -> Transducer:
+    """State: whether a target came, and words left in which one may follow an insult. Puts out plain or targeted."""
+
+    def step(state, s):
+        seen, left = state
+        if s == INSULT:
+            return (seen, 0 if seen else REACH), "targeted" if seen else "plain"
+        if s == TARGET:
+            return (1, 0), "targeted" if left else None
+        return (seen, max(0, left - 1)), None
+
+    return Transducer((0, 0), step)
+
+
+def threat() -> Transducer:
+    """State: words left in which a target makes a threat of a verb of harm. Puts out plain at the verb and threat at the target."""
+
+    def step(left, s):
+        if s == THREAT:
+            return REACH, "plain"
+        if s == TARGET:
+            return 0, "threat" if left else None
+        return max(0, left - 1), None
+
+    return Transducer(0, step)
+
+
+def negation() -> Transducer:
+    return Transducer(0, lambda left, s: (SCOPE if s == NEGATION else max(0, left - 1), left > 0))
+
+
+def reported() -> Transducer:
+    return Transducer(0, lambda said, s: (1 if s == REPORT else said, said > 0))
+
+
+def _cell(out) -> int:
+    """A modifier outranks a threat, and a threat a targeted insult."""
+    ((an_insult, a_threat), negated), said = out
+    if an_insult is None and a_threat is None:
+        return -1
+    return CELLS.index("negated" if negated else "reported" if said else "threat" if a_threat == "threat" else "targeted" if an_insult == "targeted" else "plain")
 
 
 def grammar() -> tuple[list[list[int]], list[list[int]]]:
-    return Transducer.scope().compose(Transducer.target()).table()
+    return insult().compose(threat()).compose(negation()).compose(reported()).table(_cell)
 
 
 def _text_hash(word: str) -> int:
@@ -130,41 +170,70 @@ class Lexicon:
 _BREAKS = np.array([ord(c) for c in ".,;:!?\n\"“”«»()"], np.uint32)
 
 
+def read_clause(symbol: np.ndarray, weight: np.ndarray, state: tuple[int, float], out: np.ndarray, table) -> tuple[int, float]:
+    """Adds what a clause's words put out to ``out`` by cell, and gives the state after them: of the transducer, and the weight of the last insult or verb of harm."""
+    step, emit = table
+    at, held = state
+    for s, w in zip(symbol.tolist(), weight.tolist(), strict=True):
+        if s in (INSULT, THREAT):
+            held = w
+        if (k := emit[at][s]) >= 0:
+            out[k] += held
+        at = step[at][s]
+    return at, held
+
+
 def cells(texts: list[str | None], lexicon: Lexicon, table=None) -> np.ndarray:
     """Summed weights by cell for each text, from its matched clauses."""
-    step, emit = table or grammar()
+    table = table or grammar()
     out = np.zeros((len(texts), len(CELLS)))
-    with np.errstate(over="ignore"):
-        group: list[tuple[int, str]] = []
-        size = 0
+    fresh = (0, 0.0)
+
+    def clauses(w: Words) -> np.ndarray:
+        return np.searchsorted(np.flatnonzero(np.isin(w.codes, _BREAKS)), w.start)
+
+    def together(group: list[tuple[int, str]]) -> None:
+        """Whole texts: only clauses with an insult or a threat are read."""
+        w = Words("\n".join(t for _, t in group), np.cumsum([0, *(len(t) + 1 for _, t in group)])[:-1])
+        symbol, weight = lexicon.apply(w)
+        hot = np.flatnonzero((symbol == INSULT) | (symbol == THREAT))
+        if len(hot):
+            clause = clauses(w)
+            for c in np.unique(clause[hot]):
+                a, b = np.searchsorted(clause, [c, c + 1])
+                read_clause(symbol[a:b], weight[a:b], fresh, out[group[w.doc[a]][0]], table)
 
-        def flush():
-            bounds = np.cumsum([0, *(len(t) + 1 for _, t in group)])[:-1]
-            w = Words("\n".join(t for _, t in group), bounds)
+    def in_pieces(i: int, parts: list[str]) -> None:
+        """A long text: a clause that a piece ends in goes on in the next one."""
+        state = fresh
+        for part in parts:
+            w = Words(part, np.zeros(1, np.int64))
             symbol, weight = lexicon.apply(w)
-            hot = np.flatnonzero((symbol == INSULT) | (symbol == THREAT))
-            if not len(hot):
-                return
-            breaks = np.flatnonzero(np.isin(w.codes, _BREAKS))
-            clause = np.searchsorted(breaks, w.start)
-            for c in np.unique(clause[hot]):
+            clause = clauses(w)
+            last = int(np.isin(w.codes, _BREAKS).sum())
+            hot = np.unique(clause[(symbol == INSULT) | (symbol == THREAT)])
+            after = fresh
+            for c in np.union1d(hot, [0, last]):
                 a, b = np.searchsorted(clause, [c, c + 1])
-                state = 0
-                for i in range(a, b):
-                    s = symbol[i]
-                    if (k := emit[state][s]) >= 0:
-                        out[group[w.doc[i]][0], k] += weight[i]
-                    state = step[state][s]
+                done = read_clause(symbol[a:b], weight[a:b], state if c == 0 else fresh, out[i], table)
+                after = done if c == last else after
+            state = after
 
+    with np.errstate(over="ignore"):
+        group: list[tuple[int, str]] = []
+        size = 0
         for i, raw in enumerate(texts):
-            for part in cut(lowered(raw)):
-                if group and size + len(part) > PIECE:
-                    flush()
-                    group, size = [], 0
-                group.append((i, part))
-                size += len(part) + 1
+            parts = cut(lowered(raw))
+            if len(parts) > 1:
+                in_pieces(i, parts)
+                continue
+            if group and size + len(parts[0]) > PIECE:
+                together(group)
+                group, size = [], 0
+            group.append((i, parts[0]))
+            size += len(parts[0]) + 1
         if group:
-            flush()
+            together(group)
     return out
 
 
@@ -179,70 +248,125 @@ def held_out(doc_id):
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE_PER_LABEL) -> DataFrame:
-    """Texts of at most ``per_label`` labelled rows of either label, the first by a hash of the id; held-out rows never."""
+    """(doc_id, text, toxic, fold): texts of at most ``per_label`` labelled rows of either label, the first by a hash of the id; held-out rows never."""
     rows = (
         labels.select("doc_id", "toxic").where(F.col("doc_id").isNotNull() & F.col("toxic").isin(0, 1) & ~held_out(F.col("doc_id")))
         .groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     )
     order = F.xxhash64("doc_id")
     chosen = rows.where("toxic = 1").orderBy(order, "doc_id").limit(per_label).unionAll(rows.where("toxic = 0").orderBy(order, "doc_id").limit(per_label))
-    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
+    return docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").withColumn("fold", F.pmod(F.xxhash64("doc_id", F.lit(5)), F.lit(FOLDS)).cast("int"))
+
+
+def _stems_of(texts: list[str | None]) -> tuple[np.ndarray, ...]:
+    """(length, hash, hash of the stem less its last letter, text) of the stems of each text, each once."""
+    found: list[tuple] = [(np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, np.uint64), np.zeros(0, np.int64))]
+    with np.errstate(over="ignore"):
+        for i, t in enumerate(texts):
+            for piece in cut(lowered(t)):
+                w = Words(piece, np.zeros(1, np.int64))
+                for n in STEM_LENGTHS:
+                    at = np.flatnonzero(w.end - w.start >= n)
+                    u, first = np.unique(w.part(w.start[at], w.start[at] + n), return_index=True)
+                    start = w.start[at][first]
+                    found.append((np.full(len(u), n), u, w.part(start, start + n - 1), np.full(len(u), i)))
+    n, h, up, doc = map(np.concatenate, zip(*found, strict=True))
+    order = np.lexsort((doc, h, n))
+    n, h, up, doc = n[order], h[order], up[order], doc[order]
+    once = np.ones(len(h), bool)
+    once[1:] = (h[1:] != h[:-1]) | (n[1:] != n[:-1]) | (doc[1:] != doc[:-1])
+    return n[once], h[once], up[once], doc[once]
+
+
+COUNTS = ("no_0", "yes_0", "no_1", "yes_1")
 
 
 def _stem_counts(batches):
-    """(length, hash, hash of the stem less its last letter, toxic texts, clean texts) of each batch."""
-    for batch in batches:
-        texts, toxic = batch.column(0).to_pylist(), np.array(batch.column(1).to_pylist())
-        found: list[tuple] = []
-        with np.errstate(over="ignore"):
-            for i, t in enumerate(texts):
-                for piece in cut(lowered(t)):
-                    w = Words(piece, np.zeros(1, np.int64))
-                    for n in STEM_LENGTHS:
-                        at = np.flatnonzero(w.end - w.start >= n)
-                        h = w.part(w.start[at], w.start[at] + n)
-                        u, first = np.unique(h, return_index=True)
-                        s = w.start[at][first]
-                        found.append((np.full(len(u), n), u, w.part(s, s + n - 1), np.full(len(u), i)))
-        if not found:
-            continue
-        n, h, up, doc = map(np.concatenate, zip(*found, strict=True))
-        order = np.lexsort((doc, h, n))
-        n, h, up, doc = n[order], h[order], up[order], doc[order]
-        fresh = np.concatenate([[True], (h[1:] != h[:-1]) | (n[1:] != n[:-1]) | (doc[1:] != doc[:-1])]) if len(h) else np.zeros(0, bool)
-        n, h, up, doc = n[fresh], h[fresh], up[fresh], doc[fresh]
+    """(n, h, up, and the clean and toxic texts of the first and second fold) of the stems in each slice of (text, toxic, fold)."""
+    for batch in sliced(batches, 256):
+        n, h, up, doc = _stems_of(batch.column(0).to_pylist())
         if not len(h):
             continue
+        kind = (batch.column(1).to_numpy() + 2 * batch.column(2).to_numpy())[doc]
         start = np.flatnonzero(np.concatenate([[True], (h[1:] != h[:-1]) | (n[1:] != n[:-1])]))
-        yes = np.add.reduceat(toxic[doc], start)
-        both = np.diff(np.concatenate([start, [len(h)]]))
-        yield pa.RecordBatch.from_arrays([pa.array(n[start].astype(np.int32)), pa.array(h[start].view(np.int64)), pa.array(up[start].view(np.int64)), pa.array(yes.astype(np.int64)), pa.array((both - yes).astype(np.int64))], names=["n", "h", "up", "yes", "no"])
+        sums = [np.add.reduceat((kind == k).astype(np.int64), start) for k in range(4)]
+        yield pa.RecordBatch.from_arrays([pa.array(n[start].astype(np.int32)), pa.array(h[start].view(np.int64)), pa.array(up[start].view(np.int64)), *map(pa.array, sums)], names=["n", "h", "up", *COUNTS])
+
+
+def _g2(yes, no, share: float):
+    """G² of a stem's toxic and clean texts against the share of toxic ones; columns or arrays."""
+    part = lambda x, p: x * np.log(np.maximum(x, 1e-12) / np.maximum((yes + no) * p, 1e-12))
+    return 2 * (part(yes, share) + part(no, 1 - share))
+
+
+def stem_table(sample: DataFrame) -> tuple[pd.DataFrame, dict[tuple[int, int], int]]:
+    """Counts of the at most MOST_STEMS stems that the widest thresholds let through, on the first fold or on the first two; and texts by (fold, label)."""
+    totals = {(r["fold"], r["toxic"]): r["n"] for r in sample.groupBy("fold", "toxic").agg(F.count("*").alias("n")).collect()}
+    at = lambda folds, label: sum(totals.get((f, label), 0) for f in folds)
+    rows = sample.where("fold < 2").select("text", F.col("toxic").cast("int").alias("toxic"), "fold").mapInArrow(_stem_counts, "n int, h bigint, up bigint, " + ", ".join(f"{c} bigint" for c in COUNTS))
+    sums = rows.groupBy("n", "h", "up").agg(*(F.sum(c).cast("double").alias(c) for c in COUNTS))
+    x = lambda k, p, yes, no: F.when(k > 0, k * F.log(k / ((yes + no) * p))).otherwise(0.0)
+    wide = F.lit(False)
+    for folds in ((0,), (0, 1)):
+        t, c = at(folds, 1), at(folds, 0)
+        if t and c:
+            yes, no = (sum((F.col(f"{name}_{f}") for f in folds[1:]), F.col(f"{name}_{folds[0]}")) for name in ("yes", "no"))
+            share = t / (t + c)
+            wide = wide | ((2 * (x(yes, share, yes, no) + x(no, 1 - share, yes, no)) >= min(G2_GRID)) & (yes * c * (1 - min(PRECISION_GRID)) >= min(PRECISION_GRID) * no * t))
+    found = sums.where(wide).orderBy(F.desc(F.col("yes_0") + F.col("yes_1")), "n", "h").limit(MOST_STEMS).toPandas()
+    return found.sort_values(["n", "h"], ignore_index=True), totals
+
+
+def _measures(found: pd.DataFrame, totals: dict, folds: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, int, int]:
+    """(toxic texts, clean texts, G², precision) of the stems on the folds, and the folds' toxic and clean texts."""
+    t, c = (sum(totals.get((f, label), 0) for f in folds) for label in (1, 0))
+    yes, no = (sum(found[f"{name}_{f}"].to_numpy(float) for f in folds) for name in ("yes", "no"))
+    share = t / max(1, t + c)
+    return yes, no, _g2(yes, no, share), yes * c / np.maximum(yes * c + no * t, 1e-12), t, c
+
+
+def choose_thresholds(sample: DataFrame, found: pd.DataFrame, totals: dict) -> tuple[float, float]:
+    """The pair of GRID by whose stems, learned on the first fold, the second fold's labels are told best: the fewest misses and false alarms, as shares of their label; of equals the strictest."""
+    yes, no, g2, precision, t, c = _measures(found, totals, (0,))
+    tests = totals.get((1, 1), 0), totals.get((1, 0), 0)
+    if not len(found) or not t or not c or not all(tests):
+        return GRID[-1]
+    passes = np.column_stack([(g2 >= g) & (precision >= p) & (yes > 0) for g, p in GRID])
+    tables = {n: (part["h"].to_numpy(np.int64).view(np.uint64), part.index.to_numpy()) for n, part in found.groupby("n")}
+    tables = {n: (h[o], i[o]) for n, (h, i) in tables.items() for o in (np.argsort(h),)}
+
+    def flagged(batches):
+        for batch in sliced(batches, 256):
+            hit = np.zeros((batch.num_rows, len(GRID)), bool)
+            n, h, _, doc = _stems_of(batch.column(0).to_pylist())
+            for length, (keys, index) in tables.items():
+                own = n == length
+                k = np.minimum(np.searchsorted(keys, h[own]), len(keys) - 1)
+                good = keys[k] == h[own]
+                np.logical_or.at(hit, doc[own][good], passes[index[k[good]]])
+            toxic = batch.column(1).to_numpy()
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(GRID), dtype=np.int32)), pa.array(hit[toxic == 1].sum(0)), pa.array(hit[toxic == 0].sum(0))], names=["cell", "yes", "no"])
+
+    rows = sample.where("fold = 1").select("text", F.col("toxic").cast("int").alias("toxic")).mapInArrow(flagged, "cell int, yes bigint, no bigint").groupBy("cell").agg(F.sum("yes").alias("yes"), F.sum("no").alias("no")).collect()
+    cost = {r["cell"]: 1 - r["yes"] / tests[0] + r["no"] / tests[1] for r in rows}
+    return GRID[min(cost, key=lambda k: (cost[k], -k))] if cost else GRID[-1]
 
 
 def learn_stems(sample: DataFrame) -> list[tuple[int, int, float]]:
-    """The shortest stems that stand out in the toxic texts, with their log odds."""
-    totals = {r["toxic"]: r["n"] for r in sample.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
-    t, c = totals.get(1, 0), totals.get(0, 0)
+    """The shortest stems that stand out in the toxic texts of the first two folds, with their log odds."""
+    found, totals = stem_table(sample)
+    least_g2, least_precision = choose_thresholds(sample, found, totals)
+    yes, no, g2, precision, t, c = _measures(found, totals, (0, 1))
     if not t or not c:
         return []
-    share = t / (t + c)
-    yes, no = F.col("yes").cast("double"), F.col("no").cast("double")
-    xlogx = lambda x, p: F.when(x > 0, x * F.log(x / ((yes + no) * p))).otherwise(0.0)
-    found = (
-        sample.select("text", F.col("toxic").cast("int").alias("toxic")).mapInArrow(_stem_counts, "n int, h bigint, up bigint, yes bigint, no bigint")
-        .groupBy("n", "h", "up").agg(F.sum("yes").alias("yes"), F.sum("no").alias("no"))
-        .where((2 * (xlogx(yes, share) + xlogx(no, 1 - share)) >= LEAST_G2) & (yes * c >= LEAST_PRECISION / (1 - LEAST_PRECISION) * no * t))
-        .orderBy(F.desc("yes"), "n", "h").limit(5000).toPandas()
-    )
     chosen: dict[tuple[int, int], float] = {}
     covered: set[tuple[int, int]] = set()
-    for r in found.sort_values(["n", "h"]).itertuples():
-        here, up = (r.n, r.h & (1 << 64) - 1), (r.n - 1, r.up & (1 << 64) - 1)
-        if up in covered:
-            covered.add(here)
-            continue
+    for k in np.flatnonzero((g2 >= least_g2) & (precision >= least_precision) & (yes > 0)):
+        n, h, up = (int(found[name][k]) for name in ("n", "h", "up"))
+        here, shorter = (n, h & (1 << 64) - 1), (n - 1, up & (1 << 64) - 1)
+        if shorter not in covered:
+            chosen[here] = float(np.log((yes[k] + 0.5) / (t + 1)) - np.log((no[k] + 0.5) / (c + 1)))
         covered.add(here)
-        chosen[here] = float(np.log((r.yes + 0.5) / (t + 1)) - np.log((r.no + 0.5) / (c + 1)))
     return [(n, h, min(w, 8.0)) for (n, h), w in chosen.items()]
 
 
@@ -267,20 +391,18 @@ class Model:
 
 
 def fit(docs: DataFrame, labels: DataFrame) -> Model:
-    """Learns stems and weights from the bounded sample of labelled rows."""
-    from .common import materialise
-
+    """Learns stems and weights from the bounded sample of labelled rows, on different folds of it."""
     ship(docs.sparkSession)
     sample = materialise(labelled_sample(docs, labels), "toxic-sample")
     stems = learn_stems(sample)
     lexicon, table = Lexicon(stems), grammar()
 
     def measured(batches):
-        for b in batches:
+        for b in sliced(batches):
             x = cells(b.column(0).to_pylist(), lexicon, table)
             yield pa.RecordBatch.from_arrays([b.column(1).cast(pa.int32()), *(pa.array(x[:, k]) for k in range(len(CELLS)))], names=["toxic", *CELLS])
 
-    seen: pd.DataFrame = sample.select("text", "toxic").mapInArrow(measured, "toxic int, " + ", ".join(f"{c} double" for c in CELLS)).toPandas()
+    seen: pd.DataFrame = sample.where(f"fold = {FOLDS - 1}").select("text", "toxic").mapInArrow(measured, "toxic int, " + ", ".join(f"{c} double" for c in CELLS)).toPandas()
     seen = seen.sort_values(list(seen.columns))
     if not len(seen):
         return Model(stems, PRIOR)
@@ -296,7 +418,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 
     def scored(batches):
         lexicon, table = Lexicon(stems), grammar()
-        for b in batches:
+        for b in sliced(batches):
             x = cells(b.column(fields.index("text")).to_pylist(), lexicon, table)
             p = 1 / (1 + np.exp(-np.clip(features(x) @ weights, -30, 30)))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(p), pa.array((p >= THRESHOLD).astype(np.int32))], names=[*fields, "tox_score", "tox_predicted"])

@@ -4,8 +4,12 @@ A page becomes a response record; each derivative refers to its response's id an
 date and payload digest; digests are SHA-1 in base 32 over the block or payload, as WARC files give them. Ids are name-based UUIDs, so a
 task that runs again writes the same records.
 
+Headers are kept in order with their names as written; one that stands several times (Set-Cookie, WARC-Concurrent-To) is a list of its values.
+Pages of a table have neither status nor date, so their responses say 200 and the date that is given; records of WARC files keep their own.
+
 Defined cases: a null or empty html gives derivatives with an empty payload; a null url an empty target; repeated rows
-repeat their records; a null page_id is kept; malformed html is read as far as tags can be told.
+repeat their records; a null page_id is kept; other columns are ignored; an empty table gives an empty result; malformed html is read as far as tags can be told. Of a
+file that ends within a record, the whole records before are read; gzipped files are read member by member.
 """
 
 from __future__ import annotations
@@ -16,13 +20,14 @@ import html
 import json
 import re
 import uuid
+import zlib
 from collections.abc import Iterable, Iterator
 from urllib.parse import urljoin
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import ship
+from .common import ship, sliced
 
 EPOCH = "1970-01-01T00:00:00Z"
 CRLF = "\r\n"
@@ -50,15 +55,58 @@ class Record:
         return head.encode() + b"\r\n\r\n" + self.block + b"\r\n\r\n"
 
 
+def unzipped(data: bytes) -> bytes:
+    """The members of gzipped data, one after the other, as far as they are whole; other data as it is."""
+    if data[:2] != b"\x1f\x8b":
+        return data
+    out = []
+    while data[:2] == b"\x1f\x8b":
+        member = zlib.decompressobj(wbits=31)
+        try:
+            out.append(member.decompress(data))
+        except zlib.error:
+            break
+        data = member.unused_data
+    return b"".join(out)
+
+
 def parse(data: bytes) -> Iterator[Record]:
-    """The records of uncompressed WARC data."""
+    """The records of WARC data, as far as they are whole."""
     at = 0
     while (at := data.find(b"WARC/", at)) >= 0:
-        end = data.index(b"\r\n\r\n", at)
-        fields = [(k.strip(), v.strip()) for k, _, v in (x.partition(":") for x in data[at:end].decode("utf-8", "replace").split(CRLF)[1:])]
-        n = int(next(v for k, v in fields if k.lower() == "content-length"))
-        yield Record([f for f in fields if f[0].lower() != "content-length"], data[end + 4 : end + 4 + n])
-        at = end + 4 + n
+        end = data.find(b"\r\n\r\n", at)
+        if end < 0:
+            return
+        fields = named(data[at:end].decode("utf-8", "replace").split(CRLF)[1:])
+        length = next((v for k, v in fields if k.lower() == "content-length"), "")
+        if not length.isdecimal():
+            at = end
+            continue
+        stop = end + 4 + int(length)
+        if stop > len(data):
+            return
+        yield Record([f for f in fields if f[0].lower() != "content-length"], data[end + 4 : stop])
+        at = stop
+
+
+def named(rows: list[str]) -> list[tuple[str, str]]:
+    """(name, value) of header lines; a line that begins with a blank goes on with the one before."""
+    out: list[tuple[str, str]] = []
+    for x in rows:
+        if out and x[:1] in (" ", "\t"):
+            out[-1] = out[-1][0], f"{out[-1][1]} {x.strip()}".strip()
+        elif x:
+            k, _, v = x.partition(":")
+            out.append((k.strip(), v.strip()))
+    return out
+
+
+def headers_json(fields: list[tuple[str, str]]) -> dict[str, str | list[str]]:
+    """Headers by name, in order; a repeated one has all its values, under its first spelling."""
+    out: dict[str, tuple[str, list[str]]] = {}
+    for k, v in fields:
+        out.setdefault(k.lower(), (k, []))[1].append(v)
+    return {k: v[0] if len(v) == 1 else v for k, v in out.values()}
 
 
 def response(page_id: object, url: str | None, body: str | None, date: str = EPOCH) -> Record:
@@ -75,7 +123,7 @@ def split_http(block: bytes) -> tuple[str, list[tuple[str, str]], bytes]:
     """Status line, headers and payload of an HTTP response."""
     head, gap, payload = block.partition(b"\r\n\r\n")
     first, *rest = head.decode("iso-8859-1").split(CRLF)
-    return first, [(k.strip(), v.strip()) for k, _, v in (x.partition(":") for x in rest)], payload if gap else b""
+    return first, named(rest), payload if gap else b""
 
 
 _DROP = re.compile(r"<!--.*?(?:-->|$)|<(script|style|noscript|template)\b[^>]*>.*?(?:</\1\s*>|$)", re.I | re.S)
@@ -116,8 +164,8 @@ def derivatives(source: Record) -> list[Record]:
     origin = source.get("WARC-Record-ID") or ""
     envelope = {
         "Envelope": {
-            "WARC-Header-Metadata": dict(source.fields),
-            "Payload-Metadata": {"HTTP-Response-Metadata": {"Response-Message": status, "Headers": dict(headers), "Entity-Length": len(payload), "Entity-Digest": digest(payload), "HTML-Metadata": page_metadata(page, uri)}},
+            "WARC-Header-Metadata": headers_json(source.fields),
+            "Payload-Metadata": {"HTTP-Response-Metadata": {"Response-Message": status, "Headers": headers_json(headers), "Entity-Length": len(payload), "Entity-Digest": digest(payload), "HTML-Metadata": page_metadata(page, uri)}},
         }
     }
     out = []
@@ -151,10 +199,8 @@ def build_derivatives(pages: DataFrame, date: str = EPOCH) -> DataFrame:
     ship(pages.sparkSession)
 
     def made(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            ids, urls, bodies = (c.to_pylist() for c in b.columns)
-            for lo in range(0, len(ids), 256):
-                yield _batch([_row(i, r) for i, u, h in zip(ids[lo : lo + 256], urls[lo : lo + 256], bodies[lo : lo + 256], strict=True) for r in derivatives(response(i, u, h, date))])
+        for b in sliced(batches, 256):
+            yield _batch([_row(i, r) for i, u, h in zip(*(c.to_pylist() for c in b.columns), strict=True) for r in derivatives(response(i, u, h, date))])
 
     return pages.select(pages["page_id"].cast("bigint").alias("page_id"), "url", "html").mapInArrow(made, SCHEMA)
 
@@ -176,13 +222,18 @@ def record_bytes(rows: DataFrame) -> DataFrame:
 
 
 def read_warc(spark: SparkSession, path: str) -> DataFrame:
-    """The response records of uncompressed WARC files, through Spark's binary reader, as derivative rows; page_id is null."""
+    """The derivative rows of the response records of WARC files, gzipped or not, through Spark's binary reader (a file is one value: at most 2 GB); page_id is null."""
     ship(spark)
 
     def made(batches):
-        for b in batches:
-            for data in b.column(0).to_pylist():
-                yield _batch([_row(None, d) for r in parse(data) if r.get("WARC-Type") == "response" for d in derivatives(r)])
+        for b in sliced(batches, 1):
+            rows: list[tuple] = []
+            for r in parse(unzipped(b.column(0)[0].as_py())):
+                rows += [_row(None, d) for d in derivatives(r)] if r.get("WARC-Type") == "response" else []
+                if len(rows) >= 256:
+                    yield _batch(rows)
+                    rows = []
+            yield _batch(rows)
 
     return spark.read.format("binaryFile").load(path).select("content").mapInArrow(made, SCHEMA)
 

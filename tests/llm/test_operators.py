@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
+import gzip
 import hashlib
+import itertools
+import json
 import re
 import zlib
 from collections import Counter
@@ -12,6 +15,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from sampledjoin.llm import ann, decontam, licenses, linededup, neardup, pii, secrets, spm, toxicity, warc
+from sampledjoin.llm.common import cut
 
 PROSE = [" ".join(f"w{(i * 37 + j * j * 11) % 997}" for j in range(60)) for i in range(30)]
 
@@ -234,6 +238,51 @@ def test_licenses_within_longer_texts_match_brute_force(spark):
     assert [got[i][:2] for i, _ in docs] == [(1, "MIT"), (1, "MIT-notice"), (0, ""), (0, "")]
 
 
+def test_lines_are_dropped_whatever_other_columns_are_called(spark):
+    line = "a line that three documents have"
+    rows = [(i, f"{line}\nown {i}\n{line}") for i in (1, 2, 3)] + [(3, f"other\n{line}"), (3, f"other\n{line}"), (None, line)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string")
+    for c in ("doomed", "doomed_id", "line_left", "line_total", "line_text", "lost", "hash", "row", "kept", "n", "keeper"):
+        docs = docs.withColumn(c, F.lit(f"mine {c}"))
+    out = linededup.line_stage(spark, docs, "")
+    assert out.columns == docs.columns
+    got = out.collect()
+    assert all(r[c] == f"mine {c}" for r in got for c in docs.columns[2:])
+    assert sorted((r.doc_id or 0, r.text) for r in got) == sorted([(1, "own 1"), (2, "own 2"), *((i or 0, t) for i, t in rows[2:])])
+    assert {r.line_total for r in linededup.drop_common_lines(docs).collect()} == {1, 2, 3}
+
+
+def test_line_dedup_of_a_very_long_text(spark):
+    rows = [(i, "\n".join(f"line number {j} of a long text" for j in range(40_000))) for i in range(3)]
+    got = {r.doc_id: (r.line_dropped, len(r.line_text)) for r in linededup.drop_common_lines(spark.createDataFrame(rows, "doc_id bigint, text string")).collect()}
+    assert got == {0: (40_000, 0), 1: (40_000, 0), 2: (0, len(rows[2][1]))}
+
+
+def test_warc_keeps_repeated_headers_and_reads_files(spark, tmp_path):
+    def record(kind, block, *fields):
+        return warc.Record([("WARC-Type", kind), ("WARC-Record-ID", "<urn:uuid:1>"), ("WARC-Date", "2020-01-02T03:04:05Z"), ("WARC-Target-URI", "http://a.example/"), *fields], block)
+
+    block = b"HTTP/1.1 404 Gone\r\nSet-Cookie: a=1\r\nX-Long: one\r\n  two\r\nset-cookie: b=2\r\nContent-Type: text/html\r\n\r\n<p>Hi</p>"
+    source = record("response", block, ("WARC-Concurrent-To", "<x>"), ("WARC-Concurrent-To", "<y>"))
+    meta = json.loads(warc.derivatives(source)[0].block)["Envelope"]
+    http = meta["Payload-Metadata"]["HTTP-Response-Metadata"]
+    assert http["Headers"] == {"Set-Cookie": ["a=1", "b=2"], "X-Long": "one two", "Content-Type": "text/html"} and http["Response-Message"] == "HTTP/1.1 404 Gone"
+    assert meta["WARC-Header-Metadata"]["WARC-Concurrent-To"] == ["<x>", "<y>"]
+    data = record("warcinfo", b"x").to_bytes() + source.to_bytes() + record("request", b"GET").to_bytes() + source.to_bytes()
+    (tmp_path / "a.warc").write_bytes(data[:-12])  # its last record is cut
+    (tmp_path / "b.warc.gz").write_bytes(b"".join(gzip.compress(r.to_bytes()) for r in (source, record("request", b"GET"), source)) + b"\x1f\x8bcut")
+    (tmp_path / "c.warc").write_bytes(b"")
+    rows = warc.read_warc(spark, f"file://{tmp_path}").collect()
+    assert len(rows) == 2 * 3 and {r.block for r in rows if r.record_type == "conversion"} == {"Hi"} and {(r.refers_to, r.warc_date) for r in rows} == {("<urn:uuid:1>", "2020-01-02T03:04:05Z")}
+
+
+def test_warc_of_odd_pages(spark):
+    pages = spark.createDataFrame([(None, "u", "<p>x"), (1, "u", ""), (1, "u", ""), (2, None, None)], "page_id bigint, url string, html string").withColumn("block", F.lit(1)).withColumn("refers_to", F.lit("me"))
+    rows = warc.build_derivatives(pages).collect()
+    assert len(rows) == 8 and sum(r.page_id is None for r in rows) == 2 and len({r.record_id for r in rows}) == 6
+    assert warc.build_derivatives(pages.where("false")).count() == 0
+
+
 def test_warc_round_trip(spark):
     pages = spark.createDataFrame([(1, "http://a.example/x", "<html><title>T &amp; U</title><body><p>Hi<br>there</p><a href='/y'>l</a><script>no()</script></body>"), (2, None, None), (3, "u", "<p>open")], "page_id bigint, url string, html string")
     rows = warc.build_derivatives(pages).collect()
@@ -260,6 +309,82 @@ def test_scan_equals_library(spark, size):
     assert back.where("text <> spm_text").count() == 0
 
 
+class Toy(spm.Lattice):
+    """A unigram model of a few pieces; no piece, and no text of its tests, has a blank."""
+
+    def __init__(self):
+        self.id = {p: i for i, p in enumerate(["a", "b", "c", "ab", "bc", "abc", "ca", "bca", "aa"])}
+        self.score = dict(zip(self.id, [-2.0, -2.1, -2.2, -3.0, -3.3, -4.9, -3.1, -4.2, -3.9], strict=True))
+        self.longest, self.bpe = 3, False
+
+
+def test_scan_of_a_unigram_model_is_the_best_path(monkeypatch):
+    lattice, g = Toy(), np.random.default_rng(6)
+    monkeypatch.setattr(spm, "FAN", 3)
+    for n in (1, 2, 7, 40, 101):
+        x = "".join(g.choice(list("abc"), n))
+        best = [(0.0, ())]
+        for j in range(1, n + 1):
+            best.append(max((best[i][0] + lattice.score[x[i:j]], (*best[i][1], lattice.id[x[i:j]])) for i in range(max(0, j - 3), j) if x[i:j] in lattice.score))
+        for size in (3, 8):
+            count = max(1, n // size)
+            bounds = [(k * size, n if k == count - 1 else (k + 1) * size) for k in range(count)]
+            chunks = [spm.Chunk(lattice, x, 0, lo, hi, n) for lo, hi in bounds]
+            ms = [c.matrix() for c in chunks]
+            states = spm.inner_states(ms, spm.BEGIN, spm.END)
+            ids = [i for c, a, b in zip(chunks, states, states[1:], strict=False) for i in c.trace(a, b)]
+            assert abs(sum(lattice.score[p] for i in ids for p in [list(lattice.id)[i]]) - best[n][0]) < 1e-9
+            whole = ms[0]
+            for m in ms[1:]:
+                whole = spm.product(whole, m)
+            pairs = [spm.product(ms[k], ms[k + 1]) if k + 1 < len(ms) else ms[k] for k in range(0, len(ms), 2)]
+            again = pairs[0]
+            for m in pairs[1:]:
+                again = spm.product(again, m)
+            assert abs(whole[spm.BEGIN, spm.END] - best[n][0]) < 1e-9 and abs(again[spm.BEGIN, spm.END] - best[n][0]) < 1e-9
+
+
+def test_scan_by_a_tree_of_several_levels(spark, monkeypatch):
+    monkeypatch.setattr(spm, "FAN", 3)
+    model = spm.read_model()
+    texts = ["nospacehereatall" * 60, " ".join(PROSE[:4]), "ab" * 200]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").withColumn("spm_key", F.lit("mine")).withColumn("key", F.lit("mine too"))
+    got = spm.encode(docs, model, 32).collect()
+    assert all(r.spm_ids == spm.lattice_of(model).sp.encode(texts[r.doc_id]) and (r.spm_key, r.key) == ("mine", "mine too") for r in got) and len(got) == 3
+
+
+def test_grammar_matches_its_definition():
+    T = toxicity
+    table, scope = T.grammar(), range(6)
+    for word in itertools.product(scope, repeat=5):
+        want, near = Counter(), lambda kind, i, n: any(word[j] == kind for j in range(max(0, i - n), i))  # noqa: B023,E731
+        for i, s in enumerate(word):
+            seen = T.TARGET in word[:i]
+            since = max((j + 1 for j in range(i) if word[j] == T.TARGET), default=0)
+            insult = threat = None
+            if s == T.INSULT:
+                insult = "targeted" if seen else "plain"
+            if s == T.THREAT:
+                threat = "plain"
+            if s == T.TARGET and not seen and near(T.INSULT, i, T.REACH):
+                insult = "targeted"
+            if s == T.TARGET and any(word[j] == T.THREAT for j in range(max(since, i - T.REACH), i)):
+                threat = "threat"
+            if insult or threat:
+                want["negated" if near(T.NEGATION, i, T.SCOPE) else "reported" if near(T.REPORT, i, i) else "threat" if threat == "threat" else "targeted" if insult == "targeted" else "plain"] += 1
+        out = np.zeros(len(T.CELLS))
+        T.read_clause(np.array(word), np.ones(5), (0, 0.0), out, table)
+        assert {c: n for c, n in zip(T.CELLS, out, strict=True) if n} == want
+
+
+def test_a_clause_goes_on_over_pieces(monkeypatch):
+    lexicon = toxicity.Lexicon([])
+    text = "they said " + "word " * 200 + "idiot. " + "you " + "word " * 150 + "idiot"
+    whole = toxicity.cells([text], lexicon)
+    monkeypatch.setattr(toxicity, "cut", lambda t: cut(t, 64))
+    assert (toxicity.cells([text], lexicon) == whole).all() and whole[0, toxicity.CELLS.index("reported")] and whole[0, toxicity.CELLS.index("targeted")]
+
+
 def test_toxicity_learns_and_holds_out(spark):
     words = ["alpha", "bravo", "delta", "gamma", "omega"]
     rows = [(i, " ".join(words[(i * j) % 5] + str((i * j) % 13) for j in range(1, 40)) + (". zorgblat" + str(i % 3) + " you zorgblatish." if i % 4 == 0 else ".")) for i in range(400)]
@@ -270,8 +395,18 @@ def test_toxicity_learns_and_holds_out(spark):
     held = [i for i, _ in rows if zlib.crc32(str(i).encode()) % 4 == 2]
     assert sum(out[i].tox_predicted == (i % 4 == 0) for i in held) >= 0.95 * len(held)
     assert out[900].tox_predicted == out[901].tox_predicted == 0
-    plain = toxicity.cells(["you idiot", "idiot", "not an idiot", "he said idiot", "hello"], toxicity.Lexicon([]))
-    assert [toxicity.CELLS[r.argmax()] for r in plain[:4]] == ["targeted", "plain", "negated", "reported"] and plain[4].sum() == 0
+    texts = ["you idiot", "idiot", "not an idiot", "he said idiot", "will kill him", "what an idiot he is", "hello"]
+    found = toxicity.cells(texts, toxicity.Lexicon([]))
+    assert [toxicity.CELLS[len(toxicity.CELLS) - 1 - r[::-1].argmax()] for r in found[:6]] == ["targeted", "plain", "negated", "reported", "threat", "targeted"] and found[6].sum() == 0
+
+
+def test_toxicity_learns_nothing_from_held_out_rows(spark):
+    rows = [(i, f"word{i % 7} " * 20 + ("zorgblat you" if i % 4 == 0 else "")) for i in range(300)]
+    labels = [(i, int(i % 4 == 0)) for i, _ in rows]
+    held = lambda i: zlib.crc32(str(i).encode()) % 4 == 2
+    docs = table(spark, rows)
+    models = [toxicity.fit(docs, spark.createDataFrame([(i, 1 - y if held(i) and flip else y) for i, y in labels], "doc_id bigint, toxic int")) for flip in (False, True)]
+    assert sorted(models[0].stems) == sorted(models[1].stems) and np.allclose(models[0].weights, models[1].weights)
 
 
 def test_nearest_match_brute_force(spark):
@@ -309,6 +444,29 @@ def test_odd_rows_and_empty_tables(spark, odd, empty):
         assert decontam.leaks(docs, items).count() == (2 if n else 0)
 
 
+def test_pipeline_matches_brute_force(spark, tmp_path):
+    """Planted documents through all stages, against a plain rendering of each rule."""
+    import corpus_pipeline
+
+    common = "this line stands in many of the documents"
+    rows = [(i, f"{t}\n{common}") for i, t in enumerate(PROSE[:6])]
+    rows += [(10, f"{PROSE[0]} tail"), (11, "you idiot. you idiot. shut up you moron, you idiot. " * 3), (12, f"{PROSE[7]} {PROSE[20]} {PROSE[8]}"), (13, ""), (14, None), (15, PROSE[9]), (16, PROSE[9])]
+    items = [(1, PROSE[20]), (2, "none of this is there at all in the end")]
+    spark.createDataFrame(rows, "doc_id bigint, text string").withColumn("n_chars", F.char_length("text").cast("bigint")).write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame(items, "item_id bigint, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([], "doc_id bigint, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    left = [(i, t) for i, t in rows if "idiot" not in (t or "")]
+    last = max(i for i, t in left if common in (t or ""))
+    left = [(i, (t or "") if i == last else "\n".join(x for x in (t or "").split("\n") if x != common)) for i, t in left]
+    classes = near_by_definition(left)
+    left = [(i, t) for i, t in left if classes[i] == i]
+    shingle = lambda t: {tuple(w[k : k + 5]) for w in [re.findall(r"\w+", t.lower())] for k in range(len(w) - 4)}
+    left = [(i, t) for i, t in left if all(len(shingle(q) & shingle(t)) < 0.8 * len(shingle(q)) for _, q in items)]
+    want = {i: spm.lattice_of(spm.read_model()).sp.encode(t) for i, t in left}
+    got = {r.doc_id: r.ids for r in corpus_pipeline.run(spark, str(tmp_path)).collect()}
+    assert got == want and {10, 11, 12, 16}.isdisjoint(got) and {0, 5, 13, 14, 15} <= got.keys()
+
+
 def test_pipeline_stages_keep_columns(spark, sf):
     import corpus_pipeline
 
