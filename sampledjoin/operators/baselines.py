@@ -33,9 +33,11 @@ def union_join(keyed: list[DataFrame]) -> DataFrame:
     return packed.select("jk", *(F.col(f"side_{i}.{c}").alias(c) for i, cs in enumerate(cols) for c in cs))
 
 
-def broadcast_join(keyed: list[DataFrame], most_rows: int = 2_000_000) -> DataFrame:
-    """All inputs but the first go to every node, if each has at most ``most_rows``; else the engine chooses."""
-    return reduce(lambda a, b: a.join(F.broadcast(b) if b.limit(most_rows + 1).count() <= most_rows else b, "jk"), keyed[1:], keyed[0])
+def broadcast_join(keyed: list[DataFrame], most_bytes: int = 1 << 28) -> DataFrame:
+    """All inputs but the first go to every node, if each has at most ``most_bytes`` by its rows and 24 bytes a column; else the engine chooses."""
+    width = lambda b: 16 + 24 * len(b.columns)
+    fits = lambda b, most: b.limit(most + 1).count() <= most
+    return reduce(lambda a, b: a.join(F.broadcast(b) if fits(b, most_bytes // width(b)) else b, "jk"), keyed[1:], keyed[0])
 
 
 def unit_hash(*parts: Column | str | int) -> Column:
@@ -44,7 +46,7 @@ def unit_hash(*parts: Column | str | int) -> Column:
 
 
 def postjoin_sample(joined: DataFrame, fraction: float, value: Column, seed: int = 42, identity: list[str] | None = None) -> DataFrame:
-    """(jk, n, edges, s1, s2): a stratified sample of the finished join: of each key the share ``fraction`` of its rows, at least 2, those of smallest hash."""
+    """(jk, n, edges, s1, s2): a baseline, which sorts a key's rows in one task: a stratified sample of the finished join: of each key the share ``fraction`` of its rows, at least 2, those of smallest hash."""
     cols = identity or [c for c in joined.columns if c != "jk"]
     order = text_hash(*(F.col(c) for c in cols), seed)
     by_key = Window.partitionBy("jk")
@@ -68,7 +70,7 @@ def prejoin_sum(keyed: list[DataFrame], fraction: float, value: Column, ids: lis
     return joined.agg((F.coalesce(F.sum(value).cast("double"), F.lit(0.0)) / F.lit(share**n)).alias("estimate"), F.count("*").alias("sampled_edges"))
 
 
-def prejoin_stratified(keyed: list[DataFrame], fraction: float, value: Column, seed: int = 42) -> DataFrame:
+def prejoin_stratified(keyed: list[DataFrame], fraction: float, value: Column, seed: int = 42, family: str = "xx") -> DataFrame:
     """As ``prejoin_sum``, but each input keeps the share of every key's rows, at least one; a key is scaled by its own shares."""
     n = len(keyed)
     share = fraction ** (1 / n)
@@ -76,7 +78,7 @@ def prejoin_stratified(keyed: list[DataFrame], fraction: float, value: Column, s
     for i, k in enumerate(keyed, 1):
         cols = [c for c in k.columns if c != "jk"]
         w = Window.partitionBy("jk")
-        ranked = k.withColumn("r", F.row_number().over(w.orderBy(F.xxhash64(*cols, F.lit(seed + i)), *cols))).withColumn("c", F.count("*").over(w))
+        ranked = k.withColumn("r", F.row_number().over(w.orderBy(text_hash(*map(F.col, cols), seed + i) if family == "portable" else F.xxhash64(*cols, F.lit(seed + i)), *cols))).withColumn("c", F.count("*").over(w))
         kept.append(ranked.withColumn(f"w_{i}", F.col("c") / F.greatest(F.lit(1.0), F.ceil(share * F.col("c")))).where(F.col("r") <= F.greatest(F.lit(1), F.ceil(share * F.col("c")))).drop("r", "c"))
     joined = reduce(lambda a, b: a.join(b, "jk"), kept).join(strata.select("jk"), "jk", "left_semi")
     weight = reduce(lambda a, b: a * b, (F.col(f"w_{i}") for i in range(1, n + 1)))
@@ -87,11 +89,3 @@ def hybrid_postjoin(keyed: list[DataFrame], fraction: float, value: Column, ids:
     """(estimate, sampled_edges): the engine joins as it likes, a uniform sample of the output is summed and scaled."""
     joined = reduce(lambda a, b: a.join(b, "jk"), keyed).where(unit_hash(*(F.col(c) for c in ids), seed) < fraction)
     return joined.agg((F.sum(value).cast("double") / F.lit(fraction)).alias("estimate"), F.count("*").alias("sampled_edges"))
-
-
-def offline_sample(df: DataFrame, key: str, per_key: int, seed: int = 42) -> DataFrame:
-    """A stratified sample of one table made ahead of the queries: at most ``per_key`` rows of each key, and their weight."""
-    w = Window.partitionBy(key)
-    cols = df.columns
-    ranked = df.withColumn("r", F.row_number().over(w.orderBy(F.xxhash64(*cols, F.lit(seed)), *cols))).withColumn("c", F.count("*").over(w))
-    return ranked.where(F.col("r") <= per_key).withColumn("weight", F.col("c") / F.least(F.col("c"), F.lit(per_key))).drop("r", "c")

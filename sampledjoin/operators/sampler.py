@@ -7,19 +7,19 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.keys import draw_hash, key_text
+from ..functions.keys import draw_hash, key_text, text_hash
 
 #: Draws that one row of the expansion makes.
 CHUNK = 100_000
 
 
-def number_rows(keyed: DataFrame, order: list[str] | None = None, salts: int = 1) -> DataFrame:
+def number_rows(keyed: DataFrame, order: list[str] | None = None, salts: int = 1, family: str = "xx") -> DataFrame:
     """``keyed`` with pos, 1 to n within a key, in the order of all used columns. With several salts a key's rows are sorted in parts, whose offsets come from their counts, so that a hot key needs no single task."""
     order = order or [c for c in keyed.columns if c != "jk"]
     by = [F.col(c).asc_nulls_first() for c in order] or [F.lit(1)]
     if salts == 1:
         return keyed.withColumn("pos", F.row_number().over(Window.partitionBy("jk").orderBy(*by)).cast("bigint"))
-    salted = keyed.withColumn("salt", F.pmod(F.xxhash64(*order, F.lit(3)), F.lit(salts)))
+    salted = keyed.withColumn("salt", F.pmod(text_hash(*map(F.col, order), 3) if family == "portable" else F.xxhash64(*order, F.lit(3)), F.lit(salts)))
     counts = salted.groupBy("jk", "salt").agg(F.count("*").alias("c"))
     offsets = counts.withColumn("before", F.coalesce(F.sum("c").over(Window.partitionBy("jk").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))).drop("c")
     inside = salted.withColumn("r", F.row_number().over(Window.partitionBy("jk", "salt").orderBy(*by)).cast("bigint"))
@@ -108,7 +108,7 @@ def sample_edges(keyed: list[DataFrame], strata: DataFrame, seed: int = 42, dedu
             packed = k.groupBy("jk").agg(F.array_sort(F.collect_list(F.struct(*cols))).alias("rows"))
             edges = edges.join(packed, "jk").withColumn("row", F.element_at("rows", F.col(f"pos_{i}").cast("int"))).select(*edges.columns, *(F.col(f"row.{c}").alias(c) for c in cols))
         return edges
-    return attach(edges, [number_rows(k, salts=salts) for k in keyed])
+    return attach(edges, [number_rows(k, salts=salts, family=family) for k in keyed])
 
 
 def _grouped(keyed: list[DataFrame], strata: DataFrame, seed: int) -> DataFrame:

@@ -12,12 +12,13 @@ from .model import FilterParams, JoinInput, LatencyModel
 from .operators import baselines as BL
 from .operators import filters as bloom
 from .operators import sampler
-from .operators.filtering import overlap_fraction, prefilter
+from .operators.filtering import overlap_fraction, participating, prefilter
 from .operators.relational import QUERIES as RELATIONAL
 from .operators.relational import SQL as RELATIONAL_SQL
 from .operators.strata import count_strata, heaviest
 from .plans import budget as P
 from .plans import engine, sqlfront
+from .plans.measures import filter_quality
 from .sources.datagen import poisson_inputs
 from .sources.io import load
 
@@ -31,7 +32,7 @@ def _rounded(df: DataFrame, digits: int = 2, keep: tuple[str, ...] = ()) -> Data
 
 def _sampled(inputs, value, s, agg="sum", dedupe=False, **options) -> DataFrame:
     """The sampling stage with draws that other engines can repeat; the filter may not change the result."""
-    kept = prefilter(inputs, W.PARAMS).dfs
+    kept = prefilter(inputs).dfs
     return engine.estimate(kept, P.allocate(count_strata(kept), s), value, agg, dedupe, family="portable", confidence=CONF, **options)
 
 
@@ -41,25 +42,37 @@ def _hash(*parts: str) -> str:
     return f"CAST(('0x' || substr(md5(concat_ws('|', {', '.join(parts)})), 1, 15)) AS BIGINT)"
 
 
-def _replay(sides: list[tuple[str, str]], value: str, s: float, key: str = "jk", distinct: bool = False, extra: str = "") -> str:
-    """CTEs up to p (jk, n, s1, s2, ne, b, is_full). sides: SELECTs with jk, and the columns that order their rows."""
+def _share(s: float) -> str:
+    return f"least(greatest(floor({s!r} * ne + 1e-9), 2), ne)"
+
+
+def _replay(sides: list[tuple[str, str]], value: str, s: float, key: str = "jk", distinct: bool = False, extra: str = "", size: str | None = None, sizes: str = "") -> str:
+    """CTEs up to p (jk, n, m, s1..s4, ne, b, is_full). sides: SELECTs with jk, and the columns that order their rows. size: SQL for b instead of the share s, over ne and, with ``sizes``, the columns of that table (jk, ...); distinct: True, or "resample" for b different edges."""
     n = len(sides)
     ctes = [f"s{i} AS (SELECT *, row_number() OVER (PARTITION BY jk ORDER BY {order}) AS pos_{i} FROM ({sql}) WHERE jk IS NOT NULL)" for i, (sql, order) in enumerate(sides, 1)]
     counts = " JOIN ".join(f"(SELECT jk, count(*) AS n_{i} FROM s{i} GROUP BY jk) c{i}" + (" USING (jk)" if i > 1 else "") for i in range(1, n + 1))
     ne = " * ".join(f"n_{i}" for i in range(1, n + 1))
-    ctes.append(f"st AS (SELECT *, CAST(least(greatest(floor({s!r} * ne + 1e-9), 2), ne) AS BIGINT) AS b FROM (SELECT *, CAST({ne} AS BIGINT) AS ne FROM {counts}))")
-    ctes.append("d AS (SELECT *, b >= ne AS is_full, unnest(range(1, b + 1)) AS draw FROM st)")
+    ctes.append(f"st AS (SELECT *, CAST({size or _share(s)} AS BIGINT) AS b FROM (SELECT *, CAST({ne} AS BIGINT) AS ne FROM {counts}{f' JOIN {sizes} USING (jk)' if sizes else ''}))")
+    if distinct == "resample":
+        ctes.append("d AS (SELECT *, b * 2 > ne AS is_full, unnest(range(1, CASE WHEN b * 2 > ne THEN ne ELSE 4 * b + 16 END + 1)) AS draw FROM st)")
+    else:
+        ctes.append("d AS (SELECT *, b >= ne AS is_full, unnest(range(1, b + 1)) AS draw FROM st)")
     pos, below = [], "1"
     for i in range(1, n + 1):
         pos.append(f"1 + CASE WHEN is_full THEN ((draw - 1) // ({below})) % n_{i} ELSE {_hash(key, 'draw', str(i), '42')} % n_{i} END AS pos_{i}")
         below += f" * n_{i}"
     ctes.append(f"e AS (SELECT jk, draw, {', '.join(pos)} FROM d)")
     src = "e"
-    if distinct:
+    if distinct == "resample":
+        every = ", ".join(f"pos_{i}" for i in range(1, n + 1))
+        ctes.append(f"u0 AS (SELECT jk, min(draw) AS draw, {every} FROM e GROUP BY jk, {every})")
+        ctes.append(f"u AS (SELECT * FROM (SELECT u0.*, b, row_number() OVER (PARTITION BY jk ORDER BY CASE WHEN b * 2 > ne THEN {_hash(key, 'draw', '0', '42')} ELSE 0 END, draw) AS r FROM u0 JOIN st USING (jk)) WHERE r <= b)")
+        src = "u"
+    elif distinct:
         ctes.append(f"u AS (SELECT jk, min(draw) AS draw, {', '.join(f'pos_{i}' for i in range(1, n + 1))} FROM e GROUP BY jk, {', '.join(f'pos_{i}' for i in range(1, n + 1))})")
         src = "u"
     ctes.append(f"j AS (SELECT {src}.jk, {src}.draw, {extra}{value} AS v FROM {src} " + " ".join(f"JOIN s{i} ON s{i}.jk = {src}.jk AND s{i}.pos_{i} = {src}.pos_{i}" for i in range(1, n + 1)) + ")")
-    ctes.append("p AS (SELECT q.*, CAST(st.ne AS DOUBLE) AS ne, CAST(st.b AS DOUBLE) AS b, st.b >= st.ne AS is_full FROM (SELECT jk, count(*) AS n, CAST(sum(v) AS DOUBLE) AS s1, CAST(sum(v * v) AS DOUBLE) AS s2 FROM j GROUP BY jk) q JOIN st USING (jk))")
+    ctes.append("p AS (SELECT q.*, CAST(st.ne AS DOUBLE) AS ne, CAST(st.b AS DOUBLE) AS b, st.b >= st.ne AS is_full FROM (SELECT jk, count(*) AS n, count(v) AS m, CAST(sum(v) AS DOUBLE) AS s1, CAST(sum(v * v) AS DOUBLE) AS s2, sum(pow(CAST(v AS DOUBLE), 3)) AS s3, sum(pow(CAST(v AS DOUBLE), 4)) AS s4 FROM j GROUP BY jk) q JOIN st USING (jk))")
     return "WITH " + ",\n".join(ctes)
 
 
@@ -71,11 +84,30 @@ def _final(total: str, bound: str, dof: str, n: str, ne: str, mode: str, digits:
     return f"SELECT {groups}round({total}, {digits}) AS estimate, round({bound}, {digits}) AS error_bound, round({total} - {bound}, {digits}) AS lower, round({total} + {bound}, {digits}) AS upper, CAST({dof} AS BIGINT) AS dof, CAST({n} AS BIGINT) AS sampled_edges, CAST({ne} AS BIGINT) AS total_edges, '{mode}' AS mode FROM {src}"
 
 
-def _clt_sql(sides, value, s, variance="with_replacement", divide=False, digits=2) -> str:
+def _clt_sql(sides, value, s, variance="with_replacement", divide=False, digits=2, **how) -> str:
     factor = "ne * ne" if variance == "with_replacement" else "ne * (ne - b)"
     agg = f"a AS (SELECT sum(ne / b * s1) AS total, sum(CASE WHEN is_full THEN 0.0 ELSE {factor} * r2 / b END) AS var, sum(CASE WHEN is_full THEN 0.0 ELSE b - 1 END) AS dof, sum(ne) AS ne, sum(b) AS b FROM r)"
     by = " / ne" if divide else ""
-    return f"{_replay(sides, value, s)},\n{_POOL},\n{agg}\n" + _final(f"(total{by})", f"({t_sql(CONF, 'dof')} * sqrt(var){by})", "dof", "b", "ne", f"clt_{variance}", digits)
+    return f"{_replay(sides, value, s, **how)},\n{_POOL},\n{agg}\n" + _final(f"(total{by})", f"({t_sql(CONF, 'dof')} * sqrt(var){by})", "dof", "b", "ne", f"clt_{variance}", digits)
+
+
+def _domain_sql(sides, value, s, agg, groups="", ht=False, digits=2, **how) -> str:
+    """COUNT, SUM, AVG or STDEV by group over values that may be null, written out from the single draws: residuals are formed draw by draw, zeros included. Strata of one draw, which are full, have no variance."""
+    g = f"{groups}, " if groups else ""
+    same = f"o.{groups} IS NOT DISTINCT FROM c.{groups}" if groups else "TRUE"
+    x = {"sum": "coalesce(CAST(v AS DOUBLE), 0.0)", "count": "CASE WHEN v IS NULL THEN 0.0 ELSE 1.0 END", "avg": "CASE WHEN v IS NULL THEN 0.0 ELSE CAST(v AS DOUBLE) - mu END", "stdev": "CASE WHEN v IS NULL THEN 0.0 ELSE pow(CAST(v AS DOUBLE) - mu, 2) - var0 END"}[agg]
+    w = "CASE WHEN st.b >= st.ne THEN 1.0 ELSE 1 / (1 - pow(1 - 1.0 / st.ne, st.b)) END" if ht == "draws" else "CAST(st.ne AS DOUBLE) / st.b"
+    src = f"""{_replay(sides, value, s, extra=f"{groups} AS {groups}, " if groups else "", **how)},
+o AS (SELECT j.*, CAST(st.ne AS DOUBLE) AS ne, CAST(st.b AS DOUBLE) AS b, st.b >= st.ne AS is_full, {w} AS w FROM j JOIN st USING (jk)),
+nn AS (SELECT jk, CAST(count(*) AS DOUBLE) AS nn FROM j GROUP BY jk),
+c AS (SELECT {g}sum(CASE WHEN v IS NULL THEN 0 ELSE w END) AS t0, sum(w * coalesce(CAST(v AS DOUBLE), 0.0)) AS t1, t1 / nullif(t0, 0) AS mu, greatest(sum(w * coalesce(pow(CAST(v AS DOUBLE), 2), 0.0)) / nullif(t0, 0) - mu * mu, 0.0) AS var0 FROM o {f'GROUP BY {groups}' if groups else ''}),
+x AS (SELECT {f'o.{groups}, ' if groups else ''}o.jk, any_value(o.ne) AS ne, any_value(o.b) AS b, any_value(o.is_full) AS is_full, count(*) AS n, sum({x}) AS x1, sum(pow({x}, 2)) AS x2 FROM o JOIN c ON {same} GROUP BY {f'o.{groups}, ' if groups else ''}o.jk),
+a AS (SELECT {g}sum(CASE WHEN is_full OR nn <= 1 THEN 0.0 ELSE {'ne * (ne - nn)' if ht else 'ne * ne'} / nn * greatest(0.0, (x2 - x1 * x1 / nn) / (nn - 1)) END) AS var, sum({'nn' if ht else 'CASE WHEN is_full THEN 0.0 ELSE b - 1 END'}) {'- 1' if ht else ''} AS dof, sum(ne) AS ne, sum(n) AS n FROM x JOIN nn USING (jk) {f'GROUP BY {groups}' if groups else ''}),
+o2 AS (SELECT {'a.*' }, c.t0, c.t1, c.mu, sqrt(c.var0) AS sd FROM a JOIN c ON {'a.' + groups + ' IS NOT DISTINCT FROM c.' + groups if groups else 'TRUE'})
+"""
+    total = {"sum": "t1", "count": "t0", "avg": "mu", "stdev": "sd"}[agg]
+    by = {"sum": "", "count": "", "avg": " / t0", "stdev": " / (2 * t0 * sd)"}[agg]
+    return src + _final(total, f"({t_sql(CONF, 'dof')} * sqrt(var){by})", "dof", "n", "ne", "ht_item" if ht else "clt_with_replacement", digits, groups=g, src="o2")
 
 
 def _ht_sql(sides, value, s, level, distinct=False, digits=2) -> str:
@@ -210,26 +242,52 @@ def _loss_sql() -> str:
     return f"SELECT CAST(s AS DOUBLE) AS s, round(est, 1) AS estimate, sampled_edges, round(x.total, 1) AS exact, round((est - x.total) / x.total, 8) AS loss FROM ({' UNION ALL '.join(parts)}), ({exact}) x"
 
 
-def _quality(layout: str, merge: str = "sharded"):
-    """Booleans on a filter: no row that joins is lost; most others go."""
+def _business(spark, sf_dir):
+    """Customers of one segment and their urgent orders: neither side's cut is on the key."""
+    c = load(spark, sf_dir, "customer").where("c_mktsegment = 'BUILDING'")
+    o = load(spark, sf_dir, "orders").where("o_orderpriority = '1-URGENT'")
+    return [JoinInput(c, ["c_custkey"], ["c_acctbal"], "customer"), JoinInput(o, ["o_custkey"], ["o_orderkey"], "orders")]
+
+
+_KEYS = ("SELECT c_custkey AS jk FROM customer WHERE c_mktsegment = 'BUILDING'", "SELECT o_custkey AS jk FROM orders WHERE o_orderpriority = '1-URGENT'")
+_KEPT = FilterParams(1 << 13, 4, family="portable")
+
+
+def _quality(layout: str, merge: str = "fused"):
+    """(side, all rows, rows kept, rows that join and were lost) for a filter whose hashes other engines can repeat."""
 
     def q(spark, sf_dir):
-        inputs, _ = W.flows(spark, sf_dir, low=True)
-        p = FilterParams(1 << 14, 4, layout=layout)
+        inputs = _business(spark, sf_dir)
         keyed = [i.keyed() for i in inputs]
-        kept = prefilter(inputs, p, merge).dfs
-        from .operators.filtering import participating
-
+        kept = prefilter(inputs, FilterParams(_KEPT.m_bits, _KEPT.h, layout=layout, family="portable"), merge).dfs
         out = None
-        for k, f, t in zip(keyed, kept, participating(inputs), strict=True):
-            row = t.join(f, t.columns, "left_anti").agg(F.count("*").alias("lost")).crossJoin(f.agg(F.count("*").alias("kept"))).crossJoin(k.agg(F.count("*").alias("n_all"))).crossJoin(t.agg(F.count("*").alias("joining")))
+        for i, (k, f, t) in enumerate(zip(keyed, kept, participating(inputs), strict=True), 1):
+            rows = k.select(F.lit("a").alias("w"), "jk").unionAll(f.select(F.lit("k"), "jk")).unionAll(t.select(F.lit("j"), "jk")).unionAll(f.join(t.select("jk").distinct(), "jk", "left_semi").select(F.lit("f"), "jk"))
+            n = lambda w: F.count(F.when(F.col("w") == w, 1))
+            row = rows.agg(F.lit(i).alias("side"), n("a").alias("all_rows"), n("k").alias("kept_rows"), (n("j") - n("f")).alias("lost_rows"))
             out = row if out is None else out.unionAll(row)
-        return out.agg(F.sum("lost").cast("bigint").alias("lost_rows"), (F.sum("kept") - F.sum("joining") <= 0.05 * (F.sum("n_all") - F.sum("joining"))).alias("few_false_positives"))
+        return out
 
     return q
 
 
-_QUALITY_SQL = "SELECT CAST(0 AS BIGINT) AS lost_rows, TRUE AS few_false_positives"
+def _quality_sql(layout: str) -> str:
+    words, h = _KEPT.words, _KEPT.h
+    one = (lambda x: (f"{_hash('jk', '0', '42')} % {words}", f"{_hash('jk', x, '42')} % 64")) if layout == "word" else (lambda x: ("0", f"{_hash('jk', x, '42')} % {words * 64}"))
+    bits = [f"k{i} AS (SELECT jk, {one('x')[0]} AS slot, {one('x')[1]} AS bit FROM (SELECT DISTINCT jk FROM ({sql})), range(1, {h + 1}) r(x))" for i, sql in enumerate(_KEYS, 1)]
+    both = "f AS (SELECT slot, bit FROM k1 INTERSECT SELECT slot, bit FROM k2)"
+    passed = [f"p{i} AS (SELECT jk FROM k{i} LEFT JOIN f USING (slot, bit) GROUP BY jk HAVING bool_and(f.slot IS NOT NULL))".replace("f.slot IS NOT NULL", "f.bit IS NOT NULL") for i in (1, 2)]
+    rows = [f"SELECT {i} AS side, CAST(count(*) AS BIGINT) AS all_rows, CAST(count(*) FILTER (WHERE jk IN (SELECT jk FROM p{i})) AS BIGINT) AS kept_rows, CAST(count(*) FILTER (WHERE jk IN ({_KEYS[2 - i]}) AND jk NOT IN (SELECT jk FROM p{i})) AS BIGINT) AS lost_rows FROM ({_KEYS[i - 1]})" for i in (1, 2)]
+    return f"WITH {', '.join([*bits, both, *passed])} " + " UNION ALL ".join(rows)
+
+
+def _false_positives(spark, sf_dir):
+    """(other, within): rows of orders beside the segment's customers' that the sized filter lets through, held against 1.2 times the target of 0.01."""
+    inputs = _business(spark, sf_dir)
+    q = filter_quality(inputs[1].keyed(), prefilter(inputs, fp=0.01).dfs[1], [inputs[0].keyed()])
+    return q.select(F.col("non_joining").alias("other"), "false_negatives", (F.col("rate") <= 1.2 * 0.01 + 3 * F.sqrt(F.lit(0.01) / F.col("non_joining"))).alias("within"))
+
+
 _BITS = FilterParams(1 << 12, 4, family="portable")
 
 
@@ -237,7 +295,7 @@ def _bits_replay(layout):
     p = FilterParams(_BITS.m_bits, _BITS.h, layout=layout, family="portable")
 
     def q(spark, sf_dir):
-        inputs, _ = W.flows(spark, sf_dir, low=True)
+        inputs, _ = W.flows(spark, sf_dir)
         tables = [bloom.build_filter(i.keyed(), p) for i in inputs]
         return bloom.intersect(tables).select("slot", F.bit_count("mask").cast("bigint").alias("bits"))
 
@@ -246,10 +304,9 @@ def _bits_replay(layout):
 
 def _bits_sql(layout) -> str:
     words, h = _BITS.words, _BITS.h
-    cuts = {"click": "user_id < 60", "purchase": "user_id BETWEEN 50 AND 110", "error": "user_id >= 55"}
     sides = []
-    for i, (k, c) in enumerate(cuts.items()):
-        keys = f"SELECT DISTINCT user_id AS jk FROM events WHERE event_type = '{k}' AND {c}"
+    for i, k in enumerate(("click", "purchase", "error")):
+        keys = f"SELECT DISTINCT user_id AS jk FROM events WHERE event_type = '{k}'"
         if layout == "word":
             sides.append(f"SELECT DISTINCT {i} AS side, {_hash('jk', '0', '42')} % {words} AS slot, {_hash('jk', 'x', '42')} % 64 AS bit FROM ({keys}), range(1, {h + 1}) r(x)")
         else:
@@ -276,20 +333,20 @@ def _within(make, s=0.1, seeds=(1, 2, 3, 4, 5), **options):
         for seed in seeds:
             r = engine.estimate(keyed, strata, value, seed=seed, confidence=0.999, **options).select("estimate", "error_bound")
             runs = r if runs is None else runs.unionAll(r)
-        return runs.crossJoin(truth).agg(F.count("*").alias("n_runs"), (F.sum(F.when(F.abs(F.col("estimate") - F.col("exact")) <= F.col("error_bound") + 1e-6, 1).otherwise(0)) >= len(seeds) - 1).alias("covered"))
+        return runs.crossJoin(truth).agg(F.count("*").alias("n_runs"), F.round(F.first("exact"), 2).alias("exact"), (F.sum(F.when(F.abs(F.col("estimate") - F.col("exact")) <= F.col("error_bound") + 1e-6, 1).otherwise(0)) >= len(seeds) - 1).alias("covered"))
 
     return q
 
 
 def _within_sql(n=5) -> str:
-    return f"SELECT CAST({n} AS BIGINT) AS n_runs, TRUE AS covered"
+    return f"SELECT CAST({n} AS BIGINT) AS n_runs, total AS exact, TRUE AS covered FROM ({_exact_sql(CO, CO_V)})"
 
 
 def _budget_sql(spark, sf_dir):
     for t in ("customer", "orders"):
         load(spark, sf_dir, t).createOrReplaceTempView(t)
     text = "SELECT SUM(o_totalprice + c_acctbal) FROM customer, orders WHERE customer.c_custkey = orders.o_custkey AND o_orderpriority = '1-URGENT' WITHIN 3600 SECONDS OR ERROR 0.01 CONFIDENCE 95%"
-    return sqlfront.sql(spark, text, params=W.PARAMS).select(F.round("estimate", 0).alias("estimate"), "error_bound", "mode")
+    return sqlfront.sql(spark, text).select(F.round("estimate", 0).alias("estimate"), "error_bound", "mode")
 
 
 def _prejoin(spark, sf_dir):
@@ -398,7 +455,7 @@ def _cascade(spark, sf_dir):
     li = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", W.money("l_extendedprice").alias("price"))
     first = JoinInput(c, ["c_custkey"], ["c_acctbal"])
     second = JoinInput(li, ["l_orderkey"], ["price", "l_linenumber", "l_partkey"])
-    return _rounded(engine.cascade(first, o, ("o_custkey", "o_orderkey"), second, F.col("price"), [], 0.3, family="portable", params=W.PARAMS))
+    return _rounded(engine.cascade(first, o, ("o_custkey", "o_orderkey"), second, F.col("price"), [], 0.3, family="portable"))
 
 
 CASCADE = [
@@ -418,7 +475,7 @@ def _hash_check(spark, sf_dir):
 def _ratings(pair):
     def q(spark, sf_dir):
         inputs = W.ratings(spark, sf_dir, pair)
-        return engine.exact_join(prefilter(inputs, W.PARAMS).dfs).agg(F.count("*").alias("n_rows"))
+        return engine.exact_join(prefilter(inputs).dfs).agg(F.count("*").alias("n_rows"))
 
     return q
 
@@ -456,14 +513,14 @@ ENGINE: dict[str, tuple] = {
     "co_clt_sum": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.3)), _clt_sql(CO, CO_V, 0.3)),
     "co_clt_sum_published": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.6, variance="published")), _clt_sql(CO, CO_V, 0.6, "published")),
     "co_clt_avg": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.3, agg="avg"), 4), _clt_sql(CO, CO_V, 0.3, divide=True, digits=4)),
-    "co_clt_stdev": (lambda s, d: _stdev(s, d), "SELECT TRUE AS close, TRUE AS has_bound"),
+    "co_clt_stdev": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.5, agg="stdev"), 1), _domain_sql(CO, CO_V, 0.5, "stdev", digits=1)),
     "co_count": (lambda s, d: _sampled(*_co(s, d), 0.3, agg="count").select("estimate", "error_bound"), f"SELECT CAST(n_rows AS DOUBLE) AS estimate, 0.0::DOUBLE AS error_bound FROM ({_exact_sql(CO, CO_V)})"),
     "co_ht_item": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.3, estimator="ht")), _ht_sql(CO, CO_V, 0.3, "item")),
     "co_ht_stratum": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.3, estimator="ht", level="stratum")), _ht_sql(CO, CO_V, 0.3, "stratum")),
     "co_ht_distinct_draws": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.5, dedupe="distinct", estimator="ht")), _ht_sql(CO, CO_V, 0.5, "item", distinct=True)),
-    "co_resample_within": (_within(_co, 0.3, dedupe="resample"), _within_sql()),
-    "co_array_within": (_within(_co, 0.3, strategy="array", seeds=(1, 2)), _within_sql(2)),
-    "co_salted_within": (_within(_co, 0.3, salts=8, seeds=(1, 2)), _within_sql(2)),
+    "co_resample": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.4, dedupe="resample")), _clt_sql(CO, CO_V, 0.4, "without_replacement", distinct="resample")),
+    "co_array": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.3, strategy="array")), _clt_sql(CO, CO_V, 0.3)),
+    "co_salted": (lambda s, d: _rounded(_sampled(*_co(s, d), 0.3, salts=8)), _clt_sql([(sql, f"{_hash(*order.replace(' NULLS FIRST', '').split(', '), '3')} % 8, {order}") for sql, order in CO], CO_V, 0.3)),
     "co_grouped_within": (_within(_co, 0.3, strategy="grouped", seeds=(1, 2)), _within_sql(2)),
     "co_exact_sum": (lambda s, d: W.exact_value(*_co(s, d)), _exact_sql(CO, CO_V)),
     "co_filtered_sum": (_join_total(_co, "filter_only"), _exact_sql(CO, CO_V)),
@@ -507,11 +564,13 @@ ENGINE: dict[str, tuple] = {
     "nation_join": (lambda s, d: W.exact_value(*W.nations(s, d)), _exact_sql(NAT, "c_acctbal + s_acctbal")),
     "nation_clt_sum": (lambda s, d: _rounded(_sampled(*W.nations(s, d), 0.1)), _clt_sql(NAT, "c_acctbal + s_acctbal", 0.1)),
     "shuffle_model": (W.shuffle_simulation, _simulation_sql()),
-    "filter_no_false_neg": (_quality("word"), _QUALITY_SQL),
-    "filter_classic": (_quality("classic"), _QUALITY_SQL),
-    "filter_counting": (_quality("counting"), _QUALITY_SQL),
-    "filter_tree_merge": (_quality("word", "tree"), _QUALITY_SQL),
-    "filter_driver_merge": (_quality("word", "driver"), _QUALITY_SQL),
+    "filter_no_false_neg": (_quality("word"), _quality_sql("word")),
+    "filter_sharded_merge": (_quality("word", "sharded"), _quality_sql("word")),
+    "filter_classic": (_quality("classic"), _quality_sql("classic")),
+    "filter_counting": (_quality("counting"), _quality_sql("classic")),
+    "filter_tree_merge": (_quality("word", "tree"), _quality_sql("word")),
+    "filter_driver_merge": (_quality("word", "driver"), _quality_sql("word")),
+    "filter_false_positives": (_false_positives, f"SELECT CAST(count(*) AS BIGINT) AS other, CAST(0 AS BIGINT) AS false_negatives, TRUE AS within FROM ({_KEYS[1]}) WHERE jk NOT IN ({_KEYS[0]})"),
     "filter_bits_replay": (_bits_replay("word"), _bits_sql("word")),
     "filter_classic_replay": (_bits_replay("classic"), _bits_sql("classic")),
     "filter_cardinality": (_cardinality, "SELECT CAST(count(DISTINCT o_custkey) AS BIGINT) AS n_keys, TRUE AS within_5_percent FROM orders"),
@@ -523,13 +582,6 @@ ENGINE: dict[str, tuple] = {
 }
 
 
-def _stdev(spark: SparkSession, sf_dir: str) -> DataFrame:
-    inputs, value = _co(spark, sf_dir)
-    truth = engine.exact([i.keyed() for i in inputs], value, "stdev").select(F.col("estimate").alias("exact"))
-    est = _sampled(inputs, value, 0.5, agg="stdev").select("estimate", "error_bound")
-    return est.crossJoin(truth).select((F.abs(F.col("estimate") - F.col("exact")) <= 3 * F.col("error_bound")).alias("close"), (F.col("error_bound") > 0).alias("has_bound"))
-
-
 QUERIES = {k: q for k, (q, _) in ENGINE.items()} | RELATIONAL
 SQL = {k: s for k, (_, s) in ENGINE.items() if s} | RELATIONAL_SQL
 FLAGSHIP = "co_clt_sum"

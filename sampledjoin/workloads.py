@@ -13,11 +13,9 @@ from .plans import budget as P
 from .plans.engine import estimate, exact, exact_join
 from .plans.measures import shuffle_model
 from .sources.datagen import dial
-from .sources.io import load
+from .sources.io import load, stored
 
 MONEY = "decimal(18,2)"
-#: Filters of the workloads: so many bits at most for each row that the smallest scale has.
-PARAMS = FilterParams(1 << 20, 6)
 
 
 def money(c: str) -> Column:
@@ -42,22 +40,35 @@ def flows(spark: SparkSession, sf_dir: str, low: bool = False) -> tuple[list[Joi
     return out, F.col("v1") + F.col("v2") + F.col("v3")
 
 
-def by_flag(spark: SparkSession, sf_dir: str, flags: str = "RA", key: str = "l_partkey", p: int = 100) -> tuple[list[JoinInput], Column]:
-    """Lineitem split by return flag, its overlap dialled by p."""
+_TABLES: dict[tuple, DataFrame] = {}
+
+
+def as_table(df: DataFrame, *name: object) -> DataFrame:
+    """``df`` written once for each application. The dial is a condition on the join key: as a plan, the optimizer would infer each input's dial for the others, and the baselines would filter too."""
+    key = (df.sparkSession.sparkContext.applicationId, *name)
+    if key not in _TABLES:
+        _TABLES[key] = stored(df, "dialled")
+    return _TABLES[key]
+
+
+def by_flag(spark: SparkSession, sf_dir: str, flags: str = "RA", key: str = "l_partkey", p: int = 100, tables: bool = False) -> tuple[list[JoinInput], Column]:
+    """Lineitem split by return flag, its overlap dialled by p; ``tables``: the dialled inputs as tables, for comparing methods."""
     li = load(spark, sf_dir, "lineitem")
     out = []
     for i, f in enumerate(flags):
         own = dial(li.where(F.col("l_returnflag") == f), key, i, len(flags), p)
+        own = as_table(own, sf_dir, flags, key, p, i) if tables else own
         out.append(JoinInput(own.select(key, F.col("l_orderkey").alias(f"o{i + 1}"), F.col("l_linenumber").alias(f"l{i + 1}"), money("l_extendedprice").alias(f"v{i + 1}")), [key], [f"v{i + 1}", f"o{i + 1}", f"l{i + 1}"], f"lineitem_{f}"))
     return out, sum((F.col(f"v{i + 1}") for i in range(1, len(flags))), F.col("v1"))
 
 
-def by_line(spark: SparkSession, sf_dir: str, n: int = 4, p: int = 100) -> tuple[list[JoinInput], Column]:
-    """Lineitem split by line number."""
+def by_line(spark: SparkSession, sf_dir: str, n: int = 4, p: int = 100, tables: bool = False) -> tuple[list[JoinInput], Column]:
+    """Lineitem split by line number; ``tables`` as of ``by_flag``."""
     li = load(spark, sf_dir, "lineitem")
     out = []
     for i in range(n):
         own = dial(li.where(F.col("l_linenumber") == i + 1), "l_partkey", i, n, p)
+        own = as_table(own, sf_dir, "line", n, p, i) if tables else own
         out.append(JoinInput(own.select("l_partkey", F.col("l_orderkey").alias(f"o{i + 1}"), money("l_extendedprice").alias(f"v{i + 1}")), ["l_partkey"], [f"v{i + 1}", f"o{i + 1}"], f"line{i + 1}"))
     return out, sum((F.col(f"v{i + 1}") for i in range(1, n)), F.col("v1"))
 
@@ -91,13 +102,29 @@ def tpch(spark: SparkSession, sf_dir: str, which: str) -> DataFrame:
     return j.agg(F.count("*").alias("n_rows"), F.round(F.sum("price").cast("double"), 2).alias("price"))
 
 
-def run(inputs: list[JoinInput], value: Column, method: str, fraction: float = 0.1, seed: int = 42, ids: list[list[str]] | None = None, params: FilterParams = PARAMS, confidence: float = 0.95) -> DataFrame:
+def tpch_filtered(spark: SparkSession, sf_dir: str, which: str) -> DataFrame:
+    """W10 to W12 with the filtering stage: orders pass the customers' and the lines' filters, lines the orders' that are left. The answers are those of ``tpch``."""
+    c, o, li, n = (load(spark, sf_dir, t) for t in ("customer", "orders", "lineitem", "nation"))
+    lines = JoinInput(li.select("l_orderkey", money("l_extendedprice").alias("price")), ["l_orderkey"], ["price"], "lineitem")
+    if which != "q4":
+        both = prefilter([JoinInput(c, ["c_custkey"], ["c_nationkey"], "customer"), JoinInput(o, ["o_custkey"], ["o_orderkey"], "orders")]).dfs
+        o = exact_join([both[1], both[0]]).drop("jk")
+    orders = JoinInput(o, ["o_orderkey"], ["c_nationkey"] if which != "q4" else [], "orders")
+    joined = exact_join(prefilter([orders, lines]).dfs)
+    if which == "q4":
+        return joined.agg(F.count("*").alias("n_rows"), F.countDistinct("jk").alias("n_orders"))
+    if which == "q10":
+        joined = joined.join(F.broadcast(n.select("n_nationkey", "n_name")), F.col("c_nationkey") == F.col("n_nationkey"))
+    return joined.agg(F.count("*").alias("n_rows"), F.round(F.sum("price").cast("double"), 2).alias("price"))
+
+
+def run(inputs: list[JoinInput], value: Column, method: str, fraction: float = 0.1, seed: int = 42, ids: list[list[str]] | None = None, params: FilterParams | None = None, confidence: float = 0.95, family: str = "xx") -> DataFrame:
     """(estimate, sampled_edges) of a workload by a method: during, filter_only, native, repartition, broadcast, postjoin, prejoin, prejoin_stratified, hybrid."""
     keyed = [i.keyed() for i in inputs]
     flat = [c for k in keyed for c in k.columns if c != "jk"]
     if method == "during":
         kept = prefilter(inputs, params).dfs
-        return estimate(kept, P.allocate(count_strata(kept), fraction), value, seed=seed, confidence=confidence)
+        return estimate(kept, P.allocate(count_strata(kept), fraction), value, seed=seed, confidence=confidence, family=family)
     if method == "filter_only":
         return exact(prefilter(inputs, params).dfs, value)
     if method in ("native", "repartition", "broadcast", "union"):
@@ -108,7 +135,7 @@ def run(inputs: list[JoinInput], value: Column, method: str, fraction: float = 0
     if method == "prejoin":
         return BL.prejoin_sum(keyed, fraction, value, ids or [[c for c in k.columns if c != "jk"] for k in keyed], seed)
     if method == "prejoin_stratified":
-        return BL.prejoin_stratified(keyed, fraction, value, seed)
+        return BL.prejoin_stratified(keyed, fraction, value, seed, family)
     if method == "hybrid":
         return BL.hybrid_postjoin(keyed, fraction, value, flat, seed)
     raise ValueError(method)
