@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import gc
 import os
 import re
 import tempfile
@@ -73,6 +74,7 @@ def broadcasted(spark: SparkSession, value: object) -> Iterator[Broadcast]:
         yield shared
     finally:
         shared.unpersist()
+        trim()
 
 
 def sliced(batches: Iterable[pa.RecordBatch], most: int = 512) -> Iterator[pa.RecordBatch]:
@@ -80,11 +82,23 @@ def sliced(batches: Iterable[pa.RecordBatch], most: int = 512) -> Iterator[pa.Re
     for b in batches:
         for lo in range(0, b.num_rows, most):
             yield b.slice(lo, most)
+    trim()
+
+
+def trim() -> None:
+    """Gives freed memory of this process back."""
     pa.default_memory_pool().release_unused()
     with suppress(OSError, AttributeError):
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def release(spark: SparkSession) -> None:
+    """After a step of many jobs: what nothing refers to any more is collected on the driver, upon which Spark drops its broadcasts and shuffle files on the executors."""
+    gc.collect()
+    trim()
+    spark.sparkContext._jvm.System.gc()
+
+
 #: Odd multipliers of the hashes; fixed values.
 BASE = 0x9E3779B97F4A7C15
 MULTIPLIERS = (0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F, 0xE7037ED1A0B428DB)

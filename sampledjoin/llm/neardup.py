@@ -8,7 +8,7 @@ it bounds a pair's similarity from both sides; where the bounds leave the verdic
 Equal weighted sets are one class at once (one row for each reaches the banding). Rows that share a band meet in cells of bounded size: a band of
 more rows is dealt in blocks, each two of which are a cell.
 In a cell all samples are compared, but pairs are not handed out: first each row names its likeliest partners, which are verified and joined to
-components, twice; then rows that still have a likely partner in another component get a finer sketch, and only
+components; then rows that still have a likely partner in another component get a finer sketch, and only
 the pairs that are alike by it are verified, all of them. So a group of copies costs a few pairs for each row, and a group of rows that are alike but not alike enough is sifted by samples.
 
 Defined cases: texts without a word (null, empty) and rows with a null doc_id are in no group: class_id is the own doc_id;
@@ -19,13 +19,14 @@ empty result; other columns are ignored.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterable, Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import broadcasted, counted, discard, materialise, mix, shingle_blocks, ship, sliced, small
+from .common import broadcasted, counted, discard, materialise, mix, release, shingle_blocks, ship, sliced, small
 
 #: Counters, and those of one piece of the table; steps of a counter's logarithm that a doubling has.
 TABLE_BITS, PIECE_BITS, STEPS = 24, 14, 4
@@ -34,10 +35,10 @@ THRESHOLD = 0.8
 #: Pairs whose samples agree this many standard deviations less than those of a pair at the threshold are left out.
 DEVIATIONS = 4.5
 VARIATE_BITS, WEIGHT_STEPS = 14, 112
-#: Rows of a band that meet in one cell, or in each block of a larger one; rounds of likeliest partners.
-CELL, ROUNDS = 4096, 2
+#: Rows of a band that meet in one cell, or in each block of a larger one.
+CELL = 4096
 #: Shingles that a task holds before it hands their counts on; bits of the filter of wanted shingles, and those that a shingle sets.
-HELD, WANTED_BITS, WANTED_HASHES = 1 << 20, 27, 3
+HELD, WANTED_BITS, WANTED_HASHES = 1 << 20, 26, 3
 #: Ids are broadcast only up to so many rows.
 BROADCAST_IDS = 1_000_000
 
@@ -59,8 +60,8 @@ class Frequencies:
         return self.idf.take(self.code(h))
 
 
-def pieces(rows: DataFrame, size: int, add: Callable[[np.ndarray, bytes], None], finish: Callable[[np.ndarray], bytes]) -> dict[int, bytes]:
-    """Folds ``rows`` (piece, blob) by piece, one at a time in each task, and brings the few pieces to the driver."""
+def pieces(rows: DataFrame, size: int, add: Callable[[np.ndarray, bytes], None], finish: Callable[[np.ndarray], bytes]) -> Iterator[tuple[int, np.ndarray]]:
+    """Folds ``rows`` (piece, blob) by piece, one at a time in each task, and brings the few pieces to the driver, as bytes."""
 
     def folded(batches):
         at, held = None, np.zeros(size, np.int64)
@@ -76,7 +77,9 @@ def pieces(rows: DataFrame, size: int, add: Callable[[np.ndarray, bytes], None],
             yield out()
 
     found = rows.repartition("piece").sortWithinPartitions("piece").mapInArrow(folded, "piece int, blob binary").toArrow()
-    return dict(zip(found.column(0).to_pylist(), found.column(1).to_pylist(), strict=True))
+    for batch in found.to_batches():
+        for k in range(batch.num_rows):
+            yield batch.column(0)[k].as_py(), np.frombuffer(batch.column(1)[k].as_buffer(), np.uint8)
 
 
 def document_frequencies(docs: DataFrame) -> Frequencies:
@@ -116,8 +119,8 @@ def document_frequencies(docs: DataFrame) -> Frequencies:
     rows = materialise(docs.select("text").mapInArrow(counts, "piece int, blob binary, n bigint"), "slots")
     n = rows.agg(F.sum("n")).first()[0] or 0
     codes = np.zeros(1 << TABLE_BITS, np.uint8)
-    for k, blob in pieces(rows.where("piece is not null").select("piece", "blob"), low, add, coded).items():
-        codes[k * low : (k + 1) * low] = np.frombuffer(blob, np.uint8)
+    for k, blob in pieces(rows.where("piece is not null").select("piece", "blob"), low, add, coded):
+        codes[k * low : (k + 1) * low] = blob
     discard(rows)
     return Frequencies(int(n), codes)
 
@@ -155,6 +158,12 @@ class Sampler:
         return out
 
 
+@cache
+def sampler_of(n_samples: int, seed: int) -> Sampler:
+    """One for each worker: its table is made once."""
+    return Sampler(n_samples, seed)
+
+
 def banded(samples: np.ndarray) -> np.ndarray:
     """BANDS hashes for each text; the band's number is part of the hash."""
     rows = SAMPLES // BANDS
@@ -179,7 +188,7 @@ def sketches(docs: DataFrame, frequencies) -> DataFrame:
     """(doc_id, f1, f2, weight, size, bands, sig) of each row; f1 and f2 name the weighted set, null without a word; weight is at most the exact one, size the number of shingles; sig has a byte of each sample."""
 
     def made(batches):
-        sampler, table = Sampler(), frequencies.value
+        sampler, table = sampler_of(SAMPLES, 20231), frequencies.value
         for b in sliced(batches):
             n = b.num_rows
             f1, f2, weight, size, there = np.zeros(n, np.uint64), np.zeros(n, np.uint64), np.zeros(n), np.zeros(n), np.zeros(n, bool)
@@ -211,7 +220,7 @@ def fine_sketches(docs: DataFrame, frequencies) -> DataFrame:
     """(doc_id, sig): FINE samples of each row that has words, a byte each."""
 
     def made(batches):
-        sampler, table = Sampler(FINE, seed=20232), frequencies.value
+        sampler, table = sampler_of(FINE, 20232), frequencies.value
         for b in sliced(batches):
             for a, _, h, d in shingle_blocks(b.column(1).to_pylist()):
                 with np.errstate(over="ignore"):
@@ -275,8 +284,8 @@ class Wanted:
             held |= np.frombuffer(blob, np.uint8)
 
         out = np.zeros(size, np.uint8)
-        for k, blob in pieces(shingles.mapInArrow(marked, "piece int, blob binary"), low, add, lambda held: held.astype(np.uint8).tobytes()).items():
-            out[k * low : (k + 1) * low] = np.frombuffer(blob, np.uint8)
+        for k, blob in pieces(shingles.mapInArrow(marked, "piece int, blob binary"), low, add, lambda held: held.astype(np.uint8).tobytes()):
+            out[k * low : (k + 1) * low] = blob
         return Wanted(out)
 
 
@@ -341,7 +350,7 @@ def verified(pairs: DataFrame, docs: DataFrame, frequencies, threshold: float) -
     def of(pairs):
         texts = docs.select(F.col("doc_id").cast("bigint").alias("id"), "text")
         ends = pairs.select(F.col("a").alias("id")).union(pairs.select(F.col("b").alias("id"))).distinct()
-        return texts.join(F.broadcast(ends) if small(ends, BROADCAST_IDS) else ends, "id", "left_semi")
+        return texts.join(F.broadcast(ends) if few else ends, "id", "left_semi")
 
     def joined(pairs, values, names):
         side = lambda x: values.select(F.col("id").alias(x), *(F.col(c).alias(f"{c}_{x}") for c in names))
@@ -385,6 +394,7 @@ def verified(pairs: DataFrame, docs: DataFrame, frequencies, threshold: float) -
             yes = pa.array([similarity(weighted(cols[:3], k), weighted(cols[3:], k), n) >= threshold for k in range(batch.num_rows)], pa.bool_())
             yield pa.RecordBatch.from_arrays([a.filter(yes), b.filter(yes)], names=["a", "b"])
 
+    few = small(pairs, BROADCAST_IDS // 2)
     near = materialise(joined(pairs, of(pairs), ["text"]).mapInArrow(bounded, "a bigint, b bigint, sure boolean"), "bounded")
     links, unsure = near.where("sure").select("a", "b"), near.where("not sure").select("a", "b").distinct()
     if unsure.isEmpty():
@@ -541,6 +551,7 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
         sets = named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
         firsts = materialise(named.join(sets.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"]).dropDuplicates(["f1", "f2"]).select("doc_id", "weight", "size", "bands", "sig"), "firsts")
         links, edges = _links(docs, firsts, shared_ids(named, sets), frequencies, sampled, most_idf, threshold)
+    release(docs.sparkSession)
     members = sketch.select("doc_id", "f1", "f2").join(sets, ["f1", "f2"], "left")
     if edges is None:
         return members.select("doc_id", F.coalesce("rep", "doc_id").alias("class_id"), F.lit(0).cast("bigint").alias("links"))
@@ -573,24 +584,19 @@ def _links(docs: DataFrame, firsts: DataFrame, edges: DataFrame | None, frequenc
         rows = rows.withColumn("component", F.col("doc_id")) if edges is None else rows.join(lowest(edges), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
         return rows.select("cell", "doc_id", "component", "weight", "size", "sig")
 
-    def verify(pairs: DataFrame) -> bool:
+    def verify(pairs: DataFrame) -> None:
         nonlocal tested, links, edges
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        pairs = materialise(pairs, "pairs")
-        tested = pairs if tested is None else tested.union(pairs)
-        found = materialise(verified(pairs, docs, frequencies, threshold), "links")
-        if found.isEmpty():
-            return False
-        links = found if links is None else links.union(found)
-        edges = materialise(star_step(ordered(found) if edges is None else edges.union(ordered(found)).distinct()), "edges")
-        edges = materialise(star_step(edges), "edges")
-        return True
+        pairs = tested = materialise(pairs, "pairs")
+        found = verified(pairs, docs, frequencies, threshold)
+        if not found.isEmpty():
+            links = found if links is None else links.union(found)
+            edges = materialise(star_step(star_step(ordered(found) if edges is None else edges.union(ordered(found)).distinct())), "edges")
 
     coarse = firsts.select("doc_id", "weight", "size", "sig")
-    for _ in range(ROUNDS):
-        if not verify(partners(members(coarse), least_agreeing(sampled, SAMPLES), threshold, most_idf)):
-            break
+    verify(partners(members(coarse), least_agreeing(sampled, SAMPLES), threshold, most_idf))
+    release(docs.sparkSession)
     rest = materialise(undecided(members(coarse), least_agreeing(sampled, SAMPLES), threshold, most_idf), "undecided")
     if not rest.isEmpty():
         some = docs.join(F.broadcast(rest) if small(rest, BROADCAST_IDS) else rest, "doc_id", "left_semi")
