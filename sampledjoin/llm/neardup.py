@@ -411,13 +411,13 @@ def verified(pairs: DataFrame, docs: DataFrame, frequencies, threshold: float) -
 
 
 def star_step(edges: DataFrame) -> DataFrame:
-    """One large and one small star over edges (u, v), v < u: each id comes nearer to the smallest that it is linked with, and none loses its links."""
+    """One large and one small star over edges (u, v), v < u: each id comes nearer to the smallest that it is linked with, and none loses its links. Both halves are written, as each is read several times."""
     sym = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
     low = sym.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    large = sym.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+    large = materialise(sym.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), "edges")
     low = large.groupBy("u").agg(F.min("v").alias("m"))
     star = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
-    return star.distinct()
+    return materialise(star.distinct(), "edges")
 
 
 def ordered(links: DataFrame) -> DataFrame:
@@ -430,13 +430,13 @@ def lowest(edges: DataFrame) -> DataFrame:
     return low.select(F.col("u").alias("doc_id"), "component").union(edges.join(low.select(F.col("u").alias("v")), "v", "left_anti").select(F.col("v").alias("doc_id"), F.col("v").alias("component")).distinct())
 
 
-def settled(edges: DataFrame, tag: str = "components") -> DataFrame:
+def settled(edges: DataFrame) -> DataFrame:
     """(doc_id, component): the smallest id that edges (u, v), v < u, reach; steps go on until all edges form stars."""
     while True:
         ends = edges.select(F.col("u").alias("x"), F.lit(1).alias("up")).union(edges.select(F.col("v").alias("x"), F.lit(0).alias("up")))
         if ends.groupBy("x").agg(F.sum("up").alias("ups"), F.min("up").alias("least")).where("ups > 1 or (ups = 1 and least = 0)").isEmpty():
             return lowest(edges)
-        edges = materialise(star_step(edges), tag)
+        edges = star_step(edges)
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -592,7 +592,7 @@ def _links(docs: DataFrame, firsts: DataFrame, edges: DataFrame | None, frequenc
         found = verified(pairs, docs, frequencies, threshold)
         if not found.isEmpty():
             links = found if links is None else links.union(found)
-            edges = materialise(star_step(star_step(ordered(found) if edges is None else edges.union(ordered(found)).distinct())), "edges")
+            edges = star_step(materialise(ordered(found) if edges is None else edges.union(ordered(found)).distinct(), "edges"))
 
     coarse = firsts.select("doc_id", "weight", "size", "sig")
     verify(partners(members(coarse), least_agreeing(sampled, SAMPLES), threshold, most_idf))
