@@ -1,42 +1,93 @@
-"""Times the headline queries and prints one line of JSON."""
+"""Times the headline queries, method by method, and prints one line of JSON.
+
+queries: seconds by workload and method. shuffle_bytes: what the stages of one run wrote to shuffles. loss: |estimate - exact| / exact.
+coverage: the share of seeds whose 95 % interval holds the exact value. ratios: baseline over ours, seconds and shuffled bytes.
+``python bench.py --cores`` runs the two-way join on 2, 4 and 8 threads instead, each in a session of its own.
+"""
 
 from __future__ import annotations
 
 import json
 import os
+import subprocess
+import sys
 import time
 
 from pyspark.sql import SparkSession
 
 from sampledjoin import workloads as W
-from sampledjoin.plans.measures import timed
+from sampledjoin.operators.strata import count_strata
+from sampledjoin.plans import budget as P
+from sampledjoin.plans import engine
+from sampledjoin.plans.measures import coverage, ratio, shuffle_measured, timed
 
+#: workload: (inputs and value, share of the edges or None, the operator, its baselines)
+WORKLOADS = {
+    "two_way_p1": (lambda s, d: W.by_flag(s, d, "RA", p=1, tables=True), None, "filter_only", ("repartition", "native")),
+    "two_way_p10": (lambda s, d: W.by_flag(s, d, "RA", p=10, tables=True), None, "filter_only", ("repartition", "native")),
+    "three_way_p1": (lambda s, d: W.by_flag(s, d, "RAN", p=1, tables=True), None, "filter_only", ("repartition", "native")),
+    "four_way_p1": (lambda s, d: W.by_line(s, d, 4, 1, tables=True), None, "filter_only", ("repartition", "native")),
+    "parts_s10": (lambda s, d: W.by_flag(s, d, "RA"), 0.1, "during", ("postjoin",)),
+    "suppliers_s10": (lambda s, d: W.by_flag(s, d, "RA", "l_suppkey"), 0.1, "during", ("postjoin", "native")),
+    "suppliers_s1": (lambda s, d: W.by_flag(s, d, "RA", "l_suppkey"), 0.01, "during", ()),
+    "flows_s10": (lambda s, d: W.flows(s, d), 0.1, "during", ("postjoin", "prejoin", "prejoin_stratified", "native")),
+    "orders_s60": (lambda s, d: W.customer_orders(s, d), 0.6, "during", ("hybrid",)),
+}
 
-def main() -> None:
-    cpus, sf_dir = os.environ.get("BENCH_CPUS", "8"), os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
+
+def session(cpus: str) -> SparkSession:
     spark = (
         SparkSession.builder.master(f"local[{cpus}]").appName("bench").config("spark.sql.shuffle.partitions", cpus).config("spark.driver.memory", "8g")
         .config("spark.sql.session.timeZone", "UTC").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     )
     spark.sparkContext.setLogLevel("ERROR")
-    two = lambda p: W.by_flag(spark, sf_dir, "RA", p=p)
-    three = lambda p: W.by_flag(spark, sf_dir, "RAN", p=p)
-    plans = {
-        **{f"two_way_p1_{m}": (lambda m=m: W.run(*two(1), m)) for m in ("filter_only", "repartition", "native")},
-        **{f"three_way_p1_{m}": (lambda m=m: W.run(*three(1), m)) for m in ("filter_only", "repartition", "native")},
-        **{f"parts_s10_{m}": (lambda m=m: W.run(*two(100), m, 0.1)) for m in ("during", "postjoin")},
-        **{f"flows_s10_{m}": (lambda m=m: W.run(*W.flows(spark, sf_dir), m, 0.1)) for m in ("during", "prejoin", "native")},
-        **{f"orders_s60_{m}": (lambda m=m: W.run(*W.customer_orders(spark, sf_dir), m, 0.6)) for m in ("during", "hybrid")},
-    }
-    timed(plans["two_way_p1_native"]())  # compiles code and reads the files once
+    return spark
+
+
+def main() -> None:
+    cpus, sf_dir = os.environ.get("BENCH_CPUS", "8"), os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
+    spark = session(cpus)
+    took, moved, loss, ratios = {}, {}, {}, {}
+    for name, (make, share, ours, baselines) in WORKLOADS.items():
+        inputs, value = make(spark, sf_dir)
+        keyed = [i.keyed() for i in inputs]
+        exact = engine.exact(keyed, value).first()["estimate"] if share else None  # also reads the files once
+        for method in (ours, *baselines):
+            run = lambda: W.run(inputs, value, method, share or 0.1)  # noqa: B023,E731
+            timed(run())  # compiles
+            t = time.perf_counter()
+            timed(run())
+            key = f"{name}_{method}"
+            took[key] = round(time.perf_counter() - t, 3)
+            moved[key] = shuffle_measured(run())
+            if share and method != "native":
+                loss[key] = round(abs(run().first()["estimate"] - exact) / abs(exact), 6)
+        ratios |= {f"{name}_{ours}_vs_{b}": [round(ratio(took[f"{name}_{b}"], took[f"{name}_{ours}"]), 2), round(ratio(moved[f"{name}_{b}"], moved[f"{name}_{ours}"]), 2)] for b in baselines}
+    inputs, value = W.customer_orders(spark, sf_dir)
+    keyed = [i.keyed() for i in inputs]
+    strata, exact = P.allocate(count_strata(keyed), 0.1), engine.exact(keyed, value).first()["estimate"]
+    runs = [tuple(engine.estimate(keyed, strata, value, seed=s).select("lower", "upper").first()) for s in range(10)]
+    print(json.dumps({"metric": "sum of headline queries", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "shuffle_bytes": moved, "loss": loss, "ratios_sec_and_bytes": ratios, "coverage": coverage(runs, exact), "sf": sf_dir.rstrip("/").rpartition("sf")[2]}))
+    spark.stop()
+
+
+def one_size(cpus: str) -> None:
+    """Seconds of the two-way join at an overlap dial of 1, by method."""
+    spark = session(cpus)
+    inputs, value = W.by_flag(spark, os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1"), "RA", p=1, tables=True)
     took = {}
-    for name, make in plans.items():
-        t = time.perf_counter()
-        timed(make())
-        took[name] = round(time.perf_counter() - t, 3)
-    print(json.dumps({"metric": "sum of headline queries", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": sf_dir.rstrip("/").rpartition("sf")[2]}))
+    for method in ("filter_only", "repartition", "native"):
+        timed(W.run(inputs, value, method))
+        took[method] = round(timed(W.run(inputs, value, method)), 3)
+    print(json.dumps({"cpus": int(cpus), "seconds": took}))
     spark.stop()
 
 
 if __name__ == "__main__":
-    main()
+    if "--cores" in sys.argv:
+        for n in ("2", "4", "8"):
+            subprocess.run([sys.executable, __file__, "--one", n], check=True)
+    elif "--one" in sys.argv:
+        one_size(sys.argv[sys.argv.index("--one") + 1])
+    else:
+        main()

@@ -45,13 +45,13 @@ def _half(spark, sf_dir):
 def _domain(agg: str, group: bool, s: float = 0.4, **options):
     keep = ("o_orderpriority",) if group else ()
     more = {"group_by": list(keep)} if group else {}
-    return lambda spark, d: _rounded(_sampled(_half(spark, d), F.col("o_totalprice") + F.col("c_acctbal"), s, agg=agg, **more, **options), 2, keep)
+    return lambda spark, d: _rounded(_sampled(_half(spark, d), F.col("o_totalprice") + F.col("c_acctbal"), s, agg=agg, **more, **options), 0 if agg == "sum" else 2, keep)
 
 
 def _domain_pair(agg: str, group: bool, ht: bool = False):
     options = {"estimator": "ht", "dedupe": "distinct"} if ht else {}
     how = {"distinct": True, "ht": "draws"} if ht else {}
-    return _domain(agg, group, **options), _domain_sql(SIDES, CO_V, 0.4, agg, "o_orderpriority" if group else "", **how)
+    return _domain(agg, group, **options), _domain_sql(SIDES, CO_V, 0.4, agg, "o_orderpriority" if group else "", digits=0 if agg == "sum" else 2, **how)
 
 
 # --- SQL with a budget clause --------------------------------------------------------------------------------------------------
@@ -234,7 +234,7 @@ def _latency_sweep(spark, sf_dir):
     truth = engine.exact_join(keyed).agg(F.sum(value).cast("double").alias("exact"))
     rows = _union([engine.estimate(keyed, P.allocate_within(counted, _allowed(d)), value, family="portable").select(F.lit(d).alias("desired"), "estimate", "sampled_edges") for d in DESIRED]).crossJoin(truth)
     predicted = F.lit(FILTER_S + MODEL.epsilon) + F.col("sampled_edges") * MODEL.beta
-    return rows.select("desired", "sampled_edges", F.round(predicted, 6).alias("predicted"), F.round(F.greatest(predicted - F.col("desired"), F.lit(0.0)), 6).alias("miss"), F.round("estimate", 1).alias("estimate"), F.round((F.col("estimate") - F.col("exact")) / F.col("exact"), 8).alias("loss"))
+    return rows.select("desired", "sampled_edges", F.round(predicted, 6).alias("predicted"), F.round(F.greatest(predicted - F.col("desired"), F.lit(0.0)), 6).alias("miss"), F.round("estimate", 1).alias("estimate"), (F.round((F.col("estimate") - F.col("exact")) / F.col("exact"), 8) + 0.0).alias("loss"))
 
 
 def _latency_sql() -> str:
@@ -247,7 +247,7 @@ def _latency_sql() -> str:
         size = f"CASE WHEN all_std <= {allowed!r} OR {allowed!r} >= all_ne THEN std ELSE least(ne, least_b + floor(greatest(0.0, {allowed!r} - all_least) / greatest(1.0, all_ne - all_least) * (ne - least_b))) END"
         parts.append(f"SELECT CAST({d} AS DOUBLE) AS desired, * FROM ({_replay(CO, CO_V, 1.0, size=size, sizes=sizes)} SELECT sum(ne / b * s1) AS estimate, CAST(sum(b) AS BIGINT) AS sampled_edges FROM p)")
     predicted = f"({FILTER_S + MODEL.epsilon!r} + sampled_edges * {MODEL.beta!r})"
-    return f"SELECT desired, sampled_edges, round({predicted}, 6) AS predicted, round(greatest({predicted} - desired, 0.0), 6) AS miss, round(estimate, 1) AS estimate, round((estimate - x.total) / x.total, 8) AS loss FROM ({' UNION ALL '.join(parts)}), ({_exact_sql(CO, CO_V)}) x"
+    return f"SELECT desired, sampled_edges, round({predicted}, 6) AS predicted, round(greatest({predicted} - desired, 0.0), 6) AS miss, round(estimate, 1) AS estimate, round((estimate - x.total) / x.total, 8) + 0.0 AS loss FROM ({' UNION ALL '.join(parts)}), ({_exact_sql(CO, CO_V)}) x"
 
 
 _SECOND_ERROR = 2e7

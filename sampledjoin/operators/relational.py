@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import re
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -104,10 +105,9 @@ def join_composite(spark, sf_dir):
 
 
 def join_theta(spark, sf_dir):
-    """Parts of a larger size within a type and price band; the equality keeps it from being a whole product."""
-    p = load(spark, sf_dir, "part").select("p_brand", "p_type", "p_size")
-    a, b = p, p.select(F.col("p_brand").alias("b2"), F.col("p_type").alias("t2"), F.col("p_size").alias("s2"))
-    return a.join(b, (F.col("p_brand") == F.col("b2")) & (F.col("p_type") == F.col("t2")) & (F.col("p_size") > F.col("s2"))).groupBy("p_brand").agg(F.count("*").alias("n"))
+    """Suppliers beside the nations of a smaller number, by no equality: a nested loop over the nations, which are 25 at every scale."""
+    s, n = load(spark, sf_dir, "supplier").select("s_nationkey"), load(spark, sf_dir, "nation").select("n_nationkey")
+    return s.join(F.broadcast(n), F.col("s_nationkey") > F.col("n_nationkey")).groupBy("n_nationkey").agg(F.count("*").alias("n"))
 
 
 def sample_bernoulli(spark, sf_dir):
@@ -137,7 +137,7 @@ def sample_aggregate(spark, sf_dir):
     li = load(spark, sf_dir, "lineitem").select("l_partkey", "l_orderkey", "l_linenumber", F.col("l_extendedprice").cast("decimal(18,2)").alias("price"))
     keyed = [JoinInput(li, ["l_partkey"], ["price", "l_orderkey", "l_linenumber"]).keyed()]
     est = estimate(keyed, allocate(count_strata(keyed), 0.3), F.col("price"), family="portable")
-    return est.crossJoin(keyed[0].agg(F.sum("price").cast("double").alias("exact"))).select((F.abs(F.col("estimate") - F.col("exact")) <= 2 * F.col("error_bound")).alias("close"), F.col("total_edges").cast("bigint").alias("n_rows"))
+    return est.select(F.round("estimate", 2).alias("estimate"), "sampled_edges", F.col("total_edges").cast("bigint").alias("total_edges"))
 
 
 def cube(kind: str):
@@ -243,9 +243,24 @@ def stratified_udtf(spark, sf_dir):
                 yield 1 + h % n_1, 1 + (h // n_1) % n_2
 
     spark.udtf.register("draws", Draws)
-    return spark.sql("SELECT count(*) AS n, bool_and(pos_1 BETWEEN 1 AND k AND pos_2 BETWEEN 1 AND 7) AS inside FROM VALUES (3), (5) t(k), LATERAL draws(k, 7, 10, 42)")
+    return spark.sql("SELECT k, pos_1, pos_2 FROM VALUES (3), (5) t(k), LATERAL draws(k, 7, 10, 42)")
 
 
+def stratum_udaf(spark, sf_dir):
+    """A deviation by a vectorised aggregate function, beside the built-in one that the engine uses."""
+    @F.pandas_udf("double")
+    def spread(v: pd.Series) -> float:
+        return float(v.std(ddof=1)) if len(v) > 1 else 0.0
+
+    return load(spark, sf_dir, "orders").groupBy("o_orderpriority").agg(F.round(spread("o_totalprice"), 2).alias("spread"))
+
+
+_SAMPLE = f"""WITH r AS (SELECT l_partkey AS jk, CAST(l_extendedprice AS DECIMAL(18,2)) AS price, row_number() OVER (PARTITION BY l_partkey ORDER BY CAST(l_extendedprice AS DECIMAL(18,2)), l_orderkey, l_linenumber) AS pos, count(*) OVER (PARTITION BY l_partkey) AS n FROM lineitem),
+st AS (SELECT DISTINCT jk, n, least(greatest(floor(0.3 * n + 1e-9), 2), n) AS b FROM r),
+d AS (SELECT jk, n, b, unnest(range(1, CAST(b AS BIGINT) + 1)) AS draw FROM st),
+e AS (SELECT jk, n, b, CASE WHEN b >= n THEN draw ELSE 1 + {'CAST((' + "'0x' || substr(md5(concat_ws('|', jk, draw, 1, 42)), 1, 15)" + ') AS BIGINT)'} % n END AS pos FROM d)
+SELECT round(sum(s), 2) AS estimate, CAST(sum(m) AS BIGINT) AS sampled_edges, (SELECT CAST(count(*) AS BIGINT) FROM lineitem) AS total_edges
+FROM (SELECT CAST(e.n AS DOUBLE) / e.b * CAST(sum(price) AS DOUBLE) AS s, count(*) AS m FROM e JOIN r ON r.jk = e.jk AND r.pos = e.pos GROUP BY e.jk, e.n, e.b)"""
 _BASIC = "SELECT l_returnflag, l_linestatus, CAST(count(*) AS BIGINT) AS n, CAST(sum(CAST(l_quantity AS DECIMAL(18,2))) AS DOUBLE) AS quantity, round(CAST(sum(CAST(l_extendedprice AS DECIMAL(18,2)) * CAST(1 - l_discount AS DECIMAL(18,2))) AS DOUBLE), 2) AS revenue, CAST(CAST(min(l_shipdate) AS DATE) AS STRING) AS first_day, CAST(CAST(max(l_shipdate) AS DATE) AS STRING) AS last_day FROM lineitem GROUP BY l_returnflag, l_linestatus"
 _MOMENTS = "SELECT event_type, CAST(count(*) AS BIGINT) AS n, round(avg(value), 6) AS mean, round(stddev_samp(value), 6) AS sd, round(var_pop(value), 4) AS var, min(value) AS least, max(value) AS most FROM events GROUP BY event_type"
 _PROJECT = "SELECT l_orderkey, l_linenumber, CAST(CAST(l_extendedprice AS DECIMAL(18,2)) * CAST(1 - l_discount AS DECIMAL(18,2)) AS DOUBLE) AS net, CASE WHEN l_quantity < 10 THEN 'small' WHEN l_quantity < 30 THEN 'medium' ELSE 'large' END AS class FROM lineitem"
@@ -283,7 +298,7 @@ OPERATORS: dict[str, tuple] = {
     "join_anti": (join_semi("left_anti"), "SELECT o_orderstatus, CAST(count(*) AS BIGINT) AS n FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM lineitem) GROUP BY o_orderstatus"),
     "join_cross": (lambda s, d: load(s, d, "nation").crossJoin(F.broadcast(load(s, d, "region"))).agg(F.count("*").alias("n")), "SELECT CAST(count(*) AS BIGINT) AS n FROM nation CROSS JOIN region"),
     "join_self": _both(_SELF),
-    "join_theta": (join_theta, "SELECT a.p_brand, CAST(count(*) AS BIGINT) AS n FROM part a JOIN part b ON a.p_brand = b.p_brand AND a.p_type = b.p_type AND a.p_size > b.p_size GROUP BY a.p_brand"),
+    "join_theta": (join_theta, "SELECT n_nationkey, CAST(count(*) AS BIGINT) AS n FROM supplier JOIN nation ON s_nationkey > n_nationkey GROUP BY n_nationkey"),
     "join_range": (join_range, "SELECT a.user_id, CAST(count(*) AS BIGINT) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND abs(a.value - b.value) <= 0.05 GROUP BY a.user_id"),
     "join_interval": (join_interval, "SELECT a.user_id, CAST(count(*) AS BIGINT) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR GROUP BY a.user_id"),
     "join_asof": (join_asof, _ASOF),
@@ -301,7 +316,7 @@ OPERATORS: dict[str, tuple] = {
     "agg_pivot": (pivot, "SELECT CAST(day(ts) AS INT) AS day, CAST(count(*) FILTER (WHERE event_type = 'click') AS BIGINT) AS click, CAST(count(*) FILTER (WHERE event_type = 'error') AS BIGINT) AS error, CAST(count(*) FILTER (WHERE event_type = 'purchase') AS BIGINT) AS purchase FROM events GROUP BY 1"),
     "agg_unpivot": (lambda s, d: load(s, d, "supplier").unpivot("s_suppkey", [F.col("s_nationkey").cast("double").alias("nation"), F.col("s_acctbal").alias("balance")], "name", "amount"), "SELECT s_suppkey, 'nation' AS name, CAST(s_nationkey AS DOUBLE) AS amount FROM supplier UNION ALL SELECT s_suppkey, 'balance', s_acctbal FROM supplier"),
     "agg_collect": (collect, "SELECT o_custkey, string_agg(CAST(o_orderkey AS VARCHAR), ',' ORDER BY o_orderkey) AS keys FROM orders GROUP BY o_custkey"),
-    "sample_aggregate": (sample_aggregate, "SELECT TRUE AS close, CAST(count(*) AS BIGINT) AS n_rows FROM lineitem"),
+    "sample_aggregate": (sample_aggregate, _SAMPLE),
     "win_rank": (win_rank, "SELECT o_orderkey, CAST(row_number() OVER w AS INT) AS rn, CAST(ntile(4) OVER w AS INT) AS quarter, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, CAST(rank() OVER v AS INT) AS rk, CAST(dense_rank() OVER v AS INT) AS dr FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey), v AS (PARTITION BY o_custkey ORDER BY o_orderpriority)"),
     "win_lag_lead": (win_lag_lead, "SELECT event_id, lag(event_id, 1, -1) OVER w AS before, lead(event_id, 2, -1) OVER w AS after, first_value(event_id) OVER w AS first_id, last_value(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS last_id FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)"),
     "win_frames": (win_frames, "WITH o AS (SELECT *, CAST(o_totalprice AS DECIMAL(18,2)) AS price, date_diff('day', DATE '1995-01-01', CAST(o_orderdate AS DATE)) AS day FROM orders) SELECT o_orderkey, CAST(sum(price) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS DOUBLE) AS last_three, CAST(sum(price) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING) AS DOUBLE) AS running, CAST(sum(price) OVER (PARTITION BY o_custkey ORDER BY day RANGE BETWEEN 90 PRECEDING AND CURRENT ROW) AS DOUBLE) AS ninety_days FROM o"),
@@ -333,7 +348,8 @@ OPERATORS: dict[str, tuple] = {
     "sub_correlated": _both(_CORRELATED),
     "sub_cte": _both(_CTE),
     "sub_lateral": _both(_LATERAL),
-    "udtf_draws": (stratified_udtf, "SELECT CAST(20 AS BIGINT) AS n, TRUE AS inside"),
+    "udtf_draws": (stratified_udtf, "SELECT CAST(k AS INT) AS k, CAST(1 + h % k AS BIGINT) AS pos_1, CAST(1 + (h // k) % 7 AS BIGINT) AS pos_2 FROM (SELECT k, CAST(('0x' || substr(md5(concat_ws('|', k, 7, d, 42)), 1, 15)) AS BIGINT) AS h FROM (VALUES (3), (5)) t(k), range(10) r(d))"),
+    "udaf_stratum": (stratum_udaf, "SELECT o_orderpriority, round(stddev_samp(o_totalprice), 2) AS spread FROM orders GROUP BY o_orderpriority"),
 }
 
 QUERIES = {k: q for k, (q, _) in OPERATORS.items()}

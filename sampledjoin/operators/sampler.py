@@ -33,10 +33,10 @@ CARRIED = {"st_edges": "edges", "st_b": "b", "st_full": "full"}
 def draw_edges(strata: DataFrame, n: int, seed: int = 42, family: str = "xx", draws: str = "b", carry: bool = False, after: str | None = None) -> DataFrame:
     """(jk, draw, pos_1..pos_n): ``draws`` random edges of each key, with replacement; a full stratum (b = edges) is enumerated instead, each edge once.
 
-    carry: the edges have their stratum's numbers beside them, so that an estimate needs no join with the strata. after: a column of draws that are there already; the draws after them are made, of a full stratum all."""
+    carry: the edges have their stratum's numbers beside them, so that an estimate needs no join with the strata. after: a column of draws that are there already; the draws after them are made, and all edges of a stratum that is full now and was not."""
     key = key_text(strata.schema["jk"].dataType)
     many = F.col(draws)
-    done = F.when(F.col("full"), F.lit(0)).otherwise(F.col(after)).cast("bigint") if after else F.lit(0).cast("bigint")
+    done = F.when(F.col("full") & (F.col(after) < many), F.lit(0)).otherwise(F.col(after)).cast("bigint") if after else F.lit(0).cast("bigint")
     wide = strata.withColumn("st_done", done).where(F.col("st_done") < many).withColumn("chunk", F.explode(F.sequence(F.lit(0).cast("bigint"), F.expr(f"({draws} - st_done - 1) div {CHUNK}"))))
     first = F.col("st_done") + F.col("chunk") * CHUNK
     rows = wide.withColumn("draw", F.explode(F.sequence(first + 1, F.least(many, first + CHUNK))))

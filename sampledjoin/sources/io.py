@@ -5,15 +5,17 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 
 def load(spark: SparkSession, folder: str, name: str, fmt: str = "parquet", schema: T.StructType | str | None = None, **options) -> DataFrame:
-    """A table of a folder; csv and json want a schema, as inferring one reads the data twice."""
+    """A table of a folder, or of the catalog; csv and json want a schema, as inferring one reads the data twice."""
+    if fmt == "catalog":
+        return catalog_table(spark, name)
     reader = spark.read.format(fmt).options(**options)
-    return (reader.schema(schema) if schema else reader).load(f"{folder}/{name}.{fmt}" if fmt != "catalog" else name)
+    return (reader.schema(schema) if schema else reader).load(f"{folder}/{name}.{fmt}")
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -56,10 +58,10 @@ def read_grouped_text(spark: SparkSession, path: str) -> DataFrame:
 
 
 def read_query_list(spark: SparkSession, path: str) -> DataFrame:
-    """(movie, user) of one file in which a line "id:" heads the lines of users that follow: the heading is carried down by line number."""
-    rows = spark.read.text(path, wholetext=True).select(F.posexplode(F.split("value", r"\r?\n")).alias("n", "line"))
-    head = F.last(F.when(F.col("line").endswith(":"), F.regexp_extract("line", r"(\d+):", 1)), ignorenulls=True).over(Window.orderBy("n"))
-    return rows.withColumn("movie", head).where(F.col("line").rlike(r"^\d+(,|$)")).select(F.col("movie").cast("bigint").alias("movie"), F.split("line", ",")[0].cast("bigint").alias("user"))
+    """(movie, user) of files in which a line "id:" heads the lines of users that follow. A file is cut at its headings where it is read, so no window orders its lines."""
+    parts = spark.read.text(path, wholetext=True).select(F.explode(F.split("value", r"(?m)^(?=\s*\d+:)")).alias("part"))
+    rows = parts.select(F.regexp_extract("part", r"^\s*(\d+):", 1).alias("movie"), F.explode(F.split("part", r"\r?\n")).alias("line")).where(F.col("line").rlike(r"^\d+(,|$)") & (F.col("movie") != ""))
+    return rows.select(F.col("movie").cast("bigint").alias("movie"), F.split("line", ",")[0].cast("bigint").alias("user"))
 
 
 def save(df: DataFrame, path: str | None = None, fmt: str = "parquet", mode: str = "errorifexists", partition_by: list[str] | None = None, bucket_by: tuple[int, list[str]] | None = None, table: str | None = None) -> None:
