@@ -25,8 +25,8 @@ from .common import materialise, shingle_blocks, ship, sliced
 from .neardup import without
 
 HASHES, THRESHOLD = 64, 0.8
-#: Characters of test items that one pass holds.
-BLOCK_CHARS = 16_000_000
+#: Characters of test items that one pass holds: at 21 words or more for an item with min-hashes, an index of at most about 40 MB.
+BLOCK_CHARS = 4_000_000
 FILTER_BITS = 22
 #: Items of at most so many shingles are candidates at each of their shingles; the least size class.
 FEW = 16
@@ -46,19 +46,35 @@ class Index:
         self.every = np.unique(np.concatenate(self.sets)) if self.sets else np.zeros(0, np.uint64)
         self.filter = np.zeros(1 << FILTER_BITS, bool)
         self.filter[(self.every >> np.uint64(64 - FILTER_BITS)).astype(np.intp)] = True
-        self.few: dict[int, list[int]] = {}
-        self.by: dict[int, list[dict[int, list[int]]]] = {}
+        few: list[tuple[np.ndarray, np.ndarray]] = []
+        by: dict[int, list[int]] = {}
         for i, s in enumerate(self.sets):
             if len(s) <= FEW:
-                for v in s.tolist():
-                    self.few.setdefault(v, []).append(i)
+                few.append((s, np.full(len(s), i, np.int32)))
                 continue
             u = FEW
             while u < len(s):
                 u *= 2
-            tables = self.by.setdefault(u, [{} for _ in range(HASHES)])
-            for k, v in enumerate(self.minima(s)):
-                tables[k].setdefault(int(v), []).append(i)
+            by.setdefault(u, []).append(i)
+        self.few = self._table(*map(np.concatenate, zip(*few, strict=True))) if few else None
+        # for each size class and min-hash its values in order, and their items
+        self.by: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {}
+        for u, items_of in by.items():
+            values = np.array([self.minima(self.sets[i]) for i in items_of])
+            self.by[u] = [self._table(values[:, k], np.array(items_of, np.int32)) for k in range(HASHES)]
+
+    @staticmethod
+    def _table(values: np.ndarray, items: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        order = np.argsort(values, kind="stable")
+        return values[order], items[order]
+
+    @staticmethod
+    def _found(table: tuple[np.ndarray, np.ndarray], values: np.ndarray) -> np.ndarray:
+        """The items at any of the values."""
+        keys, items = table
+        lo, hi = np.searchsorted(keys, values, "left"), np.searchsorted(keys, values, "right")
+        hit = np.flatnonzero(hi > lo)
+        return np.concatenate([items[lo[k] : hi[k]] for k in hit]) if len(hit) else items[:0]
 
     def minima(self, s: np.ndarray) -> np.ndarray:
         with np.errstate(over="ignore"):
@@ -77,15 +93,13 @@ class Index:
         """Items that agree with a window of a document; h: its shingles in order, hits: positions of known ones."""
         out: set[int] = set()
         if self.few:
-            for v in np.unique(h[hits]).tolist():
-                out.update(self.few.get(v, ()))
+            out.update(self._found(self.few, np.unique(h[hits])).tolist())
         for u, tables in self.by.items():
             last = max(0, -(-(len(h) - 2 * u) // u))
             first = np.clip(hits // u - 1, 0, last)
-            for w in np.union1d(first, np.minimum(hits // u, last)):
-                for table, v in zip(tables, self.minima(h[w * u : w * u + 2 * u]).tolist(), strict=True):
-                    if v in table:
-                        out.update(table[v])
+            windows = np.array([self.minima(h[w * u : w * u + 2 * u]) for w in np.union1d(first, np.minimum(hits // u, last))])
+            for k, table in enumerate(tables):
+                out.update(self._found(table, np.unique(windows[:, k])).tolist())
         return out
 
     def matches(self, h: np.ndarray, hits: np.ndarray, threshold: float) -> list[tuple[int, float, int]]:
@@ -99,7 +113,7 @@ class Index:
 
 
 def _pass(docs: DataFrame, items: list[tuple[int, str | None]], threshold: float) -> DataFrame:
-    index = docs.sparkSession.sparkContext.broadcast(Index(items))
+    index = docs.sparkSession.sparkContext.broadcast(Index(items))  # of BLOCK_CHARS characters at most
 
     def found(batches):
         x = index.value

@@ -75,16 +75,24 @@ _GENDER = {t: g for g, names in TITLES.items() for t in names}
 
 _DIGITS = re.compile(
     r"(?<![\w.+-])(?:(?P<ip>(?:\d{1,3}\.){3}\d{1,3}(?![\w]|\.\d))"
-    r"|(?P<date>\d{4}-\d{2}-\d{2}(?!\d))"
+    r"|(?P<date>(?:\d{4}[-./]\d{2}[-./]\d{2}|\d{1,2}[./-]\d{1,2}[./-](?:19|20)\d{2})(?![\w-]|[./]\d))"
     r"|(?P<ssn>\d{3}-\d{2}-\d{4}(?![\w-]))"
     r"|(?P<card>[3-6]\d{3}(?:[ -]?\d{4}){2}[ -]?\d{1,7}(?!\d))"
     r"|(?P<phone>(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?)?\d{2,4}(?:[ .-]\d{2,4}){1,4}(?![\w])|\+\d{8,15}(?!\w)))"
 )
 _IBAN = re.compile(r"(?<!\w)[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?!\w)")
 _LOCAL, _DOMAIN = re.compile(r"[\w.%+-]"), re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)*\.[A-Za-z]{2,24}(?![A-Za-z0-9-])")
-_WORD = r"[^\W\d_]+(?:[-'’][^\W\d_]+)?"
-_NAME = re.compile("(" + "|".join(sorted(map(re.escape, _GENDER), key=len, reverse=True)) + rf")\.? ({_WORD}(?: {_WORD}){{0,2}})")
-_FULL = re.compile("((?:" + "|".join(n.capitalize() for n in sorted(_WHO, key=len, reverse=True)) + rf") {_WORD}(?: {_WORD})?)")
+_LETTERS = r"(?:[^\W\d_][\u0300-\u036f]*)+"
+_WORD = rf"{_LETTERS}(?:[-'’]{_LETTERS})?"
+
+
+def _either(words: list[str]) -> str:
+    """A pattern of the words, longest first, composed or decomposed."""
+    return "|".join(re.escape(w) for w in sorted({unicodedata.normalize(form, w) for w in words for form in ("NFC", "NFD")}, key=lambda w: (-len(w), w)))
+
+
+_NAME = re.compile(rf"({_either(list(_GENDER))})\.? ({_WORD}(?: {_WORD}){{0,2}})")
+_FULL = re.compile(rf"((?:{_either([n.capitalize() for n in _WHO])}) {_WORD}(?: {_WORD})?)")
 
 
 def luhn(digits: str) -> int:
@@ -210,7 +218,7 @@ class Surrogates:
             check = 98 - mod97(f"{plain[:2]}00{body}")
             new = iter(f"{plain[:2]}{check:02d}{body}")
             return "".join(c if c == " " else next(new) for c in text)
-        gender, _, name = text.partition("/")
+        gender, _, name = unicodedata.normalize("NFC", text).partition("/")
         first, gap, rest = name.partition(" ")
         if not gap:
             return self.given(first, gender) if first.lower() in _WHO else self._surname(first)
@@ -258,7 +266,7 @@ def detect(text: str | None) -> list[tuple[int, int, str, str]]:
             words = list(takewhile(lambda w: w[0].isupper(), m[last].split(" ")))
             if len(words) >= 3 - last:  # a title needs a name after it, a given name a surname
                 name = " ".join(words)
-                found.append((m.start(last), m.start(last) + len(name), "name", f"{_GENDER[m[1]] if last == 2 else ''}/{name}"))
+                found.append((m.start(last), m.start(last) + len(name), "name", f"{_GENDER[unicodedata.normalize('NFC', m[1])] if last == 2 else ''}/{name}"))
     found.sort(key=lambda x: (x[0], -x[1]))
     out: list[tuple[int, int, str, str]] = []
     for x in found:

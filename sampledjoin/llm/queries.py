@@ -13,11 +13,13 @@ QUERIES = {
     "op6_sentencepiece": spm.op6,
     "op7_toxicity": toxicity.op7,
     "op8_secret_scan": secrets.op8,
+    "secret_base_counts": secrets.base_counts,
     "op9_line_dedup": linededup.op9,
     "op10_nearest_neighbours": ann.op10,
 }
 
 ORACLES = {
     "op4_license_scan": licenses.oracle(),
+    "secret_base_counts": secrets.BASE_SQL,
     "op9_line_dedup": linededup.SQL9,
 }

@@ -172,3 +172,22 @@ def redact(docs: DataFrame) -> DataFrame:
 
 def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_secrets(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+
+
+def base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The counts of the base kinds alone, which SQL can give too."""
+    return op8(spark, sf_dir).select("doc_id", "n_assign", "n_access", "n_hex")
+
+
+def _any_case(word: str) -> str:
+    return "".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in word)
+
+
+#: The base kinds by their definition. Letters in either case are written out, as another engine's flag folds more than these.
+BASE_SQL = rf"""
+SELECT doc_id,
+       CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '({"|".join(map(_any_case, ASSIGN_WORDS[:4]))}|{_any_case("api")}_?{_any_case("key")})["'']? *[:=] *["'']?([A-Za-z0-9+/_.=-]+)', 2), lambda x: length(x) >= 6)) AS BIGINT) AS n_assign,
+       CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), 'AKIA[A-Z0-9]+'), lambda x: length(x) >= 20)) AS BIGINT) AS n_access,
+       CAST(len(list_filter(regexp_extract_all(coalesce(text, ''), '[0-9a-f]+'), lambda x: length(x) >= 24)) AS BIGINT) AS n_hex
+FROM documents
+"""

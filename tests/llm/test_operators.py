@@ -7,6 +7,7 @@ import hashlib
 import itertools
 import json
 import re
+import unicodedata
 import zlib
 from collections import Counter
 
@@ -215,6 +216,15 @@ def test_surrogates_match_gender_and_cover_all_letters(spark, tmp_path):
     assert len(rows) == 4 and all(r.n_collisions == 0 for r in rows) and len({r.text.lower() for r in rows}) == 3
 
 
+def test_surrogates_of_one_name_in_two_spellings_agree(spark):
+    s = pii.Surrogates()
+    texts = [unicodedata.normalize(f, "Señor José Núñez called Ελένη Παππά on 12.05.2024 and 3/4/1999 and 2024.05.12.") for f in ("NFC", "NFD")]
+    found = [[(k, pii.canonical(k, e), s.replace(k, e)) for _, _, k, e in pii.detect(t)] for t in texts]
+    assert found[0] == found[1] and [k for k, _, _ in found[0]] == ["name", "name"]
+    rows = pii.replace_entities(table(spark, list(enumerate(texts)))).collect()
+    assert unicodedata.normalize("NFC", rows[0].text) == unicodedata.normalize("NFC", rows[1].text) and "Núñez" not in rows[0].text and "12.05.2024" in rows[0].text
+
+
 def test_licenses(spark):
     mit = licenses.TEMPLATES["MIT"]
     docs = [(1, "Prose here.\nReleased under the MIT License.\nmore"), (2, mit.upper().replace(" ", "\n", 3)), (3, PROSE[0]), (4, None), (5, "Licensed under the Apache License, Version 2.0."), (6, "mit")]
