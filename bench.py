@@ -1,7 +1,7 @@
 """Times the headline queries, method by method, and prints one line of JSON.
 
-queries: seconds by workload and method. shuffle_bytes: what the stages of one run wrote to shuffles. loss: |estimate - exact| / exact.
-coverage: the share of seeds whose 95 % interval holds the exact value. ratios: baseline over ours, seconds and shuffled bytes.
+queries: seconds by workload and method. shuffle_bytes and broadcast_bytes: what the stages of one run wrote to shuffles, and what was sent to every node. loss: |estimate - exact| / exact.
+coverage: the share of seeds whose 95 % interval holds the exact value. ratios: baseline over ours: seconds and, for the joins without sampling, shuffled bytes, and these with what is broadcast to NODES nodes.
 ``python bench.py --cores`` runs the two-way join on 2, 4 and 8 threads instead, each in a session of its own.
 """
 
@@ -19,7 +19,7 @@ from sampledjoin import workloads as W
 from sampledjoin.operators.strata import count_strata
 from sampledjoin.plans import budget as P
 from sampledjoin.plans import engine
-from sampledjoin.plans.measures import coverage, ratio, shuffle_measured, timed
+from sampledjoin.plans.measures import coverage, moved_bytes, ratio, timed
 
 #: workload: (inputs and value, share of the edges or None, the operator, its baselines)
 WORKLOADS = {
@@ -35,6 +35,10 @@ WORKLOADS = {
 }
 
 
+#: Nodes that a broadcast is counted for.
+NODES = 10
+
+
 def session(cpus: str) -> SparkSession:
     spark = (
         SparkSession.builder.master(f"local[{cpus}]").appName("bench").config("spark.sql.shuffle.partitions", cpus).config("spark.driver.memory", "8g")
@@ -47,7 +51,7 @@ def session(cpus: str) -> SparkSession:
 def main() -> None:
     cpus, sf_dir = os.environ.get("BENCH_CPUS", "8"), os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
     spark = session(cpus)
-    took, moved, loss, ratios = {}, {}, {}, {}
+    took, moved, sent, loss, ratios = {}, {}, {}, {}, {}
     for name, (make, share, ours, baselines) in WORKLOADS.items():
         inputs, value = make(spark, sf_dir)
         keyed = [i.keyed() for i in inputs]
@@ -59,15 +63,16 @@ def main() -> None:
             timed(run())
             key = f"{name}_{method}"
             took[key] = round(time.perf_counter() - t, 3)
-            moved[key] = shuffle_measured(run())
+            moved[key], sent[key] = moved_bytes(run())
             if share and method != "native":
                 loss[key] = round(abs(run().first()["estimate"] - exact) / abs(exact), 6)
-        ratios |= {f"{name}_{ours}_vs_{b}": [round(ratio(took[f"{name}_{b}"], took[f"{name}_{ours}"]), 2), round(ratio(moved[f"{name}_{b}"], moved[f"{name}_{ours}"]), 2)] for b in baselines}
+        every = lambda m: moved[f"{name}_{m}"] + NODES * sent[f"{name}_{m}"]  # noqa: B023,E731
+        ratios |= {f"{name}_{ours}_vs_{b}": [round(ratio(took[f"{name}_{b}"], took[f"{name}_{ours}"]), 2), *([] if share else [round(ratio(moved[f"{name}_{b}"], moved[f"{name}_{ours}"]), 2), round(ratio(every(b), every(ours)), 2)])] for b in baselines}
     inputs, value = W.customer_orders(spark, sf_dir)
     keyed = [i.keyed() for i in inputs]
     strata, exact = P.allocate(count_strata(keyed), 0.1), engine.exact(keyed, value).first()["estimate"]
     runs = [tuple(engine.estimate(keyed, strata, value, seed=s).select("lower", "upper").first()) for s in range(10)]
-    print(json.dumps({"metric": "sum of headline queries", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "shuffle_bytes": moved, "loss": loss, "ratios_sec_and_bytes": ratios, "coverage": coverage(runs, exact), "sf": sf_dir.rstrip("/").rpartition("sf")[2]}))
+    print(json.dumps({"metric": "sum of headline queries", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "shuffle_bytes": moved, "broadcast_bytes": sent, "loss": loss, "ratios": ratios, "coverage": coverage(runs, exact), "sf": sf_dir.rstrip("/").rpartition("sf")[2]}))
     spark.stop()
 
 

@@ -23,9 +23,14 @@ def breakdown(stages: dict[str, Callable[[], DataFrame]]) -> dict[str, float]:
 
 def shuffle_measured(df: DataFrame) -> int:
     """Bytes that the stages of one run of ``df`` wrote to shuffles, from the plan's own metrics (classic sessions only)."""
+    return moved_bytes(df)[0]
+
+
+def moved_bytes(df: DataFrame) -> tuple[int, int]:
+    """(bytes written to shuffles, bytes broadcast) by one run of ``df``, from the plan's own metrics (classic sessions only). What is broadcast goes to every node; a part that the plan uses again counts once."""
     qe = df._jdf.queryExecution()
     qe.toRdd().count()
-    total, todo = 0, [qe.executedPlan()]
+    total, sent, todo = 0, 0, [qe.executedPlan()]
     while todo:
         node = todo.pop()
         if node.getClass().getSimpleName() == "AdaptiveSparkPlanExec":
@@ -37,9 +42,11 @@ def shuffle_measured(df: DataFrame) -> int:
         metric = node.metrics().get("shuffleBytesWritten")
         if metric.isDefined():
             total += metric.get().value()
+        if node.getClass().getSimpleName() == "BroadcastExchangeExec":
+            sent += node.metrics().apply("dataSize").value()
         kids = node.children()
         todo += [kids.apply(i) for i in range(kids.size())]
-    return total
+    return total, sent
 
 
 def shuffle_model(kind: str, rows: list[Column], widths: list[float], workers: int, m_bits: int = 0, survivors: list[Column] | None = None) -> Column:
