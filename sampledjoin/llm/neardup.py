@@ -1,7 +1,7 @@
 """Near-duplicates: improved consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard similarity.
 
 A document is the weighted set of its five-word shingles; a shingle's weight is its count times ln(1 + N / df). The
-sampling takes document frequencies from a table of fixed size (2^24 counters over a hash, kept as their logarithm in a byte each), so that the table that every
+sampling takes document frequencies from a table of fixed size (2^25 counters over a hash, kept as their logarithm in a byte each), so that the table that every
 task needs has a proven bound; the counters cover all documents. Such a counter is never below the exact frequency, so
 it bounds a pair's similarity from both sides; where the bounds leave the verdict open, exact frequencies decide: those of the shingles of open pairs, counted over all documents.
 
@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import broadcasted, counted, discard, materialise, mix, release, shingle_blocks, ship, sliced, small
 
 #: Counters, and those of one piece of the table; steps of a counter's logarithm that a doubling has.
-TABLE_BITS, PIECE_BITS, STEPS = 24, 14, 4
+TABLE_BITS, PIECE_BITS, STEPS = 25, 14, 8
 SAMPLES, BANDS, FINE = 64, 16, 512
 THRESHOLD = 0.8
 #: Pairs whose samples agree this many standard deviations less than those of a pair at the threshold are left out.
@@ -114,7 +114,7 @@ def document_frequencies(docs: DataFrame) -> Frequencies:
         held += np.bincount(np.cumsum(np.frombuffer(blob, np.uint16), dtype=np.int64), minlength=low)
 
     def coded(held):
-        return np.where(held > 0, np.ceil(STEPS * np.log2(np.maximum(held, 1))) + 1, 0).astype(np.uint8).tobytes()
+        return np.where(held > 0, np.ceil(STEPS * np.log2(np.maximum(held, 1))) + 1, 0).clip(0, 255).astype(np.uint8).tobytes()
 
     rows = materialise(docs.select("text").mapInArrow(counts, "piece int, blob binary, n bigint"), "slots")
     n = rows.agg(F.sum("n")).first()[0] or 0

@@ -97,7 +97,7 @@ def test_cells_of_a_hot_band_hold_every_pair(spark, monkeypatch):
 
 def test_near_classes_weigh_by_exact_frequencies(spark, monkeypatch):
     made = neardup.document_frequencies
-    full = lambda d: neardup.Frequencies(made(d).n, np.maximum(made(d).codes, 33))  # noqa: E731  as full as the counters of a large table
+    full = lambda d: neardup.Frequencies(made(d).n, np.maximum(made(d).codes, 65))  # noqa: E731  as full as the counters of a large table
     monkeypatch.setattr(neardup, "document_frequencies", full)
     common = [" ".join(f"c{k}x{j}" for j in range(24)) for k in range(2)]  # 20 shingles each
     own = " ".join(f"u{j}" for j in range(84))  # 80 shingles
