@@ -97,6 +97,7 @@ def budgeted_join(inputs: list[JoinInput], value: Column, agg: str = "sum", budg
     counted = stored(count_strata(keyed), "strata")
     whole = counted.agg(F.coalesce(F.sum("edges"), F.lit(0)).cast("double").alias("edges"), F.count("*").alias("m"), F.coalesce(F.sum(F.least(F.col("edges"), F.lit(min_b).cast("decimal(38,0)"))), F.lit(0)).cast("double").alias("least")).first()
     filter_s = time.perf_counter() - began
+    options.setdefault("salts", sampler.salts_for(counted))
     if (mode := choose_mode(whole.edges, whole.m, budget, model, filter_s, min_b=min_b)) == "exact":
         return exact(keyed, value, agg, options.get("group_by"), confidence)
     if mode == "infeasible":
