@@ -546,7 +546,7 @@ ENGINE: dict[str, tuple] = {
     "net3_clt_sum": (lambda s, d: _rounded(_sampled(*W.flows(s, d), 0.1)), _clt_sql(NET, NET_V, 0.1)),
     "net3_prejoin_sum": (_prejoin, _prejoin_sql()),
     "net3_postjoin_sum": (_postjoin, _postjoin_sql()),
-    "net3_low_overlap": (lambda s, d: overlap_fraction(W.flows(s, d, True)[0]), _overlap_sql([(f"SELECT user_id AS jk FROM events WHERE event_type = '{k}' AND {c}", "") for k, c in (("click", "user_id < 60"), ("purchase", "user_id BETWEEN 50 AND 110"), ("error", "user_id >= 55"))])),
+    "net3_low_overlap": (lambda s, d: overlap_fraction(W.flows(s, d, True)[0]), _overlap_sql([(f"SELECT user_id AS jk FROM events, (SELECT max(user_id) + 1 AS u FROM events) WHERE event_type = '{k}' AND {c}", "") for k, c in W.CUTS.items()])),
     "part_exact": (lambda s, d: W.exact_value(*_two_way(s, d)), _exact_sql(PART, "v1 + v2")),
     "part_clt_sum": (lambda s, d: _rounded(_sampled(*_two_way(s, d), 0.1), 1), _clt_sql(PART, "v1 + v2", 0.1, digits=1)),
     "part_overlap_sweep": (_sweep(_two_way, TWO, 2), _sweep_sql(lambda p: _dialled(2, p, lambda i: f"l_returnflag = '{FLAGS[i]}'"), TWO)),

@@ -29,12 +29,17 @@ def customer_orders(spark: SparkSession, sf_dir: str) -> tuple[list[JoinInput],
     return [JoinInput(c, ["c_custkey"], ["c_acctbal"], "customer"), JoinInput(o, ["o_custkey"], ["o_orderkey", "o_totalprice"], "orders")], F.col("o_totalprice") + F.col("c_acctbal")
 
 
+#: The low-overlap cut of each kind of event, by shares of the number u of users.
+CUTS = {"click": "user_id * 10 < u * 4", "purchase": "user_id * 3 >= u AND user_id * 30 <= u * 22", "error": "user_id * 30 >= u * 11"}
+
+
 def flows(spark: SparkSession, sf_dir: str, low: bool = False) -> tuple[list[JoinInput], Column]:
     """Users in all three kinds of event; ``low``: the low-overlap cut of W3."""
     e = load(spark, sf_dir, "events")
-    cuts = {"click": "user_id < 60", "purchase": "user_id between 50 and 110", "error": "user_id >= 55"}
+    if low:
+        e = e.crossJoin(F.broadcast(e.agg((F.max("user_id") + 1).alias("u"))))  # one row
     out = []
-    for i, (kind, cut) in enumerate(cuts.items(), 1):
+    for i, (kind, cut) in enumerate(CUTS.items(), 1):
         own = e.where((F.col("event_type") == kind) & (F.expr(cut) if low else F.lit(True)))
         out.append(JoinInput(own.select("user_id", F.col("event_id").alias(f"e{i}"), F.col("value").cast("decimal(18,4)").alias(f"v{i}")), ["user_id"], [f"e{i}", f"v{i}"], kind))
     return out, F.col("v1") + F.col("v2") + F.col("v3")

@@ -171,6 +171,16 @@ def test_baselines_move_all_rows_of_dialled_tables(spark, sf):
     assert theirs > 0 and ours > 0 and [i.df.inputFiles() for i in again] == [i.df.inputFiles() for i in inputs]
 
 
+def test_either_stage_can_be_left_out(grouped):
+    exact = engine.budgeted_join(grouped, value(), sample=False).first()
+    plain = engine.budgeted_join(grouped, value(), filter=False, sample=False).first()
+    assert math.isclose(exact.estimate, plain.estimate) and exact.mode == plain.mode == "exact"
+    a, b = (engine.budgeted_join(grouped, value(), fraction=0.3, filter=f).first() for f in (True, False))
+    assert math.isclose(a.estimate, b.estimate) and a.sampled_edges == b.sampled_edges
+    ordered = prefilter(grouped, ordered=True).dfs
+    assert [k.count() for k in ordered] == [k.count() for k in prefilter(grouped).dfs]
+
+
 def test_measures():
     assert measures.ratio(4.0, 2.0) == 2.0 and measures.ratio(1.0, 0.0) == float("inf")
     assert measures.budget_error(5.0, 7.5) == 2.5 and measures.coverage([(0, 2), (2, 3)], 1.0) == 0.5
