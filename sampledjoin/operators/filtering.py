@@ -26,12 +26,22 @@ def key_estimate(keyed: list[DataFrame]) -> int:
     return max(counts)
 
 
+#: Inputs of at most so many bytes by their plans get a filter for a key in each four bytes, which is small enough; more are counted.
+UNCOUNTED = 1 << 22
+
+
+def sized(keyed: list[DataFrame], fp: float) -> FilterParams:
+    """Parameters for the inputs' keys."""
+    by_plan = max(int(str(k._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) for k in keyed)
+    return B.size_filter(by_plan // 4 if by_plan <= UNCOUNTED else key_estimate(keyed), fp)
+
+
 def prefilter(inputs: list[JoinInput], params: FilterParams | None = None, merge: str = "fused", fp: float = 0.01, ordered: bool = False) -> FilteredInputs:
-    """All inputs at once: a filter of each, their intersection, and the rows whose key may be in it. Without ``params`` a job counts the keys first. merge: fused makes the
+    """All inputs at once: a filter of each, their intersection, and the rows whose key may be in it. Without ``params`` a job counts the keys first, unless the inputs are tiny. merge: fused makes the
     intersection by one exchange; the others build a filter of each input by that scheme (``build_filter``) and intersect them. ``ordered``: the first input's filter already thins the
     others before theirs are built, for inputs of which the first is by far the smallest."""
     keyed = [i.keyed() for i in inputs]
-    p = params or B.size_filter(key_estimate(keyed), fp)
+    p = params or sized(keyed, fp)
     fused = merge == "fused" and p.layout == "word" and not ordered
     merge = "sharded" if merge == "fused" else merge
     if ordered:

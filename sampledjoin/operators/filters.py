@@ -13,8 +13,8 @@ from ..model import FilterParams
 
 #: A filter has at most so many bytes, whatever the number of keys, as every node holds it; with more keys it lets more rows through, and loses none.
 MAX_BYTES = 1 << 28
-#: Words of a block of the packed form; words that the other layouts may broadcast, a row each.
-BLOCK_WORDS, BROADCAST_WORDS = 1 << 14, 1 << 22
+#: Words of a block of the packed form; up to so many words a filter is not packed but broadcast as rows, which saves a stage; words that the other layouts may broadcast, a row each.
+BLOCK_WORDS, ROW_WORDS, BROADCAST_WORDS = 1 << 14, 1 << 16, 1 << 22
 
 
 def size_filter(n_keys: int, fp: float, max_bytes: int | None = MAX_BYTES, layout: str = "word", **rest) -> FilterParams:
@@ -113,10 +113,12 @@ def _every_word(spark: SparkSession, p: FilterParams) -> DataFrame:
 
 
 def join_filter(keyed: list[DataFrame], p: FilterParams) -> DataFrame:
-    """The join filter of all inputs by one exchange: their marks, tagged, are ORed by slot and side, and the sides ANDed. Word layout; all words are there."""
+    """The join filter of all inputs by one exchange: their marks, tagged, are ORed by slot and side, and the sides ANDed. Word layout; all words are there if there are more than ROW_WORDS."""
     n = len(keyed)
-    none = _every_word(keyed[0].sparkSession, p).withColumn("side", F.lit(n))
-    every = reduce(DataFrame.unionAll, (marks(k, p).withColumn("side", F.lit(i)) for i, k in enumerate(keyed)), none)
+    parts = [marks(k, p).withColumn("side", F.lit(i)) for i, k in enumerate(keyed)]
+    if p.words > ROW_WORDS:
+        parts.append(_every_word(keyed[0].sparkSession, p).withColumn("side", F.lit(n)))
+    every = reduce(DataFrame.unionAll, parts)
     sides = [F.coalesce(F.bit_or(F.when(F.col("side") == i, F.col("mask"))), F.lit(0)).cast("bigint").alias(f"side_{i}") for i in range(n)]
     return every.groupBy("slot").agg(*sides).select("slot", reduce(lambda a, b: a.bitwiseAND(b), (F.col(f"side_{i}") for i in range(n))).alias("mask"))
 
@@ -135,10 +137,13 @@ def unite(filters: list[DataFrame]) -> DataFrame:
 
 
 def _probe(keyed: DataFrame, table: DataFrame, p: FilterParams, how: str, dense: bool = False) -> DataFrame:
-    """A join with the packed filter of the word layout: its blocks are broadcast, MAX_BYTES at most, and a row looks into one word of one block."""
+    """A join with the filter of the word layout: its blocks (of a small one its words) are broadcast, MAX_BYTES at most, and a row looks into one word."""
     if p.words * 8 > 2 * MAX_BYTES:
         raise ValueError("a filter of so many bits can't be broadcast: size it with max_bytes")
     slot, mine = _slot(F.col("jk"), p), _mask(_bits(F.col("jk"), p))
+    if p.words <= ROW_WORDS:
+        rows = F.broadcast(table.where("mask <> 0").select(F.col("slot").alias("f_slot"), F.col("mask").alias("f_mask")))
+        return keyed.join(rows, (slot == F.col("f_slot")) & (F.col("f_mask").bitwiseAND(mine) == mine), how)
     word = F.element_at("f_words", (F.pmod(slot, F.lit(BLOCK_WORDS)) + 1).cast("int"))
     blocks = F.broadcast(pack(table, p, dense).select(F.col("block").alias("f_block"), F.col("words").alias("f_words")))
     return keyed.join(blocks, ((slot / BLOCK_WORDS).cast("bigint") == F.col("f_block")) & (word.bitwiseAND(mine) == mine), how)

@@ -153,15 +153,19 @@ def test_filters_are_sized_for_all_inputs_and_keep_their_rate(spark):
     assert quality.false_negatives == 0 and quality.rate <= 0.012
 
 
-def test_packed_filters_probe_like_words(spark, monkeypatch):
+@pytest.mark.parametrize("rows", [0, 1 << 10])
+def test_packed_filters_probe_like_words(spark, monkeypatch, rows):
     monkeypatch.setattr(filters, "BLOCK_WORDS", 8)
+    monkeypatch.setattr(filters, "ROW_WORDS", rows)
     p = FilterParams(1 << 12, 3)
     keys = spark.range(300).withColumnRenamed("id", "jk")
     table = filters.build_filter(keys.where("jk % 3 = 0"), p)
     words = {r.slot: r.mask for r in table.collect()}
-    rows = keys.select("jk", filters._slot(F.col("jk"), p).alias("s"), filters._mask(filters._bits(F.col("jk"), p)).alias("m")).collect()
-    assert {r.jk for r in filters.apply_filter(keys, table, p).collect()} == {r.jk for r in rows if words.get(r.s, 0) & r.m == r.m}
+    probes = keys.select("jk", filters._slot(F.col("jk"), p).alias("s"), filters._mask(filters._bits(F.col("jk"), p)).alias("m")).collect()
+    assert {r.jk for r in filters.apply_filter(keys, table, p).collect()} == {r.jk for r in probes if words.get(r.s, 0) & r.m == r.m}
     assert filters.pack(table, p).count() == p.words // 8
+    both = filters.join_filter([keys, keys.where("jk < 100")], p)
+    assert {0, 50, 99} <= {r.jk for r in filters.apply_filter(keys, both, p, dense=True).collect()} and filters.apply_filter(keys, both, p, dense=True).count() < 130
 
 
 def test_baselines_move_all_rows_of_dialled_tables(spark, sf):
