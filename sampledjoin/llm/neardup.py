@@ -411,11 +411,11 @@ def verified(pairs: DataFrame, docs: DataFrame, frequencies, threshold: float) -
 
 
 def star_step(edges: DataFrame) -> DataFrame:
-    """One large and one small star over edges (u, v), v < u: each id comes nearer to the smallest that it is linked with, and none loses its links. Both halves are written, as each is read several times."""
+    """One large and one small star over edges (u, v), v < u: each id comes nearer to the smallest that it is linked with, and none loses its links. Halves and minima are tables: they are read several times, and joins with tables can be split at a hub."""
     sym = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    low = sym.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
+    low = materialise(sym.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "minima")
     large = materialise(sym.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), "edges")
-    low = large.groupBy("u").agg(F.min("v").alias("m"))
+    low = materialise(large.groupBy("u").agg(F.min("v").alias("m")), "minima")
     star = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
     return materialise(star.distinct(), "edges")
 
@@ -548,7 +548,8 @@ def near_classes(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     with broadcasted(docs.sparkSession, f) as frequencies:
         sketch = materialise(sketches(docs, frequencies), "sketches")
         named = sketch.where("f1 is not null and doc_id is not null")
-        sets = named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep"))
+        # as a table: a join with it can be split where a set has very many rows, which one with an aggregate of the same exchange can't
+        sets = materialise(named.groupBy("f1", "f2").agg(F.min("doc_id").alias("rep")), "sets")
         firsts = materialise(named.join(sets.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"]).dropDuplicates(["f1", "f2"]).select("doc_id", "weight", "size", "bands", "sig"), "firsts")
         links, edges = _links(docs, firsts, shared_ids(named, sets), frequencies, sampled, most_idf, threshold)
     release(docs.sparkSession)

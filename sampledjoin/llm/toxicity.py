@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import PIECE, Words, cut, lowered, materialise, ship, sliced
+from .common import PIECE, Words, cut, discard, lowered, materialise, ship, sliced
 
 #: Seed words by symbol, in the four languages of the corpus.
 INSULTS = "idiot idiots moron morons stupid dumb imbecile scum trash garbage loser losers pathetic worthless disgusting clown filth vermin dummkopf trottel abschaum imbécile connard ordure idiota imbécil estúpido basura escoria".split()
@@ -403,6 +403,7 @@ def fit(docs: DataFrame, labels: DataFrame) -> Model:
             yield pa.RecordBatch.from_arrays([b.column(1).cast(pa.int32()), *(pa.array(x[:, k]) for k in range(len(CELLS)))], names=["toxic", *CELLS])
 
     seen: pd.DataFrame = sample.where(f"fold = {FOLDS - 1}").select("text", "toxic").mapInArrow(measured, "toxic int, " + ", ".join(f"{c} double" for c in CELLS)).toPandas()
+    discard(sample)
     seen = seen.sort_values(list(seen.columns))
     if not len(seen):
         return Model(stems, PRIOR)
