@@ -35,8 +35,7 @@ def grouped(spark):
     return [JoinInput(left, ["k"], ["v1", "g", "r1"], "left"), JoinInput(right, ["k"], ["v2", "r2"], "right")]
 
 
-@pytest.mark.parametrize("agg", ["sum", "avg", "count", "stdev"])
-@pytest.mark.parametrize("options", [{}, {"estimator": "ht", "dedupe": "distinct"}, {"dedupe": "resample"}])
+@pytest.mark.parametrize(("agg", "options"), [*((a, o) for a in E.AGGREGATES for o in ({}, {"estimator": "ht", "dedupe": "distinct"})), ("avg", {"dedupe": "resample"})])
 def test_intervals_of_groups_hold_the_truth(grouped, agg, options):
     exact = {r.g: r.estimate for r in engine.budgeted_join(grouped, value(), agg, sample=False, group_by=["g"]).collect()}
     whole = engine.budgeted_join(grouped, value(), agg, sample=False).first().estimate
