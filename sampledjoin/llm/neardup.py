@@ -61,18 +61,21 @@ class Frequencies:
 
 
 def pieces(rows: DataFrame, size: int, add: Callable[[np.ndarray, bytes], None], finish: Callable[[np.ndarray], bytes]) -> Iterator[tuple[int, np.ndarray]]:
-    """Folds ``rows`` (piece, blob) by piece, one at a time in each task, and brings the few pieces to the driver, as bytes."""
+    """Folds ``rows`` (piece, blob) by piece, one at a time in each task, and brings the few pieces to the driver, as bytes. The blobs of piece -1 are numbers, which are summed."""
 
     def folded(batches):
         at, held = None, np.zeros(size, np.int64)
-        out = lambda: pa.RecordBatch.from_arrays([pa.array([at], pa.int32()), pa.array([finish(held)], pa.binary())], names=["piece", "blob"])
+        out = lambda: pa.RecordBatch.from_arrays([pa.array([at], pa.int32()), pa.array([held[:1].tobytes() if at < 0 else finish(held)], pa.binary())], names=["piece", "blob"])
         for b in sliced(batches, 64):
             for piece, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 if at is not None and piece != at:
                     yield out()
                     held[:] = 0
                 at = piece
-                add(held, blob)
+                if at < 0:
+                    held[0] += np.frombuffer(blob, np.int64)[0]
+                else:
+                    add(held, blob)
         if at is not None:
             yield out()
 
@@ -95,7 +98,7 @@ def document_frequencies(docs: DataFrame) -> Frequencies:
             own = np.flatnonzero(np.diff(edge))
             inside = (slots & np.uint64(low - 1)).astype(np.uint16)
             blobs = [np.diff(inside[edge[k] : edge[k + 1]], prepend=np.uint16(0)).tobytes() for k in own]
-            return pa.RecordBatch.from_arrays([pa.array(own.astype(np.int32)), pa.array(blobs, pa.binary()), pa.array(np.zeros(len(own), np.int64))], names=["piece", "blob", "n"])
+            return pa.RecordBatch.from_arrays([pa.array(own.astype(np.int32)), pa.array(blobs, pa.binary())], names=["piece", "blob"])
 
         n = 0
         for b in sliced(batches):
@@ -108,7 +111,7 @@ def document_frequencies(docs: DataFrame) -> Frequencies:
                 yield flush()
                 parts, size = [], 0
         yield flush()
-        yield pa.RecordBatch.from_arrays([pa.array([None], pa.int32()), pa.array([None], pa.binary()), pa.array([n], pa.int64())], names=["piece", "blob", "n"])
+        yield pa.RecordBatch.from_arrays([pa.array([-1], pa.int32()), pa.array([np.int64(n).tobytes()], pa.binary())], names=["piece", "blob"])
 
     def add(held, blob):
         held += np.bincount(np.cumsum(np.frombuffer(blob, np.uint16), dtype=np.int64), minlength=low)
@@ -116,12 +119,12 @@ def document_frequencies(docs: DataFrame) -> Frequencies:
     def coded(held):
         return np.where(held > 0, np.ceil(STEPS * np.log2(np.maximum(held, 1))) + 1, 0).clip(0, 255).astype(np.uint8).tobytes()
 
-    rows = materialise(docs.select("text").mapInArrow(counts, "piece int, blob binary, n bigint"), "slots")
-    n = rows.agg(F.sum("n")).first()[0] or 0
-    codes = np.zeros(1 << TABLE_BITS, np.uint8)
-    for k, blob in pieces(rows.where("piece is not null").select("piece", "blob"), low, add, coded):
-        codes[k * low : (k + 1) * low] = blob
-    discard(rows)
+    n, codes = 0, np.zeros(1 << TABLE_BITS, np.uint8)
+    for k, blob in pieces(docs.select("text").mapInArrow(counts, "piece int, blob binary"), low, add, coded):
+        if k < 0:
+            n = blob.view(np.int64)[0]
+        else:
+            codes[k * low : (k + 1) * low] = blob
     return Frequencies(int(n), codes)
 
 
@@ -402,20 +405,19 @@ def verified(pairs: DataFrame, docs: DataFrame, frequencies, threshold: float) -
     # rows that share a doc_id are told apart by key
     spread_out = materialise(of(unsure).select("id", F.xxhash64("text").alias("key"), "text").mapInArrow(spread, "id bigint, key bigint, shingle bigint, tf bigint, shared boolean"), "sets")
     with broadcasted(docs.sparkSession, Wanted.of(spread_out.where("shared").select("shingle"))) as wanted:
-        known = materialise(exact_frequencies(docs, wanted), "frequencies")
-    held = F.struct("shingle", "tf", F.coalesce("df", F.lit(1)).cast("bigint").alias("df"))
-    sets = materialise(spread_out.join(known, "shingle", "left").groupBy("id", "key").agg(F.collect_list(held).alias("s")).select("id", *(F.col(f"s.{c}").alias(c) for c in ("shingle", "tf", "df"))), "weighted-sets")
+        held = F.struct("shingle", "tf", F.coalesce("df", F.lit(1)).cast("bigint").alias("df"))
+        sets = materialise(spread_out.join(exact_frequencies(docs, wanted), "shingle", "left").groupBy("id", "key").agg(F.collect_list(held).alias("s")).select("id", *(F.col(f"s.{c}").alias(c) for c in ("shingle", "tf", "df"))), "weighted-sets")
     out = materialise(links.union(joined(unsure, sets, ["shingle", "tf", "df"]).mapInArrow(measured, "a bigint, b bigint")), "links")
-    discard(spread_out, known, sets, near)
+    discard(spread_out, sets, near)
     return out
 
 
 def star_step(edges: DataFrame) -> DataFrame:
-    """One large and one small star over edges (u, v), v < u: each id comes nearer to the smallest that it is linked with, and none loses its links. Halves and minima are tables: they are read several times, and joins with tables can be split at a hub."""
+    """One large and one small star over edges (u, v), v < u: each id comes nearer to the smallest that it is linked with, and none loses its links. Both halves, and the minima, are tables: they are read several times, and a join with a table can be split at a hub."""
     sym = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
     low = materialise(sym.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "minima")
     large = materialise(sym.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct(), "edges")
-    low = materialise(large.groupBy("u").agg(F.min("v").alias("m")), "minima")
+    low = large.groupBy("u").agg(F.min("v").alias("m"))
     star = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
     return materialise(star.distinct(), "edges")
 
