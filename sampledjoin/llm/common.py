@@ -53,7 +53,8 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
     """Writes ``df`` as a table in the shared folder and reads it again: cuts the lineage and survives lost executors. What a result is read from stays until that folder is cleaned, as checkpoints do; ``discard`` is for the rest."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    # read back by its path as soon as the write returns, so it needs no mark of success
+    df.write.option("mapreduce.fileoutputcommitter.marksuccessfuljobs", "false").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

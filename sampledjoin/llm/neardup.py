@@ -595,7 +595,7 @@ def _links(docs: DataFrame, firsts: DataFrame, edges: DataFrame | None, frequenc
         found = verified(pairs, docs, frequencies, threshold)
         if not found.isEmpty():
             links = found if links is None else links.union(found)
-            edges = star_step(materialise(ordered(found) if edges is None else edges.union(ordered(found)).distinct(), "edges"))
+            edges = star_step(ordered(found) if edges is None else edges.union(ordered(found)).distinct())
 
     coarse = firsts.select("doc_id", "weight", "size", "sig")
     verify(partners(members(coarse), least_agreeing(sampled, SAMPLES), threshold, most_idf))
