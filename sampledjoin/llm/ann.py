@@ -1,8 +1,9 @@
-"""Approximate nearest neighbours by inner product: balanced posting lists with replicated boundary vectors, centroids found through an in-memory graph, lists selected by their ratio of distance.
+"""Approximate nearest neighbours by inner product: balanced posting lists with replicated boundary vectors, centroids found through an in-memory graph, lists selected by their ratio of distance or by their rank.
 
 Inner products become distances by one more dimension (vectors are completed to the largest norm). Centroids are fitted
 on a bounded sample; every vector is posted to its nearest centroid's list and, if it lies on the boundary, also to further ones whose centroids are nearly as near. A query walks the centroids' neighbour graph best first and stops when nothing
-nearer is left to open. Of the lists found it takes those within a ratio of the nearest one's distance, up to a budget that is the same at any number of lists.
+nearer is left to open. How many of the lists found it takes is measured on the given rows: about TRIALS of the queries are searched in all rows, and the
+ratio of the nearest list's distance, or the number of lists, is set so that the lists hold RECALL of their true neighbours. Rows on which an index can leave out little are searched in more lists, in the end in all.
 
 Lists lie in shards of bounded size: a query goes once to each shard that has lists of its, and brings back one row of its best there.
 A list longer than a shard, and the queries of a much asked shard, are dealt in parts. Scores are inner products of the original vectors in double precision.
@@ -15,9 +16,11 @@ vec_id; other columns are ignored; an empty table gives an empty result.
 from __future__ import annotations
 
 import math
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -29,8 +32,8 @@ LEAST_LISTS, MOST_LISTS, LIST_SIZE = 128, 8192, 4096
 SAMPLE, SAMPLE_PER_LIST = 30_000, 16
 REPLICAS, REPLICA_RATIO = 4, 1.25
 DEGREE, BEAM, OPENED = 24, 64, 4
-#: Lists within this ratio of the nearest one's distance are searched, PROBES of them at most.
-QUERY_RATIO, PROBES = 1.30, 32
+#: Queries that are searched in all rows, about, the share of their neighbours that the searched lists have to hold, and lists that are searched in any case.
+TRIALS, RECALL, LEAST_PROBES = 256, 0.97, 8
 #: Postings of a shard, and queries that one task takes with it.
 SHARD, PART = 65_536, 8192
 
@@ -45,6 +48,14 @@ def distances(x: np.ndarray, c: np.ndarray) -> np.ndarray:
     return np.maximum((x * x).sum(1)[:, None] - 2 * x @ c.T + (c * c).sum(1)[None, :], 0)
 
 
+class Reach(NamedTuple):
+    """Which lists a query searches: LEAST_PROBES, and those within ``ratio`` of the nearest one's distance, ``probes`` of them at most, of the ``beam`` lists that the walk keeps."""
+
+    ratio: float
+    probes: int
+    beam: int
+
+
 class Index:
     """Centroids in the completed space, their neighbour graph, and entry points into it."""
 
@@ -96,10 +107,14 @@ class Index:
             lists.append(top[r, j])
         return np.concatenate(rows), np.concatenate(lists)
 
-    def walk(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(lists, squared distances), nearest first, that a best-first walk of the graph keeps for each query: at most BEAM. A step opens the OPENED nearest of the kept lists that are not open yet, and a query is done when all it keeps are."""
+    def walk(self, q: np.ndarray, beam: int = BEAM) -> tuple[np.ndarray, np.ndarray]:
+        """(lists, squared distances), nearest first, that a best-first walk of the graph keeps for each query: at most ``beam``. A step opens the OPENED nearest of the kept lists that are not open yet, and a query is done when all it keeps are. Where all lists are kept, all are compared."""
         y = np.column_stack([q, np.zeros(len(q))]).astype(np.float32)
-        c, n, beam = self.centroids, len(q), min(BEAM, len(self.centroids))
+        c, n = self.centroids, len(q)
+        if beam >= len(c):
+            dist = distances(y, c)
+            order = np.argsort(dist, 1, kind="stable")
+            return order, np.take_along_axis(dist, order, 1)
         kept = np.tile(self.entries, (n, 1))
         dist = distances(y, c[self.entries])
         opened = np.zeros(kept.shape, bool)
@@ -126,12 +141,37 @@ class Index:
         order = np.argsort(dist, 1, kind="stable")
         return np.take_along_axis(kept, order, 1), np.take_along_axis(dist, order, 1)
 
-    def lists_for(self, q: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    def reach_for(self, q: np.ndarray, held: list[list[np.ndarray]]) -> Reach:
+        """The cheaper of two rules, by ratio or by number of lists, under which RECALL of the queries' neighbours are found; ``held``: the lists of each neighbour of each query. The beam is the least that loses none of them, up to all lists."""
+        n = len(self.centroids)
+        found, d = self.walk(q, n)
+        rank = np.empty((len(q), n), np.int64)
+        np.put_along_axis(rank, found, np.arange(n)[None, :], 1)
+        first = [np.array([rank[i, lists].min() for lists in own], np.int64) for i, own in enumerate(held)]
+        every = np.concatenate([np.zeros(0, np.int64), *first])
+        if not len(every):
+            return Reach(math.inf, n, n)
+        far = np.sqrt(d / np.maximum(d[:, :1], 1e-30))
+        enough = lambda x: np.sort(x)[min(len(x), math.ceil(RECALL * len(x))) - 1]
+        probes, ratio = max(LEAST_PROBES, int(enough(every)) + 1), float(enough(np.concatenate([far[i, x] for i, x in enumerate(first)]))) * (1 + 1e-5)
+        within = np.maximum((far <= ratio).sum(1), min(LEAST_PROBES, n))
+        rule = Reach(ratio, n, int(within.max())) if within.mean() < probes else Reach(math.inf, probes, probes)
+        beam = max(BEAM, 2 * rule.beam)
+        while 2 * beam < n:
+            tried = rule._replace(beam=beam)
+            at, lists = self.lists_for(q, tried)
+            mine = [set(lists[at == i].tolist()) for i in range(len(q))]
+            if sum(not mine[i].isdisjoint(x.tolist()) for i, own in enumerate(held) for x in own) >= RECALL * len(every):
+                return tried
+            beam *= 2
+        return rule._replace(beam=n)
+
+    def lists_for(self, q: np.ndarray, reach: Reach) -> tuple[np.ndarray, np.ndarray]:
         """(row, list): the lists that each query searches."""
         rows, lists = [], []
         for i in range(0, len(q), 256):
-            found, d = self.walk(q[i : i + 256])
-            r, j = np.nonzero((np.isfinite(d) & (d <= QUERY_RATIO**2 * d[:, :1]))[:, :PROBES])
+            found, d = self.walk(q[i : i + 256], reach.beam)
+            r, j = np.nonzero((np.isfinite(d) & ((np.sqrt(d) <= reach.ratio * np.sqrt(np.maximum(d[:, :1], 1e-30))) | (np.arange(d.shape[1]) < LEAST_PROBES)))[:, : reach.probes])
             rows.append(r + i)
             lists.append(found[r, j])
         return np.concatenate(rows), np.concatenate(lists)
@@ -209,19 +249,60 @@ def fitted(rows: DataFrame, n: int, radius: float) -> Index:
     return Index(matrix(sample.column(0).combine_chunks()), min(lists, max(1, n // 32)), radius)
 
 
+def trials(rows: DataFrame, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """(ids, vectors) of about TRIALS of the n queries among ``rows``, by a hash of the id."""
+    asked = rows.where("query").select("vec_id", "embedding")
+    some = asked.where(F.pmod(F.xxhash64("vec_id", F.lit(7)), F.lit(1 << 20)) < int(min(1.0, TRIALS / n) * (1 << 20)) + 1).limit(4 * TRIALS).toArrow()
+    if not len(some):  # a hash may miss a small table
+        some = asked.limit(TRIALS).toArrow()
+    return some.column(0).to_numpy(), matrix(some.column(1).combine_chunks())
+
+
+def neighbours_lists(rows: DataFrame, shared: Broadcast, q_id: np.ndarray, q: np.ndarray, k: int) -> list[list[np.ndarray]]:
+    """The lists that hold each of the k nearest rows of each query, from a search in all rows: each task keeps its best."""
+
+    def best(batches):
+        score, ids, x = np.full((len(q), 0), -np.inf), np.zeros((len(q), 0), np.int64), np.zeros((len(q), 0, q.shape[1]))
+        for b in sliced(batches, 2048):
+            v_id, v = b.column(0).to_numpy(), matrix(b.column(1))
+            s = q @ v.T
+            s[q_id[:, None] == v_id[None, :]] = -np.inf
+            top = np.argpartition(-s, k - 1, 1)[:, :k] if s.shape[1] > k else np.tile(np.arange(s.shape[1]), (len(q), 1))
+            score, ids, x = np.concatenate([score, np.take_along_axis(s, top, 1)], 1), np.concatenate([ids, v_id[top]], 1), np.concatenate([x, v[top]], 1)
+            top = np.argsort(-score, 1, kind="stable")[:, :k]
+            score, ids, x = np.take_along_axis(score, top, 1), np.take_along_axis(ids, top, 1), np.take_along_axis(x, top[:, :, None], 1)
+        i, j = np.nonzero(score > -np.inf)
+        if len(i):
+            r, lists = shared.value.lists_of(x[i, j])
+            ends = np.cumsum(np.bincount(r, minlength=len(i)))
+            lists = pa.ListArray.from_arrays(pa.array(np.append(0, ends).astype(np.int32)), pa.array(lists[np.argsort(r, kind="stable")].astype(np.int32)))
+            yield pa.RecordBatch.from_arrays([pa.array(i.astype(np.int32)), pa.array(-score[i, j]), pa.array(ids[i, j]), lists], names=["trial", "less", "vec_id", "lists"])
+
+    found = rows.select("vec_id", "embedding").mapInArrow(best, "trial int, less double, vec_id bigint, lists array<int>")
+    nearest_first = F.array_sort(F.array_distinct(F.collect_list(F.struct("less", "vec_id", "lists"))))
+    held: list[list[np.ndarray]] = [[] for _ in q]
+    for r in found.groupBy("trial").agg(F.slice(nearest_first, 1, k).getField("lists").alias("lists")).collect():  # a row for each trial
+        held[r.trial] = [np.array(x) for x in r.lists]
+    return held
+
+
 def nearest(vectors: DataFrame, is_query: Column, k: int = 20) -> DataFrame:
     """(query_id, rank, vec_id, score): the k nearest found of each row of ``vectors`` (vec_id, embedding) that ``is_query`` picks, among all other rows."""
     spark = vectors.sparkSession
     ship(spark)
     rows = vectors.select(F.col("vec_id").cast("bigint").alias("vec_id"), "embedding", F.coalesce(is_query, F.lit(False)).alias("query")).where(F.col("vec_id").isNotNull() & valid(F.col("embedding")))
-    lengths = rows.groupBy(F.size("embedding").alias("d")).agg(F.count("*").alias("n"), F.max(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x)).alias("m")).orderBy(F.desc("n"), F.desc("d")).limit(1).collect()
+    lengths = rows.groupBy(F.size("embedding").alias("d")).agg(F.count("*").alias("n"), F.max(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x)).alias("m"), F.count_if("query").alias("asked")).orderBy(F.desc("n"), F.desc("d")).limit(1).collect()
     if not lengths:
         return spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
-    dim, n, top = lengths[0]
+    dim, n, top, n_asked = lengths[0]
+    if not n_asked:
+        return spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
     rows = rows.where(F.size("embedding") == dim)
     index = fitted(rows, n, math.sqrt(top) * (1 + 1e-9))
     kind = rows.schema["embedding"].dataType.simpleString()
     with broadcasted(spark, index) as shared:
+        tried_id, tried = trials(rows, n_asked)
+        reach = index.reach_for(tried, neighbours_lists(rows, shared, tried_id, tried, k))
 
         def posted(batches):
             for b in sliced(batches, 4096):
@@ -238,7 +319,7 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20) -> DataFrame:
         def asked(batches):
             place = {a: (first, parts) for a, first, parts in where}
             for b in sliced(batches, 4096):
-                r, lists = shared.value.lists_for(matrix(b.column(1)))
+                r, lists = shared.value.lists_for(matrix(b.column(1)), reach)
                 held: dict[tuple[int, int], list[int]] = {}
                 for i, one in zip(r.tolist(), lists.tolist(), strict=True):
                     first, parts = place.get(one, (0, 0))
@@ -255,7 +336,7 @@ def nearest(vectors: DataFrame, is_query: Column, k: int = 20) -> DataFrame:
     left = left.join(F.broadcast(turns), "shard").withColumn("turn", F.explode(F.sequence(F.lit(0), F.col("turns") - 1))).select("shard", "turn", "list", "vec_id", "embedding")
     right = queries.join(F.broadcast(turns), "shard").withColumn("turn", F.pmod(F.xxhash64("query_id"), F.col("turns")).cast("int")).select("shard", "turn", "query_id", "lists", "embedding")
     met = left.groupBy("shard", "turn").cogroup(right.groupBy("shard", "turn")).applyInArrow(lambda v, q: searched(v, q, k), "query_id bigint, ids array<bigint>, scores array<double>")
-    # a query has found at most k in each of at most PROBES lists, in so many shards and their parts
+    # a query has found at most k in each shard and part that has lists of its
     pairs = F.zip_with("scores", "ids", lambda s, i: F.struct((-s).alias("less"), i.alias("vec_id")))
     best = met.select("query_id", pairs.alias("found")).groupBy("query_id").agg(F.slice(F.array_sort(F.array_distinct(F.flatten(F.collect_list("found")))), 1, k).alias("found"))
     one = best.select("query_id", F.posexplode("found").alias("place", "hit"))

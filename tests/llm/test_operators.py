@@ -439,6 +439,24 @@ def test_nearest_match_brute_force(spark):
     assert ann.nearest(v.where("false"), F.col("vec_id") % 20 == 0).count() == 0
 
 
+@pytest.mark.parametrize("kind", ["norms", "clusters"])
+def test_nearest_of_other_rows_reach_their_recall(spark, kind):
+    """Vectors of very different norms, and tight clusters of which one is asked for more than it holds."""
+    g = np.random.default_rng(8)
+    n, d = 6000, 48
+    x = g.normal(size=(n, d)) if kind == "norms" else g.normal(size=(90, d))[g.integers(90, size=n)] + 0.3 * g.normal(size=(n, d))
+    x = (x * np.exp(g.normal(size=n))[:, None] if kind == "norms" else x).astype(np.float32)
+    v = spark.createDataFrame([(i, r.tolist()) for i, r in enumerate(x)], "vec_id bigint, embedding array<float>")
+    got: dict[int, set] = {}
+    for r in ann.nearest(v, F.col("vec_id") % 20 == 0).collect():
+        got.setdefault(r.query_id, set()).add(r.vec_id)
+    q, x = np.arange(0, n, 20), x.astype(np.float64)
+    s = x[q] @ x.T
+    s[np.arange(len(q)), q] = -np.inf
+    hits = sum(len(got[i] & set(top.tolist())) for i, top in zip(q.tolist(), np.argpartition(-s, 20, 1)[:, :20], strict=True))
+    assert set(map(len, got.values())) == {20} and hits >= 0.95 * 20 * len(q)
+
+
 def test_odd_rows_and_empty_tables(spark, odd, empty):
     labels = spark.createDataFrame([(1, None, 0), (3, 1, None)], "doc_id bigint, quality int, toxic int")
     items = spark.createDataFrame([(1, None), (None, PROSE[0])], "item_id bigint, text string")
