@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -112,26 +116,69 @@ def sample_edges(keyed: list[DataFrame], strata: DataFrame, seed: int = 42, dedu
 
 
 def _grouped(keyed: list[DataFrame], strata: DataFrame, seed: int) -> DataFrame:
-    """Two sides, by key, in a function over both sides' rows."""
-    left, right = (k.join(strata.select("jk", "b", "full"), "jk") if i == 0 else k for i, k in enumerate(keyed))
-    cols = [[f for f in k.schema.fields if f.name != "jk"] for k in keyed]
-    schema = T.StructType([keyed[0].schema["jk"], T.StructField("draw", T.LongType()), *cols[0], *cols[1]])
-    names = [f.name for f in schema.fields]
-
-    def drawn(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        import numpy as np
-
-        if not len(a) or not len(b):
-            return pd.DataFrame({c: [] for c in names})
-        want, full = int(a["b"].iloc[0]), bool(a["full"].iloc[0])
-        a, b = (x.sort_values([f.name for f in c]).reset_index(drop=True) for x, c in ((a, cols[0]), (b, cols[1])))
-        if full:
-            i, j = np.divmod(np.arange(len(a) * len(b)), len(b))
-        else:
-            g = np.random.Generator(np.random.PCG64([seed, len(a), len(b), int(pd.util.hash_array(np.array([str(a["jk"].iloc[0])], dtype=object))[0] % (1 << 32))]))
-            i, j = g.integers(len(a), size=want), g.integers(len(b), size=want)
-        out = pd.concat([a.iloc[i].reset_index(drop=True).drop(columns=["b", "full"]), b.iloc[j].reset_index(drop=True).drop(columns=["jk"])], axis=1)
-        out["draw"] = np.arange(1, len(i) + 1)
-        return out[names]
-
-    return left.groupBy("jk").cogroup(right.groupBy("jk")).applyInPandas(drawn, schema)
+    """Two sides, by key: a key's size and its rows of both sides come one after the other, sorted, and one pass over a task's rows draws for all its keys."""
+    cols = [[f.name for f in k.schema.fields if f.name != "jk"] for k in keyed]
+    jk, kinds = keyed[0].schema["jk"], {f.name: f.dataType for k in keyed for f in k.schema.fields}
+    schema = T.StructType([jk, T.StructField("draw", T.LongType()), *(T.StructField(c, kinds[c]) for own in cols for c in own)])
+    names = [*cols[0], *cols[1]]
+    there = strata.select("jk")
+
+    def tagged(df: DataFrame, side: int, own: list[str]) -> DataFrame:
+        size = [F.col(c).cast(t).alias(f"st_{c}") if side == 0 else F.lit(None).cast(t).alias(f"st_{c}") for c, t in (("b", "bigint"), ("full", "boolean"))]
+        return df.select("jk", F.lit(side).alias("st_side"), *size, *(F.col(c) if c in own else F.lit(None).cast(kinds[c]).alias(c) for c in names))
+
+    rows = tagged(strata, 0, []).unionAll(tagged(keyed[0].join(there, "jk", "left_semi"), 1, cols[0])).unionAll(tagged(keyed[1].join(there, "jk", "left_semi"), 2, cols[1]))
+
+    def drawn(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        for b in batches:
+            held.append(b)
+            heads = np.flatnonzero(b.column(1).to_numpy() == 0)
+            if len(heads):  # all keys but the last are complete
+                yield from _draws_of(pa.Table.from_batches([*held[:-1], b.slice(0, heads[-1])]).combine_chunks(), cols, seed)
+                held = [b.slice(heads[-1])]
+        if held:
+            yield from _draws_of(pa.Table.from_batches(held).combine_chunks(), cols, seed)
+
+    order = ["jk", "st_side", *(F.col(c).asc_nulls_last() for c in names)]
+    # by a hash of its own: an exchange by the key could be left out where the union's parts have one each, which don't meet
+    return rows.repartition(F.xxhash64("jk")).sortWithinPartitions(*order).mapInArrow(drawn, schema)
+
+
+def _draws_of(rows: pa.Table, cols: list[list[str]], seed: int) -> Iterator[pa.RecordBatch]:
+    """The draws of whole keys: ``rows`` (jk, st_side, st_b, st_full, columns) hold a key's size, its left rows and its right rows one after the other. CHUNK draws at a time."""
+    if not rows.num_rows:
+        return
+    side = rows.column("st_side").to_numpy()
+    head = np.flatnonzero(side == 0)
+    ends = np.append(head[1:], len(side))
+    left = np.add.reduceat((side == 1).astype(np.int64), head)
+    sizes = rows.select(["jk", "st_b", "st_full"]).take(pa.array(head))
+    want, full = sizes.column("st_b").to_pylist(), sizes.column("st_full").to_pylist()
+    hashes = pd.util.hash_array(np.array([str(k) for k in sizes.column("jk").to_pylist()], dtype=object)) % np.uint64(1 << 32)
+    held: list[tuple[np.ndarray, ...]] = []
+    size = 0
+
+    def flush() -> pa.RecordBatch:
+        key, draw, i, j = (pa.array(np.concatenate(x)) for x in zip(*held, strict=True))
+        out = [rows.column("jk").take(key), draw, *(rows.column(c).take(at) for at, own in ((i, cols[0]), (j, cols[1])) for c in own)]
+        out = [c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c for c in out]
+        return pa.RecordBatch.from_arrays(out, names=["jk", "draw", *cols[0], *cols[1]])
+
+    for k, at in enumerate(head.tolist()):
+        n, m = int(left[k]), int(ends[k] - at - 1 - left[k])
+        if not n or not m:
+            continue
+        if not full[k]:
+            g = np.random.Generator(np.random.PCG64([seed, n, m, int(hashes[k])]))
+            i, j = g.integers(n, size=want[k]), g.integers(m, size=want[k])
+        for lo in range(0, n * m if full[k] else want[k], CHUNK):
+            draw = np.arange(lo, min(lo + CHUNK, n * m if full[k] else want[k]))
+            a, b = np.divmod(draw, m) if full[k] else (i[draw], j[draw])
+            held.append((np.full(len(draw), at), draw + 1, at + 1 + a, at + 1 + n + b))
+            size += len(draw)
+            if size >= CHUNK:
+                yield flush()
+                held, size = [], 0
+    if held:
+        yield flush()
