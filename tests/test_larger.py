@@ -22,3 +22,12 @@ def test_grouped_sampling_draws_for_all_keys_in_one_pass(spark):
         assert got.count() == 3000 and got.where("n <> b or x <> jk or y <> jk").isEmpty()
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", old)
+
+
+def test_self_join_meets_no_pairs_of_two_buckets(spark, tmp_path):
+    rows = [(k, n) for k in (*range(-30, 9000, 3), 5, 6, 6, None) for n in (0, 1, None)]
+    spark.createDataFrame(rows, "c_custkey bigint, c_nationkey int").write.parquet(f"{tmp_path}/customer.parquet")
+    df = registry.QUERIES["join_self"](spark, str(tmp_path))
+    keys = [k for k, n in rows if n == 0 and k is not None]
+    want = 2 * sum(a < b for a in keys for b in keys)
+    assert df.first().n == want and "bucket" in df._jdf.queryExecution().toString()
