@@ -31,3 +31,9 @@ def test_self_join_meets_no_pairs_of_two_buckets(spark, tmp_path):
     keys = [k for k, n in rows if n == 0 and k is not None]
     want = 2 * sum(a < b for a in keys for b in keys)
     assert df.first().n == want and "bucket" in df._jdf.queryExecution().toString()
+
+
+def test_cardinality_of_more_keys_than_the_least_filter_holds(spark, tmp_path):
+    spark.range(900_000).select(F.col("id").alias("o_custkey"), F.col("id").alias("o_orderkey"), F.lit(1.0).alias("o_totalprice")).write.parquet(f"{tmp_path}/orders.parquet")
+    spark.createDataFrame([(1, 1.0)], "c_custkey bigint, c_acctbal double").write.parquet(f"{tmp_path}/customer.parquet")
+    assert tuple(registry.QUERIES["filter_cardinality"](spark, str(tmp_path)).first()) == (900_000, True)
