@@ -42,6 +42,8 @@ def draw_edges(strata: DataFrame, n: int, seed: int = 42, family: str = "xx", dr
     many = F.col(draws)
     done = F.when(F.col("full") & (F.col(after) < many), F.lit(0)).otherwise(F.col(after)).cast("bigint") if after else F.lit(0).cast("bigint")
     wide = strata.withColumn("st_done", done).where(F.col("st_done") < many).withColumn("chunk", F.explode(F.sequence(F.lit(0).cast("bigint"), F.expr(f"({draws} - st_done - 1) div {CHUNK}"))))
+    # a few heavy strata are a few rows, which would be drawn in one task
+    wide = wide.repartition(2 * strata.sparkSession.sparkContext.defaultParallelism, "jk", "chunk")
     first = F.col("st_done") + F.col("chunk") * CHUNK
     rows = wide.withColumn("draw", F.explode(F.sequence(first + 1, F.least(many, first + CHUNK))))
     out, below = [], F.lit(1).cast("decimal(38,0)")
@@ -76,12 +78,18 @@ def distinct_sample(strata: DataFrame, n: int, seed: int = 42, family: str = "xx
 
 
 def attach(edges: DataFrame, numbered: list[DataFrame]) -> DataFrame:
-    """Edges with their rows' columns: a join on (key, position) for each side, over which a hot key spreads."""
+    """Edges with their rows' columns: a join on (key, position) for each side, over which a hot key spreads. A plan takes the edges for as few as their strata, so it would broadcast them: a side is broadcast if it is small itself, else both are sorted."""
     for i, side in enumerate(numbered, 1):
-        edges = edges.join(side.withColumnRenamed("pos", f"pos_{i}"), ["jk", f"pos_{i}"])
+        edges = edges.join(side.withColumnRenamed("pos", f"pos_{i}").hint("broadcast" if _small(side) else "merge"), ["jk", f"pos_{i}"])
     return edges
 
 
+def _small(side: DataFrame) -> bool:
+    """Whether Spark would broadcast ``side`` by its size."""
+    size = side._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()
+    return int(str(size)) <= side.sparkSession._jsparkSession.sessionState().conf().autoBroadcastJoinThreshold()
+
+
 def salts_for(strata: DataFrame, most_rows: int = 4_000_000) -> int:
     """Parts in which a key's rows are numbered, so that none has more than ``most_rows`` of the heaviest key."""
     sides = [c for c in strata.columns if c.startswith("n_")]

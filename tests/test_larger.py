@@ -37,3 +37,12 @@ def test_cardinality_of_more_keys_than_the_least_filter_holds(spark, tmp_path):
     spark.range(900_000).select(F.col("id").alias("o_custkey"), F.col("id").alias("o_orderkey"), F.lit(1.0).alias("o_totalprice")).write.parquet(f"{tmp_path}/orders.parquet")
     spark.createDataFrame([(1, 1.0)], "c_custkey bigint, c_acctbal double").write.parquet(f"{tmp_path}/customer.parquet")
     assert tuple(registry.QUERIES["filter_cardinality"](spark, str(tmp_path)).first()) == (900_000, True)
+
+
+def test_draws_of_one_heavy_stratum_are_made_in_several_tasks(spark):
+    strata = spark.createDataFrame([(1, 3000, 3000, 900_000)], "jk bigint, n_1 bigint, n_2 bigint, b bigint").select("*", F.lit(9_000_000).cast("decimal(38,0)").alias("edges"), F.lit(False).alias("full"))
+    drawn = sampler.draw_edges(strata, 2)
+    tasks = drawn.groupBy(F.spark_partition_id()).count().collect()
+    assert len(tasks) > 1 and sum(r["count"] for r in tasks) == 900_000
+    side = spark.range(3000).select(F.lit(1).cast("bigint").alias("jk"), F.col("id").alias("x"), (F.col("id") + 1).alias("pos"))
+    assert "BuildLeft" not in sampler.attach(drawn, [side])._jdf.queryExecution().executedPlan().toString()
