@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.keys import text_hash
 from ..functions.quantiles import z_quantile
 from ..model import InfeasibleError, LatencyModel
+from ..sources.io import stored
 
 
 def remaining(desired_s: float, filter_s: float) -> float:
@@ -115,13 +116,18 @@ def bootstrap_sigma(edges: DataFrame, value: Column, reps: int = 30, seed: int =
     return each.groupBy("jk").agg(F.max("w").cast("bigint").alias("n"), F.sqrt(F.avg(F.greatest(F.lit(0.0), (F.col("q") - F.col("s") ** 2 / F.col("w")) / (F.col("w") - 1)))).alias("sigma"))
 
 
-def calibrate(spark: SparkSession, sizes: tuple[int, ...] = (1000, 2000, 3000, 4000), repeats: int = 2) -> LatencyModel:
-    """Times cross products of several sizes and fits a line: seconds against edges."""
-    points = []
-    for n in sizes:
-        for _ in range(repeats):
-            t = time.perf_counter()
-            spark.range(n).crossJoin(spark.range(n).withColumnRenamed("id", "other")).agg(F.sum(F.col("id") + F.col("other"))).collect()
-            points.append((float(n) * n, time.perf_counter() - t))
+def calibrate(spark: SparkSession, sizes: tuple[int, ...] = (1000, 2000, 3000, 4000), repeats: int = 2, rows: DataFrame | None = None) -> LatencyModel:
+    """Times cross products of several sizes and fits a line: seconds against edges. rows: (id, v) of a table, of which each size takes the rows of the smallest ids; without it, numbers are made."""
+    kept = spark.range(max(sizes)).select("id", F.col("id").alias("v")) if rows is None else stored(rows.orderBy("id").limit(max(sizes)), "calibration")
+
+    def timed(n: int) -> tuple[float, float]:
+        t = time.perf_counter()
+        side = kept.orderBy("id").limit(n)
+        edges = side.select("v").crossJoin(side.select(F.col("v").alias("other"))).agg(F.count("*").alias("n"), F.sum(F.col("v") + F.col("other"))).first().n
+        return float(edges), time.perf_counter() - t
+
+    for n in sizes[:2]:  # what starts once is not an edge's cost
+        timed(n)
+    points = [timed(n) for n in sizes for _ in range(repeats)]
     slope, intercept, r2 = spark.createDataFrame(points, "x double, y double").agg(F.regr_slope("y", "x"), F.regr_intercept("y", "x"), F.regr_r2("y", "x")).first()
     return LatencyModel(max(slope, 1e-12), max(0.0, intercept), r2)

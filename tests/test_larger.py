@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import pytest
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
-from sampledjoin import registry
+from sampledjoin import experiments, registry
 from sampledjoin.operators import relational, sampler
 from sampledjoin.operators.strata import count_strata
 from sampledjoin.plans import budget as P
@@ -46,3 +48,9 @@ def test_draws_of_one_heavy_stratum_are_made_in_several_tasks(spark):
     assert len(tasks) > 1 and sum(r["count"] for r in tasks) == 900_000
     side = spark.range(3000).select(F.lit(1).cast("bigint").alias("jk"), F.col("id").alias("x"), (F.col("id") + 1).alias("pos"))
     assert "BuildLeft" not in sampler.attach(drawn, [side])._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize("name", ["calibration", "poisson_inputs", "poisson_rows", "udtf_draws"])
+def test_queries_read_the_given_tables(spark, name):
+    with pytest.raises(AnalysisException):
+        {**registry.QUERIES, **experiments.QUERIES}[name](spark, "/no/such/folder").collect()
