@@ -75,6 +75,52 @@ def test_near_classes_of_a_hot_group_lose_no_link(spark):
     assert got == want and 2 < len(set(want.values())) < 150
 
 
+def counted_shingles(text):
+    w = text.split()
+    return Counter(tuple(w[k : k + 5]) for k in range(len(w) - 4))
+
+
+def classes_by_counts(rows, threshold=0.8):
+    """As near_by_definition, all shingles weighing the same."""
+    sets, parent = [counted_shingles(t) for _, t in rows], {i: i for i, _ in rows}
+    for x, (i, _) in enumerate(rows):
+        for y in range(x):
+            if (sets[x] & sets[y]).total() >= threshold * (sets[x] | sets[y]).total():
+                lo, hi = sorted((parent[i], parent[rows[y][0]]))
+                parent = {k: lo if v == hi else v for k, v in parent.items()}
+    return parent
+
+
+@pytest.mark.parametrize("cell", [64, 4096])
+def test_near_copies_of_a_large_group_are_found(spark, tmp_path, monkeypatch, cell):
+    """Copies of one text, each with 1 to 5 words of its own, among other texts: by frequencies they grow apart as their group grows."""
+    monkeypatch.setattr(neardup, "CELL", cell)
+    g = np.random.default_rng(3)
+    base = [f"b{j % 150}" for j in range(200)]  # some shingles stand there twice
+    rows = [(i, " ".join(f"r{i}x{j}" for j in range(80))) for i in range(100)]
+    for i in range(100):
+        w = list(base)
+        for j in g.choice(200, 1 + i % 5, replace=False):
+            w[j] = f"y{i}x{j}"
+        rows.append((1000 + i, " ".join(w)))
+    want, by_weight = classes_by_counts(rows), near_by_definition(rows)
+    table(spark, rows).write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r.class_id for r in neardup.op3(spark, str(tmp_path)).collect()}
+    group = lambda c: Counter(c[i] for i, _ in rows if i >= 1000).most_common(1)[0][1]
+    assert got == want and group(want) == 80 and group(by_weight) == 2
+
+
+@pytest.mark.parametrize("tf", [1, 3])
+def test_count_samples_agree_as_often_as_counted_sets_do(tf):
+    g = np.random.default_rng(5)
+    base = np.sort(g.integers(1 << 40, 1 << 63, 400, np.uint64))
+    with np.errstate(over="ignore"):
+        x, y = (neardup.count_samples(v, np.full(len(v), tf), np.array([0]), 512, 9) for v in (base[:360], base[40:]))
+        z = neardup.count_samples(base, np.full(400, 2 * tf), np.array([0]), 512, 9)
+        w = neardup.count_samples(base, np.full(400, tf), np.array([0]), 512, 9)
+    assert abs((x == y).mean() - 0.8) < 0.08 and abs((z == w).mean() - 0.5) < 0.1
+
+
 @pytest.mark.parametrize("cell", [64, 4096])
 def test_near_classes_search_a_hot_band_to_its_end(spark, monkeypatch, cell):
     """One band that all rows share, and no other."""
