@@ -16,7 +16,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from sampledjoin.llm import ann, decontam, licenses, linededup, neardup, pii, secrets, spm, toxicity, warc
-from sampledjoin.llm.common import cut
+from sampledjoin.llm.common import cut, trim_driver
 
 PROSE = [" ".join(f"w{(i * 37 + j * j * 11) % 997}" for j in range(60)) for i in range(30)]
 
@@ -161,6 +161,24 @@ def test_counters_bound_exact_frequencies(spark):
     assert f.n == 40 and (bound >= 7.99).all() and np.median(bound) < 9.6
 
 
+@pytest.mark.parametrize(("held", "row"), [(1 << 20, 1024), (100, 16)])
+def test_exact_frequencies_are_looked_up_one_row_each(spark, monkeypatch, held, row):
+    """However many tasks the copies of a text are dealt over, and without a further pass over the texts."""
+    monkeypatch.setattr(neardup, "HELD", held)
+    monkeypatch.setattr(neardup, "ROW", row)
+    rows = [(i, f"{PROSE[i % 5]} z{i}") for i in range(40)]
+    want = Counter(x for v, _ in neardup.weighted_sets([t for _, t in rows]) for x in v.view(np.int64).tolist())
+    every = spark.sparkContext.broadcast(neardup.Wanted(np.full(1 << (neardup.WANTED_BITS - 3), 255, np.uint8)))
+    counted = neardup.frequency_table(table(spark, rows).repartition(16))
+    got = neardup.exact_frequencies(counted, every).collect()
+    assert sorted((r.shingle, r.df) for r in got) == sorted((x, n) for x, n in want.items() if n > 1)
+    assert set(want.values()) == {1, 8} and neardup.document_frequencies(counted).n == 40
+
+
+def test_the_drivers_freed_memory_goes_back(spark):
+    assert trim_driver(spark)
+
+
 def test_weighted_samples_agree_as_often_as_sets_do():
     g = np.random.default_rng(5)
     base = np.sort(g.integers(1 << 40, 1 << 63, 400, np.uint64))
